@@ -7,10 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .bpe_automaton import op5_bpe
+from .licenses import op1_licenses
 from .mixing import op8_mix
 from .quality import op10_quality_rules
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_licenses": op1_licenses,
     "op5_bpe": op5_bpe,
     "op8_mix": op8_mix,
     "op10_quality_rules": op10_quality_rules,
