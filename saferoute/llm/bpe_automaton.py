@@ -11,9 +11,8 @@ pair encoding gives. Merges are compiled in order, each by one gadget for its pa
 Written out, the arcs would be the square of the vocabulary. As a gadget touches only arcs for its
 own u, v and w, the arc from s to t is decided by the gadgets of s and t alone, so the table of arcs
 is filled where texts ask for it and kept; filling it gives the same table as writing it out.
-A word is encoded by running through its characters: the state after each prefix is determined, as the
-one token that ends there and whose arc leaves the state at its start. Words are encoded once per worker
-and kept in a table of bounded size. Decoding emits the labels of the arcs, joined by a blank.
+A word is encoded by running through its characters along arcs that the table has: the path that spells
+a prefix is unique. Words are encoded once per worker and kept in a table of bounded size. Decoding emits the labels of the arcs, joined by a blank.
 
 Nulls and empty texts have no tokens. Repeated rows give equal rows; columns other than ``doc_id`` and
 ``text`` are ignored. Strings of special tokens in a text become those tokens.
@@ -23,6 +22,8 @@ from __future__ import annotations
 
 import hashlib
 import json
+import unicodedata
+from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -34,7 +35,7 @@ from tokenizers import Tokenizer
 from . import common
 
 #: Words kept in each worker's table, arcs in each automaton's.
-WORDS_KEPT, ARCS_KEPT = 400_000, 2_000_000
+WORDS_KEPT, ARCS_KEPT = 500_000, 1_000_000
 START = -1
 #: Fixed values of the tokenizer's file format: the splitting pattern and white space.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
@@ -48,6 +49,19 @@ def byte_symbols() -> list[str]:
     return [chr(b) if b in shown else chr(next(hidden)) for b in range(256)]
 
 
+class Arcs(dict):
+    """(state, token) -> whether the finished automaton has the arc; filled where it is asked for."""
+
+    def __init__(self, automaton: Automaton) -> None:
+        self.automaton = automaton
+
+    def __missing__(self, pair: tuple[int, int]) -> bool:
+        if len(self) >= ARCS_KEPT:
+            self.clear()
+        self[pair] = known = self.automaton.linked(*pair) and self.automaton.whole(pair[1])
+        return known
+
+
 class Automaton:
     """Tokenization automaton of a merge list; tokens and states are numbered as in ``vocab``."""
 
@@ -57,7 +71,15 @@ class Automaton:
         self.made: dict[int, tuple[int, int, int]] = {}  # token -> left part, right part, merge number
         self.cut: dict[tuple[int, int], int] = {}  # pair -> merge number
         self.arcs: dict[tuple[int, int], bool] = {}
-        self.longest = max(map(len, vocab))
+        self.final = Arcs(self)
+        self.alive: set[int] = set()  # tokens known to be whole
+        self.reach: dict[str, int] = {}  # first two or three symbols -> symbols of the longest label that begins so
+        for t in vocab:
+            size = len(t) - len(end) if t.endswith(end) and len(t) > len(end) else len(t)
+            head = t[: min(3, size)]
+            self.reach[head] = max(size, self.reach.get(head, 1))
+            if size > 1:
+                self.reach[head[:2]] = max(2, self.reach.get(head[:2], 2))
         for k, (u, v) in enumerate(merges):
             pair = vocab[u], vocab[v]
             if vocab[u + v] not in self.made and pair not in self.cut:
@@ -88,42 +110,76 @@ class Automaton:
         """Whether state s has an arc for t when the merges below ``before`` are compiled."""
         return self.cut.get((s, t), before) >= before and self.born_linked(s, t)
 
-    def alive(self, t: int) -> bool:
-        made = self.made.get(t)
-        return made is None or self.linked(*made)
-
     def encode(self, word: str) -> list[int]:
-        """Tokens of one pre-split word, given as byte symbols."""
+        """Tokens of one pre-split word, given as byte symbols.
+
+        Arcs are tried from the longest label down. The path to a prefix is unique, so a place that was
+        left once without reaching the end is not entered again: the run is linear in the word."""
         n = len(word)
-        state, come = [START] * (n + 1), [0] * (n + 1)
-        for i in range(1, n + 1):
-            end = self.end if i == n else ""
-            for j in range(max(0, i - self.longest), i):
-                t = self.vocab.get(word[j:i] + end)
-                if t is None or (j and state[j] == START):
+        vocab, end, reach, final, alive = self.vocab, self.end, self.reach, self.final, self.alive
+        path: list[int] = []
+        at, state, dead = [0], START, set()
+        i = 0
+        size = reach.get(word[:3]) or reach.get(word[:2]) or 1
+        while i < n:
+            if size >= n - i:
+                size = n - i
+                t = vocab.get(word[i:] + end)
+            else:
+                t = vocab.get(word[i : i + size])
+            while size:
+                if t is not None and i + size not in dead:
+                    if not path:
+                        if t in alive or self.whole(t):
+                            break
+                    elif final[state, t]:
+                        break
+                size -= 1
+                t = vocab.get(word[i : i + size])
+            if size:
+                path.append(t)
+                i += size
+                at.append(i)
+                state = t
+                size = reach.get(word[i : i + 3]) or reach.get(word[i : i + 2]) or 1
+            else:  # no arc leads on: back to the place before, for a shorter label
+                dead.add(at.pop())
+                path.pop()
+                size, i = i - at[-1] - 1, at[-1]
+                state = path[-1] if path else START
+                if not size:
                     continue
-                if (self.linked(state[j], t) if j else True) and self.whole(t):
-                    state[i], come[i] = t, j
-                    break
-        out, i = [], n
-        while i:
-            out.append(state[i])
-            i = come[i]
-        return out[::-1]
+        return path
 
     def whole(self, t: int) -> bool:
         """Whether the merges really make t: its parts stay neighbours until its own gadget."""
-        known = self.arcs.get((START, t))
-        if known is None:
-            made = self.made.get(t)
-            known = made is None or self.linked(made[0], made[1], made[2]) and self.whole(made[0]) and self.whole(made[1])
-            self.arcs[START, t] = known
-        return known
+        if t in self.alive:
+            return True
+        made = self.made.get(t)
+        if made is None or self.linked(*made) and self.whole(made[0]) and self.whole(made[1]):
+            self.alive.add(t)
+            return True
+        return False
 
     def decode(self, ids: list[int]) -> str:
         return " ".join(map(self.labels.__getitem__, ids))
 
 
+class Words(dict):
+    """Pre-split word in byte symbols -> its ids as little-endian 32-bit integers, filled on demand."""
+
+    def __init__(self, automaton: Automaton) -> None:
+        self.automaton = automaton
+
+    def __missing__(self, word: str) -> bytes:
+        out = array("I", self.automaton.encode(word)).tobytes()
+        if len(self) >= WORDS_KEPT:
+            self.clear()
+        if len(word) < 100:
+            self[word] = out
+        return out
+
+
 class Encoder(dict):
     """White-space separated piece -> its ids as little-endian 32-bit integers, filled on demand."""
 
@@ -135,22 +191,20 @@ class Encoder(dict):
         self.special = {x["content"]: x["id"] for x in spec["added_tokens"]}
         self.automaton = Automaton(model["vocab"], merges, model["end_of_word_suffix"] or "")
         self.automaton.labels.update({i: t for t, i in self.special.items()})
+        self.words = Words(self.automaton)
         self.rules = Tokenizer.from_file(path)  # its normalizer and pre-tokenizer only
-        self.symbols = byte_symbols()
+        self.symbols = dict(enumerate(byte_symbols()))
         self.split = regex.compile(PATTERN)
         self.marks = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
         self.white = regex.compile(f"[{regex.escape(WHITE)}]+")
         self.odd = regex.compile("[\x1c-\x1f]")
 
     def __missing__(self, piece: str) -> bytes:
-        if piece.isascii():
-            words = ["".join(map(self.symbols.__getitem__, w.encode())) for w in self.split.findall(piece.lower())]
+        if piece.isascii() or max(piece) < "\u0250" and unicodedata.is_normalized("NFC", piece):
+            words = [w.encode().decode("latin-1").translate(self.symbols) for w in self.split.findall(piece.lower())]
         else:  # normal form, lower case and classes of letters as the file's own rules have them
             words = [w for w, _ in self.rules.pre_tokenizer.pre_tokenize_str(self.rules.normalizer.normalize_str(piece))]
-        ids = []
-        for word in words:
-            ids += self.automaton.encode(word)
-        out = b"".join(i.to_bytes(4, "little") for i in ids)
+        out = b"".join(map(self.words.__getitem__, words))
         if len(self) >= WORDS_KEPT:
             self.clear()
         if len(piece) < 200:
