@@ -10,12 +10,14 @@ from .bpe_automaton import op5_bpe
 from .licenses import op1_licenses
 from .mixing import op8_mix
 from .quality import op10_quality_rules
+from .toxicity import op6_toxicity
 from .url_trust import op9_url_trust
 from .warc import op7_warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_licenses": op1_licenses,
     "op5_bpe": op5_bpe,
+    "op6_toxicity": op6_toxicity,
     "op7_warc": op7_warc,
     "op8_mix": op8_mix,
     "op9_url_trust": op9_url_trust,
