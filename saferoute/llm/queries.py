@@ -8,7 +8,10 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .bpe_automaton import op5_bpe
 from .licenses import op1_licenses
+from .metric_tree import SQL as TOP_K_SQL
+from .metric_tree import op4_top_k
 from .mixing import op8_mix
+from .pii import op2_pii
 from .quality import op10_quality_rules
 from .toxicity import op6_toxicity
 from .url_trust import op9_url_trust
@@ -16,6 +19,8 @@ from .warc import op7_warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_licenses": op1_licenses,
+    "op2_pii": op2_pii,
+    "op4_top_k": op4_top_k,
     "op5_bpe": op5_bpe,
     "op6_toxicity": op6_toxicity,
     "op7_warc": op7_warc,
@@ -23,4 +28,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op9_url_trust": op9_url_trust,
     "op10_quality_rules": op10_quality_rules,
 }
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {"op4_top_k": TOP_K_SQL}
