@@ -29,12 +29,13 @@ SEED = "mix-1"
 BINS, LEVELS = 1024, 3
 
 
-def sizes(docs: DataFrame, seed: str = SEED) -> DataFrame:
-    """doc_id, source, size and the uniform ``u`` (of 52 bits, never 0 or 1) of every row."""
+def sizes(docs: DataFrame, seed: str = SEED, keep: bool = False) -> DataFrame:
+    """doc_id, source, size and the uniform ``u`` (of 52 bits, never 0 or 1) of every row; ``keep``: and the row."""
     text = F.coalesce("text", F.lit(""))
     salt = F.concat_ws("|", F.lit(seed), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.sha2(text, 256))
     bits = F.conv(F.substring(F.sha2(salt, 256), 1, 13), 16, 10).cast("double")
-    return docs.select("doc_id", "source", F.regexp_count(text, F.lit(common.WORD)).cast("long").alias("size"), ((bits + 0.5) / F.lit(2.0**52)).alias("u"))
+    row = [F.struct(*docs.columns).alias("row")] if keep else []
+    return docs.select("doc_id", "source", *row, F.regexp_count(text, F.lit(common.WORD)).cast("long").alias("size"), ((bits + 0.5) / F.lit(2.0**52)).alias("u"))
 
 
 def targets(sized: DataFrame, weights: tuple = WEIGHTS, budget: float = BUDGET, most: float = MOST) -> DataFrame:
@@ -100,16 +101,26 @@ def cuts(ranks: DataFrame) -> DataFrame:
     return state.select("source", nearer.alias("cut"), below.alias("open"))
 
 
-def draw(docs: DataFrame, **options) -> DataFrame:
-    """doc_id, source, size, source_size, target, copies and taken of every row."""
+def draw(docs: DataFrame, carry: bool = False, **options) -> DataFrame:
+    """doc_id, source, size, source_size, target, copies and taken of every row.
+
+    ``carry``: the columns of ``docs`` and copies instead. Sizes and ranks are then worked out again where
+    the texts are read, and only the tables of one row per source are joined to them."""
     sized = common.materialise(sizes(docs))
-    per_source = common.materialise(targets(sized, **options))
-    ranks = ranked(sized, per_source)
-    c = common.materialise(cuts(ranks)).withColumnRenamed("source", "s_")
+    per_source = common.written(targets(sized, **options), "mix-targets")
+    c = common.written(cuts(ranked(sized, per_source)), "mix-cuts").withColumnRenamed("source", "s_")
+    ranks = ranked(sizes(docs, keep=True) if carry else sized, per_source)
     drawn = ranks.join(c, _same(ranks["source"], c["s_"]), "left")
     hit = (F.col("rest") > 0) & F.coalesce(F.when(F.col("open"), F.col("rank") < F.col("cut")).otherwise(F.col("rank") <= F.col("cut")), F.lit(False))
-    return drawn.withColumn("copies", F.col("whole") + F.when(hit, 1).otherwise(0)).select(
-        "doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+    drawn = drawn.withColumn("copies", F.col("whole") + F.when(hit, 1).otherwise(0))
+    if carry:
+        return drawn.select("row.*", "copies")
+    return drawn.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
+
+
+def mixed(docs: DataFrame, **options) -> DataFrame:
+    """The mix itself: every row of ``docs`` as often as it is drawn."""
+    return draw(docs, carry=True, **options).withColumn("copies", F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int")))).select(*docs.columns)
 
 
 def op8_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -153,9 +153,10 @@ def named(spans: Column) -> Column:
 def masked(docs: DataFrame) -> DataFrame:
     """``docs`` with every span of ``text`` replaced by its kind in angle brackets, and n_chars to match.
 
-    Of overlapping spans the first is replaced, and what a later one has beyond it is cut out too."""
+    Of overlapping spans the first is replaced, and what a later one has beyond it is cut out too. The spans are
+    written first, for the rows that have any; their size then decides whether they are broadcast."""
     text = F.coalesce("text", F.lit(""))
-    spans = detect(docs).where(F.size("spans") > 0).select("k1", "k2", "spans").distinct()
+    spans = common.written(detect(docs).where(F.size("spans") > 0).select("k1", "k2", "spans").distinct(), "pii-spans")
     rows = docs.withColumns({"k1": F.xxhash64("doc_id", text), "k2": F.xxhash64(text, "doc_id", F.lit(1))}).join(spans, ["k1", "k2"], "left")
     kinds = F.array(*map(F.lit, KINDS))
 

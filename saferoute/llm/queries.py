@@ -11,6 +11,7 @@ from .licenses import op1_licenses
 from .metric_tree import SQL as TOP_K_SQL
 from .metric_tree import op4_top_k
 from .mixing import op8_mix
+from .ngram_join import op3_ngram_join
 from .pii import op2_pii
 from .quality import op10_quality_rules
 from .toxicity import op6_toxicity
@@ -20,6 +21,7 @@ from .warc import op7_warc
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_licenses": op1_licenses,
     "op2_pii": op2_pii,
+    "op3_ngram_join": op3_ngram_join,
     "op4_top_k": op4_top_k,
     "op5_bpe": op5_bpe,
     "op6_toxicity": op6_toxicity,
