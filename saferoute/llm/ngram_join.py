@@ -13,12 +13,14 @@ smallest doc_id of its connected component.
    prefix is shared by none is done: nearly all are.
 3. ``keyed``: small sets enumerate the pairs (subsets of size two) of their prefix and one more; large sets
    post the single shingles of their prefix to inverted lists, and so do the small ones within 0.8 of the
-   boundary, for the large. The boundary is the size at which the cost of both, from the counts of
-   sets and the lengths of lists by size, is least.
+   boundary, for the large. The boundary is the size at which the cost of both, summed over the sets by
+   size, is least.
 4. ``links``: in each list all sets are held against its hub, the set with the smallest part shared by
    none. Lists whose sets are then in one component are done, so a group of n near copies takes n
    verifications. In the others, sets of different components are held against each other, and nothing is
-   left out. Overlaps are counted on the shared shingles, which hold every overlap.
+   left out: short lists emit those pairs; the long lists of one hub are put together, and all outside the
+   largest component are compared with all of them in blocks, within tasks. Overlaps are counted on the
+   shared shingles, which hold every overlap.
 
 Loads: parts are of bounded size; lists are never gathered, only joined on their key, with the hub found
 by a combined aggregate, and AQE splits a long list. Shingles beyond pass 1 are kept as 40 bits beside
@@ -45,6 +47,8 @@ from . import common
 WIDTH, PERCENT = 5, 80
 #: Share of documents from which a shingle is common; shingles in a part; word hashes kept by a worker.
 COMMON, PART_SIZE, WORDS_KEPT = 0.01, 3_000_000, 400_000
+#: Lists up to SHORT sets emit their pairs across components; longer ones are compared in blocks of BLOCK sets.
+SHORT, BLOCK = 16, 512
 _M1, _M2, _S = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(29)
 _EVERYWHERE = np.uint32(2**31)
 
@@ -255,16 +259,13 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
 
 
 def boundary(rows: DataFrame) -> int:
-    """The set size up to which enumerating pairs costs less than scanning lists.
-
-    For each size: sets times pairs of the prefix against the summed lengths of the lists their prefixes
-    name; the boundary is where the running difference is least."""
-    posts = rows.select("n", F.explode(F.slice("prefix", F.lit(1), F.greatest(F.size("prefix") - 1, F.lit(1)))).alias("key"))
-    lists = posts.groupBy("key", "n").count()
-    length = lists.groupBy("key").agg(F.sum("count").alias("length"))
-    scan = lists.join(length, "key").groupBy("n").agg(F.sum(F.col("count") * F.col("length")).alias("scan"))
-    enum = rows.groupBy("n").agg(F.sum(F.size("prefix") * (F.size("prefix") - 1) / 2).alias("enum"))
-    table = scan.join(enum, "n").orderBy("n").select("n", "scan", "enum").toPandas()
+    """The set size up to which enumerating pairs of the prefix costs less than scanning lists.
+
+    In rows that are written and joined: a set enumerates its pairs once; it posts its prefix and meets each
+    list's hub. The sums by size are taken over all sets; the boundary is where the running
+    difference is least."""
+    p = F.size("prefix")
+    table = rows.groupBy("n").agg(F.sum(p * (p - 1) / 2).alias("enum"), F.sum(2 * F.greatest(p - 1, F.lit(1))).alias("scan")).orderBy("n").toPandas()
     if not len(table):
         return 0
     running = np.concatenate([[0.0], np.cumsum(table["enum"].to_numpy(float) - table["scan"].to_numpy(float))])
@@ -327,21 +328,90 @@ def components(edges: DataFrame) -> DataFrame:
         labels = new.select("a", F.col("new").alias("label"))
 
 
+def packed_blocks(members: DataFrame, rows: DataFrame, key: str) -> DataFrame:
+    """One row per (hub, key): the block's classes, sizes, labels and sets, packed. Blocks hold about BLOCK sets."""
+
+    def pack(group: pa.Table) -> pa.Table:
+        sets_ = [np.frombuffer(x.as_buffer(), np.int64) for x in group.column("shared")]
+        size = np.array([len(x) for x in sets_], np.int64)
+        blobs = [np.concatenate(sets_), size, *(group.column(c).to_numpy() for c in ("cls", "n", "label"))]
+        head = {"hub": pa.array([group.column("hub")[0].as_py()], pa.int64()), key: pa.array([group.column(key)[0].as_py()], pa.int64())}
+        return pa.table(head | {f"{key}_{c}": _blob(x)[0] for c, x in zip(("tok", "size", "cls", "n", "label"), blobs, strict=True)})
+
+    full = members.join(rows.select("cls", "n", "shared"), "cls").select("hub", key, "cls", "n", "label", "shared")
+    return full.groupBy("hub", key).applyInArrow(pack, f"hub long, {key} long, " + ", ".join(f"{key}_{c} binary" for c in ("tok", "size", "cls", "n", "label")))
+
+
+def block_links(groups: DataFrame, rows: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """x, y: links between classes of different labels within a group (hub, cls, label).
+
+    The classes outside a group's largest label are held against all of the group, block by block: a task
+    counts the overlaps of two blocks as a product of matrices and puts out one link for two labels."""
+    by_label = groups.groupBy("hub", "label").agg(F.count(F.lit(1)).alias("m"))
+    largest = by_label.groupBy("hub").agg(F.max(F.struct("m", "label")).alias("top"), F.sum("m").alias("all"))
+    largest = largest.select("hub", F.col("top.label").alias("main"), F.ceil(F.col("all") / BLOCK).alias("blocks"), F.ceil((F.col("all") - F.col("top.m")) / BLOCK).alias("rest_blocks"))
+    members = common.materialise(groups.join(largest, "hub"))
+    block = lambda n: F.pmod(F.xxhash64("cls"), F.col(n))
+    left = packed_blocks(members.where("label <> main").withColumn("a", block("rest_blocks")), rows, "a")
+    right = packed_blocks(members.withColumn("b", block("blocks")), rows, "b")
+    counts = largest.select("hub", "blocks", "rest_blocks")
+    upto = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n).cast("long") - 1))
+    left = left.join(counts, "hub").withColumn("b", upto("blocks")).drop("blocks", "rest_blocks")
+    right = right.join(counts, "hub").where("rest_blocks > 0").withColumn("a", upto("rest_blocks")).drop("blocks", "rest_blocks")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                read = lambda c, k=k: np.frombuffer(batch.column(c)[k].as_buffer(), np.int64)
+                overlap = overlaps(read("a_tok"), read("a_size"), read("b_tok"), read("b_size"))
+                n = read("a_n")[:, None] + read("b_n")[None, :]
+                la, lb = read("a_label"), read("b_label")
+                i, j = np.nonzero((100 * overlap >= percent * (n - overlap)) & (la[:, None] != lb[None, :]))
+                pair = np.stack([np.minimum(la[i], lb[j]), np.maximum(la[i], lb[j])], 1)
+                _, at = np.unique(pair, axis=0, return_index=True)
+                yield pa.RecordBatch.from_arrays([pa.array(read("a_cls")[i[at]]), pa.array(read("b_cls")[j[at]])], ["x", "y"])
+
+    both = left.join(right, ["hub", "a", "b"])
+    return both.select(*[f"{s}_{c}" for s in "ab" for c in ("tok", "size", "cls", "n", "label")]).mapInArrow(run, "x long, y long")
+
+
+def overlaps(a: np.ndarray, a_size: np.ndarray, b: np.ndarray, b_size: np.ndarray, width: int = 4096) -> np.ndarray:
+    """Matrix of the overlaps of two lists of sets, each given as joined elements and sizes."""
+    out = np.zeros((len(a_size), len(b_size)), np.float32)
+    known = np.intersect1d(a, b)
+    ra, rb = np.repeat(np.arange(len(a_size)), a_size), np.repeat(np.arange(len(b_size)), b_size)
+    ca, cb = np.searchsorted(known, a), np.searchsorted(known, b)
+    keep_a = (ca < len(known)) & (known[np.minimum(ca, len(known) - 1)] == a) if len(known) else np.zeros(len(a), bool)
+    keep_b = (cb < len(known)) & (known[np.minimum(cb, len(known) - 1)] == b) if len(known) else np.zeros(len(b), bool)
+    ra, ca, rb, cb = ra[keep_a], ca[keep_a], rb[keep_b], cb[keep_b]
+    for start in range(0, len(known), width):
+        x, y = np.zeros((len(a_size), width), np.float32), np.zeros((len(b_size), width), np.float32)
+        at = (ca >= start) & (ca < start + width)
+        x[ra[at], ca[at] - start] = 1
+        at = (cb >= start) & (cb < start + width)
+        y[rb[at], cb[at] - start] = 1
+        out += x @ y.T
+    return np.rint(out).astype(np.int64)
+
+
 def links(rows: DataFrame) -> DataFrame:
-    """x, y: links between classes that give all components (every pair within 0.8 is in one)."""
+    """x, y: links between classes that give all components (every pair that links is in one)."""
     keys = common.materialise(keyed(rows, boundary(rows)))
-    hubs = keys.groupBy("key", "kind").agg(F.min(F.struct("alone", "cls", "n")).alias("hub")).select("key", "kind", "hub.cls", "hub.n").toDF("key", "kind", "y", "ny")
+    hubs = keys.groupBy("key", "kind").agg(F.min(F.struct("alone", "cls", "n")).alias("hub"), F.count(F.lit(1)).alias("length"))
+    hubs = common.materialise(hubs.select("key", "kind", "hub.cls", "hub.n", "length").toDF("key", "kind", "y", "ny", "length"))
     pairs = keys.join(hubs, ["key", "kind"]).where((F.col("cls") != F.col("y")) & near(F.col("n"), F.col("ny"))).select(F.col("cls").alias("x"), "y").distinct()
+    pairs = common.materialise(pairs)
     first = common.materialise(verified(pairs, rows))
     labels = components(first)
-    placed = keys.join(labels, "cls", "left").select("key", "kind", "cls", "n", F.coalesce("label", "cls").alias("label"))
-    placed = common.materialise(placed)
-    mixed = placed.groupBy("key", "kind").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select("key", "kind")
-    left = common.materialise(placed.join(mixed, ["key", "kind"], "left_semi"))
-    a, b = left.toDF("key", "kind", "x", "nx", "lx"), left.toDF("key", "kind", "y", "ny", "ly")
-    rest = a.join(b, ["key", "kind"]).where((F.col("x") < F.col("y")) & (F.col("lx") != F.col("ly")) & near(F.col("nx"), F.col("ny"))).select("x", "y").distinct()
+    placed = common.materialise(keys.join(labels, "cls", "left").select("key", "kind", "cls", "n", F.coalesce("label", "cls").alias("label")))
+    mixed = placed.groupBy("key", "kind").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high")
+    mixed = common.materialise(mixed.join(hubs, ["key", "kind"]).select("key", "kind", F.col("y").alias("hub"), "length"))
+    a, b = placed.toDF("key", "kind", "x", "nx", "lx"), placed.toDF("key", "kind", "y", "ny", "ly")
+    short = mixed.where(F.col("length") <= SHORT).select("key", "kind")
+    rest = a.join(short, ["key", "kind"], "left_semi").join(b, ["key", "kind"]).where((F.col("x") < F.col("y")) & (F.col("lx") != F.col("ly")) & near(F.col("nx"), F.col("ny"))).select("x", "y").distinct()
     tried = pairs.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
-    return first.unionAll(verified(rest.join(tried, ["x", "y"], "left_anti"), rows))
+    long = placed.join(mixed.where(F.col("length") > SHORT).select("key", "kind", "hub"), ["key", "kind"]).select("hub", "cls", "label").distinct()
+    return first.unionAll(verified(rest.join(tried, ["x", "y"], "left_anti"), rows)).unionAll(block_links(long, rows))
 
 
 def release(spark: SparkSession) -> None:
