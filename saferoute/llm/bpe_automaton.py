@@ -27,6 +27,7 @@ from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
@@ -245,22 +246,21 @@ def encode(docs: DataFrame, path: str | None = None, with_ids: bool = True) -> D
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         e = encoder(path or default_path())
-        for b in batches:
-            n, ids, first, second = [], [], [], []
-            for text in b.column("text").to_pylist():
-                raw = e.encode(text)
-                numbers = memoryview(raw).cast("I").tolist()
-                n.append(len(numbers))
-                first.append(hashlib.sha256(raw).hexdigest())
-                second.append(hashlib.sha256(e.decode(numbers).encode("utf-8")).hexdigest())
+        for whole in batches:
+            for start in range(0, whole.num_rows, 500):  # ids of few rows at a time, packed
+                b = whole.slice(start, 500)
+                raws, second = [], []
+                for text in b.column("text").to_pylist():
+                    raws.append(raw := e.encode(text))
+                    second.append(hashlib.sha256(e.decode(memoryview(raw).cast("I").tolist()).encode("utf-8")).hexdigest())
+                n = np.array([len(r) // 4 for r in raws], np.int64)
+                columns = [b.column("doc_id"), pa.array(n), pa.array([hashlib.sha256(r).hexdigest() for r in raws], pa.string()), pa.array(second, pa.string())]
+                names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
                 if with_ids:
-                    ids.append(numbers)
-            columns = [b.column("doc_id"), pa.array(n, pa.int64()), pa.array(first, pa.string()), pa.array(second, pa.string())]
-            names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
-            if with_ids:
-                columns.append(pa.array(ids, pa.list_(pa.int32())))
-                names.append("ids")
-            yield pa.RecordBatch.from_arrays(columns, names)
+                    offsets = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
+                    columns.append(pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(raws), np.int32))))
+                    names.append("ids")
+                yield pa.RecordBatch.from_arrays(columns, names)
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)
