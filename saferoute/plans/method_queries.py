@@ -346,6 +346,11 @@ def _index_answers(w: World, kind: str = "uni", options: RouteOptions = RouteOpt
     return w._once(key, lambda: stored(router.route_index(w.queries(kind, **q), w.net(kind), w.index(kind), w.ring, options, w.piv(kind))))
 
 
+@register("entry_routes", oracle.routes(sigma=3))
+def _(w: World) -> DataFrame:
+    return brief(_index_answers(w, sigma=3))
+
+
 @register("route_index", oracle.routes())
 def _(w: World) -> DataFrame:
     return brief(_index_answers(w))
