@@ -25,16 +25,15 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def materialise(df: DataFrame) -> DataFrame:
-    """Cut the lineage: computed once, kept in the shared folder, readable after an executor is lost."""
-    spark = df.sparkSession
-    sc = spark.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(shared_dir(spark))
-    return df.checkpoint(eager=True)
+    """Cut the lineage: computed once, written to the shared folder and read again.
+
+    A written table, unlike a checkpoint, comes back with its real size: a checkpoint keeps the estimates of
+    its plan, which square in every round of a loop, and no side is then known to be small."""
+    return written(df, "step")
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
-    """As Parquet in the shared folder, and read again: smaller on disk than a checkpoint."""
+    """As Parquet in the shared folder under a name of its own, and read again."""
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
