@@ -85,7 +85,8 @@ def events_stream(spark: SparkSession, sf_dir: str, folder: str | None = None, f
     """Events as a file stream: the given table, or a folder of part files."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
     reader = spark.readStream.schema(schema).option("maxFilesPerTrigger", files)
-    return reader.parquet(folder) if folder else reader.option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    rows = reader.parquet(folder) if folder else reader.option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp"))  # event times need a time zone
 
 
 def split_by_day(spark: SparkSession, sf_dir: str, parts: int = 6) -> str:

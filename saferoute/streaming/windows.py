@@ -62,7 +62,7 @@ def late(spark: SparkSession, sf_dir: str) -> DataFrame:
     for part, condition in enumerate(("dayofmonth(ts) > 15", "dayofmonth(ts) <= 15")):
         events.where(condition).coalesce(1).write.mode("append").parquet(folder + f"/{part}")
     schema = events.schema
-    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(folder)
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(folder).withColumn("ts", F.col("ts").cast("timestamp"))
     name = "t" + uuid.uuid4().hex
     agg = _windowed(stream, F.window("ts", "1 hour"))
     query = agg.writeStream.format("memory").queryName(name).outputMode("update").option("checkpointLocation", f"{shared_dir(spark)}/{name}").trigger(availableNow=True).start()
