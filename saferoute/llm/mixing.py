@@ -104,7 +104,7 @@ def cuts(ranks: DataFrame) -> DataFrame:
 def draw(docs: DataFrame, carry: bool = False, **options) -> DataFrame:
     """doc_id, source, size, source_size, target, copies and taken of every row.
 
-    ``carry``: the columns of ``docs`` and copies instead. Sizes and ranks are then worked out again where
+    ``carry``: row (all columns of ``docs``) and copies instead. Sizes and ranks are then worked out again where
     the texts are read, and only the tables of one row per source are joined to them."""
     sized = common.materialise(sizes(docs))
     per_source = common.written(targets(sized, **options), "mix-targets")
@@ -114,13 +114,14 @@ def draw(docs: DataFrame, carry: bool = False, **options) -> DataFrame:
     hit = (F.col("rest") > 0) & F.coalesce(F.when(F.col("open"), F.col("rank") < F.col("cut")).otherwise(F.col("rank") <= F.col("cut")), F.lit(False))
     drawn = drawn.withColumn("copies", F.col("whole") + F.when(hit, 1).otherwise(0))
     if carry:
-        return drawn.select("row.*", "copies")
+        return drawn.select("row", "copies")
     return drawn.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
 
 def mixed(docs: DataFrame, **options) -> DataFrame:
     """The mix itself: every row of ``docs`` as often as it is drawn."""
-    return draw(docs, carry=True, **options).withColumn("copies", F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int")))).select(*docs.columns)
+    drawn = draw(docs, carry=True, **options)
+    return drawn.select("row", F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int")))).select("row.*")
 
 
 def op8_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -46,7 +46,9 @@ from . import common
 
 WIDTH, PERCENT = 5, 80
 #: Share of documents from which a shingle is common; shingles in a part; word hashes kept by a worker.
-COMMON, PART_SIZE, WORDS_KEPT = 0.01, 3_000_000, 400_000
+COMMON, PART_SIZE, WORDS_KEPT = 0.01, 1_500_000, 200_000
+#: Shingles that a worker packs at a time, and most parts that it deals them out to; beyond, it takes two steps.
+BLOCK_SIZE, FAN = 2_000_000, 1024
 #: Lists up to SHORT sets emit their pairs across components; longer ones are compared in blocks of BLOCK sets.
 SHORT, BLOCK = 16, 512
 _M1, _M2, _S = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(29)
@@ -95,7 +97,7 @@ def signed(docs: DataFrame) -> DataFrame:
     """kind 0: doc_id, cls, n of every row; kind 1: packed shingles and counts common in a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (whole.slice(i, 1000) for whole in batches for i in range(0, whole.num_rows, 1000)):
             sets = [shingles(t) for t in b.column("text").to_pylist()]
             cls, n = [class_of(s) if len(s) else None for s in sets], [len(s) for s in sets]
             none = pa.nulls(len(sets), pa.binary())
@@ -124,71 +126,116 @@ def common_shingles(sign: DataFrame, rows: int) -> np.ndarray:
     return np.sort(found.view(np.uint64))
 
 
+def runs(keys: np.ndarray) -> Iterator[tuple[int, int, int]]:
+    """(key, first, last) of the runs of a sorted array."""
+    if len(keys):
+        cut = np.flatnonzero(keys[1:] != keys[:-1]) + 1
+        for i, j in zip(np.concatenate([[0], cut]).tolist(), np.append(cut, len(keys)).tolist(), strict=True):
+            yield int(keys[i]), i, j
+
+
 def _blob(*arrays: np.ndarray) -> list[pa.Array]:
     return [pa.array([np.ascontiguousarray(a).tobytes()], pa.binary()) for a in arrays]
 
 
+def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[dict[int, np.ndarray]]:
+    """Sets by class, some BLOCK_SIZE shingles at a time."""
+    block: dict[int, np.ndarray] = {}
+    held = 0
+    for batch in batches:
+        for text in batch.column("text"):
+            s = shingles(text.as_py())
+            if len(s) and (c := class_of(s)) not in block:
+                block[c] = s
+                held += len(s)
+                if held >= BLOCK_SIZE or len(block) >= 60_000:
+                    yield block
+                    block, held = {}, 0
+    yield block
+
+
 def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
     """cls, n, m (shared shingles), prefix (array of long: shared ones of the prefix and one more) and
     shared (all m as packed longs), for the classes that can have links."""
     shared = docs.sparkSession.sparkContext.broadcast(often)
-    schema = "part int, a binary, b binary, c binary, d binary"
-    names = ["part", "a", "b", "c", "d"]
+    schema = "part int, a binary, b binary, c binary, d binary, e binary"
+    names = ["part", *"abcde"]
+    span = -(-parts // FAN)  # parts dealt together at first
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         often = shared.value
-        for batch in batches:
-            texts = batch.column("text").to_pylist()
-            for start in range(0, len(texts), 60_000):
-                block: dict[int, np.ndarray] = {}
-                for t in texts[start : start + 60_000]:
-                    s = shingles(t)
-                    if len(s):
-                        block.setdefault(class_of(s), s)
-                if not block:
-                    continue
+        for block in blocks(batches):
+            if block:
                 cls = np.fromiter(block, np.int64, len(block))
                 size = np.fromiter(map(len, block.values()), np.int64, len(block))
                 tok = np.concatenate(list(block.values()))
                 ref = np.repeat(np.arange(len(cls), dtype=np.uint16), size)
-                del block
+                block.clear()
                 where = np.searchsorted(often, tok)
                 heavy = often[np.minimum(where, len(often) - 1)] == tok if len(often) else np.zeros(len(tok), bool)
-                part = ((tok >> np.uint64(40)) % np.uint64(parts)).astype(np.uint16 if parts < 2**16 else np.uint32)
+                part = ((tok >> np.uint64(40)) % np.uint64(parts)).astype(np.int64)
                 meet = (cls.view(np.uint64) % np.uint64(parts)).astype(np.int64)
                 # sizes and common shingles go to the class's part at once (numbers from ``parts`` on)
                 h_tok, h_ref = where[heavy].astype(np.int64) - 2**62, ref[heavy]
-                order = np.argsort(meet, kind="stable")
-                bounds = np.searchsorted(meet[order], np.arange(parts + 1))
-                h_meet = meet[h_ref]
-                h_order = np.argsort(h_meet, kind="stable")
-                h_bounds = np.searchsorted(h_meet[h_order], np.arange(parts + 1))
-                for p in range(parts):
-                    if bounds[p] < bounds[p + 1]:
-                        at, h = order[bounds[p] : bounds[p + 1]], h_order[h_bounds[p] : h_bounds[p + 1]]
-                        yield pa.RecordBatch.from_arrays([pa.array([parts + p], pa.int32()), *_blob(cls[at], size[at], cls[h_ref[h]], h_tok[h])], names)
+                order, h_order = np.argsort(meet, kind="stable"), np.argsort(meet[h_ref], kind="stable")
+                h_runs = {p: (i, j) for p, i, j in runs(meet[h_ref][h_order])}
+                for p, i, j in runs(meet[order]):
+                    at, h = order[i:j], h_order[slice(*h_runs.get(p, (0, 0)))]
+                    yield row(parts + p, cls[at], size[at], cls[h_ref[h]], h_tok[h])
                 tok, ref, part = tok[~heavy], ref[~heavy], part[~heavy]
-                order = np.argsort(part, kind="stable")
-                bounds = np.searchsorted(part[order], np.arange(parts + 1))
-                for p in range(parts):
-                    at = order[bounds[p] : bounds[p + 1]]
-                    if len(at):
-                        t, r = tok[at], ref[at]
-                        use, r = np.unique(r, return_inverse=True)
-                        yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), *_blob(t.astype(np.uint32), (t >> np.uint64(32)).astype(np.uint8), r.astype(np.uint16), cls[use])], names)
+                coarse = part // span
+                order = np.argsort(coarse.astype(np.uint16), kind="stable")
+                for p, i, j in runs(coarse[order]):
+                    at = order[i:j]
+                    yield packed(p if span == 1 else -1 - p, tok[at], cls, ref[at], part[at])
+
+    def row(part: int, *arrays: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), *_blob(*arrays), *([pa.nulls(1, pa.binary())] * (5 - len(arrays)))], names)
+
+    def packed(part: int, tok: np.ndarray, cls: np.ndarray, ref: np.ndarray, fine: np.ndarray) -> pa.RecordBatch:
+        """Shingles of one part: their low 40 bits, and their classes through a list of those that occur."""
+        use, ref = np.unique(ref, return_inverse=True)
+        last = [fine.astype(np.int32)] if part < 0 else []
+        return row(part, tok.astype(np.uint32), (tok >> np.uint64(32)).astype(np.uint8), ref.astype(np.uint16), cls[use], *last)
+
+    def deal_again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Groups of parts to parts, where there are too many for a block to be dealt out to all at once."""
+        held: list[tuple] = []
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            tok, cls, fine = map(np.concatenate, zip(*held, strict=True))
+            held.clear()
+            order = np.argsort(fine, kind="stable")
+            for p, i, j in runs(fine[order]):
+                for k in range(i, j, 60_000):
+                    at = order[k : min(j, k + 60_000)]
+                    yield packed(p, tok[at], *indexed(cls[at]), fine[at])
+
+        for b in batches:
+            for part, *blobs in zip(*(b.column(x) for x in ("part", *"abcde")), strict=True):
+                if part.as_py() >= 0:
+                    yield pa.RecordBatch.from_arrays([pa.array([part.as_py()], pa.int32()), *(pa.array([x.as_py()], pa.binary()) for x in blobs)], names)
+                    continue
+                held.append((*unpacked(*blobs[:4]), np.frombuffer(blobs[4].as_buffer(), np.int32)))
+                if sum(len(x[0]) for x in held) >= BLOCK_SIZE:
+                    yield from flush()
+        if held:
+            yield from flush()
+
+    def indexed(cls: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return np.unique(cls, return_inverse=True)
+
+    def unpacked(a: pa.Scalar, b: pa.Scalar, c: pa.Scalar, d: pa.Scalar) -> tuple[np.ndarray, np.ndarray]:
+        tok = np.frombuffer(a.as_buffer(), np.uint32).astype(np.uint64)
+        tok |= np.frombuffer(b.as_buffer(), np.uint8).astype(np.uint64) << np.uint64(32)
+        return tok, np.frombuffer(d.as_buffer(), np.int64)[np.frombuffer(c.as_buffer(), np.uint16)]
 
     def count(group: pa.Table) -> pa.Table:
         """Of a part's shingles, those of two classes or more, dealt out by class."""
         p = group.column("part")[0].as_py()
         if p >= parts:  # sizes and common shingles pass
             return group.set_column(0, "part", pa.array([p - parts] * len(group), pa.int32()))
-        tok, cls = [], []
-        for a, b, c, d in zip(*(group.column(x) for x in "abcd"), strict=True):
-            t = np.frombuffer(a.as_buffer(), np.uint32).astype(np.uint64)
-            t |= np.frombuffer(b.as_buffer(), np.uint8).astype(np.uint64) << np.uint64(32)
-            tok.append(t)
-            cls.append(np.frombuffer(d.as_buffer(), np.int64)[np.frombuffer(c.as_buffer(), np.uint16)])
-        tok, cls = np.concatenate(tok), np.concatenate(cls)
+        tok, cls = map(np.concatenate, zip(*(unpacked(*x) for x in zip(*(group.column(c) for c in "abcd"), strict=True)), strict=True))
         order = np.argsort(tok)
         tok, cls = tok[order], cls[order]
         same = tok[1:] == tok[:-1]
@@ -207,14 +254,9 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
         tok = (tok | (np.uint64(p) << np.uint64(40))).astype(np.int64)
         meet = (cls.view(np.uint64) % np.uint64(parts)).astype(np.int64)
         order = np.lexsort((cls, meet))
-        bounds = np.searchsorted(meet[order], np.arange(parts + 1))
-        rows: list[list] = [[], [], [], [], []]
-        for q in range(parts):
-            at = order[bounds[q] : bounds[q + 1]]
-            if len(at):
-                for column, x in zip(rows, (q, b"", cls[at].tobytes(), tok[at].tobytes(), df[at].tobytes()), strict=True):
-                    column.append(x)
-        return pa.Table.from_arrays([pa.array(rows[0], pa.int32()), *(pa.array(x, pa.binary()) for x in rows[1:])], names)
+        rows = [(q, b"", cls[at].tobytes(), tok[at].tobytes(), df[at].tobytes(), None) for q, i, j in runs(meet[order]) for at in [order[i:j]]]
+        columns = list(zip(*rows, strict=True)) or [()] * 6
+        return pa.Table.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(x, pa.binary()) for x in columns[1:])], names)
 
     def gather(group: pa.Table) -> pa.Table:
         """The sets of a part's classes: order, prefix and shared shingles."""
@@ -254,8 +296,10 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
 
     out_schema = pa.schema([("cls", pa.int64()), ("n", pa.int64()), ("m", pa.int64()), ("prefix", pa.list_(pa.int64())), ("shared", pa.binary())])
     dealt = docs.select("text").mapInArrow(deal, schema)
-    counted = dealt.groupBy("part").applyInArrow(count, schema)
-    return counted.groupBy("part").applyInArrow(gather, "cls long, n long, m long, prefix array<long>, shared binary")
+    if span > 1:
+        dealt = dealt.repartition(2 * FAN, "part").mapInArrow(deal_again, schema)
+    counted = dealt.repartition(2 * parts, "part").groupBy("part").applyInArrow(count, schema)
+    return counted.repartition(parts, "part").groupBy("part").applyInArrow(gather, "cls long, n long, m long, prefix array<long>, shared binary")
 
 
 def boundary(rows: DataFrame) -> int:
@@ -425,7 +469,7 @@ def join(docs: DataFrame) -> DataFrame:
     spark = docs.sparkSession
     sign = common.written(signed(docs), "signed")
     rows, total = sign.where("kind = 0").agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
-    parts = max(1, min(2**20, -(-total // PART_SIZE), 2**20), min(spark.sparkContext.defaultParallelism * 2, -(-total // 20_000)))
+    parts = max(1, min(2**23, -(-total // PART_SIZE)), min(spark.sparkContext.defaultParallelism * 2, -(-total // 20_000)))
     table = common.written(sets(docs, common_shingles(sign, rows), int(parts)), "sets")
     release(spark)
     own = sign.where("kind = 0").select("doc_id", "cls", "n")

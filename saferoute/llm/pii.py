@@ -28,7 +28,7 @@ IP = r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++"
 CARD = r"[0-9](?:[\x20-]?[0-9])++"
 PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 TOKEN = r"(?<![^\x09-\x0D\x20])[^\x09-\x0D\x200-9]*+[0-9][^\x09-\x0D\x20]*+"
-OCTETS = r"^0*+(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?:\.0*+(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])){3}$"
+OCTETS = r"^0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?:\.0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])){3}$"
 #: Characters to the left of a token that its context is taken from.
 CONTEXT = 48
 ROUNDS, LEAST, SEEDS = 3, 0.8, 3
@@ -157,19 +157,21 @@ def masked(docs: DataFrame) -> DataFrame:
     written first, for the rows that have any; their size then decides whether they are broadcast."""
     text = F.coalesce("text", F.lit(""))
     spans = common.written(detect(docs).where(F.size("spans") > 0).select("k1", "k2", "spans").distinct(), "pii-spans")
-    rows = docs.withColumns({"k1": F.xxhash64("doc_id", text), "k2": F.xxhash64(text, "doc_id", F.lit(1))}).join(spans, ["k1", "k2"], "left")
+    rows = docs.select(F.struct(*docs.columns).alias("row_"), text.alias("text_"), F.xxhash64("doc_id", text).alias("k1"), F.xxhash64(text, "doc_id", F.lit(1)).alias("k2")).join(spans, ["k1", "k2"], "left")
     kinds = F.array(*map(F.lit, KINDS))
 
     def step(state: Column, s: Column) -> Column:
         apart = s["start"] >= state["at"]
-        piece = F.when(apart, F.concat(F.substring(F.col("text"), state["at"] + 1, s["start"] - state["at"]), F.lit("<"), F.get(kinds, s["rank"]), F.lit(">"))).otherwise("")
+        piece = F.when(apart, F.concat(F.substring(F.col("text_"), state["at"] + 1, s["start"] - state["at"]), F.lit("<"), F.get(kinds, s["rank"]), F.lit(">"))).otherwise("")
         return F.struct(F.greatest(state["at"], s["end"]).alias("at"), F.concat(state["out"], F.array(piece)).alias("out"))
 
-    done = F.aggregate("spans", F.struct(F.lit(0).alias("at"), F.lit([]).cast("array<string>").alias("out")), step, lambda s: F.concat(F.array_join(s["out"], ""), F.substring(F.col("text"), s["at"] + 1, F.length("text"))))
-    out = rows.withColumn("text", F.when(F.col("spans").isNotNull(), done).otherwise(F.col("text")))
+    done = F.aggregate("spans", F.struct(F.lit(0).alias("at"), F.lit([]).cast("array<string>").alias("out")), step, lambda s: F.concat(F.array_join(s["out"], ""), F.substring(F.col("text_"), s["at"] + 1, F.length("text_"))))
+    new = rows.withColumn("new_", F.when(F.col("spans").isNotNull(), done).otherwise(F.col("row_.text")))
+    out = F.col("row_").withField("text", F.col("new_"))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("spans").isNotNull(), F.length("text").cast("long")).otherwise(F.col("n_chars")))
-    return out.select(*docs.columns)
+        kind = docs.schema["n_chars"].dataType
+        out = out.withField("n_chars", F.when(F.col("spans").isNotNull(), F.length("new_").cast(kind)).otherwise(F.col("row_.n_chars")))
+    return new.select(out.alias("row_")).select("row_.*")
 
 
 def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -97,3 +97,9 @@ def test_awkward_rows(spark):
     left = h.table(g.representatives(h.awkward(spark)))
     assert sorted(str(r["doc_id"]) for r in left) == ["0", "2", "3", "4", "5", "7", "None"]
     assert g.representatives(h.empty(spark)).count() == 0
+
+
+def test_parts_dealt_in_two_steps(spark, monkeypatch):
+    monkeypatch.setattr(g, "FAN", 2)
+    monkeypatch.setattr(g, "PART_SIZE", 600)
+    check(spark, corpus(5, 30))
