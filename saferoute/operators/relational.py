@@ -504,7 +504,7 @@ def _(w: World) -> DataFrame:
     return graph.k_hop(w.net().arcs, w.net().vertices.where("v < 10").select(C("v").cast("int").alias("qid"), C("v").alias("src")), 3)
 
 
-@register("op_components", f"WITH RECURSIVE {NET}, reach(v) AS (SELECT 0 UNION SELECT head FROM reach JOIN arc ON tail = v) SELECT v, CAST(0 AS BIGINT) AS component FROM reach")
+@register("op_components", f"WITH RECURSIVE {NET}, reach(v) AS (SELECT CAST(0 AS BIGINT) UNION SELECT head FROM reach JOIN arc ON tail = v) SELECT v, CAST(0 AS BIGINT) AS component FROM reach")
 def _(w: World) -> DataFrame:
     return graph.components(w.net().vertices, w.net().edges)
 
