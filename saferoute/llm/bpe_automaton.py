@@ -36,7 +36,7 @@ from tokenizers import Tokenizer
 from . import common
 
 #: Words kept in each worker's table, arcs in each automaton's.
-WORDS_KEPT, ARCS_KEPT = 500_000, 1_000_000
+WORDS_KEPT, ARCS_KEPT = 300_000, 500_000
 START = -1
 #: Fixed values of the tokenizer's file format: the splitting pattern and white space.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
@@ -261,6 +261,7 @@ def encode(docs: DataFrame, path: str | None = None, with_ids: bool = True) -> D
                     columns.append(pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(raws), np.int32))))
                     names.append("ids")
                 yield pa.RecordBatch.from_arrays(columns, names)
+        common.trim()
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)

@@ -46,9 +46,9 @@ from . import common
 
 WIDTH, PERCENT = 5, 80
 #: Share of documents from which a shingle is common; shingles in a part; word hashes kept by a worker.
-COMMON, PART_SIZE, WORDS_KEPT = 0.01, 1_500_000, 200_000
+COMMON, PART_SIZE, WORDS_KEPT = 0.01, 1_000_000, 150_000
 #: Shingles that a worker packs at a time, and most parts that it deals them out to; beyond, it takes two steps.
-BLOCK_SIZE, FAN = 2_000_000, 1024
+BLOCK_SIZE, FAN = 1_000_000, 1024
 #: Lists up to SHORT sets emit their pairs across components; longer ones are compared in blocks of BLOCK sets.
 SHORT, BLOCK = 16, 512
 _M1, _M2, _S = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(29)
@@ -107,6 +107,8 @@ def signed(docs: DataFrame) -> DataFrame:
                 often = count >= max(4, COMMON * len(sets))
                 blobs = [pa.array([x.tobytes()], pa.binary()) for x in (shingle[often], count[often].astype(np.int64))]
                 yield pa.RecordBatch.from_arrays([pa.array([1], pa.int32()), pa.nulls(1, b.column("doc_id").type), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), *blobs], names)
+        _hashes.clear()
+        common.trim()
 
     names = ["kind", "doc_id", "cls", "n", "often", "counts"]
     kind = docs.schema["doc_id"].dataType.simpleString()
@@ -188,6 +190,8 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
                 for p, i, j in runs(coarse[order]):
                     at = order[i:j]
                     yield packed(p if span == 1 else -1 - p, tok[at], cls, ref[at], part[at])
+        _hashes.clear()
+        common.trim()
 
     def row(part: int, *arrays: np.ndarray) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), *_blob(*arrays), *([pa.nulls(1, pa.binary())] * (5 - len(arrays)))], names)
@@ -231,6 +235,11 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
         return tok, np.frombuffer(d.as_buffer(), np.int64)[np.frombuffer(c.as_buffer(), np.uint16)]
 
     def count(group: pa.Table) -> pa.Table:
+        out = shared_ones(group)
+        common.trim()
+        return out
+
+    def shared_ones(group: pa.Table) -> pa.Table:
         """Of a part's shingles, those of two classes or more, dealt out by class."""
         p = group.column("part")[0].as_py()
         if p >= parts:  # sizes and common shingles pass
