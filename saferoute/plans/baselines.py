@@ -81,8 +81,9 @@ def route_enumerate(queries: DataFrame, net: Network, forecasts: DataFrame, max_
     for _ in range(max_hops):
         step = front.join(arcs, front["v"] == arcs["tail"]).where(~F.array_contains("seen", F.col("head")))
         bad = trip_blocked(F.col("tail_w"), F.col("tail_p"), F.col("head_w"), F.col("head_p"), F.col("t"), F.col("w_min"), F.col("eps"), F.col("alpha_pct"), options.unknown)
-        valid = F.col("valid") & ~bad & ~keyword_blocked(F.col("kw"), F.col("s"))
-        new = stored(step.select(*q.columns, F.col("head").alias("v"), (F.col("t") + F.col("w_min")).alias("t"), F.concat("seen", F.array("head")).alias("seen"), valid.alias("valid")))
+        # on its own: beside an alias t, a lambda's t would be the new one
+        step = step.withColumn("still", F.col("valid") & ~bad & ~keyword_blocked(F.col("kw"), F.col("s")))
+        new = stored(step.select(*q.columns, F.col("head").alias("v"), (F.col("t") + F.col("w_min")).alias("t"), F.concat("seen", F.array("head")).alias("seen"), F.col("still").alias("valid")))
         arrived = new.where("v = dst").select("qid", "t", "valid")
         done = arrived if done is None else done.unionAll(arrived)
         front = new.where("v <> dst")

@@ -397,14 +397,14 @@ def _(w: World) -> DataFrame:
     return out
 
 
-@register("route_bfs", oracle.routes(horizon=60, sigma=4))
+@register("route_bfs", oracle.routes(horizon=40, sigma=3))
 def _(w: World) -> DataFrame:
-    return baselines.route_bfs(w.queries(sigma=4), w.net(), w.ring, RouteOptions(horizon_min=60))
+    return baselines.route_bfs(w.queries(sigma=3), w.net(), w.ring, RouteOptions(horizon_min=40))
 
 
-@register("route_rounds_beam", oracle.routes(horizon=60, sigma=4))
+@register("route_rounds_beam", oracle.routes(horizon=40, sigma=3))
 def _(w: World) -> DataFrame:
-    return search.search_in_rounds(w.queries(sigma=4), w.net(), w.ring, RouteOptions(horizon_min=60, batch_width=64), w.piv())[0]
+    return search.search_in_rounds(w.queries(sigma=3), w.net(), w.ring, RouteOptions(horizon_min=40, batch_width=64), w.piv())[0]
 
 
 @register("route_plain", f"WITH RECURSIVE {oracle.network('uni')}, {oracle.query_set()}, {oracle.sssp('SELECT DISTINCT src FROM q', 'w_min')} SELECT q.qid, sp.dist AS total_min FROM q JOIN sp ON sp.src = q.src AND sp.v = q.dst")

@@ -176,6 +176,7 @@ def greedy_route(queries: DataFrame, net: Network, forecasts: DataFrame, options
     found = None
     for _ in range(max_hops):
         step = front.join(arcs.withColumnRenamed("tail", "v"), ["qid", "v"]).join(q, "qid").where(~F.array_contains("seen", F.col("head")))
+        step = step.where(F.col("arr") + F.col("w") <= F.col("dep_min") + options.horizon_min)
         step = step.where(~trip_blocked(F.col("tail_w"), F.col("tail_p"), F.col("head_w"), F.col("head_p"), F.col("arr"), F.col("w"), F.col("eps"), F.col("alpha_pct"), options.unknown))
         new = step.select("qid", F.col("head").alias("v"), (F.col("arr") + F.col("w")).alias("arr"), F.concat("seen", F.array("head")).alias("seen"), "h", "dst")
         w = Window.partitionBy("qid").orderBy(F.col("arr") + F.col("h"), "v", "arr")

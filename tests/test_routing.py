@@ -37,7 +37,8 @@ def test_chemical_transport(spark):
 def test_windy_vertex_blocks_up_to_its_confidence(spark):
     net, f = fx.chem(spark)
     q = fx.queries(spark, [(a, 1, 2, 480, 40.0, a, []) for a in (50, 90, 91)])
-    got = {r["qid"]: r["answered"] for r in B.route_astar(q, net, f).collect()}
+    hour = RouteOptions(horizon_min=100)  # later there is no forecast, which is no obstacle
+    got = {r["qid"]: r["answered"] for r in B.route_astar(q, net, f, hour).collect()}
     assert got == {50: False, 90: False, 91: True}
 
 
@@ -125,5 +126,5 @@ def test_pivot_choice_climbs_and_bounds_hold(spark, small):
 def test_pivot_detours_are_no_upper_bound_with_obstacles(spark):
     net, f = fx.chem(spark)
     q = fx.queries(spark, [(0, 1, 2, 480, 40.0, 50, [])])
-    assert B.route_astar(q, net, f).first()["answered"] is False  # though a way over a pivot exists without obstacles
+    assert B.route_astar(q, net, f, RouteOptions(horizon_min=100)).first()["answered"] is False  # though a way over a pivot exists without obstacles
     assert B.route_plain(q, net).first()["total_min"] == 10
