@@ -37,7 +37,7 @@ def test_chemical_transport(spark):
 def test_windy_vertex_blocks_up_to_its_confidence(spark):
     net, f = fx.chem(spark)
     q = fx.queries(spark, [(a, 1, 2, 480, 40.0, a, []) for a in (50, 90, 91)])
-    hour = RouteOptions(horizon_min=100)  # later there is no forecast, which is no obstacle
+    hour = RouteOptions(horizon_min=50)  # only in the first hour
     got = {r["qid"]: r["answered"] for r in B.route_astar(q, net, f, hour).collect()}
     assert got == {50: False, 90: False, 91: True}
 
