@@ -23,7 +23,10 @@ Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 S: dict[str, str] = {}
 NET = oracle.network("uni")
 C, L = F.col, F.lit
-n_ = F.count(F.lit(1)).alias("n")
+
+
+def n_() -> F.Column:
+    return F.count(F.lit(1)).alias("n")
 
 
 def register(name: str, sql: str | None = None):  # noqa: ANN201
@@ -115,7 +118,7 @@ for _hint, _key in (("shuffle_hash", "op_join_shj"), ("merge", "op_join_smj")):
     @register(_key, "SELECT o_orderpriority, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1")
     def _(w: World, hint: str = _hint) -> DataFrame:
         j = w.table("orders").join(w.table("lineitem").hint(hint), C("o_orderkey") == C("l_orderkey"))
-        return j.groupBy("o_orderpriority").agg(n_, F.round(F.sum("l_quantity"), 2).alias("quantity"))
+        return j.groupBy("o_orderpriority").agg(n_(), F.round(F.sum("l_quantity"), 2).alias("quantity"))
 
 
 _F8 = "(SELECT * FROM ring WHERE wtype = 'click' AND slot = 8)"
@@ -126,7 +129,7 @@ def _(w: World) -> DataFrame:
     v = w.net().vertices.where("v % 2 = 0").select("v", "cell")
     f, out = w.ring.where("wtype = 'click' and slot = 8").select("cell", "conf_pct"), None
     for how in ("left", "right", "full"):
-        part = v.join(f, "cell", how).agg(n_, F.sum(F.coalesce("conf_pct", L(0))).alias("conf")).select(L(how).alias("kind"), "n", "conf")
+        part = v.join(f, "cell", how).agg(n_(), F.sum(F.coalesce("conf_pct", L(0))).alias("conf")).select(L(how).alias("kind"), "n", "conf")
         out = part if out is None else out.unionAll(part)
     return out
 
@@ -162,7 +165,7 @@ def _(w: World) -> DataFrame:
     bins = F.sequence(F.floor(C("x1") / side), F.floor(C("x2") / side))
     boxes = boxes.withColumn("bx", F.explode(bins)).withColumn("by", F.explode(bins))
     v = w.net().vertices.withColumns({"bx": F.floor(C("x_mm") / side), "by": F.floor(C("y_mm") / side)})
-    return boxes.join(v, ["bx", "by"]).where(C("x_mm").between(C("x1"), C("x2")) & C("y_mm").between(C("x1"), C("x2"))).groupBy("box").agg(n_)
+    return boxes.join(v, ["bx", "by"]).where(C("x_mm").between(C("x1"), C("x2")) & C("y_mm").between(C("x1"), C("x2"))).groupBy("box").agg(n_())
 
 
 @register("op_join_asof", "WITH p AS (SELECT CAST(s AS INTEGER) AS cell, TIMESTAMP '2024-01-05 00:00:00' + INTERVAL 6 HOUR * i AS at FROM (SELECT unnest(range(25)) AS s), (SELECT unnest(range(20)) AS i)), e AS (SELECT CAST(user_id % 25 AS INTEGER) AS cell, max(event_id) AS event_id, ts FROM events GROUP BY 1, ts) SELECT p.cell, epoch_us(p.at) AS at_us, e.event_id FROM p ASOF LEFT JOIN e ON p.cell = e.cell AND p.at >= e.ts")
@@ -206,7 +209,7 @@ def _(w: World) -> DataFrame:
 
 @register("op_agg_basic", "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS total, round(avg(l_discount), 6) AS mean, min(l_tax) AS low, max(l_tax) AS high, round(stddev_samp(l_quantity), 6) AS sd, round(var_pop(l_quantity), 6) AS var FROM lineitem GROUP BY 1, 2")
 def _(w: World) -> DataFrame:
-    return w.table("lineitem").groupBy("l_returnflag", "l_linestatus").agg(n_, F.round(F.sum("l_quantity"), 2).alias("total"), F.round(F.avg("l_discount"), 6).alias("mean"), F.min("l_tax").alias("low"), F.max("l_tax").alias("high"), F.round(F.stddev("l_quantity"), 6).alias("sd"), F.round(F.var_pop("l_quantity"), 6).alias("var"))
+    return w.table("lineitem").groupBy("l_returnflag", "l_linestatus").agg(n_(), F.round(F.sum("l_quantity"), 2).alias("total"), F.round(F.avg("l_discount"), 6).alias("mean"), F.min("l_tax").alias("low"), F.max("l_tax").alias("high"), F.round(F.stddev("l_quantity"), 6).alias("sd"), F.round(F.var_pop("l_quantity"), 6).alias("var"))
 
 
 @register("op_agg_distinct", "SELECT p_type, count(DISTINCT l_suppkey) AS suppliers FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1")
@@ -227,13 +230,13 @@ for _how in ("rollup", "cube"):
     @register(f"op_agg_{_how}", _SEG.format(_how.upper()))
     def _(w: World, how: str = _how) -> DataFrame:
         j = w.table("orders").join(w.table("customer"), C("o_custkey") == C("c_custkey"))
-        return getattr(j, how)("c_mktsegment", "o_orderpriority").agg(F.grouping_id().alias("level"), n_, F.round(F.sum("o_totalprice"), 2).alias("price"))
+        return getattr(j, how)("c_mktsegment", "o_orderpriority").agg(F.grouping_id().alias("level"), n_(), F.round(F.sum("o_totalprice"), 2).alias("price"))
 
 
 @register("op_agg_gsets", "SELECT event_type, CAST(user_id % 25 AS INTEGER) AS cell, CAST(hour(ts) AS INTEGER) AS slot, count(*) AS n FROM events GROUP BY GROUPING SETS ((event_type, cell), (slot), ())")
 def _(w: World) -> DataFrame:
     e = parsed(w.table("events")).select(C("wtype").alias("event_type"), "cell", "slot")
-    return e.groupingSets([["event_type", "cell"], ["slot"], []], "event_type", "cell", "slot").agg(n_)
+    return e.groupingSets([["event_type", "cell"], ["slot"], []], "event_type", "cell", "slot").agg(n_())
 
 
 @register("op_agg_bits", f"WITH {NET}, x AS (SELECT cell, coalesce(list_aggregate(list_transform(kw, lambda k: CAST(1 AS BIGINT) << k), 'bit_or'), 0) AS word FROM edg JOIN vtx ON v = a) SELECT cell, bit_and(word) AS all_of, bit_or(word) AS any_of, bit_xor(word) AS odd FROM x GROUP BY cell")
@@ -280,40 +283,43 @@ def _(w: World) -> DataFrame:
 
 @register("op_having", "SELECT user_id, count(*) AS n FROM events GROUP BY 1 HAVING count(*) > (SELECT avg(c) FROM (SELECT count(*) AS c FROM events GROUP BY user_id))")
 def _(w: World) -> DataFrame:
-    per = w.table("events").groupBy("user_id").agg(n_)
+    per = w.table("events").groupBy("user_id").agg(n_())
     return per.join(F.broadcast(per.agg(F.avg("n").alias("mean")))).where("n > mean").select("user_id", "n")
 
 
 @register("op_stats", f"WITH {NET} SELECT round(corr(len_mm, w_min), 6) AS r, round(covar_pop(len_mm, w_min), 3) AS cov, round(skewness(w_min), 4) > 0 AS skewed, count(*) AS n FROM edg")
 def _(w: World) -> DataFrame:
-    return w.net().edges.agg(F.round(F.corr("len_mm", "w_min"), 6).alias("r"), F.round(F.covar_pop("len_mm", "w_min"), 3).alias("cov"), (F.skewness("w_min") > 0).alias("skewed"), n_)
+    return w.net().edges.agg(F.round(F.corr("len_mm", "w_min"), 6).alias("r"), F.round(F.covar_pop("len_mm", "w_min"), 3).alias("cov"), (F.skewness("w_min") > 0).alias("skewed"), n_())
 
 
 @register("op_histogram", f"WITH {NET} SELECT w_min // 10 AS bin, count(*) AS n FROM edg GROUP BY 1")
 def _(w: World) -> DataFrame:
-    return w.net().edges.groupBy(F.floor(C("w_min") / 10).alias("bin")).agg(n_)
+    return w.net().edges.groupBy(F.floor(C("w_min") / 10).alias("bin")).agg(n_())
 
 
 # --- windows, order, sets ---------------------------------------------------------------------------------------
 
-_STRIP = Window.partitionBy("strip").orderBy("x_mm", "v")
+
+
+def _strip() -> Window:
+    return Window.partitionBy("strip").orderBy("x_mm", "v")
 
 
 @register("op_win_rank", f"WITH {NET} SELECT v, CAST(rank() OVER s AS INTEGER) AS rk, CAST(dense_rank() OVER s AS INTEGER) AS drk, CAST(ntile(4) OVER t AS INTEGER) AS nt, round(percent_rank() OVER s, 6) AS pr, round(cume_dist() OVER s, 6) AS cd FROM vtx WINDOW s AS (PARTITION BY strip ORDER BY cell), t AS (PARTITION BY strip ORDER BY x_mm, v)")
 def _(w: World) -> DataFrame:
     s = Window.partitionBy("strip").orderBy("cell")
-    return w.net().vertices.select("v", F.rank().over(s).alias("rk"), F.dense_rank().over(s).alias("drk"), F.ntile(4).over(_STRIP).alias("nt"), F.round(F.percent_rank().over(s), 6).alias("pr"), F.round(F.cume_dist().over(s), 6).alias("cd"))
+    return w.net().vertices.select("v", F.rank().over(s).alias("rk"), F.dense_rank().over(s).alias("drk"), F.ntile(4).over(_strip()).alias("nt"), F.round(F.percent_rank().over(s), 6).alias("pr"), F.round(F.cume_dist().over(s), 6).alias("cd"))
 
 
 @register("op_win_offset", f"WITH {NET} SELECT v, lead(v) OVER t AS nxt, lag(x_mm, 1, 0) OVER t AS prv, first_value(v) OVER t AS fst, nth_value(v, 2) OVER (PARTITION BY strip ORDER BY x_mm, v ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS sec FROM vtx WINDOW t AS (PARTITION BY strip ORDER BY x_mm, v)")
 def _(w: World) -> DataFrame:
-    whole = _STRIP.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    return w.net().vertices.select("v", F.lead("v").over(_STRIP).alias("nxt"), F.lag("x_mm", 1, 0).over(_STRIP).alias("prv"), F.first("v").over(_STRIP).alias("fst"), F.nth_value("v", 2).over(whole).alias("sec"))
+    whole = _strip().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    return w.net().vertices.select("v", F.lead("v").over(_strip()).alias("nxt"), F.lag("x_mm", 1, 0).over(_strip()).alias("prv"), F.first("v").over(_strip()).alias("fst"), F.nth_value("v", 2).over(whole).alias("sec"))
 
 
 @register("op_win_rows", f"WITH {NET} SELECT v, CAST(sum(x_mm) OVER (PARTITION BY strip ORDER BY x_mm, v ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS near FROM vtx")
 def _(w: World) -> DataFrame:
-    return w.net().vertices.select("v", F.sum("x_mm").over(_STRIP.rowsBetween(-2, 0)).alias("near"))
+    return w.net().vertices.select("v", F.sum("x_mm").over(_strip().rowsBetween(-2, 0)).alias("near"))
 
 
 @register("op_win_range", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id % 25 ORDER BY epoch_us(ts) // 1000000 RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW), 6) AS mean FROM events")
@@ -348,7 +354,7 @@ for _op, (_all, _one) in _SETS.items():
         a, b = o.where("o_orderkey % 3 = 0").select("k"), o.where("o_orderkey % 5 = 0").select("k")
         one = getattr(a, once)(b)
         kinds = (("all", getattr(a, every)(b)), ("distinct", one.distinct() if once == "union" else one))
-        x, y = (d.groupBy("k").agg(n_).select(L(k).alias("kind"), "k", "n") for k, d in kinds)
+        x, y = (d.groupBy("k").agg(n_()).select(L(k).alias("kind"), "k", "n") for k, d in kinds)
         return x.unionAll(y)
 
 
@@ -541,7 +547,7 @@ def _(w: World) -> DataFrame:
     near = lambda c: F.sequence(F.floor((C(c) - r) / side), F.floor((C(c) + r) / side))
     q = v.where("v < 10").select(C("v").alias("q"), C("x_mm").alias("qx"), C("y_mm").alias("qy")).withColumn("bx", F.explode(near("qx"))).withColumn("by", F.explode(near("qy")))
     d2 = (C("x_mm") - C("qx")) * (C("x_mm") - C("qx")) + (C("y_mm") - C("qy")) * (C("y_mm") - C("qy"))
-    return q.join(v, ["bx", "by"]).where(d2 <= r * r).groupBy("q").agg(n_)
+    return q.join(v, ["bx", "by"]).where(d2 <= r * r).groupBy("q").agg(n_())
 
 
 # --- user functions ---------------------------------------------------------------------------------------------
@@ -636,12 +642,12 @@ def _(w: World) -> DataFrame:
 @register("op_documents_by_source", "SELECT lang, source, count(*) AS n, CAST(sum(n_chars) AS BIGINT) AS chars, count(quality) AS labelled FROM documents LEFT JOIN labels USING (doc_id) GROUP BY 1, 2")
 def _(w: World) -> DataFrame:
     j = w.table("documents").select("doc_id", "lang", "source", "n_chars").join(w.table("labels"), "doc_id", "left")
-    return j.groupBy("lang", "source").agg(n_, F.sum("n_chars").alias("chars"), F.count("quality").alias("labelled"))
+    return j.groupBy("lang", "source").agg(n_(), F.sum("n_chars").alias("chars"), F.count("quality").alias("labelled"))
 
 
 @register("op_pages_by_host", "SELECT regexp_extract(url, '://([^/?#]*)', 1) AS host, count(*) AS n FROM pages GROUP BY 1")
 def _(w: World) -> DataFrame:
-    return w.table("pages").groupBy(F.regexp_extract("url", "://([^/?#]*)", 1).alias("host")).agg(n_)
+    return w.table("pages").groupBy(F.regexp_extract("url", "://([^/?#]*)", 1).alias("host")).agg(n_())
 
 
 @register("op_conversation_turns", "SELECT conv_id, count(*) AS turns, count(*) FILTER (WHERE role = 'user') AS by_user, CAST(sum(length(text)) AS BIGINT) AS chars FROM conversations GROUP BY 1")
@@ -651,10 +657,10 @@ def _(w: World) -> DataFrame:
 
 @register("op_benchmark_length", "SELECT CAST(length(text) // 100 AS BIGINT) AS hundreds, count(*) AS n FROM benchmark GROUP BY 1")
 def _(w: World) -> DataFrame:
-    return w.table("benchmark").groupBy(F.floor(F.length("text") / 100).alias("hundreds")).agg(n_)
+    return w.table("benchmark").groupBy(F.floor(F.length("text") / 100).alias("hundreds")).agg(n_())
 
 
 @register("op_text_vocabulary", "SELECT word, count(*) AS n FROM (SELECT unnest(regexp_extract_all(lower(text), '[a-z]{4,}')) AS word FROM documents) GROUP BY 1 HAVING count(*) >= 50")
 def _(w: World) -> DataFrame:
     words = w.table("documents").select(F.explode(F.regexp_extract_all(F.lower("text"), L("[a-z]{4,}"), 0)).alias("word"))
-    return words.groupBy("word").agg(n_).where("n >= 50")
+    return words.groupBy("word").agg(n_()).where("n >= 50")
