@@ -8,13 +8,13 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .bpe_automaton import op5_bpe
 from .licenses import op1_licenses
-from .metric_tree import SQL as TOP_K_SQL
 from .metric_tree import op4_top_k
 from .mixing import op8_mix
 from .ngram_join import op3_ngram_join
 from .pii import op2_pii
 from .quality import op10_quality_rules
 from .toxicity import op6_toxicity
+from .twins import SQL  # noqa: F401
 from .url_trust import op9_url_trust
 from .warc import op7_warc
 
@@ -30,4 +30,3 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op9_url_trust": op9_url_trust,
     "op10_quality_rules": op10_quality_rules,
 }
-SQL: dict[str, str] = {"op4_top_k": TOP_K_SQL}
