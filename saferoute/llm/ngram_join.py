@@ -136,6 +136,25 @@ def runs(keys: np.ndarray) -> Iterator[tuple[int, int, int]]:
             yield int(keys[i]), i, j
 
 
+def packed_set(a: np.ndarray) -> bytes:
+    """A sorted set of longs: the first, then the steps in as few bytes as the largest step takes."""
+    if not len(a):
+        return b""
+    steps = np.diff(a).view(np.uint64)
+    width = max(1, (int(steps.max()).bit_length() + 7) // 8) if len(steps) else 1
+    return a[:1].tobytes() + bytes([width]) + np.ascontiguousarray(steps.view(np.uint8).reshape(-1, 8)[:, :width]).tobytes()
+
+
+def unpacked_set(data: bytes | pa.Buffer) -> np.ndarray:
+    raw = np.frombuffer(data, np.uint8)
+    if not len(raw):
+        return np.zeros(0, np.int64)
+    width = int(raw[8])
+    steps = np.zeros(((len(raw) - 9) // width, 8), np.uint8)
+    steps[:, :width] = raw[9:].reshape(-1, width)
+    return np.cumsum(np.concatenate([raw[:8].view(np.int64), steps.reshape(-1).view(np.int64)]))
+
+
 def _blob(*arrays: np.ndarray) -> list[pa.Array]:
     return [pa.array([np.ascontiguousarray(a).tobytes()], pa.binary()) for a in arrays]
 
@@ -158,7 +177,7 @@ def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[dict[int, np.ndarray]]
 
 def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
     """cls, n, m (shared shingles), prefix (array of long: shared ones of the prefix and one more) and
-    shared (all m as packed longs), for the classes that can have links."""
+    shared (all m, as ``packed_set``), for the classes that can have links."""
     shared = docs.sparkSession.sparkContext.broadcast(often)
     schema = "part int, a binary, b binary, c binary, d binary, e binary"
     names = ["part", *"abcde"]
@@ -178,7 +197,7 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
                 part = ((tok >> np.uint64(40)) % np.uint64(parts)).astype(np.int64)
                 meet = (cls.view(np.uint64) % np.uint64(parts)).astype(np.int64)
                 # sizes and common shingles go to the class's part at once (numbers from ``parts`` on)
-                h_tok, h_ref = where[heavy].astype(np.int64) - 2**62, ref[heavy]
+                h_tok, h_ref = -1 - where[heavy].astype(np.int64), ref[heavy]
                 order, h_order = np.argsort(meet, kind="stable"), np.argsort(meet[h_ref], kind="stable")
                 h_runs = {p: (i, j) for p, i, j in runs(meet[h_ref][h_order])}
                 for p, i, j in runs(meet[order]):
@@ -299,7 +318,7 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
         rows: list[list] = [[], [], [], [], []]
         for k in np.flatnonzero(left > 0):
             own = tok[start[k] : stop[k]]
-            for column, x in zip(rows, (int(cls[start[k]]), int(n[k]), int(m[k]), own[: left[k] + 1].tolist(), np.sort(own).tobytes()), strict=True):
+            for column, x in zip(rows, (int(cls[start[k]]), int(n[k]), int(m[k]), own[: left[k] + 1].tolist(), packed_set(np.sort(own))), strict=True):
                 column.append(x)
         return pa.Table.from_arrays([pa.array(x, f.type) for x, f in zip(rows, out_schema, strict=True)], schema=out_schema)
 
@@ -354,7 +373,7 @@ def verified(pairs: DataFrame, rows: DataFrame, percent: int = PERCENT) -> DataF
             x, y, nx, ny = (b.column(c).to_numpy() for c in ("x", "y", "nx", "ny"))
             hit = np.zeros(len(x), bool)
             for k, (s, t) in enumerate(zip(b.column("sx"), b.column("sy"), strict=True)):
-                s, t = np.frombuffer(s.as_buffer(), np.int64), np.frombuffer(t.as_buffer(), np.int64)
+                s, t = unpacked_set(s.as_buffer()), unpacked_set(t.as_buffer())
                 if len(s) > len(t):
                     s, t = t, s
                 at = np.searchsorted(t, s)
@@ -385,7 +404,7 @@ def packed_blocks(members: DataFrame, rows: DataFrame, key: str) -> DataFrame:
     """One row per (hub, key): the block's classes, sizes, labels and sets, packed. Blocks hold about BLOCK sets."""
 
     def pack(group: pa.Table) -> pa.Table:
-        sets_ = [np.frombuffer(x.as_buffer(), np.int64) for x in group.column("shared")]
+        sets_ = [unpacked_set(x.as_buffer()) for x in group.column("shared")]
         size = np.array([len(x) for x in sets_], np.int64)
         blobs = [np.concatenate(sets_), size, *(group.column(c).to_numpy() for c in ("cls", "n", "label"))]
         head = {"hub": pa.array([group.column("hub")[0].as_py()], pa.int64()), key: pa.array([group.column(key)[0].as_py()], pa.int64())}

@@ -103,3 +103,9 @@ def test_parts_dealt_in_two_steps(spark, monkeypatch):
     monkeypatch.setattr(g, "FAN", 2)
     monkeypatch.setattr(g, "PART_SIZE", 600)
     check(spark, corpus(5, 30))
+
+
+def test_packed_sets():
+    rng = np.random.default_rng(1)
+    for a in (np.zeros(0, np.int64), np.array([-5]), np.array([-3, -1, 2**47, 2**62]), np.unique(rng.integers(-5, 2**50, 300))):
+        assert (g.unpacked_set(g.packed_set(a)) == a).all() and len(g.unpacked_set(g.packed_set(a))) == len(a)

@@ -64,3 +64,12 @@ def test_empty_digest(spark):
 
     rows = QUERIES["op2_pii"](spark, "/root/testdata/sf0.001").where("n_email + n_ip + n_card + n_phone = 0").select("base_sha256").distinct().collect()
     assert [r[0] for r in rows] == [hashlib.sha256(b"").hexdigest()]
+
+
+def test_masking_is_the_same_by_patterns_and_by_join(spark, monkeypatch):
+    known = [f"the member id {n} ok" for n in ("10.1.2.3", "10.1.2.4", "10.1.2.5", "10.9.2.6")]
+    src = h.docs(spark, [*known, "the member id 10.1.2.999 ok", "plain 12 words"])
+    out = {r["doc_id"]: r["text"] for r in pii.masked(src).collect()}
+    assert out[4] == "the member id <other> ok" and out[5] == "plain 12 words" and out[0] == "the member id <ip> ok"
+    monkeypatch.setattr(pii, "PATTERNS_SHARED", 0)
+    assert {r["doc_id"]: r["text"] for r in pii.masked(src).collect()} == out
