@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from .. import oracle
 from ..functions import spatial, weather
-from ..plans.world import World, world
+from ..plans.world import FANOUT, World, world
 from ..sources.forecasts import parsed
 from . import graph
 from .storage import shared_dir
@@ -522,7 +522,7 @@ for _w, _n in (("len_mm", "op_sssp_len"), ("w_min", "op_sssp_time")):
         return graph.distances(w.net().arcs, w.spark.createDataFrame([(3,)], "src long"), weight).select("v", "dist")
 
 
-_IX = f"WITH {NET}, {oracle.index(16, 2)}"
+_IX = f"WITH {NET}, {oracle.index(FANOUT, 2)}"
 
 
 @register("op_zorder", f"{_IX} SELECT eid, z FROM pos")
@@ -532,7 +532,7 @@ def _(w: World) -> DataFrame:
     return midpoints(w.net()).select("eid", "z")
 
 
-@register("op_mbr", f"{_IX} SELECT pos // 16 AS leaf, min(xmin) AS xmin, min(ymin) AS ymin, max(xmax) AS xmax, max(ymax) AS ymax FROM pos GROUP BY 1")
+@register("op_mbr", f"{_IX} SELECT pos // {FANOUT} AS leaf, min(xmin) AS xmin, min(ymin) AS ymin, max(xmax) AS xmax, max(ymax) AS ymax FROM pos GROUP BY 1")
 def _(w: World) -> DataFrame:
     from ..sources.networks import midpoints
 

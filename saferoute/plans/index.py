@@ -122,10 +122,17 @@ def node_prune_keyword(nodes: DataFrame, queries: DataFrame) -> DataFrame:
     return nodes.join(F.broadcast(q)).where(F.col("kw_and").bitwiseAND(F.col("s_bits")) != 0).select("qid", "level", "node")
 
 
-def node_prune_weather(weather: DataFrame, queries: DataFrame) -> DataFrame:
-    """qid, level, node where in every slot the bound rules all edges in as obstacles."""
-    q = queries.select("qid", "eps", "alpha_pct")
-    top = weather.join(F.broadcast(q)).groupBy("qid", "level", "node", "alpha_pct").agg(F.max(bound_at(F.col("eps"))).alias("ub"))
+def node_prune_weather(weather: DataFrame, queries: DataFrame, horizon_min: int | None = None) -> DataFrame:
+    """qid, level, node where in every slot the bound rules all edges in as obstacles.
+
+    With a horizon only the slots count that a trip within it can touch, else all of the ring."""
+    q = queries.select("qid", "eps", "alpha_pct", "dep_min")
+    rows = weather.join(F.broadcast(q))
+    if horizon_min is not None:
+        first = F.floor(F.col("dep_min") / 60)
+        span = F.floor((F.col("dep_min") + horizon_min) / 60) - first
+        rows = rows.where(F.pmod(F.col("slot") - first, F.lit(24)) <= span)
+    top = rows.groupBy("qid", "level", "node", "alpha_pct").agg(F.max(bound_at(F.col("eps"))).alias("ub"))
     return top.where(F.col("ub") < 100 * (100 - F.col("alpha_pct"))).select("qid", "level", "node")
 
 

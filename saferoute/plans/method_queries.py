@@ -23,7 +23,7 @@ from .world import FANOUT, World, world
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 S: dict[str, str] = {}
 EPS, ALPHA = 50.0, 50
-#: Levels of the registered index at fanout 16 that have more than one node at every scale factor.
+#: Levels of the registered index that have more than one node at every scale factor.
 LEVELS = 2
 
 
@@ -299,7 +299,18 @@ def _(w: World) -> DataFrame:
     return w.index().nodes.where(F.col("level") <= LEVELS).select("level", "node", "kw_and", "kw_or")
 
 
-_IW = f"{_IX}, {oracle.slot_bounds()}, iw AS (SELECT CAST(level AS INTEGER) AS level, pos // CAST({FANOUT} ** level AS BIGINT) AS node, slot, min(least(wj, wk)) AS lb_val, max(greatest(wj, wk)) AS ub_val, CAST(max((100 - pj) * (100 - pk)) AS BIGINT) AS ub_case3, " + ", ".join(f"CAST(max({oracle.ub(str(e))}) AS BIGINT) AS u{e}" for e in oracle.GRID) + " FROM sb JOIN pos ON pos.eid = sb.eid, lvl GROUP BY ALL)"
+
+
+def _node_weather(base: str, fanout: int) -> str:
+    bounds_ = ", ".join(f"CAST(max({oracle.ub(str(e))}) AS BIGINT) AS u{e}" for e in oracle.GRID)
+    node = f"pos // CAST({fanout} ** level AS BIGINT)"
+    return f"{base}, {oracle.slot_bounds()}, iw AS (SELECT CAST(level AS INTEGER) AS level, {node} AS node, slot, min(least(wj, wk)) AS lb_val, max(greatest(wj, wk)) AS ub_val, CAST(max((100 - pj) * (100 - pk)) AS BIGINT) AS ub_case3, {bounds_} FROM sb JOIN pos ON pos.eid = sb.eid, lvl GROUP BY ALL)"
+
+
+#: Nodes of two edges, so that some are pruned at every scale factor.
+_PAIRS = 2
+_IX2 = f"WITH RECURSIVE {oracle.network('uni')}, {oracle.RING}, {oracle.query_set()}, {oracle.index(_PAIRS, LEVELS)}"
+_IW = _node_weather(_IX, FANOUT)
 
 
 @register("idx_weather", f"{_IW} SELECT level, node, slot, lb_val, ub_val, ub_case3, u30, u50, u90 FROM iw")
@@ -324,14 +335,14 @@ def _(w: World) -> DataFrame:
     return i.nodes.groupBy("level").agg(F.count(F.lit(1)).alias("nodes"), F.sum("n_edges").alias("edges"), F.sum((F.col("xmax") - F.col("xmin")) * (F.col("ymax") - F.col("ymin"))).alias("area"))
 
 
-@register("nodes_kw_pruned", f"{_IX} SELECT qid, level, node FROM nod, (SELECT qid, list_aggregate(list_transform(s, lambda k: CAST(1 AS BIGINT) << k), 'bit_or') AS sb FROM q) x WHERE kw_and & sb <> 0")
+@register("nodes_kw_pruned", f"{_IX2} SELECT qid, level, node FROM nod, (SELECT qid, list_aggregate(list_transform(s, lambda k: CAST(1 AS BIGINT) << k), 'bit_or') AS sb FROM q) x WHERE kw_and & sb <> 0")
 def _(w: World) -> DataFrame:
-    return ix.node_prune_keyword(w.index().nodes.where(F.col("level") <= LEVELS), w.queries())
+    return ix.node_prune_keyword(w.index("uni", _PAIRS).nodes.where(F.col("level") <= LEVELS), w.queries())
 
 
-@register("nodes_weather_pruned", f"{_IW} SELECT qid, level, node FROM iw, q GROUP BY qid, level, node, alpha_pct HAVING max(CASE WHEN ub_val <= eps THEN 10000 WHEN lb_val > eps THEN ub_case3 ELSE u50 END) < 100 * (100 - alpha_pct)")
+@register("nodes_weather_pruned", f"{_node_weather(_IX2, _PAIRS)} SELECT qid, level, node FROM iw, q WHERE (slot - dep_min // 60 + 48) % 24 <= (dep_min + 60) // 60 - dep_min // 60 GROUP BY qid, level, node, alpha_pct HAVING max(CASE WHEN ub_val <= eps THEN 10000 WHEN lb_val > eps THEN ub_case3 ELSE u50 END) < 100 * (100 - alpha_pct)")
 def _(w: World) -> DataFrame:
-    return ix.node_prune_weather(w.index().weather.where(F.col("level") <= LEVELS), w.queries())
+    return ix.node_prune_weather(w.index("uni", _PAIRS).weather.where(F.col("level") <= LEVELS), w.queries(), 60)
 
 
 # --- routing ----------------------------------------------------------------------------------------------------

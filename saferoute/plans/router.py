@@ -45,7 +45,7 @@ def usable_nodes(index: Index, queries: DataFrame, options: RouteOptions) -> Dat
         nodes = nodes.where(F.col("kw_and").bitwiseAND(F.col("s_bits")) == 0)
     nodes = nodes.select("qid", "level", "node", "lb_t")
     if options.use_weather and index.weather is not None:
-        nodes = nodes.join(node_prune_weather(index.weather, queries), ["qid", "level", "node"], "left_anti")
+        nodes = nodes.join(node_prune_weather(index.weather, queries, options.horizon_min), ["qid", "level", "node"], "left_anti")
     return nodes
 
 

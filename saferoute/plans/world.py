@@ -12,7 +12,7 @@ from ..sources import forecasts, networks
 from ..sources.queries import make_queries
 from .index import Index, build_index
 
-FANOUT = 16
+FANOUT = 48
 
 
 class World:
