@@ -50,7 +50,7 @@ COMMON, PART_SIZE, WORDS_KEPT = 0.01, 1_000_000, 150_000
 #: Shingles that a worker packs at a time, and most parts that it deals them out to; beyond, it takes two steps.
 BLOCK_SIZE, FAN = 1_000_000, 1024
 #: Lists up to SHORT sets emit their pairs across components; longer ones are compared in blocks of BLOCK sets.
-SHORT, BLOCK = 16, 512
+SHORT, BLOCK = 4, 512
 _M1, _M2, _S = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(29)
 _EVERYWHERE = np.uint32(2**31)
 
@@ -404,9 +404,9 @@ def packed_blocks(members: DataFrame, rows: DataFrame, key: str) -> DataFrame:
     """One row per (hub, key): the block's classes, sizes, labels and sets, packed. Blocks hold about BLOCK sets."""
 
     def pack(group: pa.Table) -> pa.Table:
-        sets_ = [unpacked_set(x.as_buffer()) for x in group.column("shared")]
-        size = np.array([len(x) for x in sets_], np.int64)
-        blobs = [np.concatenate(sets_), size, *(group.column(c).to_numpy() for c in ("cls", "n", "label"))]
+        sets_ = group.column("shared").to_pylist()
+        size = np.array([len(x) for x in sets_], np.int64)  # bytes
+        blobs = [np.frombuffer(b"".join(sets_), np.uint8), size, *(group.column(c).to_numpy() for c in ("cls", "n", "label"))]
         head = {"hub": pa.array([group.column("hub")[0].as_py()], pa.int64()), key: pa.array([group.column(key)[0].as_py()], pa.int64())}
         return pa.table(head | {f"{key}_{c}": _blob(x)[0] for c, x in zip(("tok", "size", "cls", "n", "label"), blobs, strict=True)})
 
@@ -435,7 +435,7 @@ def block_links(groups: DataFrame, rows: DataFrame, percent: int = PERCENT) -> D
         for batch in batches:
             for k in range(batch.num_rows):
                 read = lambda c, k=k: np.frombuffer(batch.column(c)[k].as_buffer(), np.int64)
-                overlap = overlaps(read("a_tok"), read("a_size"), read("b_tok"), read("b_size"))
+                overlap = overlaps(*(x for side in "ab" for x in unpacked(batch.column(f"{side}_tok")[k].as_buffer(), read(f"{side}_size"))))
                 n = read("a_n")[:, None] + read("b_n")[None, :]
                 la, lb = read("a_label"), read("b_label")
                 i, j = np.nonzero((100 * overlap >= percent * (n - overlap)) & (la[:, None] != lb[None, :]))
@@ -443,6 +443,11 @@ def block_links(groups: DataFrame, rows: DataFrame, percent: int = PERCENT) -> D
                 _, at = np.unique(pair, axis=0, return_index=True)
                 yield pa.RecordBatch.from_arrays([pa.array(read("a_cls")[i[at]]), pa.array(read("b_cls")[j[at]])], ["x", "y"])
 
+    def unpacked(data: pa.Buffer, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        raw, ends = memoryview(data), np.cumsum(size).tolist()
+        sets_ = [unpacked_set(raw[i:j]) for i, j in zip([0, *ends[:-1]], ends, strict=True)]
+        return np.concatenate(sets_), np.array([len(x) for x in sets_], np.int64)
+
     both = left.join(right, ["hub", "a", "b"])
     return both.select(*[f"{s}_{c}" for s in "ab" for c in ("tok", "size", "cls", "n", "label")]).mapInArrow(run, "x long, y long")
 
