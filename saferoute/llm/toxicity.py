@@ -151,8 +151,7 @@ def sample(docs: DataFrame, labels: DataFrame, toxic_rows: int = TOXIC_ROWS, ord
 
     The ids are chosen first, from the labels alone; only their texts are then read and collected."""
     left = labels.where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull() & (F.crc32(F.col("doc_id").cast("string")) % 4 != 2)).select("doc_id", "toxic").distinct()
-    order = [F.xxhash64("doc_id"), "doc_id"]
-    chosen = left.where("toxic = 1").orderBy(*order).limit(toxic_rows).unionAll(left.where("toxic = 0").orderBy(*order).limit(ordinary_rows))
+    chosen = common.lowest(left.where("toxic = 1"), "doc_id", toxic_rows).unionAll(common.lowest(left.where("toxic = 0"), "doc_id", ordinary_rows))
     rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "toxic", F.coalesce("text", F.lit("")).alias("text")).toPandas()
     rows = rows.sort_values(["doc_id", "text"], kind="stable")
     n = {r["toxic"]: r["count"] for r in left.groupBy("toxic").count().collect()}
@@ -164,8 +163,9 @@ def score(docs: DataFrame, model: tuple) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         judge = Judge(*model)
-        for b in batches:
+        for b in (whole.slice(i, 500) for whole in batches for i in range(0, whole.num_rows, 500)):
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(judge.scores(b.column("text").to_pylist()), pa.float64())], ["doc_id", "score"])
+        common.trim()
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, score double")
 
