@@ -417,12 +417,15 @@ def packed_blocks(members: DataFrame, rows: DataFrame, key: str) -> DataFrame:
 def block_links(groups: DataFrame, rows: DataFrame, percent: int = PERCENT) -> DataFrame:
     """x, y: links between classes of different labels within a group (hub, cls, label).
 
-    The classes outside a group's largest label are held against all of the group, block by block: a task
-    counts the overlaps of two blocks as a product of matrices and puts out one link for two labels."""
+    The classes outside a group's largest label are held against all of the group: in one task where the group
+    is one block, else block by block. A task counts the overlaps as a product of matrices and puts out one
+    link for two labels."""
     by_label = groups.groupBy("hub", "label").agg(F.count(F.lit(1)).alias("m"))
     largest = by_label.groupBy("hub").agg(F.max(F.struct("m", "label")).alias("top"), F.sum("m").alias("all"))
     largest = largest.select("hub", F.col("top.label").alias("main"), F.ceil(F.col("all") / BLOCK).alias("blocks"), F.ceil((F.col("all") - F.col("top.m")) / BLOCK).alias("rest_blocks"))
     members = common.materialise(groups.join(largest, "hub"))
+    whole, members = members.where("blocks = 1"), members.where("blocks > 1")
+    largest = largest.where("blocks > 1")
     block = lambda n: F.pmod(F.xxhash64("cls"), F.col(n))
     left = packed_blocks(members.where("label <> main").withColumn("a", block("rest_blocks")), rows, "a")
     right = packed_blocks(members.withColumn("b", block("blocks")), rows, "b")
@@ -431,17 +434,33 @@ def block_links(groups: DataFrame, rows: DataFrame, percent: int = PERCENT) -> D
     left = left.join(counts, "hub").withColumn("b", upto("blocks")).drop("blocks", "rest_blocks")
     right = right.join(counts, "hub").where("rest_blocks > 0").withColumn("a", upto("rest_blocks")).drop("blocks", "rest_blocks")
 
+    def links_of(overlap: np.ndarray, a: tuple, b: tuple) -> pa.RecordBatch:
+        """One link for two labels, from overlaps and (cls, n, label) of both sides."""
+        (ca, na, la), (cb, nb, lb) = a, b
+        n = na[:, None] + nb[None, :]
+        i, j = np.nonzero((100 * overlap >= percent * (n - overlap)) & (la[:, None] != lb[None, :]))
+        pair = np.stack([np.minimum(la[i], lb[j]), np.maximum(la[i], lb[j])], 1)
+        _, at = np.unique(pair, axis=0, return_index=True)
+        return pa.RecordBatch.from_arrays([pa.array(ca[i[at]]), pa.array(cb[j[at]])], ["x", "y"])
+
+    def compare(group: pa.Table) -> pa.Table:
+        """A group that is one block: its sets outside the largest label against all."""
+        sets_ = [unpacked_set(x.as_buffer()) for x in group.column("shared")]
+        side = tuple(group.column(c).to_numpy() for c in ("cls", "n", "label"))
+        out = np.flatnonzero(side[2] != group.column("main").to_numpy())
+        size = lambda x: np.array([len(s) for s in x], np.int64)
+        left = [sets_[i] for i in out]
+        if not left:
+            return pa.table({"x": pa.array([], pa.int64()), "y": pa.array([], pa.int64())})
+        overlap = overlaps(np.concatenate(left), size(left), np.concatenate(sets_), size(sets_))
+        return pa.Table.from_batches([links_of(overlap, tuple(x[out] for x in side), side)])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for k in range(batch.num_rows):
                 read = lambda c, k=k: np.frombuffer(batch.column(c)[k].as_buffer(), np.int64)
                 overlap = overlaps(*(x for side in "ab" for x in unpacked(batch.column(f"{side}_tok")[k].as_buffer(), read(f"{side}_size"))))
-                n = read("a_n")[:, None] + read("b_n")[None, :]
-                la, lb = read("a_label"), read("b_label")
-                i, j = np.nonzero((100 * overlap >= percent * (n - overlap)) & (la[:, None] != lb[None, :]))
-                pair = np.stack([np.minimum(la[i], lb[j]), np.maximum(la[i], lb[j])], 1)
-                _, at = np.unique(pair, axis=0, return_index=True)
-                yield pa.RecordBatch.from_arrays([pa.array(read("a_cls")[i[at]]), pa.array(read("b_cls")[j[at]])], ["x", "y"])
+                yield links_of(overlap, *(tuple(read(f"{side}_{c}") for c in ("cls", "n", "label")) for side in "ab"))
 
     def unpacked(data: pa.Buffer, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         raw, ends = memoryview(data), np.cumsum(size).tolist()
@@ -449,7 +468,9 @@ def block_links(groups: DataFrame, rows: DataFrame, percent: int = PERCENT) -> D
         return np.concatenate(sets_), np.array([len(x) for x in sets_], np.int64)
 
     both = left.join(right, ["hub", "a", "b"])
-    return both.select(*[f"{s}_{c}" for s in "ab" for c in ("tok", "size", "cls", "n", "label")]).mapInArrow(run, "x long, y long")
+    many = both.select(*[f"{s}_{c}" for s in "ab" for c in ("tok", "size", "cls", "n", "label")]).mapInArrow(run, "x long, y long")
+    full = whole.select("hub", "cls", "label", "main").join(rows.select("cls", "n", "shared"), "cls")
+    return many.unionAll(full.groupBy("hub").applyInArrow(compare, "x long, y long"))
 
 
 def overlaps(a: np.ndarray, a_size: np.ndarray, b: np.ndarray, b_size: np.ndarray, width: int = 4096) -> np.ndarray:
