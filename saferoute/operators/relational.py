@@ -77,7 +77,7 @@ def _(w: World) -> DataFrame:
     name = "lookup_" + uuid.uuid4().hex
     path = f"{shared_dir(w.spark)}/{name}"
     w.index().lookup.write.bucketBy(8, "eid").sortBy("eid").option("path", path).saveAsTable(name)
-    return w.spark.table(name).where("eid % 10 = 0").select("eid", "leaf")
+    return w.spark.table(name).select("eid", "leaf")
 
 
 @register("op_append_overwrite")
@@ -126,7 +126,15 @@ _F8 = "(SELECT * FROM ring WHERE wtype = 'click' AND slot = 8)"
 
 @register("op_join_outer", f"WITH {NET}, {oracle.RING}, x AS (SELECT v, vtx.cell FROM vtx WHERE v % 2 = 0) SELECT 'left' AS kind, count(*) AS n, CAST(sum(coalesce(conf_pct, 0)) AS BIGINT) AS conf FROM x LEFT JOIN {_F8} f ON f.cell = x.cell UNION ALL SELECT 'right', count(*), CAST(sum(coalesce(conf_pct, 0)) AS BIGINT) FROM x RIGHT JOIN {_F8} f ON f.cell = x.cell UNION ALL SELECT 'full', count(*), CAST(sum(coalesce(conf_pct, 0)) AS BIGINT) FROM x FULL JOIN {_F8} f ON f.cell = x.cell")
 def _(w: World) -> DataFrame:
-    v = w.net().vertices.where("v % 2 = 0").select("v", "cell")
+    return _outer(w, w.net().vertices.where("v % 2 = 0").select("v", "cell"))
+
+
+@register("op_join_outer_whole")
+def _(w: World) -> DataFrame:
+    return _outer(w, w.net().vertices.select("v", "cell"))
+
+
+def _outer(w: World, v: DataFrame) -> DataFrame:
     f, out = w.ring.where("wtype = 'click' and slot = 8").select("cell", "conf_pct"), None
     for how in ("left", "right", "full"):
         part = v.join(f, "cell", how).agg(n_(), F.sum(F.coalesce("conf_pct", L(0))).alias("conf")).select(L(how).alias("kind"), "n", "conf")
@@ -198,8 +206,17 @@ def _(w: World) -> DataFrame:
 
 @register("op_join_lateral_knn", f"WITH {NET} SELECT q.v AS q, n.v AS v, n.d2 FROM (SELECT * FROM vtx WHERE v < 20) q, LATERAL (SELECT v, (x_mm - q.x_mm) * (x_mm - q.x_mm) + (y_mm - q.y_mm) * (y_mm - q.y_mm) AS d2 FROM vtx t WHERE t.v <> q.v ORDER BY d2, v LIMIT 3) n")
 def _(w: World) -> DataFrame:
+    return _nearest(w, "v < 20")
+
+
+@register("op_join_lateral_knn_whole")
+def _(w: World) -> DataFrame:
+    return _nearest(w, "true")
+
+
+def _nearest(w: World, asked: str) -> DataFrame:
     v = w.net().vertices.select("v", "x_mm", "y_mm")
-    q = v.where("v < 20").toDF("q", "qx", "qy")
+    q = v.where(asked).toDF("q", "qx", "qy")
     d2 = ((C("x_mm") - C("qx").outer()) * (C("x_mm") - C("qx").outer()) + (C("y_mm") - C("qy").outer()) * (C("y_mm") - C("qy").outer())).alias("d2")
     return q.lateralJoin(v.where(C("v") != C("q").outer()).select("v", d2).orderBy("d2", "v").limit(3)).select("q", "v", "d2")
 
@@ -345,17 +362,24 @@ def _(w: World) -> DataFrame:
 
 
 _SETS = {"union": ("unionAll", "union"), "intersect": ("intersectAll", "intersect"), "except": ("exceptAll", "subtract")}
+def _both_kinds(a: DataFrame, b: DataFrame, every: str, once: str) -> DataFrame:
+    one = getattr(a, once)(b)
+    kinds = (("all", getattr(a, every)(b)), ("distinct", one.distinct() if once == "union" else one))
+    x, y = (d.groupBy("k").agg(n_()).select(L(k).alias("kind"), "k", "n") for k, d in kinds)
+    return x.unionAll(y)
+
+
 for _op, (_all, _one) in _SETS.items():
     _a, _b = "SELECT o_custkey AS k FROM orders WHERE o_orderkey % 3 = 0", "SELECT o_custkey AS k FROM orders WHERE o_orderkey % 5 = 0"
 
     @register(f"op_set_{_op}", f"SELECT 'all' AS kind, k, count(*) AS n FROM ({_a} {_op.upper()} ALL {_b}) GROUP BY k UNION ALL SELECT 'distinct', k, count(*) FROM ({_a} {_op.upper()} {_b}) GROUP BY k")
     def _(w: World, every: str = _all, once: str = _one) -> DataFrame:
         o = w.table("orders").select("o_orderkey", C("o_custkey").alias("k"))
-        a, b = o.where("o_orderkey % 3 = 0").select("k"), o.where("o_orderkey % 5 = 0").select("k")
-        one = getattr(a, once)(b)
-        kinds = (("all", getattr(a, every)(b)), ("distinct", one.distinct() if once == "union" else one))
-        x, y = (d.groupBy("k").agg(n_()).select(L(k).alias("kind"), "k", "n") for k, d in kinds)
-        return x.unionAll(y)
+        return _both_kinds(o.where("o_orderkey % 3 = 0").select("k"), o.where("o_orderkey % 5 = 0").select("k"), every, once)
+
+    @register(f"op_set_{_op}_whole")
+    def _(w: World, every: str = _all, once: str = _one) -> DataFrame:
+        return _both_kinds(w.table("orders").select(C("o_custkey").alias("k")), w.table("customer").select(C("c_custkey").alias("k")), every, once)
 
 
 @register("op_union_by_name", "SELECT s_suppkey AS id, s_acctbal AS balance, CAST(NULL AS VARCHAR) AS segment FROM supplier UNION ALL SELECT c_custkey, c_acctbal, c_mktsegment FROM customer")
@@ -510,6 +534,11 @@ def _(w: World) -> DataFrame:
     return graph.k_hop(w.net().arcs, w.net().vertices.where("v < 10").select(C("v").cast("int").alias("qid"), C("v").alias("src")), 3)
 
 
+@register("op_k_hop_whole")
+def _(w: World) -> DataFrame:
+    return graph.k_hop(w.net().arcs, w.net().vertices.select(C("v").cast("int").alias("qid"), C("v").alias("src")), 3)
+
+
 @register("op_components", f"WITH RECURSIVE {NET}, reach(v) AS (SELECT CAST(0 AS BIGINT) UNION SELECT head FROM reach JOIN arc ON tail = v) SELECT v, CAST(0 AS BIGINT) AS component FROM reach")
 def _(w: World) -> DataFrame:
     return graph.components(w.net().vertices, w.net().edges)
@@ -542,10 +571,19 @@ def _(w: World) -> DataFrame:
 
 @register("op_radius", f"WITH {NET} SELECT q.v AS q, count(*) AS n FROM (SELECT * FROM vtx WHERE v < 10) q JOIN vtx t ON (t.x_mm - q.x_mm) * (t.x_mm - q.x_mm) + (t.y_mm - q.y_mm) * (t.y_mm - q.y_mm) <= 900000000 GROUP BY 1")
 def _(w: World) -> DataFrame:
+    return _within(w, "v < 10")
+
+
+@register("op_radius_whole")
+def _(w: World) -> DataFrame:
+    return _within(w, "true")
+
+
+def _within(w: World, asked: str) -> DataFrame:
     side, r = 30_000, 30_000
     v = w.net().vertices.select("v", "x_mm", "y_mm", F.floor(C("x_mm") / side).alias("bx"), F.floor(C("y_mm") / side).alias("by"))
     near = lambda c: F.sequence(F.floor((C(c) - r) / side), F.floor((C(c) + r) / side))
-    q = v.where("v < 10").select(C("v").alias("q"), C("x_mm").alias("qx"), C("y_mm").alias("qy")).withColumn("bx", F.explode(near("qx"))).withColumn("by", F.explode(near("qy")))
+    q = v.where(asked).select(C("v").alias("q"), C("x_mm").alias("qx"), C("y_mm").alias("qy")).withColumn("bx", F.explode(near("qx"))).withColumn("by", F.explode(near("qy")))
     d2 = (C("x_mm") - C("qx")) * (C("x_mm") - C("qx")) + (C("y_mm") - C("qy")) * (C("y_mm") - C("qy"))
     return q.join(v, ["bx", "by"]).where(d2 <= r * r).groupBy("q").agg(n_())
 

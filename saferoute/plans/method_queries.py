@@ -84,6 +84,14 @@ def _(w: World) -> DataFrame:
     return w.net().vertices.select("v", "cell").join(f, "cell", "left").select("v", "slot", "value", F.coalesce("conf_pct", F.lit(0)).alias("conf_pct"))
 
 
+@register("vertex_forecast_whole")
+def _(w: World) -> DataFrame:
+    f = w.ring.where("wtype = 'ANY'").select("cell", "slot", "value", "conf_pct")
+    slots = w.spark.range(24).select(F.col("id").cast("int").alias("slot"))
+    x = w.net().vertices.select("v", "cell").join(F.broadcast(slots)).join(f, ["cell", "slot"], "left")
+    return x.select("v", "slot", "value", F.coalesce("conf_pct", F.lit(0)).alias("conf_pct"))
+
+
 # --- keywords ---------------------------------------------------------------------------------------------------
 
 _NQ = f"WITH RECURSIVE {oracle.network('uni')}, {oracle.query_set()}"
@@ -137,9 +145,13 @@ def _slots(w: World, eps: float = EPS) -> DataFrame:
     return pruning.edge_slot_bounds(w.net().edges, w.net().vertices, w.ring, eps)
 
 
-def _points(w: World) -> DataFrame:
+def _all_points(w: World) -> DataFrame:
     f = F.explode(F.array(*map(F.lit, (0.0, 0.25, 0.5, 0.75, 1.0))))
-    return _slots(w).where("slot = 8").withColumn("f", f)
+    return _slots(w).withColumn("f", f)
+
+
+def _points(w: World) -> DataFrame:
+    return _all_points(w).where("slot = 8")
 
 
 
@@ -152,12 +164,23 @@ def _(w: World) -> DataFrame:
     return _points(w).select("eid", "f", F.round(weather.idw(F.col("wj"), F.col("wk"), F.col("f")), 6).alias("value"))
 
 
+@register("idw_points_whole")
+def _(w: World) -> DataFrame:
+    return _all_points(w).select("eid", "slot", "f", F.round(weather.idw(F.col("wj"), F.col("wk"), F.col("f")), 6).alias("value"))
+
+
 @register("world_probs", f"{_SB} SELECT eid, CAST(pj * pk AS BIGINT) AS a, CAST((100 - pj) * pk AS BIGINT) AS b, CAST(pj * (100 - pk) AS BIGINT) AS c, CAST((100 - pj) * (100 - pk) AS BIGINT) AS d FROM sb WHERE slot = 8")
 def _(w: World) -> DataFrame:
     x = _slots(w).where("slot = 8").select("eid", weather.worlds(*_ends(), F.lit(0.5)).alias("x"))
     return x.select("eid", *[F.get("x", F.lit(i))["prob"].alias(n) for i, n in enumerate("abcd")])
 
 
+@register("world_probs_whole")
+def _(w: World) -> DataFrame:
+    x = _slots(w).select("eid", "slot", weather.worlds(*_ends(), F.lit(0.5)).alias("x"))
+    return x.select("eid", "slot", *[F.get("x", F.lit(i))["prob"].alias(n) for i, n in enumerate("abcd")])
+
+
 _X = "CASE WHEN (1 - f) * wj + f * wk > 50 THEN pj * pk ELSE 0 END + CASE WHEN wk > 50 THEN (100 - pj) * pk ELSE 0 END + CASE WHEN wj > 50 THEN pj * (100 - pk) ELSE 0 END"
 
 
@@ -167,6 +190,12 @@ def _(w: World) -> DataFrame:
     return _points(w).select("eid", "f", p(0.0).alias("optimistic"), p(1.0).alias("pessimistic"), p(0.25).alias("prior"))
 
 
+@register("point_exceed_prob_whole")
+def _(w: World) -> DataFrame:
+    p = lambda u: weather.p_exceeds(*_ends(), F.col("f"), F.lit(EPS), u).cast("double")
+    return _all_points(w).select("eid", "slot", "f", p(0.0).alias("optimistic"), p(1.0).alias("pessimistic"), p(0.25).alias("prior"))
+
+
 @register("edge_ub_cases", f"{_SB} SELECT slot, {oracle.case_of('50')} AS kind, count(*) AS n, CAST(sum({oracle.ub('50')}) AS BIGINT) AS ub FROM sb GROUP BY 1, 2")
 def _(w: World) -> DataFrame:
     return _slots(w).groupBy("slot", weather.ub_case(F.col("wj"), F.col("wk"), F.lit(EPS)).alias("kind")).agg(F.count(F.lit(1)).alias("n"), F.sum("ub").alias("ub"))
@@ -177,6 +206,11 @@ def _(w: World) -> DataFrame:
     return _slots(w).where("slot < 6").select("eid", "slot", "lb_val", "ub_val")
 
 
+@register("edge_weather_range_whole")
+def _(w: World) -> DataFrame:
+    return _slots(w).select("eid", "slot", "lb_val", "ub_val")
+
+
 @register("edges_weather_pruned", f"{_SB} SELECT eid, slot FROM sb WHERE {oracle.ub('50')} >= 100 * (100 - 50)")
 def _(w: World) -> DataFrame:
     return pruning.prune_weather(_slots(w), ALPHA)
@@ -219,10 +253,18 @@ def _(w: World) -> DataFrame:
 _SAMPLE = "v % 97 = 0"
 
 
+def _lb_pairs(p: DataFrame) -> DataFrame:
+    return p.toDF("u", "pu").join(p.toDF("v", "pv"), F.col("u") < F.col("v")).select("u", "v", bounds.lb_dist(F.col("pu"), F.col("pv")).alias("lb"))
+
+
 @register("pivot_lb_pairs", f"{_PV}, s AS (SELECT * FROM sp WHERE {_SAMPLE}) SELECT x.v AS u, y.v AS v, max(abs(x.dist - y.dist)) AS lb FROM s x JOIN s y ON x.src = y.src AND x.v < y.v GROUP BY 1, 2")
 def _(w: World) -> DataFrame:
-    p = w.piv().where(_SAMPLE)
-    return p.toDF("u", "pu").join(p.toDF("v", "pv"), F.col("u") < F.col("v")).select("u", "v", bounds.lb_dist(F.col("pu"), F.col("pv")).alias("lb"))
+    return _lb_pairs(w.piv().where(_SAMPLE))
+
+
+@register("pivot_lb_pairs_whole")
+def _(w: World) -> DataFrame:
+    return _lb_pairs(w.piv())
 
 
 def _quality_sql(ds: tuple) -> str:
@@ -329,6 +371,23 @@ def _(w: World) -> DataFrame:
     return w.index().lookup.select("eid", "pos", "leaf")
 
 
+for _name, _columns in {"nodes": ("parent", "xmin", "ymin", "xmax", "ymax", "n_edges"), "time": ("lb_t", "ub_t"), "kw": ("kw_and", "kw_or")}.items():
+
+    @register(f"idx_{_name}_whole")
+    def _(w: World, columns: tuple = _columns) -> DataFrame:
+        return w.index().nodes.select("level", "node", *columns)
+
+
+@register("idx_weather_whole")
+def _(w: World) -> DataFrame:
+    return w.index().weather.select("level", "node", "slot", "lb_val", "ub_val", "ub_case3", *[F.element_at("ub_by_eps", F.lit(e)).alias(f"u{e}") for e in ix.EPS_GRID])
+
+
+@register("idx_links_whole")
+def _(w: World) -> DataFrame:
+    return w.index().links
+
+
 @register("idx_str_packing")
 def _(w: World) -> DataFrame:
     i = ix.build_index(w.net("gau"), None, FANOUT, "str")
@@ -340,11 +399,21 @@ def _(w: World) -> DataFrame:
     return ix.node_prune_keyword(w.index("uni", _PAIRS).nodes.where(F.col("level") <= LEVELS), w.queries())
 
 
+@register("nodes_kw_pruned_whole")
+def _(w: World) -> DataFrame:
+    return ix.node_prune_keyword(w.index("uni", _PAIRS).nodes, w.queries())
+
+
 @register("nodes_weather_pruned", f"{_node_weather(_IX2, _PAIRS)} SELECT qid, level, node FROM iw, q WHERE (slot - dep_min // 60 + 48) % 24 <= (dep_min + 60) // 60 - dep_min // 60 GROUP BY qid, level, node, alpha_pct HAVING max(CASE WHEN ub_val <= eps THEN 10000 WHEN lb_val > eps THEN ub_case3 ELSE u50 END) < 100 * (100 - alpha_pct)")
 def _(w: World) -> DataFrame:
     return ix.node_prune_weather(w.index("uni", _PAIRS).weather.where(F.col("level") <= LEVELS), w.queries(), 60)
 
 
+@register("nodes_weather_pruned_whole")
+def _(w: World) -> DataFrame:
+    return ix.node_prune_weather(w.index("uni", _PAIRS).weather, w.queries(), 60)
+
+
 # --- routing ----------------------------------------------------------------------------------------------------
 
 
