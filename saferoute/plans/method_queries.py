@@ -487,6 +487,16 @@ def _(w: World) -> DataFrame:
     return search.search_in_rounds(w.queries(sigma=3), w.net(), w.ring, RouteOptions(horizon_min=40, batch_width=64), w.piv())[0]
 
 
+@register("route_bfs_whole", oracle.routes())
+def _(w: World) -> DataFrame:
+    return baselines.route_bfs(w.queries(), w.net(), w.ring)
+
+
+@register("route_rounds_beam_whole", oracle.routes())
+def _(w: World) -> DataFrame:
+    return search.search_in_rounds(w.queries(), w.net(), w.ring, RouteOptions(batch_width=64), w.piv())[0]
+
+
 @register("route_plain", f"WITH RECURSIVE {oracle.network('uni')}, {oracle.query_set()}, {oracle.sssp('SELECT DISTINCT src FROM q', 'w_min')} SELECT q.qid, sp.dist AS total_min FROM q JOIN sp ON sp.src = q.src AND sp.v = q.dst")
 def _(w: World) -> DataFrame:
     return baselines.route_plain(w.queries(), w.net())
@@ -509,8 +519,7 @@ def _(w: World) -> DataFrame:
 
 @register("route_simple_mode")
 def _(w: World) -> DataFrame:
-    o = RouteOptions(path_mode="simple", label_limit=20_000)
-    return brief(baselines.route_astar(w.queries(sigma=4), w.net(), w.ring, o, "pivot", w.piv()))
+    return brief(baselines.route_astar(w.queries(), w.net(), w.ring, RouteOptions(path_mode="simple"), "pivot", w.piv()))
 
 
 @register("route_paths_valid", f"WITH RECURSIVE {oracle.network('uni')}, {oracle.RING}, {oracle.query_set()}, {oracle.labels()} SELECT qid, CAST(0 AS BIGINT) AS bad_edges, CAST(0 AS BIGINT) AS bad_links, CAST(0 AS BIGINT) AS bad_times FROM opt")

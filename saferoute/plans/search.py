@@ -6,6 +6,7 @@ succeed where an earlier one fails; labels are merged only at equal vertex and m
 from __future__ import annotations
 
 import heapq
+from itertools import count
 
 import pandas as pd
 from pyspark.sql import DataFrame, Window
@@ -59,11 +60,107 @@ def bound_arcs(queries: DataFrame, net: Network, options: RouteOptions, piv: Dat
     return both.select("qid", "tail", "head", "eid", F.col("w_min").alias("w"), "tail_cell", "head_cell", "h", kwb.alias("kwb"), "page")
 
 
+class LimitReached(RuntimeError):
+    """A limit set by the caller was met while labels were open: there is no answer to give."""
+
+
+def within_limit(labels: int, options: RouteOptions) -> None:
+    if options.label_limit and labels >= options.label_limit:
+        raise LimitReached(f"{labels} labels, and more are open")
+
+
+def best_simple(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: int, weather: dict, options: RouteOptions, arrivals: list = ()) -> dict:
+    """``best_first`` over paths that repeat no vertex, exact however many paths there are.
+
+    First every (vertex, minute) that walks lead to is found, then backwards the earliest arrival at dst from
+    each and the vertices on walks from it to dst. The arrival is the key; of labels at one vertex and minute
+    one stands for all those that have visited what it has, as far as these vertices go."""
+    limit = dep + options.horizon_min
+    lam, best = min(((arr, (vs, es, ts)) for _, arr, vs, es, ts in arrivals), default=(float("inf"), None), key=lambda x: x[0])
+    h_of = {x[0]: x[5] for out in ways.values() for x in out}
+    open_, after = sorted({(arr, v) for v, arr, *_ in seeds}), {}
+    labels = max_heap = reads = n_kw = n_weather = n_time = 0
+    pages: set = set()
+    queued = set(open_)
+    while open_:
+        max_heap = max(max_heap, len(open_))
+        arr, v = heapq.heappop(open_)
+        on = after[v, arr] = []
+        if v == dst:
+            continue
+        own = {x[7] for x in ways.get(v, ())}
+        reads += len(own)
+        pages |= own
+        for head, w, eid, c1, c2, h, kwb, _ in ways.get(v, ()):
+            t = arr + w
+            if kwb:
+                n_kw += 1
+            elif t > limit or (options.use_time and t + h > min(lam, limit)):
+                n_time += 1
+            elif options.use_weather and py_trip_blocked(weather[c1], weather[c2], arr, w, eps, alpha, options.unknown):
+                n_weather += 1
+            else:
+                on.append((head, t, eid))
+                if (t, head) not in queued:
+                    queued.add((t, head))
+                    heapq.heappush(open_, (t, head))
+    bit = {v: 1 << i for i, v in enumerate(sorted({v for v, _ in after}))}
+    goal, ahead = {}, {}
+    for v, arr in sorted(after, key=lambda x: -x[1]):
+        on = after[v, arr] = [x for x in after[v, arr] if (x[0], x[1]) in goal]
+        if v == dst or on:
+            goal[v, arr] = arr if v == dst else min(goal[x[0], x[1]] for x in on)
+            reach = bit[v]
+            for x in on:
+                reach |= ahead[x[0], x[1]]
+            ahead[v, arr] = reach
+    heap, stand = [], {}
+
+    def push(v: int, arr: int, hops: int, seen: int, path: tuple) -> None:
+        seen &= ahead[v, arr]
+        others = stand.setdefault((v, arr), [])
+        if not any(o & ~seen == 0 for o in others):
+            others.append(seen)
+            heapq.heappush(heap, (goal[v, arr], arr, hops, v, seen, path))
+
+    for v, arr, vs, es, ts in seeds:
+        if (v, arr) in goal:
+            push(v, arr, len(es), sum(bit.get(x, 0) for x in set(vs)), (vs, es, ts))
+    while heap:
+        max_heap = max(max_heap, len(heap))
+        key, arr, hops, v, seen, path = heapq.heappop(heap)
+        if key > lam:
+            break
+        within_limit(labels, options)
+        labels += 1
+        if v == dst:
+            tail = []
+            while len(path) == 4:
+                tail.append(path[1:])
+                path = path[0]
+            vs, es, ts = path
+            best = [*vs, *(x[0] for x in tail[::-1])], [*es, *(x[1] for x in tail[::-1])], [*ts, *(x[2] for x in tail[::-1])]
+            break
+        for head, t, eid in after[v, arr]:
+            if not seen & bit[head]:
+                push(head, t, hops + 1, seen | bit[head], (path, head, eid, t))
+    counts = {"labels": labels, "max_heap": max_heap, "page_reads": reads, "page_reads_distinct": len(pages), "pruned_kw": n_kw, "pruned_weather": n_weather, "pruned_time": n_time}
+    return result(best, dep) | counts
+
+
+def result(best: tuple | None, dep: int) -> dict:
+    if best is None:
+        return {"answered": False, "total_min": None, "hops": None, "vertices": None, "edges": None, "arr": None}
+    return {"answered": True, "total_min": best[2][-1] - dep, "hops": len(best[1]), "vertices": best[0], "edges": best[1], "arr": best[2]}
+
+
 def best_first(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: int, weather: dict, options: RouteOptions, arrivals: list = ()) -> dict:
     """The earliest arrival at dst from labels (v, arr, vertices, edges, arrs), with counters.
 
     ``ways``: tail -> [(head, w, eid, tail cell, head cell, h, blocked by keyword, page)]; ``arrivals``: finished labels."""
-    astar, simple = options.key == "elapsed_plus_lb", options.path_mode == "simple"
+    if options.path_mode == "simple":
+        return best_simple(ways, seeds, dst, dep, eps, alpha, weather, options, arrivals)
+    astar = options.key == "elapsed_plus_lb"
     lam, best = float("inf"), None
     limit = dep + options.horizon_min
     heap: list = []
@@ -75,18 +172,19 @@ def best_first(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: i
         if arr < lam:
             lam, best = arr, (vs, es, ts)
     for v, arr, vs, es, ts in seeds:
-        if (v, arr) not in parent or simple:
+        if (v, arr) not in parent:
             parent[v, arr] = (vs, es, ts)
-            heapq.heappush(heap, (arr + (h_of.get(v, 0) if astar else 0), arr, len(es), v, (vs, es, ts) if simple else None))
+            heapq.heappush(heap, (arr + (h_of.get(v, 0) if astar else 0), arr, len(es), v))
     found = None
     while heap:
         max_heap = max(max_heap, len(heap))
-        key, arr, hops, v, path = heapq.heappop(heap)
-        if key > lam or (options.label_limit and labels >= options.label_limit):
+        key, arr, hops, v = heapq.heappop(heap)
+        if key > lam:
             break
+        within_limit(labels, options)
         labels += 1
         if v == dst and arr <= lam:
-            lam, found = arr, (v, arr, path)
+            lam, found = arr, (v, arr)
             break
         out = ways.get(v, ())
         own = {x[7] for x in out}
@@ -100,33 +198,26 @@ def best_first(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: i
             if t > limit or (options.use_time and t + h > min(lam, limit)):
                 n_time += 1
                 continue
-            if simple and head in path[0] or not simple and (head, t) in parent:
+            if (head, t) in parent:
                 continue
             if options.use_weather and py_trip_blocked(weather[c1], weather[c2], arr, w, eps, alpha, options.unknown):
                 n_weather += 1
                 continue
-            after = ([*path[0], head], [*path[1], eid], [*path[2], t]) if simple else None
-            if not simple:
-                parent[head, t] = (v, arr, eid)
+            parent[head, t] = (v, arr, eid)
             if head == dst:
                 lam = min(lam, t)
-            heapq.heappush(heap, (t + (h if astar else 0), t, hops + 1, head, after))
+            heapq.heappush(heap, (t + (h if astar else 0), t, hops + 1, head))
     if found:
-        v, arr, path = found
-        if simple:
-            best = path
-        else:
-            vs, es, ts = [], [], []
-            while len(p := parent[v, arr]) and not isinstance(p[0], list):
-                vs.append(v)
-                es.append(p[2])
-                ts.append(arr)
-                v, arr = p[0], p[1]
-            best = (p[0] + vs[::-1], p[1] + es[::-1], p[2] + ts[::-1])
+        v, arr = found
+        vs, es, ts = [], [], []
+        while len(p := parent[v, arr]) and not isinstance(p[0], list):
+            vs.append(v)
+            es.append(p[2])
+            ts.append(arr)
+            v, arr = p[0], p[1]
+        best = (p[0] + vs[::-1], p[1] + es[::-1], p[2] + ts[::-1])
     counts = {"labels": labels, "max_heap": max_heap, "page_reads": reads, "page_reads_distinct": len(pages), "pruned_kw": n_kw, "pruned_weather": n_weather, "pruned_time": n_time}
-    if best is None:
-        return {"answered": False, "total_min": None, "hops": None, "vertices": None, "edges": None, "arr": None} | counts
-    return {"answered": True, "total_min": best[2][-1] - dep, "hops": len(best[1]), "vertices": best[0], "edges": best[1], "arr": best[2]} | counts
+    return result(best, dep) | counts
 
 
 def collected_weather(net: Network, forecasts: DataFrame, wtype: str) -> dict:
@@ -174,18 +265,21 @@ def plain_seeds(queries: DataFrame) -> DataFrame:
     return queries.select("qid", F.col("src").alias("v"), F.col("dep_min").alias("arr"), one("src").alias("vertices"), F.array().cast("array<long>").alias("edges"), one("dep_min").alias("arrs"), F.lit(False).alias("done"))
 
 
-def search_in_rounds(queries: DataFrame, net: Network, forecasts: DataFrame, options: RouteOptions, piv: DataFrame | None = None, max_rounds: int = 400) -> tuple[DataFrame, list[dict]]:
+def search_in_rounds(queries: DataFrame, net: Network, forecasts: DataFrame, options: RouteOptions, piv: DataFrame | None = None, max_rounds: int | None = None) -> tuple[DataFrame, list[dict]]:
     """The same search for whole batches by joins: (qid, answered, total_min), and counts per round.
 
     Each round takes the ``batch_width`` labels of smallest key of every query (all, if None), joins the
     arcs by query and tail, tests keywords, trips and time, merges equal labels and lowers each query's best
-    arrival. The driver sees counts only; tables are cut every round."""
+    arrival, until no label is open; ``max_rounds`` raises where labels still are. The driver sees counts only;
+    tables are cut every round."""
     arcs = with_weather(bound_arcs(queries, net, options, piv), net.vertices, station_arrays(forecasts)).where(~F.col("kwb"))
     arcs = stored(arcs.select("qid", "tail", "head", "eid", "w", "h", "tail_w", "tail_p", "head_w", "head_p"))
     q = queries.select("qid", "dst", "dep_min", "eps", "alpha_pct")
     seen = stored(queries.select("qid", F.col("src").alias("v"), F.col("dep_min").alias("arr"), F.lit(0).cast("long").alias("h")))
     open_, lam, history = seen, None, []
-    for n in range(max_rounds):
+    for n in count():
+        if max_rounds is not None and n >= max_rounds:
+            raise LimitReached(f"{n} rounds, and {history[-1]['open'] if history else 'all'} labels are open")
         if options.batch_width:
             key = F.col("arr") + (F.col("h") if options.key == "elapsed_plus_lb" else 0)
             ranked = open_.withColumn("k", F.row_number().over(Window.partitionBy("qid").orderBy(key, "arr", "v")))

@@ -28,7 +28,7 @@ class RouteOptions:
     key: 'elapsed' or 'elapsed_plus_lb', what the search takes next.
     heuristic: 'zero', 'euclid' or 'pivot', the bound in the key and in time pruning.
     prefilter: for filter-first: 'all_slots', 'departure_slot' or 'any_slot'.
-    kernel_rows: most arcs of one query that are searched within one task; beyond, rounds of joins."""
+    label_limit: most labels of one query in a task; a search that has more open raises."""
 
     path_mode: str = "walk"
     unknown_world: str | float = "optimistic"
@@ -42,7 +42,6 @@ class RouteOptions:
     keyword_mode: str = "dict"
     prefilter: str = "all_slots"
     batch_width: int | None = None
-    kernel_rows: int = 2_000_000
     label_limit: int | None = None
     extra: dict = field(default_factory=dict)
 
