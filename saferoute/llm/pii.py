@@ -1,15 +1,15 @@
 """Personal data: checked base patterns, then contextual patterns bootstrapped from what these find.
 
-Base spans are e-mail addresses, IP addresses, card numbers and telephone numbers. They are the seeds:
-any token with a digit is an instance, its two words to the left and its shape are its lexical pattern,
-and tokens that overlap a base span are known. Scores go back and forth over the graph of patterns and
+Base spans are e-mail addresses, IP addresses, card numbers and telephone numbers. They are the seeds: each is
+one known instance, its two words to the left and its shape are its lexical pattern. Tokens are told by blanks;
+any token beside the base spans, with digits or without, is an instance of its pattern too. Scores go back and forth over the graph of patterns and
 instances, all in DataFrame operations: a pattern scores the mean of its instances, less where it has few;
 an instance scores as likely as that not all its patterns are wrong. Patterns above ``LEAST`` that have
 ``SEEDS`` known instances or more find further tokens, of kind ``other``.
 
-Spans are found within a row. Only tokens with digits leave it: (pattern, instance) pairs are counted
-before the shuffle, and a pattern of a third of all rows is a large side of a join that AQE splits.
-Texts are read once and never shuffled; rows are told apart by two 64-bit hashes, so repeated rows get
+Only patterns with ``SEEDS`` known instances or more can be trusted or lend trust, so base spans are counted
+first, and of the other tokens only those of such patterns leave their row: (pattern, instance) pairs are counted
+before the shuffle. Texts are never shuffled; rows are told apart by two 64-bit hashes, so repeated rows get
 equal spans. A null text is empty; a null id stays null.
 """
 
@@ -27,7 +27,9 @@ EMAIL = r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Z
 IP = r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++"
 CARD = r"[0-9](?:[\x20-]?[0-9])++"
 PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
-TOKEN = r"(?<![^\x09-\x0D\x20])[^\x09-\x0D\x200-9]*+[0-9][^\x09-\x0D\x20]*+"
+#: Between a blank and what is none: texts are cut here into tokens with the blanks behind them.
+CUT = r"(?<=[\x09-\x0D\x20])(?=[^\x09-\x0D\x20])"
+BLANKS = r"[\x09-\x0D\x20]+$"
 OCTETS = r"^0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?:\.0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])){3}$"
 #: Characters to the left of a token that its context is taken from.
 CONTEXT = 48
@@ -99,27 +101,83 @@ def pattern_of(left: Column, token: Column) -> Column:
     return F.concat_ws("\t", F.regexp_replace(words, r"[\x09-\x0D\x20]+", " "), shape)
 
 
-def found(docs: DataFrame) -> DataFrame:
-    """k1, k2 (the row's hashes), doc_id, base (spans) and tokens (start, end, pattern, instance, known)."""
+def keyed(docs: DataFrame) -> DataFrame:
+    """k1, k2 (the row's hashes), doc_id, text (not null) and base (spans)."""
     text = F.coalesce("text", F.lit(""))
     rows = docs.select("doc_id", text.alias("text"), F.xxhash64("doc_id", text).alias("k1"), F.xxhash64(text, "doc_id", F.lit(1)).alias("k2"))
-    none = F.lit([]).cast("array<struct<start:int,end:int,match:string,left:string>>")
-    rows = rows.withColumn("base", base_spans(F.col("text")))
-    rows = rows.withColumn("raw", F.when(F.col("text").rlike("[0-9]"), places(F.col("text"), TOKEN)).otherwise(none)).drop("text")
+    return rows.withColumn("base", base_spans(F.col("text")))
 
-    def token(x: Column) -> Column:
-        known = F.exists("base", lambda b: (b["start"] < x["end"]) & (b["end"] > x["start"]))
-        return F.struct(x["start"].alias("start"), x["end"].alias("end"), pattern_of(x["left"], x["match"]).alias("pattern"), F.xxhash64(x["match"]).alias("instance"), known.alias("known"))
 
-    return rows.withColumn("tokens", F.transform("raw", token)).drop("raw")
+def left_of(pieces: Column, i: Column) -> Column:
+    """What stands before a token, as far as its pattern goes."""
+    one = lambda k: F.when(i >= k, F.get(pieces, i - k)).otherwise("")
+    return F.right(F.concat(one(2), one(1)), F.lit(CONTEXT))
 
 
-def patterns(rows: DataFrame, rounds: int = ROUNDS, least: float = LEAST, seeds: int = SEEDS) -> DataFrame:
-    """pattern and score of the patterns that are trusted, from the rows of ``found``."""
-    t = rows.select(F.explode("tokens").alias("t")).select("t.pattern", "t.instance", "t.known")
+def known_instances(docs: DataFrame) -> DataFrame:
+    """pattern and instance of every base span."""
+    t = keyed(docs).select("text", F.explode("base").alias("b"))
+    left = F.substring(F.col("text"), F.greatest(F.lit(1), F.col("b.start") - CONTEXT + 1), F.least(F.lit(CONTEXT), F.col("b.start")))
+    match = F.substring(F.col("text"), F.col("b.start") + 1, F.col("b.end") - F.col("b.start"))
+    return t.select(pattern_of(left, match).alias("pattern"), F.xxhash64(match).alias("instance")).distinct()
+
+
+def shared(wanted: DataFrame) -> tuple[list[int], bool] | None:
+    """The hashes of patterns for ``matching``, and whether all their shapes have a digit or an @; None if they are too many."""
+    if wanted.count() > PATTERNS_SHARED:
+        return None
+    rows = wanted.select(F.xxhash64("pattern"), F.substring_index("pattern", "\t", -1).rlike("[0@]")).collect()
+    return [r[0] for r in rows], all(r[1] for r in rows)
+
+
+def _bare(x: Column) -> Column:
+    return F.regexp_replace(x, BLANKS, "")
+
+
+def _token(pieces: Column, i: Column) -> Column:
+    start = F.aggregate(F.slice(pieces, 1, i), F.lit(0), lambda a, x: a + F.length(x))
+    token = _bare(F.get(pieces, i))
+    return F.struct(start.alias("start"), (start + F.length(token)).alias("end"), pattern_of(left_of(pieces, i), token).alias("pattern"), F.xxhash64(token).alias("instance"))
+
+
+def _beside(x: Column) -> Column:
+    return ~F.exists("base", lambda b: (b["start"] < x["end"]) & (b["end"] > x["start"]))
+
+
+def matching(pieces: Column, hashes: list[int], marked: bool) -> Column:
+    """array of (start, end, pattern, instance) of the tokens that have one of the patterns.
+
+    Where all shapes have a digit or an @, no token without either can match, and none is tried."""
+
+    def index(x: Column, i: Column) -> Column:
+        hit = F.xxhash64(pattern_of(left_of(pieces, i), _bare(x))).isin(hashes) & (_bare(x) != "")
+        return F.when(x.rlike("[0-9@]"), F.when(hit, i)) if marked else F.when(hit, i)
+
+    return F.transform(F.filter(F.transform(pieces, index), lambda i: i.isNotNull()), lambda i: _token(pieces, i))
+
+
+def other_tokens(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """k1, k2, start, end, pattern and instance of the tokens beside base spans that have one of the wanted patterns.
+
+    Where the patterns are too many to share, tokens leave their rows to be joined, and places come from the texts."""
+    rows = keyed(docs).select("k1", "k2", "base", F.split("text", CUT, -1).alias("pieces"))
+    few = shared(wanted)
+    if few is not None:
+        t = rows.withColumn("found", matching(F.col("pieces"), *few) if few[0] else F.lit([]).cast("array<struct<start:int,end:int,pattern:string,instance:bigint>>"))
+    else:
+        own = F.transform("pieces", lambda x, i: F.struct(i.alias("i"), pattern_of(left_of(F.col("pieces"), i), _bare(x)).alias("pattern")))
+        hit = rows.select("k1", "k2", F.explode(own).alias("t")).select("k1", "k2", "t.i", "t.pattern").join(wanted.select("pattern"), "pattern", "left_semi")
+        at = hit.groupBy("k1", "k2").agg(F.collect_set("i").alias("at"))
+        t = rows.join(at, ["k1", "k2"]).withColumn("found", F.filter(F.transform("at", lambda i: _token(F.col("pieces"), i)), lambda x: x["end"] > x["start"]))
+    return t.select("k1", "k2", F.explode(F.filter("found", _beside)).alias("t")).select("k1", "k2", "t.*")
+
+
+def patterns(known: DataFrame, others: DataFrame, rounds: int = ROUNDS, least: float = LEAST, seeds: int = SEEDS) -> DataFrame:
+    """pattern and score of the patterns that are trusted, from the known instances and the other tokens."""
+    t = known.withColumn("known", F.lit(True)).unionByName(others.select("pattern", "instance", F.lit(False).alias("known")))
     graph = common.materialise(t.groupBy("pattern", "instance").agg(F.max("known").alias("known")))
-    known = graph.groupBy("instance").agg(F.max(F.col("known").cast("double")).alias("score"))
-    scores = common.materialise(known)
+    certain = graph.groupBy("instance").agg(F.max(F.col("known").cast("double")).alias("score"))
+    scores = common.materialise(certain)
     trusted = None
     for k in range(rounds):
         by_pattern = graph.join(scores, "instance").groupBy("pattern").agg(
@@ -131,19 +189,26 @@ def patterns(rows: DataFrame, rounds: int = ROUNDS, least: float = LEAST, seeds:
     return trusted.where((F.col("trust") >= least) & (F.col("seeds") >= seeds)).select("pattern", F.col("trust").alias("score"))
 
 
-def more_spans(rows: DataFrame, trusted: DataFrame) -> DataFrame:
+def learned(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The trusted patterns, and the other tokens of all patterns that have enough known instances."""
+    known = common.written(known_instances(docs), "pii-known")
+    wanted = common.materialise(known.groupBy("pattern").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= SEEDS).select("pattern"))
+    others = common.written(other_tokens(docs, wanted), "pii-tokens")
+    return common.written(patterns(known, others).select("pattern"), "pii-patterns"), others
+
+
+def more_spans(others: DataFrame, trusted: DataFrame) -> DataFrame:
     """k1, k2 and extra: the further spans that trusted patterns find, for rows that have any."""
-    t = rows.select("k1", "k2", F.explode("tokens").alias("t")).where("not t.known").select("k1", "k2", "t.start", "t.end", "t.pattern")
-    hit = t.join(trusted.select("pattern"), "pattern", "left_semi").select("k1", "k2", F.struct("start", F.lit(len(KINDS) - 1).alias("rank"), "end").alias("span"))
+    hit = others.join(trusted.select("pattern"), "pattern", "left_semi").select("k1", "k2", F.struct("start", F.lit(len(KINDS) - 1).alias("rank"), "end").alias("span"))
     return hit.groupBy("k1", "k2").agg(F.array_sort(F.collect_set("span")).alias("extra"))
 
 
 def detect(docs: DataFrame) -> DataFrame:
     """doc_id, k1, k2, base and spans (base and further ones, by start) of every row."""
-    rows = common.written(found(docs), "pii-tokens")
-    extra = more_spans(rows, patterns(rows))
+    trusted, others = learned(docs)
     none = F.lit([]).cast("array<struct<start:int,rank:int,end:int>>")
-    return rows.join(extra, ["k1", "k2"], "left").select("doc_id", "k1", "k2", "base", F.array_sort(F.concat("base", F.coalesce("extra", none))).alias("spans"))
+    rows = keyed(docs).select("doc_id", "k1", "k2", "base").join(more_spans(others, trusted), ["k1", "k2"], "left")
+    return rows.select("doc_id", "k1", "k2", "base", F.array_sort(F.concat("base", F.coalesce("extra", none))).alias("spans"))
 
 
 def named(spans: Column) -> Column:
@@ -157,28 +222,22 @@ def masked(docs: DataFrame) -> DataFrame:
 
     Of overlapping spans the first is replaced, and what a later one has beyond it is cut out too. Spans are
     found again where the texts are read, so no text is shuffled: trusted patterns are counted first, and up to
-    ``PATTERNS_SHARED`` of them, each of bounded length, go to every task as one row. Beyond that the rows'
+    ``PATTERNS_SHARED`` of them go to every task by their hashes. Beyond that the rows'
     further spans are joined by the rows' hashes."""
-    rows = common.written(found(docs), "pii-tokens")
-    trusted = common.written(patterns(rows).select("pattern"), "pii-patterns")
+    trusted, others = learned(docs)
     text = F.coalesce("text", F.lit(""))
     base = docs.select(F.struct(*docs.columns).alias("row_"), text.alias("text_"), F.xxhash64("doc_id", text).alias("k1"), F.xxhash64(text, "doc_id", F.lit(1)).alias("k2"))
-    n = trusted.count()
+    few = shared(trusted)
     base = base.withColumn("base", base_spans(F.col("text_")))
-    if n == 0:
+    if few is not None and not few[0]:
         rows = base.withColumnRenamed("base", "spans")
-    elif n <= PATTERNS_SHARED:
-        own = F.when(F.col("text_").rlike("[0-9]"), places(F.col("text_"), TOKEN)).otherwise(F.lit([]).cast("array<struct<start:int,end:int,match:string,left:string>>"))
-        rows = base.withColumn("raw", own).join(F.broadcast(trusted.agg(F.collect_set("pattern").alias("trusted"))))
-
-        def further(x: Column) -> Column:
-            known = F.exists("base", lambda b: (b["start"] < x["end"]) & (b["end"] > x["start"]))
-            return ~known & F.array_contains("trusted", pattern_of(x["left"], x["match"]))
-
-        more = F.transform(F.filter("raw", further), lambda x: F.struct(x["start"].alias("start"), F.lit(len(KINDS) - 1).alias("rank"), x["end"].alias("end")))
-        rows = rows.withColumn("spans", F.array_sort(F.concat("base", F.array_distinct(more))))
+    elif few is not None:
+        rows = base.withColumn("pieces_", F.split("text_", CUT, -1))
+        rows = rows.withColumn("found_", matching(F.col("pieces_"), *few))
+        more = F.transform(F.filter("found_", _beside), lambda x: F.struct(x["start"].alias("start"), F.lit(len(KINDS) - 1).alias("rank"), x["end"].alias("end")))
+        rows = rows.withColumn("spans", F.array_sort(F.concat("base", more)))
     else:
-        extra = more_spans(rows, trusted)
+        extra = more_spans(others, trusted)
         rows = base.join(extra, ["k1", "k2"], "left").withColumn("spans", F.array_sort(F.concat("base", F.coalesce("extra", F.lit([]).cast("array<struct<start:int,rank:int,end:int>>")))))
     rows = rows.withColumn("spans", F.when(F.size("spans") > 0, F.col("spans")))
     kinds = F.array(*map(F.lit, KINDS))

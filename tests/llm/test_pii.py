@@ -73,3 +73,16 @@ def test_masking_is_the_same_by_patterns_and_by_join(spark, monkeypatch):
     assert out[4] == "the member id <other> ok" and out[5] == "plain 12 words" and out[0] == "the member id <ip> ok"
     monkeypatch.setattr(pii, "PATTERNS_SHARED", 0)
     assert {r["doc_id"]: r["text"] for r in pii.masked(src).collect()} == out
+
+
+def test_identifiers_without_digits_are_seeds_and_found(spark):
+    known = [f"please write to {n}@example.org today" for n in ("ann", "bob", "cy", "dora")]
+    src = h.docs(spark, [*known, "please write to jürgen@müller.de today", "a jürgen@müller.de b"])
+    rows = {r["doc_id"]: r["spans"] for r in pii.detect(src).select("doc_id", pii.named(pii.F.col("spans")).alias("spans")).collect()}
+    assert rows[4] == "other:16:32" and rows[5] == "" and rows[0] == "email:16:31"
+    assert {r["doc_id"]: r["text"] for r in pii.masked(src).collect()}[4] == "please write to <other> today"
+
+
+def test_a_spaced_number_is_one_instance_with_the_words_before_it(spark):
+    known = pii.known_instances(h.docs(spark, ["my card number 4539 1488 0343 6467 and 10.0.0.1 or 10.0.0.2"])).collect()
+    assert {r["pattern"] for r in known} == {"card number\t0 0 0 0", "0 and\t0.0.0.0", "0.0.0.0 or\t0.0.0.0"}
