@@ -6,9 +6,10 @@ smallest doc_id of its connected component.
 
 1. ``signed``: one pass gives each document its class and finds shingles of ``COMMON`` of all documents or
    more: at most 1 / COMMON * mean size of them, so they are broadcast, whatever the input.
-2. ``sets``: a second pass deals the other shingles out to parts as packed arrays, with one entry for a
-   class in a block; each part keeps those of two classes or more, with the number of classes. The
-   entries meet again by class. A set is ordered by that number, rarest first, shared by none before
+2. ``sets``: a second pass deals the other shingles out to parts, as sorted numbers and places in blocks of
+   rows, packed in about four octets each; each part keeps those of two places or more, with their
+   number, and sends them back to their blocks by a number of their own. Of a class that lies in several blocks, the first answers. A
+   set is ordered by that number, rarest first, shared by none before
    all. Two linked sets share one of the first size - ceil(0.8 size) + 1 (the prefix), so a class whose
    prefix is shared by none is done: nearly all are.
 3. ``keyed``: small sets enumerate the pairs (subsets of size two) of their prefix and one more; large sets
@@ -22,9 +23,17 @@ smallest doc_id of its connected component.
    largest component are compared with all of them in blocks, within tasks. Overlaps are counted on the
    shared shingles, which hold every overlap.
 
-Loads: parts are of bounded size; lists are never gathered, only joined on their key, with the hub found
-by a combined aggregate, and AQE splits a long list. Shingles beyond pass 1 are kept as 40 bits beside
-their part's number. Lineage is cut by written tables in the shared folder.
+Loads: a part holds PART_SIZE shingles on average and at most COMMON of all classes more; lists are never
+gathered, only joined on their key, with the hub found by a combined aggregate and written, so that AQE splits
+a long list. Lineage is cut by written tables in the shared folder.
+
+Identity: a class is the 64-bit hash of its sorted 64-bit shingle hashes, and within a part shingles meet by
+their lower 32 bits. So results are exact but for hash collisions, which are not looked up in the texts: two
+texts of d documents fall into one class with a probability below d * d / 2^65, and a pair of sets of a and b
+shingles counts one too many with a probability of a * b / (parts * 2^32), which matters only right below the limit.
+
+The documents are read twice and must be a stored table: both passes must meet the same rows in the same
+order, and an error is raised where they don't.
 
 Nulls, empty texts and texts without words have an empty set: size 0, linked with nothing, their own
 component. Fewer than five words make one shingle. Repeated rows fall into one class. A null doc_id gets its
@@ -39,6 +48,8 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
+import zstandard
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -52,7 +63,8 @@ BLOCK_SIZE, FAN = 1_000_000, 1024
 #: Lists up to SHORT sets emit their pairs across components; longer ones are compared in blocks of BLOCK sets.
 SHORT, BLOCK = 4, 512
 _M1, _M2, _S = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(29)
-_EVERYWHERE = np.uint32(2**31)
+#: Bits of a block's number within its partition; numbers from here on are those of common shingles.
+BLOCK_BITS, COMMON_FROM = 22, 1 << 62
 
 
 class WordHashes(dict):
@@ -93,26 +105,64 @@ def least_overlap(n: np.ndarray | int, percent: int = PERCENT) -> np.ndarray | i
     return -(-n * percent // 100)
 
 
+class Block:
+    """Consecutive rows of a partition with about BLOCK_SIZE shingles: the sets by class, and each row's class."""
+
+    def __init__(self, number: int) -> None:
+        self.number, self.sets, self.rows, self.held = number, {}, [], 0
+
+    def add(self, text: str | None) -> None:
+        s = shingles(text)
+        c = class_of(s) if len(s) else None
+        self.rows.append((c, len(s)))
+        if c is not None and c not in self.sets:
+            self.sets[c] = s
+            self.held += len(s)
+
+    def full(self) -> bool:
+        return self.held >= BLOCK_SIZE or len(self.rows) >= 60_000
+
+
+def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[Block, list[pa.RecordBatch]]]:
+    """Blocks with the rows that they are made of. Two passes over the same stored rows make the same blocks."""
+    first = TaskContext.get().partitionId() << BLOCK_BITS
+    block, rows = Block(first), []
+    for batch in batches:
+        start = 0
+        for i, text in enumerate(batch.column("text")):
+            block.add(text.as_py())
+            if block.full():
+                yield block, [*rows, batch.slice(start, i + 1 - start)]
+                start, block, rows = i + 1, Block(block.number + 1), []
+        rows.append(batch.slice(start))
+    yield block, rows
+
+
 def signed(docs: DataFrame) -> DataFrame:
-    """kind 0: doc_id, cls, n of every row; kind 1: packed shingles and counts common in a block."""
+    """kind 0: doc_id, h (hash of the text), cls, n, block of every row; kind 1: packed shingles and counts common in a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in (whole.slice(i, 1000) for whole in batches for i in range(0, whole.num_rows, 1000)):
-            sets = [shingles(t) for t in b.column("text").to_pylist()]
-            cls, n = [class_of(s) if len(s) else None for s in sets], [len(s) for s in sets]
-            none = pa.nulls(len(sets), pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array([0] * len(sets), pa.int32()), b.column("doc_id"), pa.array(cls, pa.int64()), pa.array(n, pa.int64()), none, none], names)
-            if sets:
-                shingle, count = np.unique(np.concatenate(sets), return_counts=True)
-                often = count >= max(4, COMMON * len(sets))
-                blobs = [pa.array([x.tobytes()], pa.binary()) for x in (shingle[often], count[often].astype(np.int64))]
-                yield pa.RecordBatch.from_arrays([pa.array([1], pa.int32()), pa.nulls(1, b.column("doc_id").type), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), *blobs], names)
+        for block, rows in blocks(batches):
+            done = 0
+            for b in rows:
+                own = block.rows[done : done + b.num_rows]
+                done += b.num_rows
+                cls, n = pa.array([c for c, _ in own], pa.int64()), pa.array([k for _, k in own], pa.int64())
+                none = pa.nulls(len(own), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array([0] * len(own), pa.int32()), b.column("doc_id"), b.column("h"), cls, n, pa.array([block.number] * len(own), pa.int64()), none, none], names)
+            if block.sets:
+                shingle, count = np.unique(np.concatenate(list(block.sets.values())), return_counts=True)
+                often = count >= max(4, COMMON * len(block.rows))
+                blobs = _blob(shingle[often], count[often].astype(np.int64))
+                longs = [pa.nulls(1, pa.int64())] * 4
+                yield pa.RecordBatch.from_arrays([pa.array([1], pa.int32()), pa.nulls(1, rows[0].column("doc_id").type), *longs, *blobs], names)
         _hashes.clear()
         common.trim()
 
-    names = ["kind", "doc_id", "cls", "n", "often", "counts"]
+    names = ["kind", "doc_id", "h", "cls", "n", "block", "often", "counts"]
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"kind int, doc_id {kind}, cls long, n long, often binary, counts binary")
+    own = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h"), "text")
+    return own.mapInArrow(run, f"kind int, doc_id {kind}, h long, cls long, n long, block long, often binary, counts binary")
 
 
 def common_shingles(sign: DataFrame, rows: int) -> np.ndarray:
@@ -136,198 +186,213 @@ def runs(keys: np.ndarray) -> Iterator[tuple[int, int, int]]:
             yield int(keys[i]), i, j
 
 
+def _squeezed(x: np.ndarray, rising: bool) -> bytes:
+    """Non-negative integers by octets of equal weight: what exceeds the least, or in a rising array the one before."""
+    x = x.astype(np.uint64)
+    least = x[:1] if rising else x.min(keepdims=True)
+    y = np.diff(x, prepend=least) if rising else x - least
+    width = max(1, (int(y.max()).bit_length() + 7) // 8)
+    return least.tobytes() + bytes([width, rising]) + np.ascontiguousarray(y.view(np.uint8).reshape(-1, 8)[:, :width].T).tobytes()
+
+
+def packed(*columns: tuple[np.ndarray, bool]) -> bytes:
+    """Columns of equal length, each with whether it rises, in few bytes."""
+    n = len(columns[0][0])
+    raw = n.to_bytes(8, "little") + b"".join(_squeezed(*c) for c in columns if n)
+    return zstandard.ZstdCompressor(level=1).compress(raw)
+
+
+def unpacked(data: bytes | pa.Buffer, columns: int) -> list[np.ndarray]:
+    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8)
+    n, at, out = int(raw[:8].view(np.int64)[0]), 8, []
+    if not n:
+        return [np.zeros(0, np.uint64)] * columns
+    for _ in range(columns):
+        least, width, rising = raw[at : at + 8].copy().view(np.uint64)[0], int(raw[at + 8]), raw[at + 9]
+        at += 10
+        y = np.zeros((n, 8), np.uint8)
+        y[:, :width] = raw[at : at + n * width].reshape(width, n).T
+        y = y.reshape(-1).view(np.uint64)
+        out.append((np.cumsum(y) if rising else y) + least)
+        at += n * width
+    return out
+
+
 def packed_set(a: np.ndarray) -> bytes:
-    """A sorted set of longs: the first, then the steps in as few bytes as the largest step takes."""
-    if not len(a):
-        return b""
-    steps = np.diff(a).view(np.uint64)
-    width = max(1, (int(steps.max()).bit_length() + 7) // 8) if len(steps) else 1
-    return a[:1].tobytes() + bytes([width]) + np.ascontiguousarray(steps.view(np.uint8).reshape(-1, 8)[:, :width]).tobytes()
+    """A sorted set of shingle numbers."""
+    return packed((a, True))
 
 
 def unpacked_set(data: bytes | pa.Buffer) -> np.ndarray:
-    raw = np.frombuffer(data, np.uint8)
-    if not len(raw):
-        return np.zeros(0, np.int64)
-    width = int(raw[8])
-    steps = np.zeros(((len(raw) - 9) // width, 8), np.uint8)
-    steps[:, :width] = raw[9:].reshape(-1, width)
-    return np.cumsum(np.concatenate([raw[:8].view(np.int64), steps.reshape(-1).view(np.int64)]))
+    return unpacked(data, 1)[0].view(np.int64)
 
 
 def _blob(*arrays: np.ndarray) -> list[pa.Array]:
     return [pa.array([np.ascontiguousarray(a).tobytes()], pa.binary()) for a in arrays]
 
 
-def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[dict[int, np.ndarray]]:
-    """Sets by class, some BLOCK_SIZE shingles at a time."""
-    block: dict[int, np.ndarray] = {}
-    held = 0
-    for batch in batches:
-        for text in batch.column("text"):
-            s = shingles(text.as_py())
-            if len(s) and (c := class_of(s)) not in block:
-                block[c] = s
-                held += len(s)
-                if held >= BLOCK_SIZE or len(block) >= 60_000:
-                    yield block
-                    block, held = {}, 0
-    yield block
-
-
-def sets(docs: DataFrame, often: np.ndarray, parts: int) -> DataFrame:
+def code_of(df: np.ndarray) -> np.ndarray:
+    """A number of classes as one octet: exact up to 200, then by steps of a fifth."""
+    return np.where(df <= 200, df, np.minimum(254, 200 + 4 * np.log2(np.maximum(df, 200) / 200))).astype(np.uint64)
+
+
+def home_of(block: np.ndarray, parts: int) -> np.ndarray:
+    """The part that a block's results go to; ``elsewhere`` has the same in SQL."""
+    return ((block >> BLOCK_BITS) * 1009 + (block & (2**BLOCK_BITS - 1))) % parts
+
+
+def elsewhere(sign: DataFrame, parts: int) -> DataFrame:
+    """to, kind 2, data: the (block, class) of classes that an earlier block has too."""
+    pairs = common.materialise(sign.where("kind = 0 and cls is not null").select("cls", "block").distinct())
+    first = pairs.groupBy("cls").agg(F.min("block").alias("first"), F.count(F.lit(1)).alias("many")).where("many > 1").drop("many")
+    octets = lambda c: F.unhex(F.lpad(F.hex(c), 16, "0"))
+    home = F.pmod(F.shiftright("block", BLOCK_BITS) * 1009 + F.col("block").bitwiseAND(F.lit(2**BLOCK_BITS - 1)), F.lit(parts))
+    return pairs.join(first, "cls").where("block > first").select((home + parts).alias("to"), F.lit(2).alias("kind"), F.concat(octets("block"), octets("cls")).alias("data"))
+
+
+def sets(docs: DataFrame, often: np.ndarray, parts: int, others: DataFrame) -> DataFrame:
     """cls, n, m (shared shingles), prefix (array of long: shared ones of the prefix and one more) and
-    shared (all m, as ``packed_set``), for the classes that can have links."""
+    shared (all m, as ``packed_set``), for the classes that can have links.
+
+    An entry is a class of a block: block << 16 and its place there. Rows are (to, kind, data): kind 0 brings
+    (shingle, entry) to a part, kind 1 brings (entry, number of the shingle, code of its number of classes)
+    back to the block's home, kind 3 brings a home the (entry, class, size) of a block, and kind 2 the classes
+    that an earlier block answers for. Homes are numbered from ``parts`` on. Beyond FAN parts or homes a row holds a range of them
+    (to < 0) and is dealt a second time, so a task never writes more than FAN rows a block."""
     shared = docs.sparkSession.sparkContext.broadcast(often)
-    schema = "part int, a binary, b binary, c binary, d binary, e binary"
-    names = ["part", *"abcde"]
+    schema, names = "to long, kind int, data binary", ["to", "kind", "data"]
     span = -(-parts // FAN)  # parts dealt together at first
+    mask = np.uint64(2**32 - 1)
+
+    def row(to: int, kind: int, data: bytes) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([to], pa.int64()), pa.array([kind], pa.int32()), pa.array([data], pa.binary())], names)
+
+    def tokens_out(tok: np.ndarray, entry: np.ndarray, span: int) -> Iterator[pa.RecordBatch]:
+        order = np.argsort(tok)
+        tok, entry = tok[order], entry[order]
+        for p, i, j in runs((tok >> np.uint64(32)) // np.uint64(span)):
+            yield row(p if span == 1 else -1 - p, 0, packed((tok[i:j], True), (entry[i:j], False)))
+
+    def results_out(entry: np.ndarray, number: np.ndarray, code: np.ndarray, span: int) -> Iterator[pa.RecordBatch]:
+        home = home_of((entry >> np.uint64(16)).astype(np.int64), parts) // span
+        order = np.lexsort((number, entry, home))
+        home, entry, number, code = home[order], entry[order], number[order], code[order]
+        for p, i, j in runs(home):
+            yield row(parts + p if span == 1 else -1 - p, 1, packed((entry[i:j], True), (number[i:j], False), (code[i:j], False)))
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         often = shared.value
-        for block in blocks(batches):
-            if block:
-                cls = np.fromiter(block, np.int64, len(block))
-                size = np.fromiter(map(len, block.values()), np.int64, len(block))
-                tok = np.concatenate(list(block.values()))
-                ref = np.repeat(np.arange(len(cls), dtype=np.uint16), size)
-                block.clear()
-                where = np.searchsorted(often, tok)
-                heavy = often[np.minimum(where, len(often) - 1)] == tok if len(often) else np.zeros(len(tok), bool)
-                part = ((tok >> np.uint64(40)) % np.uint64(parts)).astype(np.int64)
-                meet = (cls.view(np.uint64) % np.uint64(parts)).astype(np.int64)
-                # sizes and common shingles go to the class's part at once (numbers from ``parts`` on)
-                h_tok, h_ref = -1 - where[heavy].astype(np.int64), ref[heavy]
-                order, h_order = np.argsort(meet, kind="stable"), np.argsort(meet[h_ref], kind="stable")
-                h_runs = {p: (i, j) for p, i, j in runs(meet[h_ref][h_order])}
-                for p, i, j in runs(meet[order]):
-                    at, h = order[i:j], h_order[slice(*h_runs.get(p, (0, 0)))]
-                    yield row(parts + p, cls[at], size[at], cls[h_ref[h]], h_tok[h])
-                tok, ref, part = tok[~heavy], ref[~heavy], part[~heavy]
-                coarse = part // span
-                order = np.argsort(coarse.astype(np.uint16), kind="stable")
-                for p, i, j in runs(coarse[order]):
-                    at = order[i:j]
-                    yield packed(p if span == 1 else -1 - p, tok[at], cls, ref[at], part[at])
+        for block, _ in blocks(batches):
+            if not block.sets:
+                continue
+            cls = np.fromiter(block.sets, np.int64, len(block.sets))
+            size = np.fromiter(map(len, block.sets.values()), np.int64, len(cls))
+            tok = np.concatenate(list(block.sets.values()))
+            block.sets.clear()
+            first = np.uint64(block.number << 16)
+            entry = first + np.repeat(np.arange(len(cls), dtype=np.uint64), size)
+            where = np.searchsorted(often, tok)
+            heavy = often[np.minimum(where, len(often) - 1)] == tok if len(often) else np.zeros(len(tok), bool)
+            home = parts + int(home_of(np.array([block.number]), parts)[0])
+            yield row(home, 3, packed((first + np.arange(len(cls), dtype=np.uint64), True), (cls.view(np.uint64), False), (size, False)))
+            if heavy.any():  # common shingles are numbered behind all others and go home at once
+                yield row(home, 1, packed((entry[heavy], True), (where[heavy] + COMMON_FROM, False), (np.full(int(heavy.sum()), 255), False)))
+            tok, entry = tok[~heavy], entry[~heavy]
+            part = (tok >> np.uint64(40)) % np.uint64(parts)
+            yield from tokens_out(part << np.uint64(32) | tok & mask, entry, span)
         _hashes.clear()
         common.trim()
 
-    def row(part: int, *arrays: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), *_blob(*arrays), *([pa.nulls(1, pa.binary())] * (5 - len(arrays)))], names)
-
-    def packed(part: int, tok: np.ndarray, cls: np.ndarray, ref: np.ndarray, fine: np.ndarray) -> pa.RecordBatch:
-        """Shingles of one part: their low 40 bits, and their classes through a list of those that occur."""
-        use, ref = np.unique(ref, return_inverse=True)
-        last = [fine.astype(np.int32)] if part < 0 else []
-        return row(part, tok.astype(np.uint32), (tok >> np.uint64(32)).astype(np.uint8), ref.astype(np.uint16), cls[use], *last)
-
     def deal_again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Groups of parts to parts, where there are too many for a block to be dealt out to all at once."""
-        held: list[tuple] = []
-
-        def flush() -> Iterator[pa.RecordBatch]:
-            tok, cls, fine = map(np.concatenate, zip(*held, strict=True))
-            held.clear()
-            order = np.argsort(fine, kind="stable")
-            for p, i, j in runs(fine[order]):
-                for k in range(i, j, 60_000):
-                    at = order[k : min(j, k + 60_000)]
-                    yield packed(p, tok[at], *indexed(cls[at]), fine[at])
+        """Ranges of parts or homes to the parts and homes themselves."""
+        held: dict[int, list] = {0: [], 1: []}
+        out = {0: tokens_out, 1: results_out}
+
+        def flush(kind: int) -> Iterator[pa.RecordBatch]:
+            columns = list(map(np.concatenate, zip(*held[kind], strict=True)))
+            held[kind].clear()
+            yield from out[kind](*columns, 1)
 
         for b in batches:
-            for part, *blobs in zip(*(b.column(x) for x in ("part", *"abcde")), strict=True):
-                if part.as_py() >= 0:
-                    yield pa.RecordBatch.from_arrays([pa.array([part.as_py()], pa.int32()), *(pa.array([x.as_py()], pa.binary()) for x in blobs)], names)
+            for to, kind, data in zip(*(b.column(x) for x in names), strict=True):
+                to, kind = to.as_py(), kind.as_py()
+                if to >= 0:
+                    yield row(to, kind, data.as_py())
                     continue
-                held.append((*unpacked(*blobs[:4]), np.frombuffer(blobs[4].as_buffer(), np.int32)))
-                if sum(len(x[0]) for x in held) >= BLOCK_SIZE:
-                    yield from flush()
-        if held:
-            yield from flush()
-
-    def indexed(cls: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        return np.unique(cls, return_inverse=True)
+                held[kind].append(unpacked(data.as_buffer(), 2 + kind))
+                if sum(len(x[0]) for x in held[kind]) >= BLOCK_SIZE:
+                    yield from flush(kind)
+        for kind in (0, 1):
+            if held[kind]:
+                yield from flush(kind)
 
-    def unpacked(a: pa.Scalar, b: pa.Scalar, c: pa.Scalar, d: pa.Scalar) -> tuple[np.ndarray, np.ndarray]:
-        tok = np.frombuffer(a.as_buffer(), np.uint32).astype(np.uint64)
-        tok |= np.frombuffer(b.as_buffer(), np.uint8).astype(np.uint64) << np.uint64(32)
-        return tok, np.frombuffer(d.as_buffer(), np.int64)[np.frombuffer(c.as_buffer(), np.uint16)]
+    def again(rows: DataFrame) -> DataFrame:
+        return rows.repartition(2 * FAN, "to").mapInArrow(deal_again, schema) if span > 1 else rows
 
     def count(group: pa.Table) -> pa.Table:
-        out = shared_ones(group)
-        common.trim()
-        return out
-
-    def shared_ones(group: pa.Table) -> pa.Table:
-        """Of a part's shingles, those of two classes or more, dealt out by class."""
-        p = group.column("part")[0].as_py()
-        if p >= parts:  # sizes and common shingles pass
-            return group.set_column(0, "part", pa.array([p - parts] * len(group), pa.int32()))
-        tok, cls = map(np.concatenate, zip(*(unpacked(*x) for x in zip(*(group.column(c) for c in "abcd"), strict=True)), strict=True))
+        """Of a part's shingles, those of two classes or more, numbered and sent home."""
+        part = group.column("to")[0].as_py()
+        if part >= parts or part < 0:  # what is under way to a home passes
+            return group
+        tok, entry = map(np.concatenate, zip(*(unpacked(x.as_buffer(), 2) for x in group.column("data")), strict=True))
         order = np.argsort(tok)
-        tok, cls = tok[order], cls[order]
+        tok, entry = tok[order], entry[order]
         same = tok[1:] == tok[:-1]
         again = np.concatenate([same, [False]]) | np.concatenate([[False], same])
-        tok, cls = tok[again], cls[again]
-        order = np.lexsort((cls, tok))
-        tok, cls = tok[order], cls[order]
+        tok, entry = tok[again], entry[again]
+        order = np.lexsort((entry, tok))
+        tok, entry = tok[order], entry[order]
         first = np.ones(len(tok), bool)
-        first[1:] = (tok[1:] != tok[:-1]) | (cls[1:] != cls[:-1])
-        tok, cls = tok[first], cls[first]
+        first[1:] = (tok[1:] != tok[:-1]) | (entry[1:] != entry[:-1])
+        tok, entry = tok[first], entry[first]
         start = np.flatnonzero(np.concatenate([[True], tok[1:] != tok[:-1]])) if len(tok) else np.zeros(0, np.int64)
         df = np.diff(np.append(start, len(tok)))
-        df = np.repeat(df, df).astype(np.uint32)
+        number = (part << 32) + np.repeat(np.arange(len(start)), df)
+        df = np.repeat(df, df)
         keep = df > 1
-        tok, cls, df = tok[keep], cls[keep], df[keep]
-        tok = (tok | (np.uint64(p) << np.uint64(40))).astype(np.int64)
-        meet = (cls.view(np.uint64) % np.uint64(parts)).astype(np.int64)
-        order = np.lexsort((cls, meet))
-        rows = [(q, b"", cls[at].tobytes(), tok[at].tobytes(), df[at].tobytes(), None) for q, i, j in runs(meet[order]) for at in [order[i:j]]]
-        columns = list(zip(*rows, strict=True)) or [()] * 6
-        return pa.Table.from_arrays([pa.array(columns[0], pa.int32()), *(pa.array(x, pa.binary()) for x in columns[1:])], names)
+        out = list(results_out(entry[keep], number[keep].astype(np.uint64), code_of(df[keep]), span))
+        common.trim()
+        return pa.Table.from_batches(out, row_schema)
 
     def gather(group: pa.Table) -> pa.Table:
-        """The sets of a part's classes: order, prefix and shared shingles."""
-        sizes_of, size, cls, tok, df = [], [], [], [], []
-        for a, b, c, d in zip(*(group.column(x) for x in "abcd"), strict=True):
-            if len(a.as_buffer()):
-                sizes_of.append(np.frombuffer(a.as_buffer(), np.int64))
-                size.append(np.frombuffer(b.as_buffer(), np.int64))
-                cls.append(np.frombuffer(c.as_buffer(), np.int64))
-                tok.append(np.frombuffer(d.as_buffer(), np.int64))
-                df.append(np.full(len(tok[-1]), _EVERYWHERE))
-            else:
-                cls.append(np.frombuffer(b.as_buffer(), np.int64))
-                tok.append(np.frombuffer(c.as_buffer(), np.int64))
-                df.append(np.frombuffer(d.as_buffer(), np.uint32))
-        if not sizes_of:
+        """The sets of a home's blocks: order, prefix and shared shingles."""
+        by = {k: [x.as_buffer() for x, kind in zip(group.column("data"), group.column("kind"), strict=True) if kind.as_py() == k] for k in (1, 2, 3)}
+        if not by[3]:
+            if by[2]:
+                raise RuntimeError("the two passes over the documents met different rows: give the join a stored table")
             return out_schema.empty_table()
-        known, at = np.unique(np.concatenate(sizes_of), return_index=True)
-        n_known = np.concatenate(size)[at]
-        cls, tok, df = np.concatenate(cls), np.concatenate(tok), np.concatenate(df)
-        order = np.lexsort((tok, df, cls))
-        cls, tok = cls[order], tok[order]
-        first = np.ones(len(tok), bool)
-        first[1:] = (tok[1:] != tok[:-1]) | (cls[1:] != cls[:-1])
-        cls, tok = cls[first], tok[first]
-        start = np.flatnonzero(np.concatenate([[True], cls[1:] != cls[:-1]])) if len(cls) else np.zeros(0, np.int64)
-        stop = np.append(start[1:], len(cls))
-        n = n_known[np.searchsorted(known, cls[start])]
+        entries, cls, n = (np.concatenate(x) for x in zip(*(unpacked(x, 3) for x in by[3]), strict=True))
+        order = np.argsort(entries)
+        entries, cls, n = entries[order], cls[order].view(np.int64), n[order].astype(np.int64)
+        gone = {tuple(np.frombuffer(x, ">i8").tolist()) for x in by[2]}
+        at = list(zip((entries >> np.uint64(16)).tolist(), cls.tolist(), strict=True)) if gone else []
+        if len(gone.intersection(at)) < len(gone):
+            raise RuntimeError("the two passes over the documents met different rows: give the join a stored table")
+        if not by[1]:
+            return out_schema.empty_table()
+        entry, number, code = (np.concatenate(x) for x in zip(*(unpacked(x, 3) for x in by[1]), strict=True))
+        order = np.lexsort((number, code, entry))
+        entry, number = entry[order], number[order].astype(np.int64)
+        start = np.flatnonzero(np.concatenate([[True], entry[1:] != entry[:-1]]))
+        stop = np.append(start[1:], len(entry))
+        place = np.searchsorted(entries, entry[start])
         m = stop - start
-        left = n - least_overlap(n) + 1 - (n - m)  # shared shingles within the prefix
+        left = m - least_overlap(n[place]) + 1  # shared shingles within the prefix
         rows: list[list] = [[], [], [], [], []]
         for k in np.flatnonzero(left > 0):
-            own = tok[start[k] : stop[k]]
-            for column, x in zip(rows, (int(cls[start[k]]), int(n[k]), int(m[k]), own[: left[k] + 1].tolist(), packed_set(np.sort(own))), strict=True):
+            i = int(place[k])
+            if gone and at[i] in gone:
+                continue
+            own = number[start[k] : stop[k]]
+            for column, x in zip(rows, (int(cls[i]), int(n[i]), int(m[k]), own[: left[k] + 1].tolist(), packed_set(np.sort(own))), strict=True):
                 column.append(x)
         return pa.Table.from_arrays([pa.array(x, f.type) for x, f in zip(rows, out_schema, strict=True)], schema=out_schema)
 
+    row_schema = pa.schema([("to", pa.int64()), ("kind", pa.int32()), ("data", pa.binary())])
     out_schema = pa.schema([("cls", pa.int64()), ("n", pa.int64()), ("m", pa.int64()), ("prefix", pa.list_(pa.int64())), ("shared", pa.binary())])
-    dealt = docs.select("text").mapInArrow(deal, schema)
-    if span > 1:
-        dealt = dealt.repartition(2 * FAN, "part").mapInArrow(deal_again, schema)
-    counted = dealt.repartition(2 * parts, "part").groupBy("part").applyInArrow(count, schema)
-    return counted.repartition(parts, "part").groupBy("part").applyInArrow(gather, "cls long, n long, m long, prefix array<long>, shared binary")
+    dealt = again(docs.select("text").mapInArrow(deal, schema))
+    counted = again(dealt.repartition(2 * parts, "to").groupBy("to").applyInArrow(count, schema))
+    return counted.unionAll(others).repartition(parts, "to").groupBy("to").applyInArrow(gather, "cls long, n long, m long, prefix array<long>, shared binary")
 
 
 def boundary(rows: DataFrame) -> int:
@@ -346,17 +411,23 @@ def boundary(rows: DataFrame) -> int:
 
 
 def keyed(rows: DataFrame, most: int, percent: int = PERCENT) -> DataFrame:
-    """key, kind, cls, n, alone: the lists that candidates are found in. kind 1: pairs, 0: single shingles."""
+    """key, cls, n, alone: the lists that candidates are found in. The key's last bit is 1 for pairs, 0 for single shingles."""
     base = rows.select("cls", "n", (1 - F.col("m") / F.col("n")).alias("alone"), "prefix")
     small = base.where(F.col("n") <= most).withColumn("i", F.explode(F.sequence(F.lit(0), F.size("prefix") - 1)))
     tail = F.slice("prefix", F.col("i") + 2, F.size("prefix"))
-    pairs = small.select(F.explode(F.transform(tail, lambda x: F.xxhash64(F.get("prefix", F.col("i")), x))).alias("key"), F.lit(1).alias("kind"), "cls", "n", "alone")
-    posts = base.where(100 * F.col("n") >= percent * F.lit(most + 1)).select(
-        F.explode(F.slice("prefix", F.lit(1), F.greatest(F.size("prefix") - 1, F.lit(1)))).alias("key"), F.lit(0).alias("kind"), "cls", "n", "alone")
-    keys = pairs.unionAll(posts)
-    lists = keys.groupBy("key", "kind").agg(F.count(F.lit(1)).alias("length"), F.max("n").alias("top"))
-    lists = lists.where((F.col("length") > 1) & ((F.col("kind") == 1) | (F.col("top") > most))).select("key", "kind")
-    return keys.join(lists, ["key", "kind"], "left_semi")
+    pairs = small.select(F.explode(F.transform(tail, lambda x: F.xxhash64(F.get("prefix", F.col("i")), x).bitwiseOR(F.lit(1)))).alias("key"), "cls", "n", "alone")
+    single = F.transform(F.slice("prefix", F.lit(1), F.greatest(F.size("prefix") - 1, F.lit(1))), lambda x: F.xxhash64(x).bitwiseAND(F.lit(-2)))
+    return pairs.unionAll(base.where(100 * F.col("n") >= percent * F.lit(most + 1)).select(F.explode(single).alias("key"), "cls", "n", "alone"))
+
+
+def listed(keys: DataFrame, most: int) -> DataFrame:
+    """key, cls, n, y, ny, length: the keys of lists of two classes or more, with the list's hub and length.
+
+    A list of single shingles is for pairs with a large set; one without any is left to the pairs."""
+    lists = keys.groupBy("key").agg(F.min(F.struct("alone", "cls", "n")).alias("hub"), F.count(F.lit(1)).alias("length"), F.max("n").alias("top"))
+    lists = lists.where((F.col("length") > 1) & ((F.col("key").bitwiseAND(F.lit(1)) == 1) | (F.col("top") > most)))
+    lists = common.materialise(lists.select("key", F.col("hub.cls").alias("y"), F.col("hub.n").alias("ny"), "length"))
+    return keys.select("key", "cls", "n").join(lists, "key")  # apart from the aggregate, a long list can be split
 
 
 def near(a: Column, b: Column, percent: int = PERCENT) -> Column:
@@ -494,22 +565,23 @@ def overlaps(a: np.ndarray, a_size: np.ndarray, b: np.ndarray, b_size: np.ndarra
 
 def links(rows: DataFrame) -> DataFrame:
     """x, y: links between classes that give all components (every pair that links is in one)."""
-    keys = common.materialise(keyed(rows, boundary(rows)))
-    hubs = keys.groupBy("key", "kind").agg(F.min(F.struct("alone", "cls", "n")).alias("hub"), F.count(F.lit(1)).alias("length"))
-    hubs = common.materialise(hubs.select("key", "kind", "hub.cls", "hub.n", "length").toDF("key", "kind", "y", "ny", "length"))
-    pairs = keys.join(hubs, ["key", "kind"]).where((F.col("cls") != F.col("y")) & near(F.col("n"), F.col("ny"))).select(F.col("cls").alias("x"), "y").distinct()
-    pairs = common.materialise(pairs)
+    most = boundary(rows)
+    keys = common.materialise(listed(keyed(rows, most), most))
+    pairs = common.materialise(keys.where((F.col("cls") != F.col("y")) & near(F.col("n"), F.col("ny"))).select(F.col("cls").alias("x"), "y").distinct())
     first = common.materialise(verified(pairs, rows))
     labels = components(first)
-    placed = common.materialise(keys.join(labels, "cls", "left").select("key", "kind", "cls", "n", F.coalesce("label", "cls").alias("label")))
-    mixed = placed.groupBy("key", "kind").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high")
-    mixed = common.materialise(mixed.join(hubs, ["key", "kind"]).select("key", "kind", F.col("y").alias("hub"), "length"))
-    a, b = placed.toDF("key", "kind", "x", "nx", "lx"), placed.toDF("key", "kind", "y", "ny", "ly")
-    short = mixed.where(F.col("length") <= SHORT).select("key", "kind")
-    rest = a.join(short, ["key", "kind"], "left_semi").join(b, ["key", "kind"]).where((F.col("x") < F.col("y")) & (F.col("lx") != F.col("ly")) & near(F.col("nx"), F.col("ny"))).select("x", "y").distinct()
+    placed = common.materialise(keys.join(labels, "cls", "left").select("key", "cls", "n", "y", "length", F.coalesce("label", "cls").alias("label")))
+    mixed = placed.groupBy("key").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select("key")
+    mixed = common.materialise(mixed)
+    open_ = common.materialise(placed.join(mixed, "key", "left_semi"))
+    release(rows.sparkSession)
+    short = open_.where(F.col("length") <= SHORT).select("key", "cls", "n", "label")
+    a, b = short.toDF("key", "x", "nx", "lx"), short.toDF("key", "y", "ny", "ly")
+    rest = a.join(b, "key").where((F.col("x") < F.col("y")) & (F.col("lx") != F.col("ly")) & near(F.col("nx"), F.col("ny"))).select("x", "y").distinct()
     tried = pairs.select(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y"))
-    long = placed.join(mixed.where(F.col("length") > SHORT).select("key", "kind", "hub"), ["key", "kind"]).select("hub", "cls", "label").distinct()
-    return first.unionAll(verified(rest.join(tried, ["x", "y"], "left_anti"), rows)).unionAll(block_links(long, rows))
+    rest = common.materialise(rest.join(tried, ["x", "y"], "left_anti"))
+    long = open_.where(F.col("length") > SHORT).select(F.col("y").alias("hub"), "cls", "label").distinct()
+    return first.unionAll(verified(rest, rows)).unionAll(block_links(long, rows))
 
 
 def release(spark: SparkSession) -> None:
@@ -518,37 +590,48 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def join(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, component_id of every row."""
+def joined(docs: DataFrame) -> DataFrame:
+    """doc_id, h (hash of the text), cls, n and component (its smallest doc_id) of every row."""
     spark = docs.sparkSession
     sign = common.written(signed(docs), "signed")
     rows, total = sign.where("kind = 0").agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
-    parts = max(1, min(2**23, -(-total // PART_SIZE)), min(spark.sparkContext.defaultParallelism * 2, -(-total // 20_000)))
-    table = common.written(sets(docs, common_shingles(sign, rows), int(parts)), "sets")
+    parts = int(max(1, -(-total // PART_SIZE), min(spark.sparkContext.defaultParallelism * 2, -(-total // 20_000))))
+    table = common.written(sets(docs, common_shingles(sign, rows), parts, elsewhere(sign, parts)), "sets")
     release(spark)
-    own = sign.where("kind = 0").select("doc_id", "cls", "n")
+    own = sign.where("kind = 0").select("doc_id", "h", "cls", "n")
     found = components(links(table))
+    release(spark)
     ids = own.where("cls is not null").groupBy("cls").agg(F.min("doc_id").alias("least"))
     marked = common.materialise(ids.join(found, "cls", "left").select("cls", F.coalesce("label", "cls").alias("label"), "least"))
-    whole = marked.groupBy("label").agg(F.min("least").alias("component"))
-    by_class = marked.join(whole, "label").select("cls", "component")
-    return own.join(by_class, "cls", "left").select(
-        "doc_id", F.col("n").alias("n_shingles"), F.when(F.col("cls").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id"))
+    whole = common.materialise(marked.groupBy("label").agg(F.min("least").alias("component")))
+    by_class = marked.join(whole, "label").select("cls", "label", "component")
+    return own.join(by_class, "cls", "left")
 
 
-def representatives(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs`` of which no other stands for: of each component the smallest doc_id's row.
+def join(docs: DataFrame) -> DataFrame:
+    """doc_id, n_shingles, component_id of every row."""
+    return joined(docs).select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("cls").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id"))
 
-    The ids that go are written first; their size then decides whether they are broadcast. Of rows that repeat
-    an id that stays, or have none, the texts differ or are repeated: a repeated row stays once."""
-    found = join(docs).where("n_shingles > 0 and doc_id is not null")
-    gone = common.written(found.where("doc_id <> component_id").select("doc_id").distinct(), "gone")
+
+def representatives(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` of which no other stands for: one of each component, that of the smallest doc_id (null
+    last), then of the smallest hash of its text; of rows that repeat both, one. Rows without words stay.
+
+    The rows that go are written first; their size then decides whether they are broadcast."""
+    found = common.written(joined(docs).where("cls is not null").select("doc_id", "h", "label"), "joined")
+    best = common.materialise(found.groupBy("label").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "h")).alias("best")))
+    other = found.join(best, "label").where(~(F.col("doc_id").eqNullSafe(F.col("best.doc_id")) & (F.col("h") == F.col("best.h"))))
+    key = [F.col("doc_id").isNull().alias("none_"), F.coalesce(F.col("doc_id"), F.lit(0).cast(docs.schema["doc_id"].dataType)).alias("id_"), "h_"]
+    narrow = lambda df: df.withColumnRenamed("h", "h_").select(*key).distinct()
+    gone = common.written(narrow(other), "gone")
+    twice = common.written(narrow(found.groupBy("doc_id", "h").count().where("count > 1")).join(gone, ["none_", "id_", "h_"], "left_anti"), "repeated")
     release(docs.sparkSession)
-    left = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    twice = common.written(docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id"), "repeated")
-    if twice.isEmpty():
-        return left
-    return left.join(twice, "doc_id", "left_anti").select(*docs.columns).unionAll(left.join(twice, "doc_id", "left_semi").select(*docs.columns).distinct())
+    row = docs.select(F.struct(*docs.columns).alias("row_"), "doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h_")).select("row_", *key)
+    left = row.join(gone, ["none_", "id_", "h_"], "left_anti")
+    if not twice.isEmpty():
+        again = left.join(twice, ["none_", "id_", "h_"], "left_semi").groupBy("none_", "id_", "h_").agg(F.first("row_").alias("row_"))
+        left = left.join(twice, ["none_", "id_", "h_"], "left_anti").select("row_").unionAll(again.select("row_"))
+    return left.select("row_.*")
 
 
 def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
