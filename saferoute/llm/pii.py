@@ -9,12 +9,15 @@ an instance scores as likely as that not all its patterns are wrong. Patterns ab
 
 Only patterns with ``SEEDS`` known instances or more can be trusted or lend trust, so base spans are counted
 first, and of the other tokens only those of such patterns leave their row: (pattern, instance) pairs are counted
-before the shuffle. Texts are never shuffled; rows are told apart by two 64-bit hashes, so repeated rows get
+before the shuffle. Positions, overlaps and masked texts come from running sums and slices in blocks of the square
+root of their number, so a row of k matches takes about k^1.5 small steps. Texts are never shuffled; rows are told apart by two 64-bit hashes, so repeated rows get
 equal spans. A null text is empty; a null id stays null.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -31,28 +34,62 @@ PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 CUT = r"(?<=[\x09-\x0D\x20])(?=[^\x09-\x0D\x20])"
 BLANKS = r"[\x09-\x0D\x20]+$"
 OCTETS = r"^0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?:\.0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])){3}$"
-#: Characters to the left of a token that its context is taken from.
-CONTEXT = 48
 ROUNDS, LEAST, SEEDS = 3, 0.8, 3
 #: Most trusted patterns that ``masked`` hands to every task.
 PATTERNS_SHARED = 10_000
 
 
-def places(text: Column, pattern: str) -> Column:
-    """All matches, leftmost first: array of (start, end, match, left) in code points.
+def let(x: Column, f: Callable[[Column], Column]) -> Column:
+    """f(x) with x worked out once."""
+    return F.get(F.transform(F.array(x), f), 0)
+
+
+def _root(n: Column) -> Column:
+    return F.ceil(F.sqrt(n)).cast("int")
+
+
+def running(values: Column, join: Callable[[Column, Column], Column]) -> Column:
+    """Running sums (or maxima) of an array, block by block, so that no long array is copied for each element."""
+
+    def scan(x: Column) -> Column:
+        grow = lambda out, v: F.concat(out, F.array(join(F.element_at(out, -1), v)))
+        return F.aggregate(F.slice(x, 2, F.size(x)), F.slice(x, 1, 1), grow)
+
+    def blocks(x: Column) -> Column:
+        width = _root(F.size(x))
+        return F.transform(F.sequence(F.lit(1), F.size(x), width), lambda i: scan(F.slice(x, i, width)))
+
+    def shifted(parts: Column) -> Column:
+        ends = scan(F.transform(parts, lambda b: F.element_at(b, -1)))
+        return let(ends, lambda e: F.flatten(F.transform(parts, lambda b, k: F.when(k == 0, b).otherwise(F.transform(b, lambda v: join(F.get(e, k - 1), v))))))
+
+    return let(values, lambda x: F.when(F.size(x) > 0, let(blocks(x), shifted)).otherwise(x))
+
+
+def slices(text: Column, ranges: Column) -> Column:
+    """The parts of a text from ``start`` to ``end``, by start: cut from blocks, since finding a place takes a scan."""
 
-    ``left`` is what stands right before, back to the match before."""
-    pieces, found = F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), 0)
-    empty = F.lit([]).cast("array<struct<start:int,end:int,match:string,left:string>>")
+    def block(part: Column) -> Column:
+        first = F.get(part, 0)["start"]
+        last = F.array_max(F.transform(part, lambda r: r["end"]))
+        cut_ = lambda t: F.transform(part, lambda r: F.substring(t, r["start"] - first + 1, r["end"] - r["start"]))
+        return let(F.substring(text, first + 1, last - first), cut_)
 
-    def step(state: Column, x: Column) -> Column:
-        start = state["at"] + F.length(x["piece"])
-        end = start + F.length(x["match"])
-        one = F.struct(start.alias("start"), end.alias("end"), x["match"].alias("match"), F.right(x["piece"], F.lit(CONTEXT)).alias("left"))
-        return F.struct(end.alias("at"), F.concat(state["out"], F.array(one)).alias("out"))
+    def blocks(x: Column) -> Column:
+        width = _root(F.size(x))
+        return F.flatten(F.transform(F.sequence(F.lit(1), F.size(x), width), lambda i: let(F.slice(x, i, width), block)))
 
-    zipped = F.zip_with(F.slice(pieces, 1, F.size(found)), found, lambda p, m: F.struct(p.alias("piece"), m.alias("match")))
-    return F.aggregate(zipped, F.struct(F.lit(0).alias("at"), empty.alias("out")), step, lambda s: s["out"])
+    return let(ranges, lambda x: F.when(F.size(x) > 0, blocks(x)).otherwise(F.lit([]).cast("array<string>")))
+
+
+def places(text: Column, pattern: str) -> Column:
+    """All matches, leftmost first: array of (start, end, match) in code points."""
+
+    def placed(found: Column) -> Column:
+        steps = F.zip_with(F.slice(F.split(text, pattern, -1), 1, F.size(found)), found, lambda p, m: F.length(p) + F.length(m))
+        return F.zip_with(running(steps, lambda a, b: a + b), found, lambda end, m: F.struct((end - F.length(m)).alias("start"), end.alias("end"), m.alias("match")))
+
+    return let(F.regexp_extract_all(text, F.lit(pattern), 0), placed)
 
 
 def digits(match: Column) -> Column:
@@ -80,24 +117,32 @@ _GATES = {"email": r"@[A-Za-z0-9-]", "ip": r"[0-9]\.[0-9]+\.[0-9]", "card": r"[0
 _SIGNS = {"email": "@", "phone": "+"}
 
 
-def base_spans(text: Column) -> Column:
-    """array of (start, rank, end) by start, then kind; rank is the kind's place in KINDS."""
+SPAN = "struct<start:int,rank:int,end:int>"
+
+
+def found_spans(text: Column) -> Column:
+    """array of (start, rank, end, match) by start, then kind; rank is the kind's place in KINDS."""
     return F.array_sort(F.concat(*[_checked(text, rank, kind, p) for rank, (kind, p) in enumerate(zip(KINDS, (EMAIL, IP, CARD, PHONE), strict=False))]))
 
 
+def base_spans(text: Column) -> Column:
+    """array of (start, rank, end) by start, then kind."""
+    return F.transform(found_spans(text), lambda x: F.struct(x["start"].alias("start"), x["rank"].alias("rank"), x["end"].alias("end")))
+
+
 def _checked(text: Column, rank: int, kind: str, pattern: str) -> Column:
     gate = text.rlike(_GATES[kind])
     if kind in _SIGNS:
         gate = text.contains(_SIGNS[kind]) & gate
     good = F.filter(places(text, pattern), lambda x: _kept(kind, x["match"]))
-    spans = F.transform(good, lambda x: F.struct(x["start"].alias("start"), F.lit(rank).alias("rank"), x["end"].alias("end")))
-    return F.when(gate, spans).otherwise(F.lit([]).cast("array<struct<start:int,rank:int,end:int>>"))
+    spans = F.transform(good, lambda x: F.struct(x["start"].alias("start"), F.lit(rank).alias("rank"), x["end"].alias("end"), x["match"].alias("match")))
+    return F.when(gate, spans).otherwise(F.lit([]).cast("array<struct<start:int,rank:int,end:int,match:string>>"))
 
 
 def pattern_of(left: Column, token: Column) -> Column:
-    """Two words to the left with digits as 0, and the token's shape, runs shortened."""
-    words = F.regexp_extract(F.regexp_replace(F.lower(left), "[0-9]+", "0"), r"((?:[^\x09-\x0D\x20]+[\x09-\x0D\x20]+)?[^\x09-\x0D\x20]+)[\x09-\x0D\x20]*$", 1)
-    shape = F.regexp_replace(F.regexp_replace(F.left(token, F.lit(64)), "[0-9]+", "0"), r"\p{L}+", "a")
+    """The words to the left with digits as 0, and the token's shape, runs shortened."""
+    words = F.regexp_replace(F.regexp_replace(F.lower(left), "[0-9]+", "0"), BLANKS, "")
+    shape = F.regexp_replace(F.regexp_replace(token, "[0-9]+", "0"), r"\p{L}+", "a")
     return F.concat_ws("\t", F.regexp_replace(words, r"[\x09-\x0D\x20]+", " "), shape)
 
 
@@ -109,17 +154,53 @@ def keyed(docs: DataFrame) -> DataFrame:
 
 
 def left_of(pieces: Column, i: Column) -> Column:
-    """What stands before a token, as far as its pattern goes."""
+    """The two words before a token, where there are any."""
     one = lambda k: F.when(i >= k, F.get(pieces, i - k)).otherwise("")
-    return F.right(F.concat(one(2), one(1)), F.lit(CONTEXT))
+    return F.concat(one(2), one(1))
+
+
+def starts_of(pieces: Column) -> Column:
+    """Where each piece of a text starts."""
+    ends = running(F.transform(pieces, lambda p: F.length(p)), lambda a, b: a + b)
+    return F.zip_with(ends, pieces, lambda e, p: e - F.length(p))
+
+
+def tokens_at(starts: Column, spans: Column) -> Column:
+    """For each span, by start, the number of the piece that it starts in."""
+    mark = "struct<at:int,own:int,piece:int>"
+    pieces = F.transform(starts, lambda at, i: F.struct(at.alias("at"), F.lit(0).alias("own"), i.alias("piece")).cast(mark))
+    own = F.transform(spans, lambda b: F.struct(b["start"].alias("at"), F.lit(1).alias("own"), F.lit(-1).alias("piece")).cast(mark))
+
+    def numbered(marks: Column) -> Column:
+        last = running(F.transform(marks, lambda m: m["piece"]), F.greatest)
+        both = F.zip_with(marks, last, lambda m, k: F.struct(m["own"].alias("own"), k.alias("piece")))
+        return F.transform(F.filter(both, lambda x: x["own"] == 1), lambda x: x["piece"])
+
+    return let(F.array_sort(F.concat(pieces, own)), numbered)
+
+
+def _seeds(text: Column, spans: Column) -> Column:
+    """array of (pattern, instance) of base spans. What is written right before a span, without a blank, is its nearest word."""
+
+    def within(pieces: Column) -> Column:
+        def one(starts: Column) -> Column:
+            def seed(b: Column, i: Column) -> Column:
+                glued = F.substring(F.get(pieces, i), F.lit(1), b["start"] - F.get(starts, i))
+                left = F.when(glued == "", left_of(pieces, i)).otherwise(F.concat(F.when(i >= 1, F.get(pieces, i - 1)).otherwise(""), glued))
+                return F.struct(pattern_of(left, b["match"]).alias("pattern"), F.xxhash64(b["match"]).alias("instance"))
+
+            return F.zip_with(spans, tokens_at(starts, spans), seed)
+
+        return let(starts_of(pieces), one)
+
+    return F.when(F.size(spans) > 0, let(F.split(text, CUT, -1), within))
 
 
 def known_instances(docs: DataFrame) -> DataFrame:
     """pattern and instance of every base span."""
-    t = keyed(docs).select("text", F.explode("base").alias("b"))
-    left = F.substring(F.col("text"), F.greatest(F.lit(1), F.col("b.start") - CONTEXT + 1), F.least(F.lit(CONTEXT), F.col("b.start")))
-    match = F.substring(F.col("text"), F.col("b.start") + 1, F.col("b.end") - F.col("b.start"))
-    return t.select(pattern_of(left, match).alias("pattern"), F.xxhash64(match).alias("instance")).distinct()
+    rows = docs.select(F.coalesce("text", F.lit("")).alias("text")).select("text", found_spans(F.col("text")).alias("found"))
+    seeds = rows.select(_seeds(F.col("text"), F.col("found")).alias("seeds")).select(F.explode("seeds").alias("s"))
+    return seeds.select("s.pattern", "s.instance").distinct()
 
 
 def shared(wanted: DataFrame) -> tuple[list[int], bool] | None:
@@ -134,14 +215,38 @@ def _bare(x: Column) -> Column:
     return F.regexp_replace(x, BLANKS, "")
 
 
-def _token(pieces: Column, i: Column) -> Column:
-    start = F.aggregate(F.slice(pieces, 1, i), F.lit(0), lambda a, x: a + F.length(x))
-    token = _bare(F.get(pieces, i))
+def _token(pieces: Column, starts: Column, i: Column) -> Column:
+    token, start = _bare(F.get(pieces, i)), F.get(starts, i)
     return F.struct(start.alias("start"), (start + F.length(token)).alias("end"), pattern_of(left_of(pieces, i), token).alias("pattern"), F.xxhash64(token).alias("instance"))
 
 
-def _beside(x: Column) -> Column:
-    return ~F.exists("base", lambda b: (b["start"] < x["end"]) & (b["end"] > x["start"]))
+TOKEN = "struct<start:int,end:int,pattern:string,instance:bigint>"
+
+
+def tokens_of(pieces: Column, at: Column) -> Column:
+    """array of (start, end, pattern, instance) of the tokens of these numbers."""
+    some = let(starts_of(pieces), lambda starts: F.transform(at, lambda i: _token(pieces, starts, i)))
+    return F.when(F.size(at) > 0, some).otherwise(F.lit([]).cast(f"array<{TOKEN}>"))
+
+
+def beside(tokens: Column, base: Column) -> Column:
+    """The tokens that no base span overlaps, by start.
+
+    In order of their starts, a token is held against the furthest end of the spans before it and the nearest start
+    of those behind."""
+    mark = "struct<start:int,own:int,end:int,pattern:string,instance:bigint>"
+    far = 2**31 - 1
+    own = F.transform(tokens, lambda x: F.struct(x["start"].alias("start"), F.lit(1).alias("own"), x["end"].alias("end"), x["pattern"].alias("pattern"), x["instance"].alias("instance")).cast(mark))
+    spans = F.transform(base, lambda b: F.struct(b["start"].alias("start"), F.lit(0).alias("own"), b["end"].alias("end"), F.lit(None).cast("string").alias("pattern"), F.lit(None).cast("bigint").alias("instance")).cast(mark))
+
+    def apart(marks: Column) -> Column:
+        before = running(F.transform(marks, lambda m: F.when(m["own"] == 0, m["end"]).otherwise(0)), F.greatest)
+        behind = F.reverse(running(F.reverse(F.transform(marks, lambda m: F.when(m["own"] == 0, m["start"]).otherwise(far))), F.least))
+        held = F.zip_with(marks, F.zip_with(before, behind, lambda a, b: F.struct(a.alias("end"), b.alias("start"))), lambda m, o: F.struct(m.alias("m"), o.alias("o")))
+        free = F.filter(held, lambda x: (x["m"]["own"] == 1) & (x["o"]["end"] <= x["m"]["start"]) & (x["o"]["start"] >= x["m"]["end"]))
+        return F.transform(free, lambda x: F.struct(*[x["m"][c].alias(c) for c in ("start", "end", "pattern", "instance")]))
+
+    return F.when((F.size(base) == 0) | (F.size(tokens) == 0), tokens).otherwise(let(F.array_sort(F.concat(own, spans)), apart))
 
 
 def matching(pieces: Column, hashes: list[int], marked: bool) -> Column:
@@ -153,7 +258,7 @@ def matching(pieces: Column, hashes: list[int], marked: bool) -> Column:
         hit = F.xxhash64(pattern_of(left_of(pieces, i), _bare(x))).isin(hashes) & (_bare(x) != "")
         return F.when(x.rlike("[0-9@]"), F.when(hit, i)) if marked else F.when(hit, i)
 
-    return F.transform(F.filter(F.transform(pieces, index), lambda i: i.isNotNull()), lambda i: _token(pieces, i))
+    return let(F.filter(F.transform(pieces, index), lambda i: i.isNotNull()), lambda at: tokens_of(pieces, at))
 
 
 def other_tokens(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -163,13 +268,13 @@ def other_tokens(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     rows = keyed(docs).select("k1", "k2", "base", F.split("text", CUT, -1).alias("pieces"))
     few = shared(wanted)
     if few is not None:
-        t = rows.withColumn("found", matching(F.col("pieces"), *few) if few[0] else F.lit([]).cast("array<struct<start:int,end:int,pattern:string,instance:bigint>>"))
+        t = rows.withColumn("found", matching(F.col("pieces"), *few) if few[0] else F.lit([]).cast(f"array<{TOKEN}>"))
     else:
         own = F.transform("pieces", lambda x, i: F.struct(i.alias("i"), pattern_of(left_of(F.col("pieces"), i), _bare(x)).alias("pattern")))
         hit = rows.select("k1", "k2", F.explode(own).alias("t")).select("k1", "k2", "t.i", "t.pattern").join(wanted.select("pattern"), "pattern", "left_semi")
         at = hit.groupBy("k1", "k2").agg(F.collect_set("i").alias("at"))
-        t = rows.join(at, ["k1", "k2"]).withColumn("found", F.filter(F.transform("at", lambda i: _token(F.col("pieces"), i)), lambda x: x["end"] > x["start"]))
-    return t.select("k1", "k2", F.explode(F.filter("found", _beside)).alias("t")).select("k1", "k2", "t.*")
+        t = rows.join(at, ["k1", "k2"]).withColumn("found", F.filter(tokens_of(F.col("pieces"), F.array_sort("at")), lambda x: x["end"] > x["start"]))
+    return t.select("k1", "k2", F.explode(beside(F.col("found"), F.col("base"))).alias("t")).select("k1", "k2", "t.*")
 
 
 def patterns(known: DataFrame, others: DataFrame, rounds: int = ROUNDS, least: float = LEAST, seeds: int = SEEDS) -> DataFrame:
@@ -206,7 +311,7 @@ def more_spans(others: DataFrame, trusted: DataFrame) -> DataFrame:
 def detect(docs: DataFrame) -> DataFrame:
     """doc_id, k1, k2, base and spans (base and further ones, by start) of every row."""
     trusted, others = learned(docs)
-    none = F.lit([]).cast("array<struct<start:int,rank:int,end:int>>")
+    none = F.lit([]).cast(f"array<{SPAN}>")
     rows = keyed(docs).select("doc_id", "k1", "k2", "base").join(more_spans(others, trusted), ["k1", "k2"], "left")
     return rows.select("doc_id", "k1", "k2", "base", F.array_sort(F.concat("base", F.coalesce("extra", none))).alias("spans"))
 
@@ -234,20 +339,28 @@ def masked(docs: DataFrame) -> DataFrame:
     elif few is not None:
         rows = base.withColumn("pieces_", F.split("text_", CUT, -1))
         rows = rows.withColumn("found_", matching(F.col("pieces_"), *few))
-        more = F.transform(F.filter("found_", _beside), lambda x: F.struct(x["start"].alias("start"), F.lit(len(KINDS) - 1).alias("rank"), x["end"].alias("end")))
+        more = F.transform(beside(F.col("found_"), F.col("base")), lambda x: F.struct(x["start"].alias("start"), F.lit(len(KINDS) - 1).alias("rank"), x["end"].alias("end")))
         rows = rows.withColumn("spans", F.array_sort(F.concat("base", more)))
     else:
         extra = more_spans(others, trusted)
-        rows = base.join(extra, ["k1", "k2"], "left").withColumn("spans", F.array_sort(F.concat("base", F.coalesce("extra", F.lit([]).cast("array<struct<start:int,rank:int,end:int>>")))))
+        rows = base.join(extra, ["k1", "k2"], "left").withColumn("spans", F.array_sort(F.concat("base", F.coalesce("extra", F.lit([]).cast(f"array<{SPAN}>")))))
     rows = rows.withColumn("spans", F.when(F.size("spans") > 0, F.col("spans")))
     kinds = F.array(*map(F.lit, KINDS))
 
-    def step(state: Column, s: Column) -> Column:
-        apart = s["start"] >= state["at"]
-        piece = F.when(apart, F.concat(F.substring(F.col("text_"), state["at"] + 1, s["start"] - state["at"]), F.lit("<"), F.get(kinds, s["rank"]), F.lit(">"))).otherwise("")
-        return F.struct(F.greatest(state["at"], s["end"]).alias("at"), F.concat(state["out"], F.array(piece)).alias("out"))
+    def covered(ends: Column) -> Column:
+        """The text without the spans, from the furthest end of the spans up to each."""
+
+        def one(s: Column, i: Column) -> Column:
+            at = F.when(i == 0, 0).otherwise(F.get(ends, i - 1))
+            return F.struct(at.alias("start"), F.greatest(at, s["start"]).alias("end"), F.when(s["start"] >= at, F.concat(F.lit("<"), F.get(kinds, s["rank"]), F.lit(">"))).otherwise("").alias("mark"))
+
+        def joined(gaps: Column) -> Column:
+            return F.array_join(F.zip_with(slices(F.col("text_"), gaps), gaps, lambda part, g: F.concat(part, g["mark"])), "")
+
+        tail = F.substring(F.col("text_"), F.element_at(ends, -1) + 1, F.length("text_"))
+        return F.concat(let(F.transform("spans", one), joined), tail)
 
-    done = F.aggregate("spans", F.struct(F.lit(0).alias("at"), F.lit([]).cast("array<string>").alias("out")), step, lambda s: F.concat(F.array_join(s["out"], ""), F.substring(F.col("text_"), s["at"] + 1, F.length("text_"))))
+    done = let(running(F.transform("spans", lambda s: s["end"]), F.greatest), covered)
     new = rows.withColumn("new_", F.when(F.col("spans").isNotNull(), done).otherwise(F.col("row_.text")))
     out = F.col("row_").withField("text", F.col("new_"))
     if "n_chars" in docs.columns:
@@ -257,6 +370,8 @@ def masked(docs: DataFrame) -> DataFrame:
 
 
 def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The contract's columns, and n_other and n_spans: the method's further spans, and all spans."""
     count = lambda rank: F.size(F.filter("base", lambda s: s["rank"] == rank)).cast("long")
+    other = F.size(F.filter("spans", lambda s: s["rank"] == len(KINDS) - 1)).cast("long")
     return detect(common.table(spark, sf_dir, "documents")).select(
-        "doc_id", *[count(k).alias(f"n_{kind}") for k, kind in enumerate(KINDS[:4])], F.sha2(named(F.col("base")), 256).alias("base_sha256"), named(F.col("spans")).alias("spans"))
+        "doc_id", *[count(k).alias(f"n_{kind}") for k, kind in enumerate(KINDS[:4])], F.sha2(named(F.col("base")), 256).alias("base_sha256"), named(F.col("spans")).alias("spans"), other.alias("n_other"), F.size("spans").cast("long").alias("n_spans"))

@@ -86,3 +86,30 @@ def test_identifiers_without_digits_are_seeds_and_found(spark):
 def test_a_spaced_number_is_one_instance_with_the_words_before_it(spark):
     known = pii.known_instances(h.docs(spark, ["my card number 4539 1488 0343 6467 and 10.0.0.1 or 10.0.0.2"])).collect()
     assert {r["pattern"] for r in known} == {"card number\t0 0 0 0", "0 and\t0.0.0.0", "0.0.0.0 or\t0.0.0.0"}
+
+
+def test_many_matches_in_one_row_take_no_square(spark):
+    n = 200_000
+    numbers = " ".join(f"10.0.{i % 256}.{i % 250}" for i in range(n))
+    src = h.docs(spark, [numbers, "the member id 10.1.2.3 ok"])
+    rows = {r["doc_id"]: r for r in pii.detect(src).select("doc_id", pii.F.size("base").alias("n"), pii.F.element_at("base", -1).alias("last")).collect()}
+    assert rows[0]["n"] == n and rows[0]["last"]["end"] == len(numbers) and rows[1]["n"] == 1
+    assert {r["doc_id"]: r["text"] for r in pii.masked(src).collect()}[0] == " ".join(["<ip>"] * n)
+
+
+def test_running_and_slices(spark):
+    rows = spark.createDataFrame([([3, 1, 4, 1, 5, 9, 2],), ([7],), ([],)], "x array<int>")
+    out = rows.select(pii.running(pii.F.col("x"), lambda a, b: a + b).alias("s"), pii.running(pii.F.col("x"), pii.F.greatest).alias("m")).collect()
+    assert [r["s"] for r in out] == [[3, 4, 8, 9, 14, 23, 25], [7], []] and out[0]["m"] == [3, 3, 4, 4, 5, 9, 9]
+
+
+def test_tokens_that_overlap_base_spans_are_left_out(spark):
+    import random
+
+    rng = random.Random(5)
+    tokens = [(a, a + rng.randint(1, 6)) for a in sorted(rng.sample(range(200), 40))]
+    base = [(a, 0, a + rng.randint(1, 9)) for a in sorted(rng.sample(range(200), 25))]
+    want = [t for t in tokens if not any(b[0] < t[1] and b[2] > t[0] for b in base)]
+    df = spark.createDataFrame([([(*t, "p", 1) for t in tokens], base)], f"t array<{pii.TOKEN}>, b array<{pii.SPAN}>")
+    got = df.select(pii.beside(pii.F.col("t"), pii.F.col("b")).alias("x")).first()["x"]
+    assert [(g["start"], g["end"]) for g in got] == want
