@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
+import functools
+import re
 import tempfile
 import uuid
 
@@ -18,13 +20,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+@functools.cache
+def _own_dir() -> str:
+    return "file://" + tempfile.mkdtemp(prefix="shared-")
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; a temporary one only where none is configured (local tests)."""
+    """The folder all executors share: spark.checkpoint.dir. Where it is unset, a temporary one, on one machine only."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not folder:
-        folder = spark.sparkContext._jsc.sc().getCheckpointDir()
-        folder = folder.get() if folder.isDefined() else None
-    return folder or "file://" + tempfile.mkdtemp(prefix="shared-")
+        known = spark.sparkContext._jsc.sc().getCheckpointDir()
+        folder = known.get() if known.isDefined() else None
+    if not folder and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return folder or _own_dir()
 
 
 def materialise(df: DataFrame) -> DataFrame:
@@ -39,17 +48,31 @@ def written(df: DataFrame, name: str) -> DataFrame:
     """As Parquet in the shared folder under a name of its own, and read again."""
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.written_to = path
+    return out
+
+
+def forget(df: DataFrame) -> None:
+    """Deletes the files of a table that ``written`` made, once nothing that is still to be computed reads it."""
+    jvm = df.sparkSession.sparkContext._jvm
+    path = jvm.org.apache.hadoop.fs.Path(df.written_to)
+    path.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def lowest(df: DataFrame, column: str, limit: int) -> DataFrame:
     """The ``limit`` rows of the smallest hashes of a column, without every task sending that many.
 
-    Rows are first held to a share of the hash range that holds about twice as many as are asked for."""
+    Rows are first held to a share of the hash range that holds about twice as many as are asked for; where
+    repeated values leave too few in it, to a larger one."""
     n = df.count()
     share = min(1.0, (2 * limit + 1000) / max(1, n))
-    near = df if share >= 1 else df.where(F.xxhash64(column) < F.lit(int(-(2**63) + share * 2**64)))
-    return near.orderBy(F.xxhash64(column), *df.columns).limit(limit)
+    while share < 1:
+        near = df.where(F.xxhash64(column) < F.lit(int(-(2**63) + share * 2**64)))
+        if near.count() >= min(limit, n):
+            return near.orderBy(F.xxhash64(column), *df.columns).limit(limit)
+        share = min(1.0, 4 * share)
+    return df.orderBy(F.xxhash64(column), *df.columns).limit(limit)
 
 
 def trim() -> None:

@@ -466,9 +466,12 @@ def components(edges: DataFrame) -> DataFrame:
         new = labels.join(seen, "a").select("a", F.least("label", "seen").alias("next"), "label")
         jump = new.select(F.col("a").alias("next"), F.col("next").alias("far"))
         new = common.materialise(new.join(jump, "next").select("a", F.least("next", "far").alias("new"), "label"))
+        common.forget(labels)
         if new.where("new <> label").isEmpty():
+            common.forget(both)
             return new.select(F.col("a").alias("cls"), F.col("new").alias("label"))
-        labels = new.select("a", F.col("new").alias("label"))
+        known, labels = new, new.select("a", F.col("new").alias("label"))
+        labels.written_to = known.written_to
 
 
 def packed_blocks(members: DataFrame, rows: DataFrame, key: str) -> DataFrame:

@@ -22,7 +22,8 @@ from . import common
 
 #: Verdict and rule, host and path.
 RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/"))
-DAMPING, ROUNDS, LEAST = 0.85, 10, 0.5
+#: Rounds end where no score changes by TOLERANCE; ROUNDS of damping bring any change below it.
+DAMPING, ROUNDS, TOLERANCE, LEAST = 0.85, 100, 1e-6, 0.5
 LINK = r"""(?i)href\s*=\s*["']?\s*(?:[a-z][a-z0-9+.-]*:)?//([^/?#"'\s>\\]+)"""
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -41,8 +42,6 @@ def ruled(pages: DataFrame, rules: tuple = RULES) -> DataFrame:
     rule = ruling = None
     for verdict, host, path in sorted(rules, key=lambda r: (-len(r[1] + r[2]), r[1] + r[2])):
         fits = ((F.col("host") == host) | F.endswith("host", F.lit("." + host))) & F.startswith("path", F.lit(path))
-        if path == "/":  # a bare rule fits every path
-            fits = (F.col("host") == host) | F.endswith("host", F.lit("." + host))
         rule = F.when(fits, host + path) if rule is None else rule.when(fits, host + path)
         ruling = F.when(fits, verdict) if ruling is None else ruling.when(fits, verdict)
     null = F.lit(None).cast("string")
@@ -58,8 +57,8 @@ def host_edges(pages: DataFrame) -> DataFrame:
     return n.join(n.groupBy("src").agg(F.sum("n").alias("all")), "src").select("src", "dst", (F.col("n") / F.col("all")).alias("weight"))
 
 
-def propagate(seeds: DataFrame, edges: DataFrame, damping: float = DAMPING, rounds: int = ROUNDS) -> DataFrame:
-    """host, trust, distrust after ``rounds`` rounds; seeds: host, trust, distrust.
+def propagate(seeds: DataFrame, edges: DataFrame, damping: float = DAMPING, rounds: int = ROUNDS, tolerance: float = TOLERANCE) -> DataFrame:
+    """host, trust, distrust once no score changes by ``tolerance``, after ``rounds`` rounds at most; seeds: host, trust, distrust.
 
     Scores are in units of a seed: s + damping * what comes over the edges."""
     edges = common.materialise(edges)
@@ -74,9 +73,16 @@ def propagate(seeds: DataFrame, edges: DataFrame, damping: float = DAMPING, roun
     for _ in range(rounds):
         sent = ways.join(now, ways["from"] == now["host"]).select("to", (F.col("t") * F.col("trust")).alias("t"), (F.col("d") * F.col("distrust")).alias("d"))
         come = sent.groupBy("to").agg(F.sum("t").alias("t"), F.sum("d").alias("d"))
-        now = start.join(come, start["host"] == come["to"], "left").select(
+        new = start.join(come, start["host"] == come["to"], "left").select(
             "host", *[F.round(F.col(c) + damping * F.coalesce(F.col(x), F.lit(0.0)), 9).alias(c) for c, x in (("trust", "t"), ("distrust", "d"))])
-        now = common.materialise(now)
+        new = common.materialise(new)
+        old = now.toDF("host", "trust_", "distrust_")
+        change = new.join(old, "host").agg(F.max(F.greatest(F.abs(F.col("trust") - F.col("trust_")), F.abs(F.col("distrust") - F.col("distrust_"))))).first()[0]
+        if now is not start:
+            common.forget(now)
+        now = new
+        if change is None or change < tolerance:
+            break
     return now
 
 

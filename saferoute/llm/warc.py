@@ -18,7 +18,6 @@ from __future__ import annotations
 import base64
 import gzip
 import hashlib
-import uuid
 import zlib
 from collections.abc import Iterable, Iterator
 
@@ -78,24 +77,35 @@ def fields_of(lines: bytes) -> dict[str, str]:
     return {k.strip().lower(): v.strip() for k, _, v in (x.partition(":") for x in lines.decode("utf-8", "replace").split("\r\n")[1:])}
 
 
+def agrees(told: str | None, data: bytes) -> bool:
+    """Whether a labelled digest is that of the data; what is not told, or by another function than SHA-1, can't disagree."""
+    kind, _, value = (told or "").rpartition(":")
+    return kind.lower() not in ("", "sha1") or not value or value.upper() == digest(data)
+
+
 def parse(member: bytes) -> dict:
-    """The record of one member; ``digests_hold`` is false where a digest or a length disagrees."""
+    """The record of one member; ``digests_hold`` is false where a digest or a length disagrees.
+
+    Records of any writer: of an HTTP message the payload is what follows its headers, else the whole block.
+    Digests and the record that a revisit refers to may be missing; a missing payload digest is worked out."""
     lines, _, rest = member.partition(b"\r\n\r\n")
     if not lines.startswith(b"WARC/1."):
         raise ValueError("not a WARC record")
     fields = fields_of(lines)
     size = int(fields["content-length"])
     block = rest[:size]
-    head, _, payload = block.partition(b"\r\n\r\n")
-    revisit = fields["warc-type"] == "revisit"
-    told = fields["warc-payload-digest"].rpartition(":")[2]
-    stated = int(fields_of(head).get("content-length", len(payload)))
-    holds = len(rest) == size + 4 and rest[size:] == b"\r\n\r\n" and fields["warc-block-digest"].rpartition(":")[2] == digest(block)
-    holds = holds and (revisit or told == digest(payload) and stated == len(payload))
+    revisit = fields.get("warc-type") == "revisit"
+    http = fields.get("content-type", "").startswith("application/http") or block.startswith(b"HTTP/")
+    head, _, payload = block.partition(b"\r\n\r\n") if http else (b"", b"", block)
+    length = fields_of(head).get("content-length", "")
+    stated = int(length) if length.isdigit() else len(payload)
+    told = fields.get("warc-payload-digest")
+    holds = len(rest) == size + 4 and rest[size:] == b"\r\n\r\n" and agrees(fields.get("warc-block-digest"), block)
+    holds = holds and (revisit or agrees(told, payload) and stated == len(payload))
     return {
-        "record_id": fields["warc-record-id"].strip("<>"), "record_type": fields["warc-type"], "uri": fields.get("warc-target-uri", ""),
-        "refers_to": fields["warc-refers-to"].strip("<>") if revisit else None, "payload_bytes": stated, "payload_digest": told, "digests_hold": holds,
-        "payload": None if revisit else payload,
+        "record_id": fields.get("warc-record-id", "").strip("<>"), "record_type": fields.get("warc-type", ""), "uri": fields.get("warc-target-uri", ""),
+        "refers_to": fields["warc-refers-to"].strip("<>") if revisit and "warc-refers-to" in fields else None, "payload_bytes": stated,
+        "payload_digest": told.rpartition(":")[2] if told else digest(payload), "digests_hold": holds, "payload": None if revisit else payload,
     }
 
 
@@ -112,6 +122,7 @@ def with_revisits(pages: DataFrame, least: int = 0) -> DataFrame:
     key = [F.sha1(payload).alias("sha"), F.octet_length(payload).alias("bytes")]
     narrow = common.materialise(pages.select(F.col("page_id"), *key))
     groups = narrow.groupBy("sha", "bytes").agg(F.min("page_id").alias("rep"), F.count(F.lit(1)).alias("n")).where(f"n > 1 and bytes >= {int(least)}")
+    groups = common.materialise(groups)  # apart from the aggregate, a common payload can be split
     late = narrow.where(f"bytes >= {int(least)}").join(groups.select("sha", "rep"), "sha").where("not page_id <=> rep")
     late = late.select(F.col("page_id").alias("p_"), F.col("sha").alias("s_"), "rep").distinct()
     full = pages.select("page_id", F.coalesce("url", F.lit("")).alias("url"), payload.alias("payload"), F.sha1(payload).alias("sha"))
@@ -178,10 +189,6 @@ def write_file(path: str, records: Iterable[bytes]) -> None:
             f.write(r)
 
 
-def temporary_name() -> str:
-    return f"archive-{uuid.uuid4().hex}.warc.gz"
-
-
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = common.table(spark, sf_dir, "pages")
     kind = pages.schema["page_id"].dataType

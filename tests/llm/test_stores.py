@@ -57,6 +57,25 @@ def test_warc_members_are_read_in_small_chunks_and_damage_is_seen(tmp_path, spar
     assert warc.read_files(spark, str(tmp_path)).count() == 20
 
 
+def test_records_of_other_writers_are_read(spark, tmp_path):
+    def member(fields, block):
+        head = "WARC/1.0\r\n" + "".join(f"{k}: {v}\r\n" for k, v in fields.items()) + f"Content-Length: {len(block)}\r\n\r\n"
+        return gzip.compress(head.encode() + block + b"\r\n\r\n")
+
+    http = b"HTTP/1.1 200 OK\r\nContent-Type: text/html\r\n\r\nbody"
+    records = [
+        member({"WARC-Type": "warcinfo", "WARC-Record-ID": "<urn:a>"}, b"software: x\r\n"),
+        member({"WARC-Type": "response", "WARC-Record-ID": "<urn:b>", "Content-Type": "application/http; msgtype=response"}, http),
+        member({"WARC-Type": "revisit", "WARC-Record-ID": "<urn:c>", "WARC-Payload-Digest": "sha1:ABC"}, b""),
+        member({"WARC-Type": "resource", "WARC-Record-ID": "<urn:d>", "WARC-Block-Digest": "md5:123"}, b"a\r\n\r\nb"),
+    ]
+    warc.write_file(str(tmp_path / "other.warc.gz"), records)
+    rows = {r["record_id"]: r for r in warc.read_files(spark, str(tmp_path)).collect()}
+    assert [rows[f"urn:{x}"]["payload_bytes"] for x in "abcd"] == [13, 4, 0, 6]
+    assert rows["urn:c"]["refers_to"] is None and rows["urn:c"]["payload_digest"] == "ABC" and all(r["digests_hold"] for r in rows.values())
+    assert rows["urn:b"]["payload_digest"] == warc.digest(b"body")
+
+
 def test_warc_least_size(spark):
     rows = [(1, "u", "ab"), (2, "u", "ab"), (3, "u", "abcdef"), (4, "u", "abcdef")]
     kinds = {r["page_id"]: r["record_type"] for r in _op7(warc.write(pages(spark, rows), least=3))}
@@ -132,11 +151,13 @@ def test_mixing_awkward_rows(spark):
 def test_url_rules_and_trust(spark):
     rows = [
         (1, "http://A.example.net/en/x?q", ""), (2, "http://x.net/en/", ""), (3, "https://example.com/de/1#f", ""), (4, "https://sub.example.com/de", ""), (5, "ftp://w.org/fr/", ""), (6, "no scheme", None), (7, None, None),
-        (8, "http://good.test/a", '<a href="http://bad.net/">'), (9, "http://bad.net", '<A HREF=//x.org/fr/>'), (10, "http://far.test", '<a href="http://good.test/z">'),
+        (8, "http://good.test/a", '<a href="http://bad.net/">'), (9, "http://bad.net/", '<A HREF=//x.org/fr/>'), (10, "http://far.test", '<a href="http://good.test/z">'),
+        (11, "http://bare.net?q=/", ""), (12, "http://bare.net/", ""),
     ]
     got = {r["page_id"]: (r["host"], r["path"], r["rule"], r["verdict"]) for r in url_trust.judge(pages(spark, rows)).collect()}
     assert got[1] == ("a.example.net", "/en/x", "example.net/en/", "allow") and got[2][2:] == ("net/", "block")
     assert got[3][2:] == ("example.com/de/", "block") and got[4][2] is None and got[5][2:] == ("org/fr/", "allow")
+    assert got[11][1:3] == ("", None) and got[12][1:3] == ("/", "net/")  # an empty path starts with no rule's path
     assert got[6] == ("", "", None, "allow") and got[7] == ("", "", None, "allow")
     assert got[8][3] == "block" and got[10][3] == "block"  # they lead to a blocked host
     assert url_trust.judge(pages(spark, [])).count() == 0
@@ -150,12 +171,12 @@ def test_pagerank_equals_brute_force(spark):
     w = np.divide(w, w.sum(1, keepdims=True), out=np.zeros_like(w), where=w.sum(1, keepdims=True) > 0)
     seed = rng.random((12, 2)).round(2)
     t, d = seed[:, 0].copy(), seed[:, 1].copy()
-    for _ in range(url_trust.ROUNDS):
+    for _ in range(200):
         t, d = seed[:, 0] + 0.85 * (t @ w), seed[:, 1] + 0.85 * (w @ d)
     edges = [(names[i], names[j], float(w[i, j])) for i in range(12) for j in range(12) if w[i, j]]
     got = url_trust.propagate(spark.createDataFrame([(n, *map(float, s)) for n, s in zip(names, seed, strict=True)], "host string, trust double, distrust double"), spark.createDataFrame(edges, "src string, dst string, weight double"))
     got = {r["host"]: (r["trust"], r["distrust"]) for r in got.collect()}
-    assert all(got[n] == pytest.approx((t[i], d[i]), abs=1e-6) for i, n in enumerate(names))
+    assert all(got[n] == pytest.approx((t[i], d[i]), abs=1e-5) for i, n in enumerate(names))
 
 
 def test_pipeline_stages(spark):
