@@ -81,6 +81,24 @@ def trip_blocked(tail_w: Column, tail_p: Column, head_w: Column, head_p: Column,
     return F.exists(F.sequence(F.floor(t0 / SLOT_MIN), F.floor((t0 + w) / SLOT_MIN)), piece)
 
 
+def trip_safe(kw: Column, s: Column, blocked: Column) -> Column:
+    """Whether an edge can be taken: no keyword of the query, and no obstacle on the trip."""
+    return ~(F.coalesce(F.arrays_overlap(kw, s), F.lit(False)) | blocked)
+
+
+def weather_predicates(ends: list[tuple], t0: Column, w: Column, limits: list[tuple], unknown: float = 0.0) -> Column:
+    """Whether a trip keeps several limits at once, of one or several types.
+
+    ``ends``: (tail values, tail confidences, head values, head confidences) of each limit's type; ``limits``: (eps,
+    alpha_pct, above): above True keeps the value at or below eps, False keeps it at or above (values and limit are negated)."""
+    kept = F.lit(True)
+    for (tw, tp, hw, hp), (eps, alpha, above) in zip(ends, limits, strict=True):
+        if not above:
+            tw, hw, eps = F.transform(tw, lambda x: -x), F.transform(hw, lambda x: -x), -eps
+        kept = kept & ~trip_blocked(tw, tp, hw, hp, t0, w, eps, alpha, unknown)
+    return kept
+
+
 def py_trip_blocked(tail: tuple, head: tuple, t0: int, w: int, eps: float, alpha_pct: int, unknown: float = 0.0) -> bool:
     """``trip_blocked`` for the in-task search; tail and head: (values, confidences) of 24 slots."""
     need = 100 * alpha_pct

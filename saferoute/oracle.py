@@ -10,14 +10,16 @@ _SOURCE = {
     "gau": "SELECT vec_id AS v, CAST(round((CAST(embedding[1] AS DOUBLE) + 1.0) * 200000.0) AS BIGINT) AS x_mm, CAST(round((CAST(embedding[2] AS DOUBLE) + 1.0) * 200000.0) AS BIGINT) AS y_mm FROM embeddings",
     "sparse": "SELECT p_partkey AS v, p_partkey * 247213 % 400000 AS x_mm, (CAST(p_size AS BIGINT) - 1) * 8000 + p_partkey * 7919 % 8000 AS y_mm FROM part",
 }
+_KEY = {"uni": "c_custkey", "gau": "vec_id", "sparse": "p_partkey"}
 _PERIOD = {"uni": 3, "gau": 3, "sparse": 32}
 
 
-def network(kind: str) -> str:
-    """CTEs vtx, edg and arc of one network."""
+def network(kind: str, quarters: int = 4) -> str:
+    """CTEs vtx, edg and arc of one network, of the first quarters of its vertices."""
+    source = _SOURCE[kind] + ("" if quarters == 4 else f" WHERE {_KEY[kind]} < (SELECT count(*) FROM {_SOURCE[kind].split()[-1]}) * {quarters} // 4")
     mph = "50" if kind == "sparse" else "(30 + 10 * (eid % 5))"
     return f"""
-vp AS MATERIALIZED ({_SOURCE[kind]}),
+vp AS MATERIALIZED ({source}),
 vy AS (SELECT *, row_number() OVER (ORDER BY y_mm, v) - 1 AS p, count(*) OVER () AS n FROM vp),
 vs AS (SELECT v, x_mm, y_mm, p // greatest(2, n // greatest(1, CAST(floor(sqrt(n)) AS BIGINT))) AS strip FROM vy),
 vtx AS MATERIALIZED (SELECT v, x_mm, y_mm, CAST(least(4, x_mm // 80000) + 5 * least(4, y_mm // 80000) AS INTEGER) AS cell, strip,
@@ -81,8 +83,8 @@ opt AS (SELECT q.qid, min(lab.arr) - any_value(q.dep_min) AS total_min FROM {q}
 ANSWERS = "SELECT q.qid, opt.total_min IS NOT NULL AS answered, CAST(opt.total_min AS BIGINT) AS total_min FROM q LEFT JOIN opt ON opt.qid = q.qid"
 
 
-def routes(kind: str = "uni", horizon: int = 360, **options) -> str:
-    return f"WITH RECURSIVE {network(kind)}, {RING}, {query_set(**options)}, {labels(horizon)} {ANSWERS}"
+def routes(kind: str = "uni", horizon: int = 360, quarters: int = 4, **options) -> str:
+    return f"WITH RECURSIVE {network(kind, quarters)}, {RING}, {query_set(**options)}, {labels(horizon)} {ANSWERS}"
 
 
 def sweep(sets: list[tuple], horizon: int = 360, kind: str = "uni") -> str:
@@ -121,17 +123,15 @@ def case_of(eps: str) -> str:
     return f"CASE WHEN wj <= {eps} AND wk <= {eps} THEN '1' WHEN wj <= {eps} THEN '2.1' WHEN wk <= {eps} THEN '2.2' ELSE '3' END"
 
 
-def index(fanout: int, levels: int) -> str:
-    """CTEs pos (eid, pos, rectangle, word) and lvl (level): the Z-order packing."""
-    bits = " | ".join(f"((CAST({{c}} AS BIGINT) >> {i}) & 1) << {{o}}{2 * i}" for i in range(19))
+def index(fanout: int) -> str:
+    """CTEs pos (eid, pos, rectangle, word), lvl (all levels up to the root) and nod: the Z-order packing."""
     z = " | ".join(f"(((mx >> {i}) & 1) << {2 * i}) | (((my >> {i}) & 1) << {2 * i + 1})" for i in range(19))
-    del bits
     return f"""
 rect AS (SELECT edg.*, least(p.x_mm, t.x_mm) AS xmin, least(p.y_mm, t.y_mm) AS ymin, greatest(p.x_mm, t.x_mm) AS xmax, greatest(p.y_mm, t.y_mm) AS ymax,
   (p.x_mm + t.x_mm) // 2 AS mx, (p.y_mm + t.y_mm) // 2 AS my FROM edg JOIN vtx p ON p.v = a JOIN vtx t ON t.v = b),
 zed AS (SELECT *, {z} AS z FROM rect),
 pos AS MATERIALIZED (SELECT *, row_number() OVER (ORDER BY z, eid) - 1 AS pos, coalesce(list_aggregate(list_transform(kw, lambda k: CAST(1 AS BIGINT) << k), 'bit_or'), 0) AS word FROM zed),
-lvl AS (SELECT unnest(range(1, {levels} + 1)) AS level),
+lvl AS (SELECT level FROM (SELECT unnest(range(1, 40)) AS level), (SELECT count(*) AS n FROM edg) WHERE level = 1 OR power({fanout}, level - 1) < n),
 nod AS MATERIALIZED (SELECT CAST(level AS INTEGER) AS level, pos // CAST({fanout} ** level AS BIGINT) AS node, pos // CAST({fanout} ** (level + 1) AS BIGINT) AS parent,
   min(xmin) AS xmin, min(ymin) AS ymin, max(xmax) AS xmax, max(ymax) AS ymax, min(w_min) AS lb_t, max(w_min) AS ub_t, bit_and(word) AS kw_and, bit_or(word) AS kw_or, count(*) AS n_edges
   FROM pos, lvl GROUP BY ALL)"""

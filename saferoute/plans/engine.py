@@ -20,8 +20,7 @@ class Engine:
 
     def __init__(self, spark: SparkSession) -> None:
         self.spark = spark
-        self._pivots: dict[int, DataFrame] = {}
-        self._indexes: dict[int, Index] = {}
+        self._kept: dict[tuple, tuple] = {}  # by all that an object is made of; the parts are held, so that no id is used again
         self._last: DataFrame | None = None
 
     def network(self, kind: str, sf_dir: str) -> networks.Network:
@@ -34,23 +33,31 @@ class Engine:
     def queries(self, net: networks.Network, **options) -> DataFrame:
         return make_queries(net, **options)
 
+    def _once(self, parts: tuple, rest: tuple, make):  # noqa: ANN001, ANN202
+        key = (*map(id, parts), *rest)
+        if key not in self._kept:
+            self._kept[key] = parts, make()
+        return self._kept[key][1]
+
     def pivots(self, net: networks.Network, d: int = 5, strategy: str = "fixed") -> DataFrame:
-        if id(net) not in self._pivots:
+        def make() -> DataFrame:
             chosen = pivots.fixed_pivots(net, d) if strategy == "fixed" else pivots.choose_landmarks(net, d, strategy)
-            self._pivots[id(net)] = pivots.pivot_distances(net, chosen)
-        return self._pivots[id(net)]
+            return pivots.pivot_distances(net, chosen)
+
+        return self._once((net,), ("pivots", d, strategy), make)
 
-    def index(self, net: networks.Network, ring: DataFrame, fanout: int | None = None, packing: str = "zorder") -> Index:
-        if id(net) not in self._indexes:
-            self._indexes[id(net)] = build_index(net, ring, fanout, packing)
-        return self._indexes[id(net)]
+    def index(self, net: networks.Network, ring: DataFrame, fanout: int | None = None, packing: str = "zorder", d: int = 5, strategy: str = "fixed", wtypes: tuple = ("ANY",)) -> Index:
+        piv = self.pivots(net, d, strategy)
+        return self._once((net, ring, piv), ("index", fanout, packing, wtypes), lambda: build_index(net, ring, fanout, packing, piv, wtypes))
 
     def route(self, queries: DataFrame, net: networks.Network, ring: DataFrame, method: str = "index", options: RouteOptions = RouteOptions()) -> DataFrame:
-        """Answers of one method: 'index', 'astar', 'filter_first', 'bfs', 'rounds', 'enumerate' or 'plain'."""
+        """Answers of one method: 'index', 'index_paths', 'astar', 'filter_first', 'bfs', 'rounds', 'enumerate' or 'plain'."""
         if method == "index" and not options.use_index:
             method = "astar"
         if method == "index":
-            out = router.route_index(queries, net, self.index(net, ring), ring, options, self.pivots(net))
+            out = router.route_index(queries, net, self.index(net, ring), ring, options)
+        elif method == "index_paths":
+            out = router.route_index_paths(queries, net, self.index(net, ring), ring, options, self.pivots(net))
         elif method == "astar":
             out = baselines.route_astar(queries, net, ring, options, options.heuristic, self.pivots(net) if options.heuristic == "pivot" else None)
         elif method == "filter_first":

@@ -14,7 +14,7 @@ from ..functions.keywords import bitmap
 from ..operators.pruning import edge_slot_bounds
 from ..operators.ranking import global_rank
 from ..operators.storage import stored
-from ..sources.networks import Network, midpoints
+from ..sources.networks import Network, max_speed, midpoints
 
 PAGE_BYTES = 4096
 #: Points of the grid on which nodes keep their bound; a query's limit is rounded up to the next.
@@ -32,8 +32,13 @@ class Index:
     height: int
     lookup: DataFrame  #: eid, pos, leaf
     nodes: DataFrame  #: level, node, parent, rectangle, lb_t, ub_t, kw_and, kw_or, n_edges
-    weather: DataFrame | None  #: level, node, slot, lb_val, ub_val, ub_case3, ub_by_eps
+    weather: DataFrame | None  #: wtype, level, node, slot, lb_val, ub_val, ub_case3, ub_by_eps
     links: DataFrame  #: level, n1, n2
+    pages: DataFrame | None = None  #: leaf, and its arcs with cells and pivot vectors of the ends
+    ranges: DataFrame | None = None  #: level, node, piv_lo, piv_hi: least and largest distance to each pivot
+    by_slot: DataFrame | None = None  #: wtype, level, node, slots: the weather of all slots in one row
+    pivots: DataFrame | None = None  #: v, piv
+    vmax: float = 1.0
 
     def node_at(self, pos: Column, level: int) -> Column:
         return F.floor(pos / (self.fanout**level))
@@ -75,34 +80,70 @@ def connection_graph(ends: DataFrame, fanout: int, height: int) -> DataFrame:
     return out
 
 
-def index_weather(net: Network, lookup: DataFrame, forecasts: DataFrame, fanout: int, height: int, wtype: str = "ANY", grid: tuple = EPS_GRID) -> DataFrame:
-    """Per level, node and slot: value range, the bound where both ends exceed, and the bound by limit.
+def index_weather(net: Network, lookup: DataFrame, forecasts: DataFrame, fanout: int, height: int, wtypes: tuple = ("ANY",), grid: tuple = EPS_GRID) -> DataFrame:
+    """Per type, level, node and slot: value range, the bound where both ends exceed, and the bound by limit.
 
     The bound grows with the limit, so the entry of the next grid point is safe."""
-    base = edge_slot_bounds(net.edges, net.vertices, forecasts, float(grid[0]), wtype).join(lookup.select("eid", "pos"), "eid")
     from ..functions.weather import ub_prob_ok
 
     at = [ub_prob_ok(F.col("wj"), F.col("pj"), F.col("wk"), F.col("pk"), F.lit(float(e))).alias(f"u{e}") for e in grid]
-    rows = base.select("slot", F.col("pos").alias("key"), "lb_val", "ub_val", ((100 - F.col("pj")) * (100 - F.col("pk"))).cast("long").alias("ub_case3"), *at)
+    rows = None
+    for wtype in wtypes:
+        base = edge_slot_bounds(net.edges, net.vertices, forecasts, float(grid[0]), wtype).join(lookup.select("eid", "pos"), "eid")
+        part = base.select(F.lit(wtype).alias("wtype"), "slot", F.col("pos").alias("key"), "lb_val", "ub_val", ((100 - F.col("pj")) * (100 - F.col("pk"))).cast("long").alias("ub_case3"), *at)
+        rows = part if rows is None else rows.unionAll(part)
     out, below = None, rows
     for level in range(1, height + 1):
         sums = [F.min("lb_val").alias("lb_val"), F.max("ub_val").alias("ub_val"), F.max("ub_case3").alias("ub_case3"), *[F.max(f"u{e}").alias(f"u{e}") for e in grid]]
-        below = stored(below.groupBy(F.floor(F.col("key") / fanout).alias("key"), "slot").agg(*sums))
+        below = stored(below.groupBy("wtype", F.floor(F.col("key") / fanout).alias("key"), "slot").agg(*sums))
         table = F.create_map(*[x for e in grid for x in (F.lit(e), F.col(f"u{e}"))])
-        part = below.select(F.lit(level).alias("level"), F.col("key").alias("node"), "slot", "lb_val", "ub_val", "ub_case3", table.alias("ub_by_eps"))
+        part = below.select("wtype", F.lit(level).alias("level"), F.col("key").alias("node"), "slot", "lb_val", "ub_val", "ub_case3", table.alias("ub_by_eps"))
         out = part if out is None else out.unionAll(part)
     return out
 
 
-def bound_at(eps: Column, grid: tuple = EPS_GRID) -> Column:
-    """A node's bound at a limit: 1 above its values, the stored bound of both-exceed below, else by the grid."""
+def slots_of(weather: DataFrame) -> DataFrame:
+    """wtype, level, node, slots: map from slot to (lb_val, ub_val, ub_case3, ub_by_eps)."""
+    entry = F.struct("slot", F.struct("lb_val", "ub_val", "ub_case3", "ub_by_eps"))
+    return weather.groupBy("wtype", "level", "node").agg(F.map_from_entries(F.collect_list(entry)).alias("slots"))
+
+
+def pivot_ranges(net: Network, lookup: DataFrame, piv: DataFrame, fanout: int, height: int) -> DataFrame:
+    """level, node, piv_lo, piv_hi over the ends of the node's edges."""
+    d = len(piv.first()["piv"])
+    ends = lookup.join(net.edges.select("eid", F.explode(F.array("a", "b")).alias("v")), "eid").join(piv, "v")
+    out, below = None, ends.select(F.col("pos").alias("key"), F.col("piv").alias("lo"), F.col("piv").alias("hi"))
+    for level in range(1, height + 1):
+        lo, hi = (F.array(*[f(F.get(c, F.lit(i))) for i in range(d)]).alias(c) for f, c in ((F.min, "lo"), (F.max, "hi")))
+        below = stored(below.groupBy(F.floor(F.col("key") / fanout).alias("key")).agg(lo, hi))
+        part = below.select(F.lit(level).alias("level"), F.col("key").alias("node"), F.col("lo").alias("piv_lo"), F.col("hi").alias("piv_hi"))
+        out = part if out is None else out.unionAll(part)
+    return out
+
+
+def page_arcs(net: Network, lookup: DataFrame, piv: DataFrame | None) -> DataFrame:
+    """The arcs of every leaf page: leaf, tail, head, eid, w_min, kw, cells and pivot vectors of the ends."""
+    v = net.vertices.select("v", "cell")
+    v = v.join(piv, "v") if piv is not None else v.withColumn("piv", F.array().cast("array<long>"))
+    ends = lambda p: v.toDF(p, f"{p}_cell", f"{p}_piv")
+    return net.arcs.drop("len_mm").join(lookup.select("eid", "leaf"), "eid").join(ends("tail"), "tail").join(ends("head"), "head")
+
+
+def bound_at(eps: Column, at: Column | None = None, grid: tuple = EPS_GRID) -> Column:
+    """A node's bound at a limit: 1 above its values, the stored bound of both-exceed below, else by the grid.
+
+    ``at``: the struct that has a slot's values, else columns of these names."""
+    c = (lambda n: F.col(n)) if at is None else (lambda n: at[n])
     up = F.lit(10000).cast("long")
     for e in sorted(grid, reverse=True):
-        up = F.when(eps <= e, F.element_at("ub_by_eps", F.lit(e))).otherwise(up)
-    return F.when(F.col("ub_val") <= eps, F.lit(10000).cast("long")).when(F.col("lb_val") > eps, F.col("ub_case3")).otherwise(up)
+        up = F.when(eps <= e, F.element_at(c("ub_by_eps"), F.lit(e))).otherwise(up)
+    return F.when(c("ub_val") <= eps, F.lit(10000).cast("long")).when(c("lb_val") > eps, c("ub_case3")).otherwise(up)
+
 
+def build_index(net: Network, forecasts: DataFrame | None = None, fanout: int | None = None, packing: str = "zorder", piv: DataFrame | None = None, wtypes: tuple = ("ANY",)) -> Index:
+    """``piv``: distances to pivots, which nodes keep as ranges; ``wtypes``: the types whose forecasts nodes keep.
 
-def build_index(net: Network, forecasts: DataFrame | None = None, fanout: int | None = None, packing: str = "zorder") -> Index:
+    Queries of other types are answered too, without the prune of nodes by weather."""
     fanout = fanout or default_fanout()
     edges = packed(net, packing, fanout)
     n, height = edges.count(), 1
@@ -112,8 +153,11 @@ def build_index(net: Network, forecasts: DataFrame | None = None, fanout: int |
     leaves = edges.select(F.col("pos").alias("key"), "xmin", "ymin", "xmax", "ymax", F.col("w_min").alias("lb_t"), F.col("w_min").alias("ub_t"), bits.alias("kw_and"), bits.alias("kw_or"), F.lit(1).cast("long").alias("n_edges"))
     lookup = stored(edges.select("eid", "pos", F.floor(F.col("pos") / fanout).alias("leaf")))
     ends = edges.select(F.explode(F.array("a", "b")).alias("v"), "pos")
-    weather = None if forecasts is None else stored(index_weather(net, lookup, forecasts, fanout, height))
-    return Index(fanout, height, lookup, stored(roll_up(leaves, fanout, height)), weather, stored(connection_graph(ends, fanout, height)))
+    weather = None if forecasts is None else stored(index_weather(net, lookup, forecasts, fanout, height, wtypes))
+    ranges = None if piv is None else stored(pivot_ranges(net, lookup, piv, fanout, height))
+    return Index(
+        fanout, height, lookup, stored(roll_up(leaves, fanout, height)), weather, stored(connection_graph(ends, fanout, height)), stored(page_arcs(net, lookup, piv)), ranges,
+        None if weather is None else stored(slots_of(weather)), piv, max_speed(net.edges) or 1.0)
 
 
 def node_prune_keyword(nodes: DataFrame, queries: DataFrame) -> DataFrame:
@@ -126,14 +170,15 @@ def node_prune_weather(weather: DataFrame, queries: DataFrame, horizon_min: int
     """qid, level, node where in every slot the bound rules all edges in as obstacles.
 
     With a horizon only the slots count that a trip within it can touch, else all of the ring."""
-    q = queries.select("qid", "eps", "alpha_pct", "dep_min")
-    rows = weather.join(F.broadcast(q))
+    asked = ["wtype", "eps", "alpha_pct", *(["dep_min"] if horizon_min is not None else [])]
+    kinds = queries.select(*asked).distinct()  # queries that ask alike share one test
+    rows = weather.join(F.broadcast(kinds), "wtype")
     if horizon_min is not None:
         first = F.floor(F.col("dep_min") / 60)
         span = F.floor((F.col("dep_min") + horizon_min) / 60) - first
         rows = rows.where(F.pmod(F.col("slot") - first, F.lit(24)) <= span)
-    top = rows.groupBy("qid", "level", "node", "alpha_pct").agg(F.max(bound_at(F.col("eps"))).alias("ub"))
-    return top.where(F.col("ub") < 100 * (100 - F.col("alpha_pct"))).select("qid", "level", "node")
+    top = rows.groupBy(*asked, "level", "node").agg(F.max(bound_at(F.col("eps"))).alias("ub"))
+    return top.where(F.col("ub") < 100 * (100 - F.col("alpha_pct"))).join(queries.select("qid", *asked), asked).select("qid", "level", "node")
 
 
 def cost_model(index: Index, sigma: int, degree: float) -> list[tuple[str, float]]:

@@ -23,8 +23,6 @@ from .world import FANOUT, World, world
 Q: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 S: dict[str, str] = {}
 EPS, ALPHA = 50.0, 50
-#: Levels of the registered index that have more than one node at every scale factor.
-LEVELS = 2
 
 
 def register(name: str, sql: str | None = None):  # noqa: ANN201
@@ -78,13 +76,7 @@ def _(w: World) -> DataFrame:
     return w.ring.select("cell", "wtype", "slot", "value", "conf_pct", F.unix_micros(F.col("issued").cast("timestamp")).alias("issued_us"))
 
 
-@register("vertex_forecast", f"WITH {oracle.network('uni')}, {oracle.RING} SELECT v, slot, value, coalesce(conf_pct, 0) AS conf_pct FROM vtx LEFT JOIN (SELECT * FROM ring WHERE wtype = 'ANY' AND slot = 8) x ON x.cell = vtx.cell")
-def _(w: World) -> DataFrame:
-    f = w.ring.where("wtype = 'ANY' and slot = 8").select("cell", "slot", "value", "conf_pct")
-    return w.net().vertices.select("v", "cell").join(f, "cell", "left").select("v", "slot", "value", F.coalesce("conf_pct", F.lit(0)).alias("conf_pct"))
-
-
-@register("vertex_forecast_whole")
+@register("vertex_forecast", f"WITH {oracle.network('uni')}, {oracle.RING} SELECT v, CAST(s AS INTEGER) AS slot, value, coalesce(conf_pct, 0) AS conf_pct FROM vtx CROSS JOIN (SELECT unnest(range(24)) AS s) LEFT JOIN (SELECT * FROM ring WHERE wtype = 'ANY') x ON x.cell = vtx.cell AND x.slot = s")
 def _(w: World) -> DataFrame:
     f = w.ring.where("wtype = 'ANY'").select("cell", "slot", "value", "conf_pct")
     slots = w.spark.range(24).select(F.col("id").cast("int").alias("slot"))
@@ -145,37 +137,20 @@ def _slots(w: World, eps: float = EPS) -> DataFrame:
     return pruning.edge_slot_bounds(w.net().edges, w.net().vertices, w.ring, eps)
 
 
-def _all_points(w: World) -> DataFrame:
-    f = F.explode(F.array(*map(F.lit, (0.0, 0.25, 0.5, 0.75, 1.0))))
-    return _slots(w).withColumn("f", f)
-
-
 def _points(w: World) -> DataFrame:
-    return _all_points(w).where("slot = 8")
-
+    return _slots(w).withColumn("f", F.explode(F.array(*map(F.lit, (0.0, 0.25, 0.5, 0.75, 1.0)))))
 
 
 def _ends() -> tuple:
     return F.col("wj"), F.col("pj"), F.col("wk"), F.col("pk")
 
 
-@register("idw_points", f"{_SB} SELECT eid, CAST(f AS DOUBLE) AS f, round((1 - CAST(f AS DOUBLE)) * wj + CAST(f AS DOUBLE) * wk, 6) AS value FROM sb, {_F5} WHERE slot = 8")
-def _(w: World) -> DataFrame:
-    return _points(w).select("eid", "f", F.round(weather.idw(F.col("wj"), F.col("wk"), F.col("f")), 6).alias("value"))
-
-
-@register("idw_points_whole")
-def _(w: World) -> DataFrame:
-    return _all_points(w).select("eid", "slot", "f", F.round(weather.idw(F.col("wj"), F.col("wk"), F.col("f")), 6).alias("value"))
-
-
-@register("world_probs", f"{_SB} SELECT eid, CAST(pj * pk AS BIGINT) AS a, CAST((100 - pj) * pk AS BIGINT) AS b, CAST(pj * (100 - pk) AS BIGINT) AS c, CAST((100 - pj) * (100 - pk) AS BIGINT) AS d FROM sb WHERE slot = 8")
+@register("idw_points", f"{_SB} SELECT eid, slot, CAST(f AS DOUBLE) AS f, round((1 - CAST(f AS DOUBLE)) * wj + CAST(f AS DOUBLE) * wk, 6) AS value FROM sb, {_F5}")
 def _(w: World) -> DataFrame:
-    x = _slots(w).where("slot = 8").select("eid", weather.worlds(*_ends(), F.lit(0.5)).alias("x"))
-    return x.select("eid", *[F.get("x", F.lit(i))["prob"].alias(n) for i, n in enumerate("abcd")])
+    return _points(w).select("eid", "slot", "f", F.round(weather.idw(F.col("wj"), F.col("wk"), F.col("f")), 6).alias("value"))
 
 
-@register("world_probs_whole")
+@register("world_probs", f"{_SB} SELECT eid, slot, CAST(pj * pk AS BIGINT) AS a, CAST((100 - pj) * pk AS BIGINT) AS b, CAST(pj * (100 - pk) AS BIGINT) AS c, CAST((100 - pj) * (100 - pk) AS BIGINT) AS d FROM sb")
 def _(w: World) -> DataFrame:
     x = _slots(w).select("eid", "slot", weather.worlds(*_ends(), F.lit(0.5)).alias("x"))
     return x.select("eid", "slot", *[F.get("x", F.lit(i))["prob"].alias(n) for i, n in enumerate("abcd")])
@@ -184,16 +159,10 @@ def _(w: World) -> DataFrame:
 _X = "CASE WHEN (1 - f) * wj + f * wk > 50 THEN pj * pk ELSE 0 END + CASE WHEN wk > 50 THEN (100 - pj) * pk ELSE 0 END + CASE WHEN wj > 50 THEN pj * (100 - pk) ELSE 0 END"
 
 
-@register("point_exceed_prob", f"{_SB}, p AS (SELECT eid, wj, pj, wk, pk, CAST(f AS DOUBLE) AS f FROM sb, {_F5} WHERE slot = 8) SELECT eid, f, CAST({_X} AS DOUBLE) AS optimistic, CAST({_X} + (100 - pj) * (100 - pk) AS DOUBLE) AS pessimistic, {_X} + (100 - pj) * (100 - pk) * CAST(0.25 AS DOUBLE) AS prior FROM p")
-def _(w: World) -> DataFrame:
-    p = lambda u: weather.p_exceeds(*_ends(), F.col("f"), F.lit(EPS), u).cast("double")
-    return _points(w).select("eid", "f", p(0.0).alias("optimistic"), p(1.0).alias("pessimistic"), p(0.25).alias("prior"))
-
-
-@register("point_exceed_prob_whole")
+@register("point_exceed_prob", f"{_SB}, p AS (SELECT eid, slot, wj, pj, wk, pk, CAST(f AS DOUBLE) AS f FROM sb, {_F5}) SELECT eid, slot, f, CAST({_X} AS DOUBLE) AS optimistic, CAST({_X} + (100 - pj) * (100 - pk) AS DOUBLE) AS pessimistic, {_X} + (100 - pj) * (100 - pk) * CAST(0.25 AS DOUBLE) AS prior FROM p")
 def _(w: World) -> DataFrame:
     p = lambda u: weather.p_exceeds(*_ends(), F.col("f"), F.lit(EPS), u).cast("double")
-    return _all_points(w).select("eid", "slot", "f", p(0.0).alias("optimistic"), p(1.0).alias("pessimistic"), p(0.25).alias("prior"))
+    return _points(w).select("eid", "slot", "f", p(0.0).alias("optimistic"), p(1.0).alias("pessimistic"), p(0.25).alias("prior"))
 
 
 @register("edge_ub_cases", f"{_SB} SELECT slot, {oracle.case_of('50')} AS kind, count(*) AS n, CAST(sum({oracle.ub('50')}) AS BIGINT) AS ub FROM sb GROUP BY 1, 2")
@@ -201,12 +170,7 @@ def _(w: World) -> DataFrame:
     return _slots(w).groupBy("slot", weather.ub_case(F.col("wj"), F.col("wk"), F.lit(EPS)).alias("kind")).agg(F.count(F.lit(1)).alias("n"), F.sum("ub").alias("ub"))
 
 
-@register("edge_weather_range", f"{_SB} SELECT eid, slot, least(wj, wk) AS lb_val, greatest(wj, wk) AS ub_val FROM sb WHERE slot < 6")
-def _(w: World) -> DataFrame:
-    return _slots(w).where("slot < 6").select("eid", "slot", "lb_val", "ub_val")
-
-
-@register("edge_weather_range_whole")
+@register("edge_weather_range", f"{_SB} SELECT eid, slot, least(wj, wk) AS lb_val, greatest(wj, wk) AS ub_val FROM sb")
 def _(w: World) -> DataFrame:
     return _slots(w).select("eid", "slot", "lb_val", "ub_val")
 
@@ -250,21 +214,11 @@ def _(w: World) -> DataFrame:
     return w.piv().select("v", F.explode(at).alias("x")).select("x.src", "v", "x.dist")
 
 
-_SAMPLE = "v % 97 = 0"
-
-
-def _lb_pairs(p: DataFrame) -> DataFrame:
-    return p.toDF("u", "pu").join(p.toDF("v", "pv"), F.col("u") < F.col("v")).select("u", "v", bounds.lb_dist(F.col("pu"), F.col("pv")).alias("lb"))
-
-
-@register("pivot_lb_pairs", f"{_PV}, s AS (SELECT * FROM sp WHERE {_SAMPLE}) SELECT x.v AS u, y.v AS v, max(abs(x.dist - y.dist)) AS lb FROM s x JOIN s y ON x.src = y.src AND x.v < y.v GROUP BY 1, 2")
-def _(w: World) -> DataFrame:
-    return _lb_pairs(w.piv().where(_SAMPLE))
-
-
-@register("pivot_lb_pairs_whole")
+@register("pivot_lb_pairs", f"{_PV}, {oracle.query_set()} SELECT q.qid, y.v, max(abs(x.dist - y.dist)) AS lb FROM q JOIN sp x ON x.v = q.src JOIN sp y ON x.src = y.src GROUP BY 1, 2")
 def _(w: World) -> DataFrame:
-    return _lb_pairs(w.piv())
+    """The bound from the source of every query to every vertex."""
+    q = w.queries().select("qid", F.col("src").alias("u")).join(w.piv().toDF("u", "pu"), "u")
+    return w.piv().join(F.broadcast(q)).select("qid", "v", bounds.lb_dist(F.col("pu"), F.col("piv")).alias("lb"))
 
 
 def _quality_sql(ds: tuple) -> str:
@@ -323,22 +277,22 @@ def _(w: World) -> DataFrame:
 
 # --- index ------------------------------------------------------------------------------------------------------
 
-_IX = f"WITH RECURSIVE {oracle.network('uni')}, {oracle.RING}, {oracle.query_set()}, {oracle.index(FANOUT, LEVELS)}"
+_IX = f"WITH RECURSIVE {oracle.network('uni')}, {oracle.RING}, {oracle.query_set()}, {oracle.index(FANOUT)}"
 
 
 @register("idx_nodes", f"{_IX} SELECT level, node, parent, xmin, ymin, xmax, ymax, n_edges FROM nod")
 def _(w: World) -> DataFrame:
-    return w.index().nodes.where(F.col("level") <= LEVELS).select("level", "node", "parent", "xmin", "ymin", "xmax", "ymax", "n_edges")
+    return w.index().nodes.select("level", "node", "parent", "xmin", "ymin", "xmax", "ymax", "n_edges")
 
 
 @register("idx_time", f"{_IX} SELECT level, node, lb_t, ub_t FROM nod")
 def _(w: World) -> DataFrame:
-    return w.index().nodes.where(F.col("level") <= LEVELS).select("level", "node", "lb_t", "ub_t")
+    return w.index().nodes.select("level", "node", "lb_t", "ub_t")
 
 
 @register("idx_kw", f"{_IX} SELECT level, node, kw_and, kw_or FROM nod")
 def _(w: World) -> DataFrame:
-    return w.index().nodes.where(F.col("level") <= LEVELS).select("level", "node", "kw_and", "kw_or")
+    return w.index().nodes.select("level", "node", "kw_and", "kw_or")
 
 
 
@@ -351,19 +305,19 @@ def _node_weather(base: str, fanout: int) -> str:
 
 #: Nodes of two edges, so that some are pruned at every scale factor.
 _PAIRS = 2
-_IX2 = f"WITH RECURSIVE {oracle.network('uni')}, {oracle.RING}, {oracle.query_set()}, {oracle.index(_PAIRS, LEVELS)}"
+_IX2 = f"WITH RECURSIVE {oracle.network('uni')}, {oracle.RING}, {oracle.query_set()}, {oracle.index(_PAIRS)}"
 _IW = _node_weather(_IX, FANOUT)
 
 
 @register("idx_weather", f"{_IW} SELECT level, node, slot, lb_val, ub_val, ub_case3, u30, u50, u90 FROM iw")
 def _(w: World) -> DataFrame:
-    x = w.index().weather.where(F.col("level") <= LEVELS)
+    x = w.index().weather
     return x.select("level", "node", "slot", "lb_val", "ub_val", "ub_case3", *[F.element_at("ub_by_eps", F.lit(e)).alias(f"u{e}") for e in (30, 50, 90)])
 
 
 @register("idx_links", f"{_IX}, en AS (SELECT DISTINCT CAST(level AS INTEGER) AS level, v, pos // CAST({FANOUT} ** level AS BIGINT) AS n FROM (SELECT a AS v, pos FROM pos UNION ALL SELECT b, pos FROM pos), lvl) SELECT DISTINCT x.level, x.n AS n1, y.n AS n2 FROM en x JOIN en y ON x.level = y.level AND x.v = y.v")
 def _(w: World) -> DataFrame:
-    return w.index().links.where(F.col("level") <= LEVELS)
+    return w.index().links
 
 
 @register("idx_lookup", f"{_IX} SELECT eid, pos, pos // {FANOUT} AS leaf FROM pos")
@@ -371,23 +325,6 @@ def _(w: World) -> DataFrame:
     return w.index().lookup.select("eid", "pos", "leaf")
 
 
-for _name, _columns in {"nodes": ("parent", "xmin", "ymin", "xmax", "ymax", "n_edges"), "time": ("lb_t", "ub_t"), "kw": ("kw_and", "kw_or")}.items():
-
-    @register(f"idx_{_name}_whole")
-    def _(w: World, columns: tuple = _columns) -> DataFrame:
-        return w.index().nodes.select("level", "node", *columns)
-
-
-@register("idx_weather_whole")
-def _(w: World) -> DataFrame:
-    return w.index().weather.select("level", "node", "slot", "lb_val", "ub_val", "ub_case3", *[F.element_at("ub_by_eps", F.lit(e)).alias(f"u{e}") for e in ix.EPS_GRID])
-
-
-@register("idx_links_whole")
-def _(w: World) -> DataFrame:
-    return w.index().links
-
-
 @register("idx_str_packing")
 def _(w: World) -> DataFrame:
     i = ix.build_index(w.net("gau"), None, FANOUT, "str")
@@ -395,21 +332,11 @@ def _(w: World) -> DataFrame:
 
 
 @register("nodes_kw_pruned", f"{_IX2} SELECT qid, level, node FROM nod, (SELECT qid, list_aggregate(list_transform(s, lambda k: CAST(1 AS BIGINT) << k), 'bit_or') AS sb FROM q) x WHERE kw_and & sb <> 0")
-def _(w: World) -> DataFrame:
-    return ix.node_prune_keyword(w.index("uni", _PAIRS).nodes.where(F.col("level") <= LEVELS), w.queries())
-
-
-@register("nodes_kw_pruned_whole")
 def _(w: World) -> DataFrame:
     return ix.node_prune_keyword(w.index("uni", _PAIRS).nodes, w.queries())
 
 
 @register("nodes_weather_pruned", f"{_node_weather(_IX2, _PAIRS)} SELECT qid, level, node FROM iw, q WHERE (slot - dep_min // 60 + 48) % 24 <= (dep_min + 60) // 60 - dep_min // 60 GROUP BY qid, level, node, alpha_pct HAVING max(CASE WHEN ub_val <= eps THEN 10000 WHEN lb_val > eps THEN ub_case3 ELSE u50 END) < 100 * (100 - alpha_pct)")
-def _(w: World) -> DataFrame:
-    return ix.node_prune_weather(w.index("uni", _PAIRS).weather.where(F.col("level") <= LEVELS), w.queries(), 60)
-
-
-@register("nodes_weather_pruned_whole")
 def _(w: World) -> DataFrame:
     return ix.node_prune_weather(w.index("uni", _PAIRS).weather, w.queries(), 60)
 
@@ -423,7 +350,7 @@ def brief(answers: DataFrame) -> DataFrame:
 
 def _index_answers(w: World, kind: str = "uni", options: RouteOptions = RouteOptions(), **q) -> DataFrame:
     key = ("answers", kind, options.use_keyword, options.use_weather, options.use_time, options.key, *sorted(q.items()))
-    return w._once(key, lambda: stored(router.route_index(w.queries(kind, **q), w.net(kind), w.index(kind), w.ring, options, w.piv(kind))))
+    return w._once(key, lambda: stored(router.route_index(w.queries(kind, **q), w.net(kind), w.index(kind), w.ring, options)))
 
 
 @register("entry_routes", oracle.routes(sigma=3))
@@ -451,6 +378,26 @@ def _(w: World) -> DataFrame:
     return brief(_index_answers(w, "sparse"))
 
 
+@register("route_index_paths", oracle.routes())
+def _(w: World) -> DataFrame:
+    return brief(router.route_index_paths(w.queries(), w.net(), w.index(), w.ring, RouteOptions(), w.piv()))
+
+
+@register("route_index_bounded", oracle.routes())
+def _(w: World) -> DataFrame:
+    """With the minutes of a greedy answer, where there is one, as the limit of the descent."""
+    best = stored(router.greedy_route(w.queries(), w.net(), w.ring, RouteOptions(), w.piv())).withColumnRenamed("ub_min", "lam")
+    return brief(router.route_index(w.queries(), w.net(), w.index(), w.ring, RouteOptions(), best))
+
+
+@register("route_types")
+def _(w: World) -> DataFrame:
+    """One batch with queries of several types; the index keeps two of them."""
+    kinds = F.array(*map(F.lit, ("ANY", "click", "view", "purchase")))
+    q = w.queries().withColumn("wtype", F.get(kinds, F.col("qid") % 4))
+    return router.route_index(q, w.net(), w.index("uni", wtypes=("ANY", "click")), w.ring).join(q.select("qid", "wtype"), "qid").select("qid", "wtype", "answered", "total_min")
+
+
 @register("route_no_index", oracle.routes())
 def _(w: World) -> DataFrame:
     return brief(baselines.route_astar(w.queries(), w.net(), w.ring, RouteOptions(use_index=False), "pivot", w.piv()))
@@ -479,22 +426,13 @@ def _(w: World) -> DataFrame:
 
 @register("route_bfs", oracle.routes(horizon=40, sigma=3))
 def _(w: World) -> DataFrame:
+    """Without any bound, over near destinations; ``route_rounds_beam`` has the usual ones."""
     return baselines.route_bfs(w.queries(sigma=3), w.net(), w.ring, RouteOptions(horizon_min=40))
 
 
-@register("route_rounds_beam", oracle.routes(horizon=40, sigma=3))
-def _(w: World) -> DataFrame:
-    return search.search_in_rounds(w.queries(sigma=3), w.net(), w.ring, RouteOptions(horizon_min=40, batch_width=64), w.piv())[0]
-
-
-@register("route_bfs_whole", oracle.routes())
-def _(w: World) -> DataFrame:
-    return baselines.route_bfs(w.queries(), w.net(), w.ring)
-
-
-@register("route_rounds_beam_whole", oracle.routes())
+@register("route_rounds_beam", oracle.routes(horizon=60, sigma=5))
 def _(w: World) -> DataFrame:
-    return search.search_in_rounds(w.queries(), w.net(), w.ring, RouteOptions(batch_width=64), w.piv())[0]
+    return search.search_in_rounds(w.queries(sigma=5), w.net(), w.ring, RouteOptions(horizon_min=60, batch_width=256), w.piv())[0]
 
 
 @register("route_plain", f"WITH RECURSIVE {oracle.network('uni')}, {oracle.query_set()}, {oracle.sssp('SELECT DISTINCT src FROM q', 'w_min')} SELECT q.qid, sp.dist AS total_min FROM q JOIN sp ON sp.src = q.src AND sp.v = q.dst")
@@ -543,27 +481,32 @@ def _(w: World) -> DataFrame:
 # --- measures ---------------------------------------------------------------------------------------------------
 
 
-def metrics_of(w: World, kind: str = "uni", options: RouteOptions = RouteOptions(), methods: tuple = ("index", "astar", "filter_first"), **q) -> list[tuple]:
-    """(method, seconds, then sums over the queries of labels, page reads, node reads, and maxima of queue and heap)."""
+def metrics_of(w: World, kind: str = "uni", options: RouteOptions = RouteOptions(), methods: tuple = ("index", "astar_pivot", "astar", "filter_first"), d: int = 5, **q) -> list[tuple]:
+    """(method, net, wall-clock seconds, then sums over the queries, and maxima of queue and heap).
+
+    labels: taken from the heap; settled: vertices of the search back from the destination; reads: leaf pages for each
+    vertex looked at, and inner nodes; pages: the same with a page counted once a query. All methods read the index's pages."""
     out = []
-    net, ring, ask, piv, index = w.net(kind), w.ring, w.queries(kind, **q), w.piv(kind), w.index(kind)
+    net, ring, ask, piv, index = w.net(kind), w.ring, w.queries(kind, **q), w.piv(kind, d), w.index(kind, d=d)
     run = {
-        "index": lambda: router.route_index(ask, net, index, ring, options, piv),
-        "astar": lambda: baselines.route_astar(ask, net, ring, options, "zero"),
-        "filter_first": lambda: baselines.route_filter_first(ask, net, ring, options),
+        "index": lambda: router.route_index(ask, net, index, ring, options),
+        "index_paths": lambda: router.route_index_paths(ask, net, index, ring, options, piv),
+        "astar": lambda: baselines.route_astar(ask, net, ring, options, "zero", pages=index.lookup),
+        "astar_pivot": lambda: baselines.route_astar(ask, net, ring, options, "pivot", piv, index.lookup),
+        "filter_first": lambda: baselines.route_filter_first(ask, net, ring, options, index.lookup),
     }
     for m in methods:
         began = time.time()
         d = run[m]()
         for c in ("node_reads", "max_queue"):
             d = d if c in d.columns else d.withColumn(c, F.lit(0).cast("long"))
-        agg = [F.sum(F.coalesce(c, F.lit(0))).alias(c) for c in ("labels", "page_reads", "node_reads", "pruned_kw", "pruned_weather", "pruned_time")]
+        agg = [F.sum(F.coalesce(c, F.lit(0))).alias(c) for c in ("labels", "settled", "page_reads", "page_reads_distinct", "node_reads", "pruned_kw", "pruned_weather", "pruned_time")]
         r = d.agg(F.count_if("answered").alias("answered"), F.count(F.lit(1)).alias("n"), *agg, F.max("max_heap").alias("max_heap"), F.max("max_queue").alias("max_queue")).first()
-        out.append((m, kind, time.time() - began, r["n"], r["answered"], r["labels"] or 0, (r["page_reads"] or 0) + (r["node_reads"] or 0), r["node_reads"] or 0, r["pruned_kw"] or 0, r["pruned_weather"] or 0, r["pruned_time"] or 0, r["max_heap"] or 0, r["max_queue"] or 0))
+        out.append((m, kind, time.time() - began, r["n"], r["answered"], r["labels"] or 0, r["settled"] or 0, (r["page_reads"] or 0) + (r["node_reads"] or 0), (r["page_reads_distinct"] or 0) + (r["node_reads"] or 0), r["node_reads"] or 0, r["pruned_kw"] or 0, r["pruned_weather"] or 0, r["pruned_time"] or 0, r["max_heap"] or 0, r["max_queue"] or 0))
     return out
 
 
-METRICS = "method string, net string, seconds double, n long, answered long, labels long, reads long, node_reads long, pruned_kw long, pruned_weather long, pruned_time long, max_heap long, max_queue long"
+METRICS = "method string, net string, seconds double, n long, answered long, labels long, settled long, reads long, pages long, node_reads long, pruned_kw long, pruned_weather long, pruned_time long, max_heap long, max_queue long"
 
 
 @register("router_metrics")
@@ -579,11 +522,11 @@ def _(w: World) -> DataFrame:
 @register("prune_ablation")
 def _(w: World) -> DataFrame:
     out = []
-    for name, o in (("all", {}), ("no_time", {"use_time": False}), ("no_index", None)):
+    for name, o in (("all", {}), ("no_time", {"use_time": False}), ("no_keyword", {"use_keyword": False}), ("no_weather", {"use_weather": False}), ("no_index", None)):
         if o is None:
             d = baselines.route_astar(w.queries(), w.net(), w.ring, RouteOptions(), "pivot", w.piv())
         else:
-            d = router.route_index(w.queries(), w.net(), w.index(), w.ring, replace(RouteOptions(), **o), w.piv())
+            d = router.route_index(w.queries(), w.net(), w.index(), w.ring, replace(RouteOptions(), **o))
         r = d.agg(F.sum("labels").alias("labels"), F.sum("pruned_kw").alias("k"), F.sum("pruned_weather").alias("w"), F.sum("pruned_time").alias("t"), F.count_if("answered").alias("a")).first()
         out.append((name, r["labels"], r["k"], r["w"], r["t"], r["a"]))
     return rows(w, out, "setting string, labels long, pruned_kw long, pruned_weather long, pruned_time long, answered long")
@@ -606,9 +549,17 @@ def _(w: World) -> DataFrame:
 
 @register("index_space")
 def _(w: World) -> DataFrame:
-    i, d = w.index(), 5
-    data = [("nodes", i.nodes.count(), 11 * 8), ("links", i.links.count(), 20), ("lookup", i.lookup.count(), 24), ("weather", i.weather.count(), 32 + 12 * len(ix.EPS_GRID)), ("pivots", w.piv().count(), 8 * (d + 1)), ("ring", w.ring.count(), 40)]
-    return rows(w, [(a, b, b * c) for a, b, c in data], "part string, n_rows long, bytes long")
+    i = w.index()
+    data = {"nodes": i.nodes, "links": i.links, "lookup": i.lookup, "weather": i.weather, "weather by slot": i.by_slot, "pages": i.pages, "pivot ranges": i.ranges, "pivots": w.piv(), "ring": w.ring, "bitmaps": stored(i.nodes.select("kw_and", "kw_or"))}
+    return rows(w, [(a, d.count(), stored_bytes(d)) for a, d in data.items()], "part string, n_rows long, bytes long")
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes of the files that a written table is read from."""
+    spark = df.sparkSession.sparkContext
+    path = spark._jvm.org.apache.hadoop.fs.Path
+    at = [path(x) for x in df.inputFiles()]
+    return sum(p.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(p).getLen() for p in at)
 
 
 @register("index_build_update")
@@ -618,13 +569,28 @@ def _(w: World) -> DataFrame:
     out = []
     for kind in networks.KINDS:
         t = time.time()
-        i = ix.build_index(w.net(kind), w.ring, FANOUT)
+        i = ix.build_index(w.net(kind), w.ring, FANOUT, piv=w.piv(kind))
         built = time.time() - t
         t = time.time()
-        one = w.ring.where("wtype = 'ANY' and slot = 8 and cell = 7")
-        apply_forecasts(one, w.ring, w.net(kind), i).count()
-        out.append((kind, w.net(kind).vertices.count(), w.net(kind).edges.count(), built, time.time() - t))
-    return rows(w, out, "net string, vertices long, edges long, build_s double, update_s double")
+        changed = apply_forecasts(next_hour(w), w.ring, w.net(kind), i).groupBy("level").count().collect()
+        out.append((kind, w.net(kind).vertices.count(), w.net(kind).edges.count(), built, time.time() - t, sum(r["count"] for r in changed), max((r["level"] for r in changed), default=0)))
+    return rows(w, out, "net string, vertices long, edges long, build_s double, update_s double, changed long, top_level int")
+
+
+def next_hour(w: World, slot: int = 8) -> DataFrame:
+    """A new hour for all stations: the forecasts of the slot before, a day later."""
+    new = w.ring.where((F.col("wtype") == "ANY") & (F.col("slot") == slot - 1))
+    return new.withColumns({"slot": F.lit(slot), "issued": F.expr("issued + interval 40 days"), "event_id": F.col("event_id") + 10**12})
+
+
+@register("edge_update")
+def _(w: World) -> DataFrame:
+    """New minutes and no keywords on all roads of one station: the index nodes that change."""
+    from ..streaming.ring import apply_edge_attributes
+
+    at = w.net().vertices.where("cell = 7").select(F.col("v").alias("a"))
+    new = w.net().edges.join(at, "a", "left_semi").select("eid", (F.col("w_min") + 5).alias("w_min"), F.array().cast("array<int>").alias("kw"))
+    return apply_edge_attributes(new, w.net(), w.index())
 
 
 # --- sweeps -----------------------------------------------------------------------------------------------------
@@ -632,57 +598,98 @@ def _(w: World) -> DataFrame:
 SWEEPS = {
     "alpha": [(a, {"alpha_pct": a}) for a in (10, 30, 50, 70, 90)],
     "eps": [(e, {"eps": float(e)}) for e in (20, 30, 50, 70, 90)],
-    "sigma": [(s, {"sigma": s}) for s in (5, 8, 10, 15, 20)],
+    "sigma": [(s, {"sigma": s}) for s in (5, 10, 15, 20, 25, 30)],
     "s": [(s, {"s_size": s}) for s in (1, 3, 5, 8, 10)],
 }
 
 
-def sweep_queries(w: World, sets: list[tuple]) -> DataFrame:
+def sweep_queries(w: World, sets: list[tuple], kind: str = "uni") -> DataFrame:
     """Several query sets as one batch: numbers from 1000 * i, and the parameter."""
     out = None
     for i, (p, o) in enumerate(sets):
-        part = w.queries(**o).withColumns({"qid": F.col("qid") + 1000 * i, "param": F.lit(p)})
+        part = w.queries(kind, **o).withColumns({"qid": F.col("qid") + 1000 * i, "param": F.lit(p)})
         out = part if out is None else out.unionByName(part)
     return stored(out)
 
 
-def sweep_answers(w: World, sets: list[tuple]) -> DataFrame:
-    ask = sweep_queries(w, sets)
-    d = baselines.route_astar(ask.drop("param"), w.net(), w.ring, RouteOptions(), "pivot", w.piv())
+def sweep_answers(w: World, sets: list[tuple], kind: str = "uni") -> DataFrame:
+    ask = sweep_queries(w, sets, kind)
+    d = router.route_index(ask.drop("param"), w.net(kind), w.index(kind), w.ring)
     return d.join(ask.select("qid", "param"), "qid").select("param", (F.col("qid") % 1000).cast("int").alias("qid"), "total_min")
 
 
+COSTS = f"param int, {METRICS}"
+
+
+def costs(w: World, settings: list[tuple]) -> DataFrame:
+    """Labels, reads and seconds of the index method for each setting (param, net, options), built beforehand."""
+    out = []
+    for param, kind, o in settings:
+        w.queries(kind, **{k: v for k, v in o.items() if k != "d"}), w.index(kind, d=o.get("d", 5))
+        out.append((param, *metrics_of(w, kind, methods=("index",), **o)[0]))
+    return rows(w, out, COSTS)
+
+
+NETS = ("uni", "gau")
 for _name, _sets in SWEEPS.items():
     _o = [(p, {("alpha" if k == "alpha_pct" else k): v for k, v in o.items()}) for p, o in _sets]
+    for _kind in NETS:
+
+        @register(f"sweep_{_name}" + ("" if _kind == "uni" else f"_{_kind}"), oracle.sweep(_o, kind=_kind))
+        def _(w: World, sets: list = _sets, kind: str = _kind) -> DataFrame:
+            return sweep_answers(w, sets, kind)
 
-    @register(f"sweep_{_name}", oracle.sweep(_o))
+    @register(f"sweep_{_name}_costs")
     def _(w: World, sets: list = _sets) -> DataFrame:
-        return sweep_answers(w, sets)
+        return costs(w, [(p, kind, o) for kind in NETS for p, o in sets])
+
+
+PIVOTS = (2, 5, 8, 10, 15)
 
 
-@register("sweep_d", oracle.sweep([(d, {}) for d in (2, 5, 8)]))
+@register("sweep_d", oracle.sweep([(d, {}) for d in PIVOTS]))
 def _(w: World) -> DataFrame:
     out = None
-    for d in (2, 5, 8):
-        part = baselines.route_astar(w.queries(), w.net(), w.ring, RouteOptions(), "pivot", w.piv("uni", d)).select(F.lit(d).alias("param"), "qid", "total_min")
+    for d in PIVOTS:
+        part = router.route_index(w.queries(), w.net(), w.index(d=d), w.ring).select(F.lit(d).alias("param"), "qid", "total_min")
         out = part if out is None else out.unionAll(part)
     return out
 
 
 @register("sweep_d_costs")
 def _(w: World) -> DataFrame:
-    out = []
-    for d in (2, 5, 8):
-        r = baselines.route_astar(w.queries(), w.net(), w.ring, RouteOptions(), "pivot", w.piv("uni", d)).agg(F.sum("labels").alias("labels"), F.sum("page_reads").alias("reads")).first()
-        out.append((d, r["labels"], r["reads"]))
-    return rows(w, out, "d int, labels long, reads long")
+    return costs(w, [(d, kind, {"d": d}) for kind in NETS for d in PIVOTS])
+
+
+#: Quarters of a table's vertices, for networks of several sizes.
+QUARTERS = (1, 2, 3, 4)
+for _kind in NETS:
+    for _n in QUARTERS:
+
+        @register(f"sweep_v_{_kind}_{_n}", oracle.routes(_kind, quarters=_n).replace("SELECT q.qid, opt.total_min IS NOT NULL AS answered", "SELECT (SELECT count(*) FROM vtx) AS n, q.qid, opt.total_min IS NOT NULL AS answered"))
+        def _(w: World, kind: str = _kind, quarters: int = _n) -> DataFrame:
+            kind = kind if quarters == 4 else f"{kind}/{quarters}"
+            return brief(_index_answers(w, kind)).select(F.lit(w.net(kind).vertices.count()).cast("long").alias("n"), "qid", "answered", "total_min")
+
+
+@register("sweep_v_costs")
+def _(w: World) -> DataFrame:
+    """Costs, and queue and heap maxima, against the number of vertices (the parameter)."""
+    kinds = [*(kind if n == 4 else f"{kind}/{n}" for kind in NETS for n in QUARTERS), "sparse"]
+    return costs(w, [(w.net(kind).vertices.count(), kind, {}) for kind in kinds])
+
+
+@register("sweep_edges_costs")
+def _(w: World) -> DataFrame:
+    """Fewer and fewer cross links: the number of edges is the parameter."""
+    kinds = [f"uni+{k}" for k in (2, 4, 8, 16, 32)]
+    return costs(w, [(w.net(kind).edges.count(), kind, {}) for kind in kinds])
 
 
-@register("sweep_v", oracle.routes("sparse").replace("SELECT q.qid, opt.total_min IS NOT NULL AS answered", "SELECT (SELECT count(*) FROM vtx) AS n, q.qid, opt.total_min IS NOT NULL AS answered"))
+@register("sweep_skew_costs")
 def _(w: World) -> DataFrame:
-    net = w.net("sparse")
-    n = net.vertices.count()
-    return brief(baselines.route_astar(w.queries("sparse"), net, w.ring, RouteOptions(), "pivot", w.piv("sparse"))).select(F.lit(n).cast("long").alias("n"), "qid", "answered", "total_min")
+    """Even and skewed vertices and keywords: 0 uni, 1 gau, 2 uni and 3 gau with skewed keywords."""
+    return costs(w, [(i, kind, {}) for i, kind in enumerate(("uni", "gau", "uni*", "gau*"))])
 
 
 @register("queue_heap_maxima")

@@ -1,6 +1,8 @@
-"""The index-guided router: descent over node paths, walk prefixes, best-first growth, refinement.
+"""The index-guided router, and its form by node paths.
 
-A node path stands for walks whose i-th edge lies in its i-th node. The descent starts with the pair of
+``route_index`` goes down the index once for the whole batch and searches over the arcs of the leaf pages that are left.
+
+``route_index_paths`` follows node paths: one stands for walks whose i-th edge lies in its i-th node. That descent starts with the pair of
 the root, goes down level by level (each entry replaced by linked children, one linked entry appended), and
 prunes entries by keywords, weather and time. Paths that reach a node with an edge at the destination also
 stay unextended, so that near destinations are not overshot. At the edge level, walks are followed head to
@@ -8,19 +10,21 @@ tail through the surviving node paths; what arrives is a candidate, the rest see
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.bounds import lb_dist, lb_time
 from ..functions.keywords import bitmap, keyword_blocked
 from ..functions.weather import trip_blocked
+from ..operators.pruning import prune_time
 from ..operators.storage import stored
 from ..schema import RouteOptions
 from ..sources.forecasts import station_arrays, with_weather
 from ..sources.networks import Network
 from . import search
-from .index import Index, node_prune_weather
+from .index import Index, bound_at
 
 METRICS = ["qid", "node_reads", "node_reads_distinct", "max_queue"]
 
@@ -37,23 +41,78 @@ def bind_queries(queries: DataFrame) -> DataFrame:
     return queries.withColumn("s_bits", F.get(bitmap(F.col("s")), F.lit(0)))
 
 
-def usable_nodes(index: Index, queries: DataFrame, options: RouteOptions) -> DataFrame:
-    """qid, level, node, lb_t of nodes that no prune rules out for the query."""
-    q = bind_queries(queries).select("qid", "s_bits")
-    nodes = index.nodes.select("level", "node", "lb_t", "kw_and").join(F.broadcast(q))
-    if options.use_keyword:
-        nodes = nodes.where(F.col("kw_and").bitwiseAND(F.col("s_bits")) == 0)
-    nodes = nodes.select("qid", "level", "node", "lb_t")
-    if options.use_weather and index.weather is not None:
-        nodes = nodes.join(node_prune_weather(index.weather, queries, options.horizon_min), ["qid", "level", "node"], "left_anti")
-    return nodes
+def reachable_nodes(queries: DataFrame, index: Index, options: RouteOptions, best: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """(qid, level, node, lb_t of the nodes that no prune rules out; qid and counters of the descent).
+
+    From the root down, a level's nodes meet the surviving queries of their parents by an equi-join; no query meets
+    a node whose parent is out. Out go nodes whose edges all carry a keyword of the query, whose bound on the
+    weather is too low in every slot that the trip can touch, and that no way within the horizon can touch, nor within
+    ``best`` (qid, lam: minutes of a known answer): bound from the source, the shortest edge, bound to the destination."""
+    q = bind_queries(queries).select("qid", "src", "dst", "dep_min", "wtype", "eps", "alpha_pct", "s_bits")
+    timed = options.use_time and index.ranges is not None
+    if timed:
+        q = q.join(index.pivots.toDF("src", "src_piv"), "src").join(index.pivots.toDF("dst", "dst_piv"), "dst")
+    rows = index.nodes.select("level", "node", "parent", "lb_t", "kw_and")
+    if timed:
+        rows = rows.join(index.ranges, ["level", "node"])
+    wet = options.use_weather and index.by_slot is not None
+
+    def gap(at: str) -> Column:
+        """Minutes at top speed from a vertex to any end of the node's edges, at least."""
+        part = F.zip_with(F.col(at), F.zip_with("piv_lo", "piv_hi", lambda a, b: F.struct(a.alias("a"), b.alias("b"))), lambda p, r: F.greatest(r["a"] - p, p - r["b"], F.lit(0).cast("long")))
+        return lb_time(F.array_max(part), F.lit(index.vmax))
+
+    first, last = F.floor(F.col("dep_min") / 60), F.floor((F.col("dep_min") + options.horizon_min) / 60)
+    some_slot = F.exists(F.sequence(first, F.least(last, first + 23)), lambda s: F.coalesce(bound_at(F.col("eps"), F.element_at("slots", F.pmod(s, F.lit(24)).cast("int"))) >= 100 * (100 - F.col("alpha_pct")), F.lit(True)))
+    above, out, reads = q.withColumn("parent", F.lit(0).cast("long")), None, None
+    for level in range(index.height, 0, -1):
+        own = rows.where(F.col("level") == level).drop("level")
+        here = above.join(own, "parent")
+        touched = here.groupBy("qid").agg(F.count(F.lit(1)).alias("entries"))
+        if options.use_keyword:
+            here = here.where(F.col("kw_and").bitwiseAND(F.col("s_bits")) == 0)
+        if timed:
+            here = here.withColumn("lb", gap("src_piv") + F.col("lb_t") + gap("dst_piv")).where(F.col("lb") <= options.horizon_min)
+            if best is not None:
+                here = prune_time(here, best)
+        if wet:
+            slots = index.by_slot.where(F.col("level") == level).drop("level")
+            here = here.join(slots, ["wtype", "node"], "left").where(F.col("slots").isNull() | some_slot)
+        here = stored(here.select(*q.columns, "node", "lb_t"))
+        opened = here.groupBy("qid").agg(F.count(F.lit(1)).alias("n"))
+        # a surviving inner node is a page that is read for the entries of its children; leaf pages count in the search
+        now = touched.join(opened, "qid", "left").select("qid", F.when(F.lit(level > 1), F.coalesce("n", F.lit(0))).otherwise(0).cast("long").alias("nodes"), "entries", F.coalesce("n", F.lit(0)).alias("queue"))
+        reads = now if reads is None else reads.unionAll(now)
+        kept = here.select("qid", F.lit(level).alias("level"), "node", "lb_t")
+        out = kept if out is None else out.unionAll(kept)
+        above = here.drop("lb_t").withColumnRenamed("node", "parent")
+    counters = reads.groupBy("qid").agg(F.sum("nodes").alias("node_reads"), F.sum("entries").alias("node_reads_distinct"), F.max("queue").alias("max_queue"))
+    return out, counters
+
+
+def page_bounds(queries: DataFrame, index: Index, leaves: DataFrame, options: RouteOptions, best: DataFrame | None = None) -> DataFrame:
+    """``search.bound_arcs`` from the surviving leaf pages alone."""
+    q = queries.select("qid", "src", "dst", "wtype", "s")
+    arcs = leaves.join(index.pages, "leaf").join(q, "qid")
+    h, g = F.lit(0).cast("long"), F.lit(0.0)
+    if index.pivots is not None:
+        arcs = arcs.join(index.pivots.toDF("src", "src_piv"), "src").join(index.pivots.toDF("dst", "dst_piv"), "dst")
+        h = lb_time(lb_dist(F.col("head_piv"), F.col("dst_piv")), F.lit(index.vmax))
+        g = (60 * lb_dist(F.col("src_piv"), F.col("tail_piv")) / F.lit(index.vmax)).cast("double")
+    arcs = arcs.withColumns({"h": h, "g": g})
+    if options.use_time:
+        arcs = arcs.withColumn("lb", F.floor("g") + F.col("w_min") + F.col("h")).where(F.col("lb") <= options.horizon_min)
+        if best is not None:
+            arcs = prune_time(arcs, best)
+    kwb = keyword_blocked(F.col("kw"), F.col("s")) if options.use_keyword else F.lit(False)
+    return arcs.select("qid", "wtype", "tail", "head", "eid", F.col("w_min").alias("w"), "tail_cell", "head_cell", "h", "g", kwb.alias("kwb"), F.col("leaf").alias("page"))
 
 
 def descend(queries: DataFrame, net: Network, index: Index, options: RouteOptions) -> Descent:
     """All surviving node paths of the leaf level. One round per level; the driver sees counts only."""
     ends = index.lookup.join(net.edges.select("eid", "a", "b"), "eid")
     ends = stored(ends.select(F.explode(F.array("a", "b")).alias("v"), "pos"))
-    good = stored(usable_nodes(index, queries, options))
+    good = stored(reachable_nodes(queries, index, options)[0])
     links = index.links
     q = queries.select("qid", "src", "dst")
     src, dst = (q.join(ends, q[c] == ends["v"]).select("qid", "pos").distinct() for c in ("src", "dst"))
@@ -108,8 +167,10 @@ def seed_labels(queries: DataFrame, net: Network, index: Index, forecasts: DataF
     """Labels at the ends of the surviving node paths, and labels that have arrived (``done``).
 
     Prefixes are followed together: a step keeps the labels whose leaves so far begin a surviving path."""
-    arcs = with_weather(net.arcs.join(index.lookup.select("eid", "leaf"), "eid"), net.vertices, station_arrays(forecasts))
-    q = queries.select("qid", "src", "dst", "dep_min", "eps", "alpha_pct", "s")
+    kinds = queries.select("wtype").distinct()  # one set of arcs for each type asked for
+    arcs = net.arcs.join(index.lookup.select("eid", "leaf"), "eid").join(F.broadcast(kinds))
+    arcs = with_weather(arcs, net.vertices, station_arrays(forecasts, None)).withColumnRenamed("wtype", "kind")
+    q = queries.select("qid", "src", "dst", "dep_min", "wtype", "eps", "alpha_pct", "s")
     paths = stored(descent.paths.withColumn("n", F.size("nodes")))
     longest = paths.agg(F.max("n")).first()[0] or 0
     one = lambda c: F.array(F.col(c).cast("long"))
@@ -118,7 +179,7 @@ def seed_labels(queries: DataFrame, net: Network, index: Index, forecasts: DataF
     out = labels.where("src = dst").select("qid", "v", "arr", "vertices", "edges", "arrs", F.lit(True).alias("done"))
     for i in range(1, longest + 1):
         prefixes = paths.where(F.col("n") >= i).select("qid", F.slice("nodes", 1, i).alias("leaves")).distinct()
-        step = labels.drop("leaves").join(labels.select("qid", "v", "arr", "vertices", "leaves"), ["qid", "v", "arr", "vertices"]).join(arcs, F.col("v") == arcs["tail"])
+        step = labels.drop("leaves").join(labels.select("qid", "v", "arr", "vertices", "leaves"), ["qid", "v", "arr", "vertices"]).join(arcs, (F.col("v") == arcs["tail"]) & (F.col("wtype") == arcs["kind"]))
         t = F.col("arr") + F.col("w_min")
         step = step.where(t <= F.col("dep_min") + options.horizon_min).withColumn("leaves", F.concat("leaves", F.array("leaf")))
         if options.use_keyword:
@@ -140,14 +201,26 @@ def seed_labels(queries: DataFrame, net: Network, index: Index, forecasts: DataF
     return stored(out)
 
 
-def route_index(queries: DataFrame, net: Network, index: Index, forecasts: DataFrame, options: RouteOptions = RouteOptions(), piv: DataFrame | None = None) -> DataFrame:
-    """Answers and counters of the index-guided router: search.RESULT, node_reads, node_reads_distinct, max_queue."""
-    wtype = queries.select("wtype").first()
+def route_index(queries: DataFrame, net: Network, index: Index, forecasts: DataFrame, options: RouteOptions = RouteOptions(), best: DataFrame | None = None) -> DataFrame:
+    """Answers and counters of the index-guided router: search.RESULT, node_reads, node_reads_distinct, max_queue.
+
+    The descent leaves each query the leaf pages that a way within the horizon can touch; only their arcs are shipped.
+    The search in the task takes labels by arrival plus the least minutes left over arcs that are not blocked throughout.
+    node_reads counts inner nodes that are opened, node_reads_distinct the entries tested; ``best``: qid, lam of known answers."""
+    nodes, counters = reachable_nodes(queries, index, options, best)
+    leaves = nodes.where("level = 1").select("qid", F.col("node").alias("leaf"))
+    o = replace(options, reverse=options.use_time)
+    arcs = stored(page_bounds(queries, index, leaves, o, best))
+    found = search.search_in_tasks(queries, arcs, search.plain_seeds(queries), forecasts, o)
+    return queries.select("qid").join(found, "qid", "left").join(counters, "qid", "left").withColumn("answered", F.coalesce("answered", F.lit(False)))
+
+
+def route_index_paths(queries: DataFrame, net: Network, index: Index, forecasts: DataFrame, options: RouteOptions = RouteOptions(), piv: DataFrame | None = None) -> DataFrame:
+    """The same answers by node paths: the search starts from the walks in the node paths that survive the descent."""
     descent = descend(queries, net, index, options)
     seeds = seed_labels(queries, net, index, forecasts, descent, options)
     arcs = search.bound_arcs(queries, net, options, piv, index.lookup)
-    weather = search.collected_weather(net, forecasts, wtype[0] if wtype else "ANY")
-    found = search.search_in_tasks(queries, arcs, seeds, weather, options)
+    found = search.search_in_tasks(queries, arcs, seeds, forecasts, options)
     return queries.select("qid").join(found, "qid", "left").join(descent.metrics, "qid", "left").withColumn("answered", F.coalesce("answered", F.lit(False)))
 
 
@@ -155,8 +228,8 @@ def refine(answers: DataFrame, queries: DataFrame, net: Network, forecasts: Data
     """qid, hops, bad_edges, bad_links, bad_times: every hop of every answer checked again from its definition."""
     hops = answers.where("answered").select("qid", F.posexplode("edges").alias("i", "eid"), "vertices", "arr").select(
         "qid", "i", "eid", F.get("vertices", F.col("i")).alias("tail"), F.get("vertices", F.col("i") + 1).alias("head"), F.get("arr", F.col("i")).alias("t0"), F.get("arr", F.col("i") + 1).alias("t1"))
-    arcs = with_weather(net.arcs, net.vertices, station_arrays(forecasts))
-    x = hops.join(arcs, ["eid", "tail", "head"], "left").join(queries.select("qid", "eps", "alpha_pct", "s"), "qid")
+    hops = hops.join(queries.select("qid", "wtype", "eps", "alpha_pct", "s"), "qid").join(net.arcs.withColumn("real", F.lit(True)), ["eid", "tail", "head"], "left")
+    x = with_weather(hops, net.vertices, station_arrays(forecasts, None))
     bad = trip_blocked(F.col("tail_w"), F.col("tail_p"), F.col("head_w"), F.col("head_p"), F.col("t0"), F.col("w_min"), F.col("eps"), F.col("alpha_pct"), unknown)
     x = x.select("qid", F.coalesce(bad | keyword_blocked(F.col("kw"), F.col("s")), F.lit(False)).alias("bad"), F.col("w_min").isNull().alias("loose"), (F.col("t1") - F.col("t0") != F.col("w_min")).alias("late"))
     n = lambda c: F.sum(F.coalesce(c, F.lit(True)).cast("long"))
@@ -165,11 +238,7 @@ def refine(answers: DataFrame, queries: DataFrame, net: Network, forecasts: Data
 
 def greedy_route(queries: DataFrame, net: Network, forecasts: DataFrame, options: RouteOptions = RouteOptions(), piv: DataFrame | None = None, max_hops: int = 30, beam: int = 8) -> DataFrame:
     """qid and ub_min: minutes of one valid path, found by following the ``beam`` most promising labels."""
-    from dataclasses import replace
-
-    from pyspark.sql import Window
-
-    arcs = with_weather(search.bound_arcs(queries, net, replace(options, use_time=True), piv), net.vertices, station_arrays(forecasts)).where("not kwb")
+    arcs = with_weather(search.bound_arcs(queries, net, replace(options, use_time=True), piv), net.vertices, station_arrays(forecasts, None)).where("not kwb")
     arcs = stored(arcs.select("qid", "tail", "head", "w", "h", "tail_w", "tail_p", "head_w", "head_p"))
     q = queries.select("qid", "dst", "dep_min", "eps", "alpha_pct")
     front = queries.select("qid", F.col("src").alias("v"), F.col("dep_min").alias("arr"), F.array(F.col("src")).alias("seen"))

@@ -21,11 +21,11 @@ from ..sources.forecasts import station_arrays, with_weather
 from ..sources.networks import Network, max_speed
 
 ZONE = 50_000
-RESULT = "qid int, answered boolean, total_min long, hops int, vertices array<long>, edges array<long>, arr array<long>, labels long, max_heap long, page_reads long, page_reads_distinct long, pruned_kw long, pruned_weather long, pruned_time long"
+RESULT = "qid int, answered boolean, total_min long, hops int, vertices array<long>, edges array<long>, arr array<long>, labels long, max_heap long, page_reads long, page_reads_distinct long, settled long, pruned_kw long, pruned_weather long, pruned_time long"
 
 
 def bound_arcs(queries: DataFrame, net: Network, options: RouteOptions, piv: DataFrame | None = None, pages: DataFrame | None = None) -> DataFrame:
-    """Every arc that a query may use: qid, tail, head, eid, w, cells, h (time bound from head to dst), kwb, page.
+    """Every arc that a query may use: qid, wtype, tail, head, eid, w, cells, h (time bound from head to dst), g (from src to tail), kwb, page.
 
     Arcs meet queries by zone of the plane, within what the horizon reaches from the source at top
     speed. With a heuristic, arcs are dropped that can't be on a way within the horizon."""
@@ -57,7 +57,16 @@ def bound_arcs(queries: DataFrame, net: Network, options: RouteOptions, piv: Dat
     if options.use_time:
         both = both.where(bound("src", "tail") + F.col("w_min") + F.col("h") <= options.horizon_min)
     kwb = keyword_blocked(F.col("kw"), F.col("s")) if options.use_keyword else F.lit(False)
-    return both.select("qid", "tail", "head", "eid", F.col("w_min").alias("w"), "tail_cell", "head_cell", "h", kwb.alias("kwb"), "page")
+    g = F.lit(0.0)  # not rounded: along an arc it falls by no more than the arc's minutes
+    if options.heuristic == "pivot" and piv is not None:
+        g = 60 * lb_dist(F.col("src_piv"), F.col("tail_piv")) / F.lit(vmax)
+    return both.select("qid", "wtype", "tail", "head", "eid", F.col("w_min").alias("w"), "tail_cell", "head_cell", "h", g.cast("double").alias("g"), kwb.alias("kwb"), "page")
+
+
+def query_stations(queries: DataFrame, arcs: DataFrame, forecasts: DataFrame) -> DataFrame:
+    """qid, cell, values, confs of the stations that a query's arcs lie at, of its own type."""
+    cells = arcs.select("qid", "wtype", F.explode(F.array("tail_cell", "head_cell")).alias("cell")).distinct()
+    return cells.join(station_arrays(forecasts, None), ["cell", "wtype"]).select("qid", "cell", "values", "confs")
 
 
 class LimitReached(RuntimeError):
@@ -88,10 +97,10 @@ def best_simple(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha:
         on = after[v, arr] = []
         if v == dst:
             continue
-        own = {x[7] for x in ways.get(v, ())}
+        own = {x[8] for x in ways.get(v, ())}
         reads += len(own)
         pages |= own
-        for head, w, eid, c1, c2, h, kwb, _ in ways.get(v, ()):
+        for head, w, eid, c1, c2, h, _, kwb, _ in ways.get(v, ()):
             t = arr + w
             if kwb:
                 n_kw += 1
@@ -144,10 +153,62 @@ def best_simple(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha:
         for head, t, eid in after[v, arr]:
             if not seen & bit[head]:
                 push(head, t, hops + 1, seen | bit[head], (path, head, eid, t))
-    counts = {"labels": labels, "max_heap": max_heap, "page_reads": reads, "page_reads_distinct": len(pages), "pruned_kw": n_kw, "pruned_weather": n_weather, "pruned_time": n_time}
+    counts = {"labels": labels, "max_heap": max_heap, "page_reads": reads, "page_reads_distinct": len(pages), "settled": 0, "pruned_kw": n_kw, "pruned_weather": n_weather, "pruned_time": n_time}
     return result(best, dep) | counts
 
 
+class Back:
+    """Least minutes to dst over the arcs that are not blocked throughout, found back from dst as far as asked.
+
+    Vertices are settled in order of their distance plus the bound g from the source, which is consistent, so a settled
+    distance is exact for these arcs and a lower bound for all walks."""
+
+    def __init__(self, ways: dict, dst: int, cap: float, shut) -> None:  # noqa: ANN001
+        self.into: dict[int, list] = {}
+        for tail, out in ways.items():
+            for head, w, _, c1, c2, _, g, kwb, page in out:
+                if not kwb and not shut(c1, c2):
+                    self.into.setdefault(head, []).append((tail, w, g, page))
+        self.cap, self.done, self.heap, self.reads, self.pages = cap, {}, [(0.0, 0, dst)], 0, set()
+
+    def to(self, v: int) -> float:
+        done, heap = self.done, self.heap
+        while v not in done and heap:
+            key, d, u = heapq.heappop(heap)
+            if key > self.cap:
+                heap.clear()
+            elif u not in done:
+                done[u] = d
+                own = self.into.get(u, ())
+                read = {x[3] for x in own}
+                self.reads += len(read)
+                self.pages |= read
+                for tail, w, g, _ in own:
+                    if tail not in done:
+                        heapq.heappush(heap, (d + w + g, d + w, tail))
+        return done.get(v, float("inf"))
+
+
+def shut_throughout(weather: dict, dep: int, options: RouteOptions, eps: float, alpha: int):  # noqa: ANN201
+    """(tail cell, head cell) -> whether a trip is blocked at its start, or at its end, in every slot that it can fall in."""
+    slots = range(dep // 60, (dep + options.horizon_min) // 60 + 1)
+    known: dict = {}
+
+    def shut(c1: int, c2: int) -> bool:
+        if (c1, c2) not in known:
+            start = end = True
+            for s in slots:
+                i = s % 24
+                wj, pj, wk, pk = weather[c1][0][i], weather[c1][1][i], weather[c2][0][i], weather[c2][1][i]
+                p = (pj * (100 - pk) if wj > eps else 0) + ((100 - pj) * pk if wk > eps else 0) + (100 - pj) * (100 - pk) * options.unknown
+                start = start and p + (pj * pk if wj > eps else 0) >= 100 * alpha
+                end = end and p + (pj * pk if wk > eps else 0) >= 100 * alpha
+            known[c1, c2] = options.use_weather and (start or end)
+        return known[c1, c2]
+
+    return shut
+
+
 def result(best: tuple | None, dep: int) -> dict:
     if best is None:
         return {"answered": False, "total_min": None, "hops": None, "vertices": None, "edges": None, "arr": None}
@@ -157,7 +218,7 @@ def result(best: tuple | None, dep: int) -> dict:
 def best_first(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: int, weather: dict, options: RouteOptions, arrivals: list = ()) -> dict:
     """The earliest arrival at dst from labels (v, arr, vertices, edges, arrs), with counters.
 
-    ``ways``: tail -> [(head, w, eid, tail cell, head cell, h, blocked by keyword, page)]; ``arrivals``: finished labels."""
+    ``ways``: tail -> [(head, w, eid, tail cell, head cell, h, g, blocked by keyword, page)]; ``arrivals``: finished labels."""
     if options.path_mode == "simple":
         return best_simple(ways, seeds, dst, dep, eps, alpha, weather, options, arrivals)
     astar = options.key == "elapsed_plus_lb"
@@ -168,13 +229,16 @@ def best_first(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: i
     parent: dict = {}
     labels = max_heap = reads = n_kw = n_weather = n_time = 0
     pages: set = set()
+    back = Back(ways, dst, options.horizon_min, shut_throughout(weather, dep, options, eps, alpha)) if options.reverse and options.use_time else None
     for v, arr, vs, es, ts in arrivals:
         if arr < lam:
             lam, best = arr, (vs, es, ts)
     for v, arr, vs, es, ts in seeds:
         if (v, arr) not in parent:
             parent[v, arr] = (vs, es, ts)
-            heapq.heappush(heap, (arr + (h_of.get(v, 0) if astar else 0), arr, len(es), v))
+            rest = back.to(v) if back else h_of.get(v, 0)
+            if arr + rest <= limit:
+                heapq.heappush(heap, (arr + (rest if astar else 0), arr, len(es), v))
     found = None
     while heap:
         max_heap = max(max_heap, len(heap))
@@ -187,10 +251,10 @@ def best_first(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: i
             lam, found = arr, (v, arr)
             break
         out = ways.get(v, ())
-        own = {x[7] for x in out}
+        own = {x[8] for x in out}
         reads += len(own)
         pages |= own
-        for head, w, eid, c1, c2, h, kwb, _ in out:
+        for head, w, eid, c1, c2, h, _, kwb, _ in out:
             if kwb:
                 n_kw += 1
                 continue
@@ -200,6 +264,9 @@ def best_first(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: i
                 continue
             if (head, t) in parent:
                 continue
+            if back and t + (h := back.to(head)) > min(lam, limit):
+                n_time += 1
+                continue
             if options.use_weather and py_trip_blocked(weather[c1], weather[c2], arr, w, eps, alpha, options.unknown):
                 n_weather += 1
                 continue
@@ -216,44 +283,39 @@ def best_first(ways: dict, seeds: list, dst: int, dep: int, eps: float, alpha: i
             ts.append(arr)
             v, arr = p[0], p[1]
         best = (p[0] + vs[::-1], p[1] + es[::-1], p[2] + ts[::-1])
-    counts = {"labels": labels, "max_heap": max_heap, "page_reads": reads, "page_reads_distinct": len(pages), "pruned_kw": n_kw, "pruned_weather": n_weather, "pruned_time": n_time}
+    settled = 0
+    if back:
+        settled, reads, pages = len(back.done), reads + back.reads, pages | back.pages
+    counts = {"labels": labels, "max_heap": max_heap, "page_reads": reads, "page_reads_distinct": len(pages), "settled": settled, "pruned_kw": n_kw, "pruned_weather": n_weather, "pruned_time": n_time}
     return result(best, dep) | counts
 
 
-def collected_weather(net: Network, forecasts: DataFrame, wtype: str) -> dict:
-    """cell -> (24 values, 24 confidences): one row per station, checked to be few before it is collected."""
-    stations = station_arrays(forecasts, wtype)
-    if stations.count() > 100_000:
-        raise ValueError("too many stations for the in-task search")
-    out = {r["cell"]: (list(r["values"]), list(r["confs"])) for r in stations.collect()}
-    none = ([0.0] * 24, [0] * 24)
-    for r in net.vertices.select("cell").distinct().collect():
-        out.setdefault(r["cell"], none)
-    return out
-
-
-def search_in_tasks(queries: DataFrame, arcs: DataFrame, seeds: DataFrame, weather: dict, options: RouteOptions) -> DataFrame:
-    """One task per query: its arcs and seeds (qid, v, arr, vertices, edges, arrs, done) meet by cogroup."""
-    shared = queries.sparkSession.sparkContext.broadcast(weather)
+def search_in_tasks(queries: DataFrame, arcs: DataFrame, seeds: DataFrame, forecasts: DataFrame, options: RouteOptions) -> DataFrame:
+    """One task per query: its arcs meet its seeds (qid, v, arr, vertices, edges, arrs, done) and stations by cogroup."""
     ask = queries.select("qid", "src", "dst", "dep_min", "eps", "alpha_pct")
-    heads = ask.join(seeds, "qid", "left")
+    at = query_stations(queries, arcs, forecasts)
+    heads = ask.join(seeds.unionByName(at, allowMissingColumns=True), "qid", "left")
 
     def solve(key: tuple, a: pd.DataFrame, q: pd.DataFrame) -> pd.DataFrame:
         if not len(q):
             return pd.DataFrame(columns=[x.split()[0] for x in RESULT.split(", ")])
         ways: dict = {}
-        for t, *rest in zip(*(a[c].tolist() for c in ("tail", "head", "w", "eid", "tail_cell", "head_cell", "h", "kwb", "page")), strict=True):
+        for t, *rest in zip(*(a[c].tolist() for c in ("tail", "head", "w", "eid", "tail_cell", "head_cell", "h", "g", "kwb", "page")), strict=True):
             ways.setdefault(t, []).append(tuple(rest))
         for t in ways:
             ways[t].sort()
+        none = ([0.0] * 24, [0] * 24)
+        weather = {c: none for out in ways.values() for x in out for c in x[3:5]}
         one = q.iloc[0]
         start, done = [], []
-        for v, arr, vs, es, ts, end in zip(*(q[c] for c in ("v", "arr", "vertices", "edges", "arrs", "done")), strict=True):
-            if vs is not None and len(vs):
+        for v, arr, vs, es, ts, end, cell, values, confs in zip(*(q[c] for c in ("v", "arr", "vertices", "edges", "arrs", "done", "cell", "values", "confs")), strict=True):
+            if values is not None:
+                weather[int(cell)] = list(map(float, values)), list(map(int, confs))
+            elif vs is not None and len(vs):
                 (done if end else start).append((int(v), int(arr), list(map(int, vs)), list(map(int, es)), list(map(int, ts))))
         start.sort()
         done.sort(key=lambda x: (x[1], len(x[3]), x[2]))
-        out = best_first(ways, start, int(one["dst"]), int(one["dep_min"]), float(one["eps"]), int(one["alpha_pct"]), shared.value, options, done)
+        out = best_first(ways, start, int(one["dst"]), int(one["dep_min"]), float(one["eps"]), int(one["alpha_pct"]), weather, options, done)
         return pd.DataFrame([{"qid": int(key[0])} | out])
 
     return arcs.groupBy("qid").cogroup(heads.withColumnRenamed("qid", "asked").groupBy("asked")).applyInPandas(solve, RESULT)
@@ -272,7 +334,7 @@ def search_in_rounds(queries: DataFrame, net: Network, forecasts: DataFrame, opt
     arcs by query and tail, tests keywords, trips and time, merges equal labels and lowers each query's best
     arrival, until no label is open; ``max_rounds`` raises where labels still are. The driver sees counts only;
     tables are cut every round."""
-    arcs = with_weather(bound_arcs(queries, net, options, piv), net.vertices, station_arrays(forecasts)).where(~F.col("kwb"))
+    arcs = with_weather(bound_arcs(queries, net, options, piv), net.vertices, station_arrays(forecasts, None)).where(~F.col("kwb"))
     arcs = stored(arcs.select("qid", "tail", "head", "eid", "w", "h", "tail_w", "tail_p", "head_w", "head_p"))
     q = queries.select("qid", "dst", "dep_min", "eps", "alpha_pct")
     seen = stored(queries.select("qid", F.col("src").alias("v"), F.col("dep_min").alias("arr"), F.lit(0).cast("long").alias("h")))

@@ -29,7 +29,17 @@ class World:
         return self._kept[key]
 
     def net(self, kind: str = "uni") -> networks.Network:
-        return self._once(("net", kind), lambda: networks.build_network(self.spark, self.sf_dir, kind))
+        """'uni', 'gau' or 'sparse'; 'uni/2': of two quarters of the vertices; 'uni+8': a cross link at every eighth; 'uni*': skewed keywords."""
+
+        def make() -> networks.Network:
+            name, quarters, period = kind.rstrip("*"), 4, None
+            if "+" in name:
+                name, period = name.split("+")[0], int(name.split("+")[1])
+            if "/" in name:
+                name, quarters = name.split("/")[0], int(name.split("/")[1])
+            return networks.build_network(self.spark, self.sf_dir, name, quarters, period, kind.endswith("*"))
+
+        return self._once(("net", kind), make)
 
     @cached_property
     def ring(self) -> DataFrame:
@@ -38,8 +48,8 @@ class World:
     def piv(self, kind: str = "uni", d: int = 5) -> DataFrame:
         return self._once(("piv", kind, d), lambda: pivot_distances(self.net(kind), fixed_pivots(self.net(kind), d)))
 
-    def index(self, kind: str = "uni", fanout: int = FANOUT) -> Index:
-        return self._once(("index", kind, fanout), lambda: build_index(self.net(kind), self.ring, fanout))
+    def index(self, kind: str = "uni", fanout: int = FANOUT, d: int = 5, wtypes: tuple = ("ANY",)) -> Index:
+        return self._once(("index", kind, fanout, d, wtypes), lambda: build_index(self.net(kind), self.ring, fanout, piv=self.piv(kind, d), wtypes=wtypes))
 
     def queries(self, kind: str = "uni", **options) -> DataFrame:
         return self._once(("queries", kind, *sorted(options.items())), lambda: make_queries(self.net(kind), **options))

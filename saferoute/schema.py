@@ -28,6 +28,8 @@ class RouteOptions:
     key: 'elapsed' or 'elapsed_plus_lb', what the search takes next.
     heuristic: 'zero', 'euclid' or 'pivot', the bound in the key and in time pruning.
     prefilter: for filter-first: 'all_slots', 'departure_slot' or 'any_slot'.
+    reverse: bound the rest of the way in tasks by a search back from dst over the arcs that are not blocked
+    throughout; the index-guided router has it on.
     label_limit: most labels of one query in a task; a search that has more open raises."""
 
     path_mode: str = "walk"
@@ -39,9 +41,9 @@ class RouteOptions:
     use_keyword: bool = True
     use_weather: bool = True
     use_time: bool = True
-    keyword_mode: str = "dict"
     prefilter: str = "all_slots"
     batch_width: int | None = None
+    reverse: bool = False
     label_limit: int | None = None
     extra: dict = field(default_factory=dict)
 

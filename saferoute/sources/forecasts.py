@@ -29,20 +29,29 @@ def ring(events: DataFrame) -> DataFrame:
     return newest(parsed(events, True).unionAll(parsed(events, False)))
 
 
-def station_arrays(forecasts: DataFrame, wtype: str = ANY) -> DataFrame:
-    """cell, values and confs: arrays of 24 slots; a missing forecast is 0.0 with confidence 0."""
-    rows = forecasts.where(F.col("wtype") == wtype).groupBy("cell").agg(F.map_from_entries(F.collect_list(F.struct("slot", F.struct("value", "conf_pct")))).alias("m"))
+def station_arrays(forecasts: DataFrame, wtype: str | None = ANY) -> DataFrame:
+    """cell, values and confs: arrays of 24 slots; a missing forecast is 0.0 with confidence 0.
+
+    ``wtype`` None: of all types, with a column wtype."""
+    keys = ["cell"] if wtype else ["cell", "wtype"]
+    own = forecasts.where(F.col("wtype") == wtype) if wtype else forecasts
+    rows = own.groupBy(*keys).agg(F.map_from_entries(F.collect_list(F.struct("slot", F.struct("value", "conf_pct")))).alias("m"))
     slots = F.array(*[F.lit(i) for i in range(SLOTS)])
     return rows.select(
-        "cell",
+        *keys,
         F.transform(slots, lambda i: F.coalesce(F.element_at("m", i)["value"], F.lit(0.0))).alias("values"),
         F.transform(slots, lambda i: F.coalesce(F.element_at("m", i)["conf_pct"], F.lit(0))).alias("confs"))
 
 
 def with_weather(arcs: DataFrame, vertices: DataFrame, stations: DataFrame) -> DataFrame:
-    """Arcs with tail_w, tail_p, head_w, head_p; a cell without a station has confidence 0 throughout."""
+    """Arcs with tail_w, tail_p, head_w, head_p; a cell without a station has confidence 0 throughout.
+
+    Arcs with a column wtype meet the stations of that type."""
+    keys = [c for c in ("cell", "wtype") if c in stations.columns]
     cells = vertices.select("v", "cell")
     zeros, nones = F.array_repeat(F.lit(0.0), SLOTS), F.array_repeat(F.lit(0), SLOTS)
-    at_vertex = cells.join(stations, "cell", "left").select("v", F.coalesce("values", zeros).alias("w_"), F.coalesce("confs", nones).alias("p_"))
-    out = arcs.join(at_vertex.toDF("tail", "tail_w", "tail_p"), "tail")
-    return out.join(at_vertex.toDF("head", "head_w", "head_p"), "head")
+    for end in ("tail", "head"):
+        own = stations.select(*[F.col(k).alias(k if k == "wtype" else "c_") for k in keys], F.col("values").alias("w_"), F.col("confs").alias("p_"))
+        arcs = arcs.join(cells.toDF(end, "c_"), end).join(own, ["c_", *keys[1:]], "left")
+        arcs = arcs.withColumns({f"{end}_w": F.coalesce("w_", zeros), f"{end}_p": F.coalesce("p_", nones)}).drop("c_", "w_", "p_")
+    return arcs

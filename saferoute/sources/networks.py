@@ -59,10 +59,17 @@ def cell_of(x: F.Column, y: F.Column) -> F.Column:
     return (F.least(F.lit(side), F.floor(x / CELL)) + 5 * F.least(F.lit(side), F.floor(y / CELL))).cast("int")
 
 
-def build_network(spark: SparkSession, sf_dir: str, kind: str) -> Network:
-    """Vertices and edges of one network; edges are numbered by their ends."""
-    *_, period, speed = KINDS[kind]
-    base = stored(positions(spark, sf_dir, kind))
+def build_network(spark: SparkSession, sf_dir: str, kind: str, quarters: int = 4, period: int | None = None, skewed: bool = False) -> Network:
+    """Vertices and edges of one network; edges are numbered by their ends.
+
+    ``quarters``: of the table's vertices; ``period``: of cross links, the fewer the larger it is; ``skewed``: keywords
+    are squares, so that few of them are on most roads."""
+    *_, usual, speed = KINDS[kind]
+    period = period or usual
+    base = positions(spark, sf_dir, kind)
+    if quarters < 4:
+        base = base.where(F.col("v") < base.count() * quarters // 4)
+    base = stored(base)
     n = base.count()
     size = max(2, n // max(1, int(n**0.5)))
     by_y = global_rank(base, ["y_mm", "v"], "p").withColumn("strip", F.floor(F.col("p") / size))
@@ -81,6 +88,8 @@ def build_network(spark: SparkSession, sf_dir: str, kind: str) -> Network:
     mph = F.lit(speed).cast("long") if speed else 30 + 10 * (F.col("eid") % 5)
     minutes = F.greatest(F.lit(1).cast("long"), F.floor((F.col("len_mm") * 60 + 1000 * mph - 1) / (1000 * mph)))
     sizes = table(spark, sf_dir, "part").select(F.col("p_partkey").alias("k"), F.col("p_size").cast("int").alias("kw1"))
+    if skewed:
+        sizes = sizes.withColumn("kw1", (F.col("kw1") * F.col("kw1") % 50).cast("int"))
     parts = sizes.count()
     edges = edges.withColumns({"w_min": minutes.cast("long"), "k1": 31 * F.col("eid") % parts, "k2": (17 * F.col("eid") + 7) % parts})
     edges = edges.join(sizes.withColumnRenamed("k", "k1"), "k1", "left").join(sizes.select(F.col("k").alias("k2"), F.col("kw1").alias("kw2")), "k2", "left")

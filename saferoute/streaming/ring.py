@@ -11,6 +11,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.keywords import bitmap
 from ..operators.pruning import edge_slot_bounds
 from ..operators.storage import shared_dir, stored
 from ..plans.index import EPS_GRID, Index
@@ -63,7 +64,7 @@ def apply_forecasts(new: DataFrame, ring: DataFrame, net: Network, index: Index,
     moved = moved.join(new.where(F.col("wtype") == wtype).select("cell", "slot").distinct(), ["cell", "slot"], "left_semi")
     ends = net.edges.select("eid", F.explode(F.array("a", "b")).alias("v")).join(net.vertices.select("v", "cell"), "v")
     touched = stored(ends.join(moved, "cell").join(index.lookup.select("eid", "leaf"), "eid").select("leaf", "slot").distinct())
-    before, out = flat(index.weather), None
+    before, out = flat(index.weather.where(F.col("wtype") == wtype)), None
     rows = _leaf_rows(net, index, after, touched, wtype)
     for level in range(1, index.height + 1):
         changed, rows = propagate(rows, level, before, index.fanout)
@@ -81,6 +82,29 @@ def apply_edge_updates(updates: DataFrame, net: Network) -> Network:
     return Network(net.kind, net.vertices, stored(edges))
 
 
+def apply_edge_attributes(updates: DataFrame, net: Network, index: Index) -> DataFrame:
+    """level, node, lb_t, ub_t, kw_and, kw_or of the index nodes that new minutes and keywords change.
+
+    The touched leaves are made anew from their edges, parents from all their children, as for forecasts."""
+    bits = F.get(bitmap(F.col("kw")), F.lit(0))
+    values = {"lb_t": F.min, "ub_t": F.max, "kw_and": F.bit_and, "kw_or": F.bit_or}
+    leaves = index.lookup.join(updates.select("eid"), "eid", "left_semi").select("leaf").distinct()
+    edges = apply_edge_updates(updates, net).edges.join(index.lookup.join(leaves, "leaf", "left_semi").select("eid", "leaf"), "eid")
+    edges = edges.select(F.col("leaf").alias("node"), F.col("w_min").alias("lb_t"), F.col("w_min").alias("ub_t"), bits.alias("kw_and"), bits.alias("kw_or"))
+    rows, out = edges.groupBy("node").agg(*[f(c).alias(c) for c, f in values.items()]), None
+    for level in range(1, index.height + 1):
+        old = index.nodes.where(F.col("level") == level).select("node", *values)
+        changed = stored(rows.exceptAll(old))
+        part = changed.select(F.lit(level).alias("level"), "*")
+        out = part if out is None else out.unionByName(part)
+        if changed.isEmpty():
+            break
+        up = lambda df: df.withColumn("p", F.floor(F.col("node") / index.fanout))
+        children = up(old.join(changed.select("node"), "node", "left_anti").unionByName(changed)).join(up(changed).select("p").distinct(), "p", "left_semi")
+        rows = children.groupBy(F.col("p").alias("node")).agg(*[f(c).alias(c) for c, f in values.items()])
+    return out
+
+
 def events_stream(spark: SparkSession, sf_dir: str, folder: str | None = None, files: int = 1) -> DataFrame:
     """Events as a file stream: the given table, or a folder of part files."""
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema

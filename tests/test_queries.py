@@ -10,8 +10,7 @@ from saferoute.plans import method_queries as M
 from .conftest import DATA
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"datasets_methods", "index_build_update", "prune_ablation"}
-NAMES = [n for n in [*M.Q, *RELATIONAL] if n in entry.oracle_sql() and not n.startswith(("sweep_sigma", "route_index_"))]
+NAMES = [n for n in [*M.Q, *RELATIONAL] if n in entry.oracle_sql()]
 
 
 @pytest.fixture(scope="module")

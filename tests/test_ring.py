@@ -1,5 +1,6 @@
 """The forecast ring: streams equal batches, late rows lose, the index follows."""
 
+import pytest
 from pyspark.sql import functions as F
 
 from saferoute.plans.world import world
@@ -22,12 +23,15 @@ def test_repeated_and_out_of_order_rows(spark, small):
     assert values(rg.merge(fc.newest(late), early.unionAll(early))) == values(fc.newest(rows))
 
 
-def test_changed_nodes_are_those_of_a_full_rebuild(spark, small):
-    from saferoute.plans.index import index_weather
+@pytest.mark.parametrize("wide", [False, True])
+def test_changed_nodes_are_those_of_a_full_rebuild(spark, small, wide):
+    from saferoute.plans.index import build_index, index_weather
+    from saferoute.plans.method_queries import next_hour
 
     w = world(spark, small)
-    i = w.index()
-    new = w.ring.where("wtype = 'ANY' and slot = 8").orderBy("cell").limit(2).withColumns({"value": F.lit(99.0), "issued": F.expr("issued + interval 40 days")})
+    i = build_index(w.net(), w.ring, 8)
+    two = w.ring.where("wtype = 'ANY' and slot = 8").orderBy("cell").limit(2).withColumns({"value": F.lit(999.0), "issued": F.expr("issued + interval 40 days"), "event_id": F.col("event_id") + 10**12})
+    new = next_hour(w) if wide else two  # a whole hour, or two stations
     changed = rg.apply_forecasts(new, w.ring, w.net(), i)
     full = rg.flat(index_weather(w.net(), i.lookup, rg.merge(w.ring, new), i.fanout, i.height))
     before = rg.flat(i.weather)
@@ -35,3 +39,16 @@ def test_changed_nodes_are_those_of_a_full_rebuild(spark, small):
     expected = full.exceptAll(before)
     got = changed.select(*columns)
     assert expected.exceptAll(got).isEmpty() and got.exceptAll(expected).isEmpty() and not got.isEmpty()
+
+
+def test_new_edge_attributes_change_the_nodes_of_a_full_rebuild(spark, small):
+    from saferoute.plans.index import build_index
+
+    w = world(spark, small)
+    i = build_index(w.net(), None, 8)
+    new = w.net().edges.orderBy("eid").limit(6).select("eid", (F.col("w_min") + 500).alias("w_min"), F.array(F.lit(63)).alias("kw"))
+    columns = ["level", "node", "lb_t", "ub_t", "kw_and", "kw_or"]
+    got = rg.apply_edge_attributes(new, w.net(), i).select(*columns)
+    after = build_index(rg.apply_edge_updates(new, w.net()), None, 8).nodes.select(*columns)
+    expected = after.exceptAll(i.nodes.select(*columns))
+    assert expected.exceptAll(got).isEmpty() and got.exceptAll(expected).isEmpty() and not got.isEmpty()

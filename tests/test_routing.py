@@ -1,6 +1,7 @@
 """All methods on hand-made networks and on the smallest tables: equal optima, valid paths, edge cases."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from saferoute.operators import pivots as P
 from saferoute.plans import baselines as B
@@ -15,10 +16,10 @@ from . import fixtures as fx
 
 def every_method(net, f, q, spark, options=RouteOptions(), fanout=3):
     piv = P.pivot_distances(net, [0, net.vertices.count() - 1])
-    idx = I.build_index(net, f, fanout)
+    idx = I.build_index(net, f, fanout, piv=piv)
     out = {
         "zero": B.route_astar(q, net, f, options), "euclid": B.route_astar(q, net, f, options, "euclid"), "pivot": B.route_astar(q, net, f, options, "pivot", piv),
-        "filter": B.route_filter_first(q, net, f, options), "index": R.route_index(q, net, idx, f, options, piv),
+        "filter": B.route_filter_first(q, net, f, options), "index": R.route_index(q, net, idx, f, options), "paths": R.route_index_paths(q, net, idx, f, options, piv),
         "rounds": Srch.search_in_rounds(q, net, f, options)[0], "beam": Srch.search_in_rounds(q, net, f, RouteOptions(**{**options.__dict__, "batch_width": 1}))[0],
     }
     return {k: {r["qid"]: r["total_min"] for r in d.select("qid", "total_min").collect()} for k, d in out.items()}
@@ -74,8 +75,8 @@ def test_methods_agree_on_the_given_tables(spark, small):
     q = w.queries("uni", sigma=4, n=10)
     got = {k: {r["qid"]: r["total_min"] for r in d.select("qid", "total_min").collect()} for k, d in {
         "zero": B.route_astar(q, w.net(), w.ring), "pivot": B.route_astar(q, w.net(), w.ring, RouteOptions(), "pivot", w.piv()),
-        "filter": B.route_filter_first(q, w.net(), w.ring), "index": R.route_index(q, w.net(), w.index(), w.ring, RouteOptions(), w.piv()),
-        "no_time": R.route_index(q, w.net(), w.index(), w.ring, RouteOptions(use_time=False), w.piv())}.items()}
+        "filter": B.route_filter_first(q, w.net(), w.ring), "index": R.route_index(q, w.net(), w.index(), w.ring, RouteOptions()),
+        "no_time": R.route_index(q, w.net(), w.index(), w.ring, RouteOptions(use_time=False)), "paths": R.route_index_paths(q, w.net(), w.index(), w.ring, RouteOptions(), w.piv())}.items()}
     assert len({tuple(sorted(m.items())) for m in got.values()}) == 1, got
     plain = {r["qid"]: r["total_min"] for r in B.route_plain(q, w.net()).collect()}
     assert all(t is None or t >= plain[k] for k, t in got["zero"].items())
@@ -84,7 +85,7 @@ def test_methods_agree_on_the_given_tables(spark, small):
 def test_answers_hold_hop_by_hop(spark, small):
     w = world(spark, small)
     q = w.queries("uni", sigma=3)
-    a = R.route_index(q, w.net(), w.index(), w.ring, RouteOptions(), w.piv())
+    a = R.route_index(q, w.net(), w.index(), w.ring, RouteOptions())
     checked = R.refine(a, q, w.net(), w.ring).collect()
     assert all(r["bad_edges"] == r["bad_links"] == r["bad_times"] == 0 for r in checked)
     greedy = {r["qid"]: r["ub_min"] for r in R.greedy_route(q, w.net(), w.ring, RouteOptions(), w.piv()).collect()}
@@ -128,3 +129,57 @@ def test_pivot_detours_are_no_upper_bound_with_obstacles(spark):
     q = fx.queries(spark, [(0, 1, 2, 480, 40.0, 50, [])])
     assert B.route_astar(q, net, f, RouteOptions(horizon_min=100)).first()["answered"] is False  # though a way over a pivot exists without obstacles
     assert B.route_plain(q, net).first()["total_min"] == 10
+
+
+def test_a_batch_of_several_types_is_as_each_type_alone(spark, small):
+    w = world(spark, small)
+    kinds = F.array(*map(F.lit, ("ANY", "click", "view")))
+    q = w.queries("uni", sigma=5).withColumn("wtype", F.get(kinds, F.col("qid") % 3))
+    times = lambda d: {r["qid"]: r["total_min"] for r in d.select("qid", "total_min").collect()}
+    idx = w.index("uni", wtypes=("ANY", "click"))
+    want = {}
+    for t in ("ANY", "click", "view"):
+        alone = w.ring.where(F.col("wtype") == t).withColumn("wtype", F.lit("ANY"))
+        want |= times(B.route_astar(q.where(F.col("wtype") == t).withColumn("wtype", F.lit("ANY")), w.net(), alone))
+    got = {
+        "astar": B.route_astar(q, w.net(), w.ring), "filter": B.route_filter_first(q, w.net(), w.ring), "index": R.route_index(q, w.net(), idx, w.ring),
+        "paths": R.route_index_paths(q, w.net(), idx, w.ring, RouteOptions(), w.piv()),
+    }
+    assert all(times(d) == want for d in got.values()), {k: times(d) for k, d in got.items()}
+    assert all(r["bad_edges"] == r["bad_links"] == r["bad_times"] == 0 for r in R.refine(got["index"], q, w.net(), w.ring).collect())
+
+
+def test_the_index_reads_and_takes_less_than_pivots_alone(spark, small):
+    from saferoute.plans.method_queries import metrics_of
+
+    w = world(spark, small)
+    by = {m[0]: m for m in metrics_of(w, methods=("index", "astar_pivot"))}
+    assert by["index"][4] == by["astar_pivot"][4]
+    labels, reads = 5, 7
+    assert by["index"][labels] < by["astar_pivot"][labels] and by["index"][reads] < by["astar_pivot"][reads], by
+
+
+def test_a_known_answer_narrows_the_descent(spark, small):
+    w = world(spark, small)
+    q = w.queries("uni", sigma=4)
+    free = R.route_index(q, w.net(), w.index(), w.ring)
+    best = free.where("answered").select("qid", F.col("total_min").alias("lam"))
+    held = R.route_index(q, w.net(), w.index(), w.ring, RouteOptions(), best)
+    times = lambda d: {r["qid"]: r["total_min"] for r in d.select("qid", "total_min").collect()}
+    assert times(free) == times(held)
+
+
+def test_two_level_example_cuts_the_paths_of_bad_nodes(spark):
+    """Seven leaves in two levels: two of them carry the keyword on all their roads, so no path goes through them."""
+    edges = [(i, i + 1, 10, [1] if i in (6, 7, 8, 9) else []) for i in range(14)] + [(6, 10, 60, [])]
+    net, f = fx.network(spark, edges), fx.forecasts(spark, [(0, 8, 1.0, 1)])
+    idx = I.build_index(net, f, 2, piv=P.pivot_distances(net, [0, 14]))
+    q = fx.queries(spark, [(0, 0, 14, 480, 50.0, 50, [1])])
+    bad = {(r["level"], r["node"]) for r in I.node_prune_keyword(idx.nodes, q).collect()}
+    leaves = {r["eid"]: r["leaf"] for r in idx.lookup.collect()}
+    assert bad and all({leaves[e] for e in leaves if leaves[e] == n} for level, n in bad if level == 1)
+    paths = R.descend(q, net, idx, RouteOptions()).paths.collect()
+    assert paths and not any((1, n) in bad for p in paths for n in p["nodes"])
+    left = {(r["level"], r["node"]) for r in R.reachable_nodes(q, idx, RouteOptions())[0].collect()}
+    assert left and not left & bad
+    assert R.route_index(q, net, idx, f).first()["total_min"] == 6 * 10 + 60 + 4 * 10
