@@ -7,9 +7,12 @@ pages by least possible distance and stops where that is beyond the k-th best; |
 both known, spares distances to routing vectors and to rows whose bound is already too large. Bounds have a
 margin for rounding; scores are exact integers.
 
-Rows are dealt to blocks by row number, whatever their values, with one tree for each block; queries go to
-every tree in chunks, and a query's best rows of all trees are merged. So every row is a candidate of
-every query, a task holds one tree and one chunk, and equal vectors make no hot group.
+The tree lies over the whole table. Its root page is a bounded number of pivots, far apart in a sample; every
+row goes to the cell of its nearest pivot, and a cell to blocks of about ``BLOCK`` rows, each the page tree of
+one task, so a cell of equal vectors is split. The driver holds of each cell the pivot and the nearest and the furthest
+row only. A query first searches its home cell; its k-th best score there goes along to the other cells, and
+those that the triangle inequality rules out are not visited. Queries are shipped to trees in chunks; a tree is
+shipped once for each chunk.
 
 Vectors that are null, or hold null or non-finite components, take no part; shorter vectors count as padded
 with zeros. Rows with a query's id are not its candidates; of repeated rows every one is a candidate, and a
@@ -30,7 +33,9 @@ from pyspark.sql import functions as F
 from . import common
 
 #: Rows of a tree, of a page, children of a page, queries in a chunk.
-BLOCK, PAGE, FANOUT, CHUNK = 16_384, 64, 16, 1024
+BLOCK, PAGE, FANOUT, CHUNK = 16_384, 64, 16, 16_384
+#: Most cells of the root page, and sampled rows for each pivot.
+CELLS, SAMPLED = 256, 16
 #: Quantisation: a component x becomes floor(STEPS * x).
 STEPS = 1024
 
@@ -38,10 +43,10 @@ STEPS = 1024
 class MTree:
     """Pages as flat arrays; rows lie in the order of the leaves."""
 
-    def __init__(self, ids: np.ndarray, rows: np.ndarray, page: int = PAGE, fanout: int = FANOUT) -> None:
-        self.page, self.fanout = page, fanout
+    def __init__(self, ids: np.ndarray, rows: np.ndarray, page: int = PAGE, fanout: int = FANOUT, top: float | None = None) -> None:
+        self.page, self.fanout, self.distances = page, fanout, 0
         norms = np.einsum("ij,ij->i", rows.astype(np.float64), rows.astype(np.float64))
-        self.top = float(norms.max()) if len(rows) else 0.0
+        self.top = max(float(norms.max()) if len(rows) else 0.0, top or 0.0)
         points = np.column_stack([rows.astype(np.float64), np.sqrt(np.maximum(self.top - norms, 0.0))])
         self.order: list[int] = []
         self.nodes: list[tuple] = []  # routing row, radius, distance to parent, first, last, leaf
@@ -109,15 +114,18 @@ class MTree:
                 self.nodes[k] = (routing, radius, up, first, len(self.nodes), False)
             level = below
 
-    def search(self, query_id: int, query: np.ndarray, k: int) -> list[tuple[int, int]]:
-        """The k best (score, id), best first."""
+    def search(self, query_id: int, query: np.ndarray, k: int, least: int | None = None) -> list[tuple[int, int]]:
+        """The k best (score, id), best first; with ``least``, of those that score so much or more.
+
+        ``distances`` counts what is worked out: to routing vectors and to rows."""
         if not len(self.ids):
             return []
         q = np.append(query.astype(np.float64), 0.0)
         size = float(q @ q) + self.top
         margin = 1e-9 * max(1.0, size)
         best: list[tuple[int, int]] = []  # heap of (score, -id): the worst on top
-        limit = np.inf  # squared distance of the k-th best
+        limit = np.inf if least is None else size - 2.0 * float(least)  # squared distance of the k-th best
+        self.distances += 1
         d0 = float(np.linalg.norm(q - self.center[0]))
         heap = [(max(0.0, d0 - self.radius[0]), 0, d0)]
         while heap:
@@ -131,6 +139,7 @@ class MTree:
                     at = at[(d - self.spread[a:b]) ** 2 <= limit + margin]
                     if not len(at):
                         continue
+                self.distances += len(at)
                 scores = self.rows[at] @ query
                 if len(best) == k:  # equal scores stay, for the smaller id
                     good = scores >= best[0][0]
@@ -142,13 +151,14 @@ class MTree:
                         elif (s, -i) > best[0]:
                             heapq.heapreplace(best, (s, -i))
                 if len(best) == k:
-                    limit = size - 2.0 * float(best[0][0])
+                    limit = min(limit, size - 2.0 * float(best[0][0]))
                 continue
             at = np.arange(a, b)
             if limit < np.inf:
                 bound = np.maximum(0.0, np.abs(d - self.parent[a:b]) - self.radius[a:b])
                 at = at[bound * bound <= limit + margin]
             if len(at):
+                self.distances += len(at)
                 to = np.sqrt(((self.center[at] - q) ** 2).sum(1))
                 for n, x, r in zip(at.tolist(), to.tolist(), self.radius[at].tolist(), strict=True):
                     low = max(0.0, x - r)
@@ -178,41 +188,127 @@ def quantised(vectors: DataFrame, steps: int = STEPS) -> DataFrame:
     return vectors.select(F.col("vec_id").cast("long").alias("id"), F.when(~bad, F.transform(x, lambda c: F.floor(c * steps))).alias("v")).where("id is not null and v is not null")
 
 
-def _blobs(rows: DataFrame, key: str, tree: bool) -> DataFrame:
-    """One pickled tree, or chunk of queries, for each key."""
+def lifted(rows: np.ndarray, top: float) -> np.ndarray:
+    """Rows in the space where the largest inner product is the least distance."""
+    x = rows.astype(np.float64)
+    return np.column_stack([x, np.sqrt(np.maximum(top - np.einsum("ij,ij->i", x, x), 0.0))])
+
+
+def far_apart(points: np.ndarray, k: int) -> np.ndarray:
+    """Numbers of at most k points, each the furthest from those before."""
+    chosen, least = [0], ((points - points[0]) ** 2).sum(1)
+    while len(chosen) < k and least.max() > 0:
+        chosen.append(int(np.argmax(least)))
+        least = np.minimum(least, ((points - points[chosen[-1]]) ** 2).sum(1))
+    return np.array(chosen)
+
+
+def to_pivots(points: np.ndarray, pivots: np.ndarray) -> np.ndarray:
+    """Distances of points to pivots."""
+    squares = (points**2).sum(1)[:, None] + (pivots**2).sum(1)[None, :] - 2.0 * points @ pivots.T
+    return np.sqrt(np.maximum(squares, 0.0))
+
+
+def _trees(placed: DataFrame, width: int, top: float) -> DataFrame:
+    """cell, part, tree: one pickled tree for each block of rows."""
 
     def run(group: pa.Table) -> pa.Table:
-        ids, m = group.column("id").to_numpy(), matrix(group.column("v").to_pylist())
-        value = MTree(ids, m) if tree else (ids, m)
-        return pa.table({key: pa.array([group.column(key)[0].as_py()], pa.int64()), "blob": pa.array([pickle.dumps(value)], pa.binary())})
+        m = fitted(matrix(group.column("v").to_pylist()), width)
+        blob = pickle.dumps(MTree(group.column("id").to_numpy(), m, top=top))
+        return pa.table({c: group.column(c).slice(0, 1) for c in ("cell", "part")} | {"tree": pa.array([blob], pa.binary())})
 
-    return rows.groupBy(key).applyInArrow(run, f"{key} long, blob binary")
+    return placed.groupBy("cell", "part").applyInArrow(run, "cell int, part int, tree binary")
 
 
-def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, block: int = BLOCK, chunk: int = CHUNK) -> DataFrame:
-    """query_id, rank, vec_id, score: the k best of ``vectors`` for each row of ``queries`` (both id, v)."""
-    rows = vectors.withColumn("n", F.monotonically_increasing_id())
-    n_blocks = max(1, -(-vectors.count() // block))
-    trees = _blobs(rows.withColumn("block", F.pmod(F.xxhash64("n"), F.lit(n_blocks))).drop("n"), "block", True)
-    asked = common.materialise(queries.groupBy("id").agg(F.min("v").alias("v")))
-    n_chunks = max(1, -(-asked.count() // chunk))
-    chunks = _blobs(asked.withColumn("chunk", F.pmod(F.xxhash64("id"), F.lit(n_chunks))), "chunk", False)
-    upto = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))
-    trees = common.written(trees, "trees").withColumn("chunk", upto(n_chunks)).withColumnRenamed("blob", "tree")
-    pairs = trees.join(chunks.withColumn("block", upto(n_blocks)).withColumnRenamed("blob", "queries"), ["block", "chunk"])
+def _searched(visits: DataFrame, trees: DataFrame, width: int, k: int) -> DataFrame:
+    """query_id, vec_id, score, distances: what each tree finds for the queries (id, v, least, cell, part, chunk) that visit it.
+
+    distances stands on one row of a tree's queries together; vec_id is null where there is no other."""
+
+    def pack(group: pa.Table) -> pa.Table:
+        value = group.column("id").to_numpy(), fitted(matrix(group.column("v").to_pylist()), width), group.column("least").to_pylist()
+        return pa.table({c: group.column(c).slice(0, 1) for c in ("cell", "part")} | {"queries": pa.array([pickle.dumps(value)], pa.binary())})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for blob, part in zip(b.column("tree"), b.column("queries"), strict=True):
-                tree, (ids, m) = pickle.loads(blob.as_buffer()), pickle.loads(part.as_buffer())
-                m = fitted(m, tree.rows.shape[1])
-                found = [(i, *x) for i, q in zip(ids.tolist(), m, strict=True) for x in tree.search(i, q, k)]
-                columns = list(zip(*found, strict=True)) or [(), (), ()]
-                yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.int64()), pa.array(columns[2], pa.int64()), pa.array(columns[1], pa.int64())], ["query_id", "vec_id", "score"])
+                tree, (ids, m, least) = pickle.loads(blob.as_buffer()), pickle.loads(part.as_buffer())
+                found = [(i, *x, 0) for i, q, at_least in zip(ids.tolist(), m, least, strict=True) for x in tree.search(i, q, k, at_least)]
+                found.append((int(ids[0]), None, None, tree.distances))
+                columns = list(zip(*found, strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(columns[i], pa.int64()) for i in (0, 2, 1, 3)], ["query_id", "vec_id", "score", "distances"])
+
+    chunks = visits.groupBy("cell", "part", "chunk").applyInArrow(pack, "cell int, part int, queries binary")
+    return trees.join(chunks, ["cell", "part"]).select("tree", "queries").mapInArrow(run, "query_id long, vec_id long, score long, distances long")
+
+
+def found(vectors: DataFrame, queries: DataFrame, k: int = 10, block: int = BLOCK, chunk: int = CHUNK, cells: int = CELLS) -> DataFrame:
+    """query_id, vec_id, score, distances: candidates with the k best of every query, as ``_searched`` gives them."""
+    squares = F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))
+    n, top, width = vectors.agg(F.count(F.lit(1)), F.coalesce(F.max(squares), F.lit(0.0)), F.coalesce(F.max(F.size("v")), F.lit(1))).first()
+    top, width, n_cells = float(top), max(1, int(width)), min(cells, max(1, -(-n // block)))
+    first = common.lowest(vectors.select("id", "v"), "id", SAMPLED * n_cells).collect()
+    sample = lifted(fitted(matrix([r["v"] for r in first]), width), top) if first else np.zeros((1, width + 1))
+    pivots = sample[far_apart(sample, n_cells)]
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in (whole.slice(i, 4096) for whole in batches for i in range(0, whole.num_rows, 4096)):
+            d = to_pivots(lifted(fitted(matrix(b.column("v").to_pylist()), width), top), pivots)
+            near = d.argmin(1)
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("v"), pa.array(near, pa.int32()), pa.array(d[np.arange(len(d)), near])], ["id", "v", "cell", "d"])
+
+    placed = vectors.select("id", "v").mapInArrow(place, "id long, v array<long>, cell int, d double").withColumn("n", F.monotonically_increasing_id())
+    placed = common.written(placed, "placed")
+    per = placed.groupBy("cell").agg(F.count(F.lit(1)).alias("rows"), F.min("d").alias("least"), F.max("d").alias("most")).collect()  # one row a cell
+    parts = {r["cell"]: -(-r["rows"] // block) for r in per}
+    near, far = np.full(len(pivots), np.inf), np.full(len(pivots), -np.inf)
+    for r in per:
+        near[r["cell"]], far[r["cell"]] = r["least"], r["most"]
+    many = F.create_map(*[F.lit(x) for c, m in (parts or {0: 1}).items() for x in (c, m)])
+    trees = common.written(_trees(placed.withColumn("part", F.pmod(F.xxhash64("n"), F.element_at(many, F.col("cell"))).cast("int")).drop("n", "d"), width, top), "trees")
+    asked = common.materialise(queries.groupBy("id").agg(F.min("v").alias("v")))
+    n_chunks = max(1, -(-asked.count() // chunk))
 
-    found = pairs.select("tree", "queries").mapInArrow(run, "query_id long, vec_id long, score long")
+    def visits(home: bool):  # noqa: ANN202
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in (whole.slice(i, 1024) for whole in batches for i in range(0, whole.num_rows, 1024)):
+                m = fitted(matrix(b.column("v").to_pylist()), width).astype(np.float64)
+                d = to_pivots(np.column_stack([m, np.zeros(len(m))]), pivots)
+                size = (m**2).sum(1) + top
+                low = np.where(near[None, :] <= far[None, :], np.maximum(0.0, np.maximum(d - far[None, :], near[None, :] - d)), np.inf)
+                first = np.argmin(low + d * 1e-9, axis=1)
+                out = []
+                for i, least in enumerate(b.column("least").to_pylist()):
+                    if home:
+                        own = [first[i]]
+                    else:
+                        limit = np.inf if least is None else size[i] - 2.0 * float(least) + 1e-6 * max(1.0, size[i])
+                        own = [c for c in np.flatnonzero(np.isfinite(low[i]) & (low[i] ** 2 <= limit)) if c != first[i]]
+                    out += [(i, int(c), p) for c in own for p in range(parts.get(int(c), 0))]
+                at, cell, part = list(zip(*out, strict=True)) or [(), (), ()]
+                take = b.take(pa.array(at, pa.int64()))
+                yield pa.RecordBatch.from_arrays([take.column("id"), take.column("v"), take.column("least"), pa.array(cell, pa.int32()), pa.array(part, pa.int32())], ["id", "v", "least", "cell", "part"])
+
+        return run
+
+    def searched(ask: DataFrame, home: bool) -> DataFrame:
+        to = ask.select("id", "v", "least").mapInArrow(visits(home), "id long, v array<long>, least long, cell int, part int")
+        return common.written(_searched(to.withColumn("chunk", F.pmod(F.xxhash64("id"), F.lit(n_chunks))), trees, width, k), "found")
+
+    at_home = searched(asked.withColumn("least", F.lit(None).cast("long")), True)
+    kth = _best(at_home, k).groupBy("query_id").agg(F.min("score").alias("least"), F.count(F.lit(1)).alias("n")).where(F.col("n") >= k)
+    beyond = searched(asked.join(kth.select(F.col("query_id").alias("id"), "least"), "id", "left"), False)
+    return at_home.unionAll(beyond)
+
+
+def _best(rows: DataFrame, k: int) -> DataFrame:
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return rows.where("vec_id is not null").withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+
+def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10, **options) -> DataFrame:
+    """query_id, rank, vec_id, score: the k best of ``vectors`` for each row of ``queries`` (both id, v)."""
+    return _best(found(vectors, queries, k, **options), k)
 
 
 def op4_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:

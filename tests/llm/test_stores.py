@@ -107,6 +107,20 @@ def test_top_k_awkward_rows(spark):
     assert mt.top_k(none, none).count() == 0
 
 
+def test_cells_and_bounds_spare_distances(spark):
+    rng = np.random.default_rng(8)
+    centers = rng.normal(0, 1, (12, 6))
+    v = np.concatenate([c + rng.normal(0, 0.02, (150, 6)) for c in centers] + [np.tile(centers[0], (900, 1))])  # a third are equal
+    rows = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>")
+    q = mt.quantised(rows)
+    asked = q.where("id % 25 = 0")
+    m = np.floor(v * 1024).astype(int)
+    want = {(i, r + 1, -b, s) for i in range(0, len(v), 25) for r, (s, b) in enumerate(brute_top(range(len(v)), m, i, m[i], 10))}
+    assert {(r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in mt.top_k(q, asked, block=200, chunk=16).collect()} == want
+    done = mt.found(q, asked, block=200, chunk=16).agg(mt.F.sum("distances")).first()[0]
+    assert done < 0.6 * len(v) * asked.count()
+
+
 def drawn(df, **o):
     return h.table(mixing.draw(df, **o))
 
