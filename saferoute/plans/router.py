@@ -78,7 +78,8 @@ def reachable_nodes(queries: DataFrame, index: Index, options: RouteOptions, bes
         if wet:
             slots = index.by_slot.where(F.col("level") == level).drop("level")
             here = here.join(slots, ["wtype", "node"], "left").where(F.col("slots").isNull() | some_slot)
-        here = stored(here.select(*q.columns, "node", "lb_t"))
+        here = here.select(*q.columns, "node", "lb_t")
+        here = stored(here) if level == 1 else here  # the few nodes above are worked out again where they are counted
         opened = here.groupBy("qid").agg(F.count(F.lit(1)).alias("n"))
         # a surviving inner node is a page that is read for the entries of its children; leaf pages count in the search
         now = touched.join(opened, "qid", "left").select("qid", F.when(F.lit(level > 1), F.coalesce("n", F.lit(0))).otherwise(0).cast("long").alias("nodes"), "entries", F.coalesce("n", F.lit(0)).alias("queue"))
