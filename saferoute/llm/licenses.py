@@ -13,8 +13,6 @@ Nulls are empty texts: no words, no labels, score 0. Repeated rows give equal ro
 
 from __future__ import annotations
 
-import json
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -96,6 +94,50 @@ unlicense; this is free and unencumbered software released into the public domai
 public-domain; released into the public domain
 public-domain; dedicated to the public domain
 proprietary; all rights reserved
+mit; the above copyright notice and this permission notice shall be included in all copies
+mit; the software is provided as is without warranty of any kind
+mit; dual licensed under the mit and gpl licen[cs]es?
+bsl; permission is hereby granted free of charge to any person or organization obtaining a copy
+hpnd; permission to use copy modify and distribute this software and its documentation for any purpose
+bsd; redistributions of source code must retain the above copyright notice
+bsd; redistributions in binary form must reproduce the above copyright notice
+bsd-3; neither the name of (?:[^ ]+ ){1,8}nor the names of its contributors may be used
+bsd; this software is provided by the (?:copyright holders|regents|author)(?: and contributors)? as is
+zlib; this software is provided as is without any express or implied warranty
+zlib; altered source versions must be plainly marked as such
+gpl; this program is free software(?: you can redistribute it)?
+lgpl; this library is free software(?: you can redistribute it)?
+gpl; you should have received a copy of the gnu general public licen[cs]e
+lgpl; you should have received a copy of the gnu (?:lesser|library) general public licen[cs]e
+agpl; you should have received a copy of the gnu affero general public licen[cs]e
+lgpl; you can redistribute it and or modify it under the terms of the gnu library general public licen[cs]e
+agpl; you can redistribute it and or modify it under the terms of the gnu affero general public licen[cs]e
+gfdl; permission is granted to copy distribute and or modify this document under the terms of the gnu free documentation licen[cs]e
+apache-2.0; you may not use this file except in compliance with the licen[cs]e
+apache-2.0; you may obtain a copy of the licen[cs]e at(?: https?)? www apache org
+apache-2.0; unless required by applicable law or agreed to in writing software distributed under the licen[cs]e
+apache-2.0; either the apache licen[cs]e version 2 0 or the mit licen[cs]e
+mpl-2.0; this source code form is subject to the terms of the mozilla public licen[cs]e
+mpl-1.1; the contents of this file are subject to the mozilla public licen[cs]e
+cddl; the contents of this file are subject to the terms of the common development and distribution licen[cs]e
+epl; this program and the accompanying materials are made available under the terms of the eclipse public licen[cs]e
+ofl; this font software is licensed under the sil open font licen[cs]e
+wtfpl; you just do what the fuck you want to
+artistic; same terms as perl itself
+cc0; waived all copyright and related or neighbou?ring rights
+cc-by; licensed under a creative commons attribution(?: [0-9] [0-9])?(?: international| unported)? licen[cs]e
+cc-by-sa; licensed under a creative commons attribution share ?alike
+cc-by-nc; licensed under a creative commons attribution non ?commercial
+cc-by-nd; licensed under a creative commons attribution no ?deriv(?:ative)?s
+creative-commons; some rights reserved
+odbl; any rights in individual contents of the database are licensed under
+public-domain; this work is in the public domain
+public-domain; placed in(?:to)? the public domain
+proprietary; unauthorized copying of this file via any medium is strictly prohibited
+proprietary; unauthorised copying of this file via any medium is strictly prohibited
+proprietary; confidential and proprietary
+proprietary; no part of this (?:publication|book|document|work) may be reproduced
+proprietary; may not be (?:copied|reproduced|redistributed|republished) without (?:the )?(?:express )?(?:prior )?(?:written )?(?:permission|consent)
 """
 
 
@@ -140,10 +182,12 @@ def _alternatives(names: str) -> list[str]:
 
 
 #: Substrings one of which every rule's text has, in lower case; and those that need a second look.
-KEYWORDS = ("licen", "gnu", "gpl", "apache", "mpl", "epl", "cddl", "eupl", "wtfpl", "odbl", "pddl", "sspl", "cecill", "lppl", "gfdl", "cc0", "openrail", "rail", "creative", "domain", "granted", "redistribut", "reserved", "w3c", "permission")
+KEYWORDS = ("licen", "gnu", "gpl", "apache", "mpl", "epl", "cddl", "eupl", "wtfpl", "odbl", "pddl", "sspl", "cecill", "lppl", "gfdl", "cc0", "openrail", "rail", "creative", "domain", "granted", "redistribut", "reserved", "w3c", "permission", "warrant", "copyright", "contributors", "confidential", "copying", "reproduced", "republished", "altered source", "free software", "perl itself", "waived", "want to")
 PAIRS = (r"cc[\x00-\x2F\x3A-\x60\x7B-\x7F]+by", r"ms[\x00-\x2F\x3A-\x60\x7B-\x7F]+[pr]l")
 #: Gates that are common words too count only before one of these words.
-NEXT = {"mit": ("license", "licence"), "do": ("what",), "you": ("can",), "this": ("is",), "the": ("unlicense",), "all": ("rights",), "new": ("bsd",), "cc": ("by",), "ms": ("pl", "rl"), "open": ("source", "software", "font", "database", "data", "rail")}
+NEXT = {"mit": ("license", "licence"), "do": ("what",), "you": ("can", "should", "may", "just"), "this": ("is", "software", "program", "library", "source", "work", "font"), "the": ("unlicense", "above", "software", "contents"),
+    "no": ("part",), "any": ("rights",), "some": ("rights",), "same": ("terms",), "neither": ("the",), "may": ("not",), "either": ("the",), "unless": ("required",), "placed": ("in", "into"),
+    "all": ("rights",), "new": ("bsd",), "cc": ("by",), "ms": ("pl", "rl"), "open": ("source", "software", "font", "database", "data", "rail")}
 
 
 def scan(docs: DataFrame, table: list[dict] | None = None) -> DataFrame:
@@ -154,8 +198,6 @@ def scan(docs: DataFrame, table: list[dict] | None = None) -> DataFrame:
     by_gate: dict[str, list[dict]] = {}
     for k, r in enumerate(table):
         by_gate.setdefault(r["gate"], []).append({"k": k, **{x: r[x] for x in ("regex", "label", "priority", "weight", "base")}})
-    kind = "map<string,array<struct<k:int,regex:string,label:string,priority:int,weight:double,base:boolean>>>"
-    known = F.from_json(F.lit(json.dumps(by_gate)), kind)
     plain = [g for g in by_gate if g not in NEXT]
     text = F.coalesce("text", F.lit(""))
     low = F.lower(text)
@@ -172,14 +214,25 @@ def scan(docs: DataFrame, table: list[dict] | None = None) -> DataFrame:
                 hit = hit | (w == gate) & F.get(F.col("words"), i + 1).isin(*after)
         return F.when(hit, F.struct(i.alias("start"), w.alias("gate")))
 
+    kind = "struct<start:int,length:int,label:string,priority:int,weight:double,base:boolean,k:int,hit:boolean>"
+
     def detect(h: Column) -> Column:
-        window = F.array_join(F.slice("words", h["start"] + 1, REACH), " ")
+        """The rules of a gate, each with its own pattern, which is compiled once."""
+
+        def one(r: dict, window: Column) -> Column:
+            found = F.regexp_extract(window, r["regex"], 0)
+            length = F.length(F.regexp_replace(found, "[^ ]+", "")) + 1
+            values = (h["start"], length, *(F.lit(r[x]) for x in ("label", "priority", "weight", "base", "k")), found != "")
+            return F.struct(*values).cast(kind)
 
-        def apply(r: Column) -> Column:
-            found = F.call_function("regexp_extract", window, r["regex"], F.lit(0))
-            return F.struct(h["start"].alias("start"), (F.length(F.regexp_replace(found, "[^ ]+", "")) + 1).alias("length"), r["label"].alias("label"), r["priority"].alias("priority"), r["weight"].alias("weight"), r["base"].alias("base"), r["k"].alias("k"), (found != "").alias("hit"))
+        def by_rules(window: Column) -> Column:
+            out = None
+            for gate, own in by_gate.items():
+                tried = F.array(*[one(r, window) for r in own])
+                out = F.when(h["gate"] == gate, tried) if out is None else out.when(h["gate"] == gate, tried)
+            return F.filter(out, lambda d: d["hit"])
 
-        return F.filter(F.transform(F.element_at(known, h["gate"]), apply), lambda d: d["hit"])
+        return F.get(F.transform(F.array(F.array_join(F.slice("words", h["start"] + 1, REACH), " ")), by_rules), 0)
 
     words = docs.select("doc_id", F.regexp_count(text, F.lit(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")).cast("long").alias("n_words"), F.when(keyed, F.regexp_extract_all(F.translate(text, _UPPER, _LOWER), F.lit(LICENSE_WORD), 0)).alias("words"))
     hits = words.withColumn("hits", F.filter(F.transform("words", gated), lambda h: h.isNotNull()))

@@ -48,6 +48,22 @@ def test_license_rules_and_suppression(spark):
     assert len(licenses.rules()) > 300
 
 
+def test_every_notice_is_found(spark):
+    """Each notice as a text: alternatives taken first, optional words left out."""
+    import re
+
+    def plain(p):
+        p = p.replace("(?:[^ ]+ ){1,8}", "the author ")
+        while "(?:" in p:
+            p = re.sub(r"\(\?:([^()|]*)(?:\|[^()]*)?\)(\??)", lambda m: "" if m[2] else m[1], p, count=1)
+        return re.sub(r"[^\]]\?", lambda m: "" if m[0] != " ?" else " ", re.sub(r"\[(.)[^\]]*\]", r"\1", p)).replace("[0-9]", "4").strip()
+
+    lines = [tuple(x.strip() for x in line.split(";")) for line in licenses.NOTICES.strip().splitlines()]
+    rows = {r["doc_id"]: r for r in licenses.scan(h.docs(spark, [f"x {plain(p)} y" for _, p in lines])).collect()}
+    for i, (label, p) in enumerate(lines):
+        assert label in rows[i]["labels"], (label, plain(p), rows[i]["labels"])
+
+
 def test_license_awkward_rows(spark):
     rows = h.table(licenses.scan(h.awkward(spark)))
     assert len(rows) == 9 and all(r["labels"] == "" for r in rows)
