@@ -2,11 +2,13 @@
 
 Each source gets a target of words: ``budget`` times all words, shared by weight, no source above
 ``most`` times its own words, the excess reshared by weight (a water level). A document's expected
-copies are its source's target / words; their whole part is certain, and the rest is drawn: with a
-uniform U from a hash of the row and an inclusion probability p, documents are ranked by the ratio of
+copies are its source's target / words; their whole part is certain. The rest is drawn with inclusion
+probabilities that grow with the root of a document's size, so that a long document is drawn more surely
+than a short one; their scale makes the expected words the remaining ones. Documents whose probability comes to one
+or more are certain units: they are taken once more, and the scale is found anew for the others, ``UNITS`` times.
+With a uniform U from a hash of the row and a probability p, the other documents are ranked by the ratio of
 odds (U / (1 - U)) / (p / (1 - p)), and the smallest are taken until the source's remaining words are
-met. p grows with the square root of a document's size, so that a long document is drawn more surely
-than a short one; its scale makes the expected words of a source the remaining ones.
+met: the sample's size is fixed in words, as targets are, not in documents.
 
 The cut is found from sums over narrow rank bins, refined twice within the bin where the sum crosses the
 remainder: no sort of a source, whatever its share of the rows. At each cut the nearer side is taken.
@@ -27,6 +29,8 @@ from . import common
 WEIGHTS, BUDGET, MOST = (3, 1, 2), 1.5, 2
 SEED = "mix-1"
 BINS, LEVELS = 1024, 3
+#: Rounds in which certain units are moved out of the draw.
+UNITS = 4
 
 
 def sizes(docs: DataFrame, seed: str = SEED, keep: bool = False) -> DataFrame:
@@ -61,18 +65,33 @@ def _same(a: Column, b: Column) -> Column:
     return a.eqNullSafe(b)
 
 
+def units(sized: DataFrame, per_source: DataFrame) -> DataFrame:
+    """per_source with whole, rest (words to draw beside certain units), bar and scale.
+
+    A document is a certain unit where bar * sqrt(size) is 1 or more; of the others scale * sqrt(size) is the probability."""
+    copies = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
+    s = per_source.withColumn("whole", F.floor(copies)).withColumn("all_rest", F.col("target") - F.col("whole") * F.col("source_size"))
+    s = s.withColumns({"scale": F.col("all_rest") / F.greatest(F.col("powers"), F.lit(1)), "bar": F.lit(0.0), "rest": F.col("all_rest")})
+    for _ in range(UNITS):
+        s = common.materialise(s)
+        now = s.select(F.col("source").alias("s_"), F.col("scale").alias("scale_"))
+        sure = sized.join(now, _same(sized["source"], now["s_"])).where(F.sqrt("size") * F.col("scale_") >= 1)
+        sums = sure.groupBy("s_").agg(F.sum("size").alias("big"), F.sum(F.floor(F.col("size") * F.sqrt("size"))).alias("gone"), F.lit(True).alias("any_"))
+        s = s.withColumnRenamed("scale", "old").join(sums, _same(F.col("source"), F.col("s_")), "left")
+        rest = F.col("all_rest") - F.coalesce("big", F.lit(0))
+        s = s.select("source", "source_size", "powers", "target", "whole", "all_rest", (rest / F.greatest(F.col("powers") - F.coalesce("gone", F.lit(0)), F.lit(1))).alias("scale"), F.col("old").alias("bar"), rest.alias("rest"))
+    return s
+
+
 def ranked(sized: DataFrame, per_source: DataFrame) -> DataFrame:
-    """Adds whole (certain copies), rest (words still to draw in the source) and rank in (0, 1).
+    """Adds whole (certain copies), sure (a certain unit), rest (words still to draw in the source) and rank in (0, 1).
 
     The rank is x / (1 + x) for the ratio of odds x, which keeps the order and is bounded."""
     s = per_source.withColumnRenamed("source", "s_")
-    copies = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
-    out = sized.join(s, _same(sized["source"], s["s_"])).drop("s_").withColumn("whole", F.floor(copies)).withColumn("share", copies - F.floor(copies))
-    out = out.withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size"))
-    even = F.col("share") * F.sqrt("size") * F.col("source_size") / F.greatest(F.col("powers"), F.lit(1))
-    p = F.least(F.lit(1 - 1e-6), F.greatest(F.lit(1e-6), even))
+    out = sized.join(s, _same(sized["source"], s["s_"])).drop("s_", "all_rest").withColumn("sure", F.sqrt("size") * F.col("bar") >= 1)
+    p = F.least(F.lit(1 - 1e-6), F.greatest(F.lit(1e-6), F.col("scale") * F.sqrt("size")))
     odds = (F.col("u") / (1 - F.col("u"))) / (p / (1 - p))
-    return out.withColumn("rank", odds / (1 + odds)).drop("powers", "share")
+    return out.withColumn("rank", odds / (1 + odds)).drop("powers", "bar", "scale")
 
 
 def cuts(ranks: DataFrame) -> DataFrame:
@@ -80,7 +99,7 @@ def cuts(ranks: DataFrame) -> DataFrame:
 
     Level by level the bin of ranks is found in which the running sum of sizes passes ``rest``; the
     sums are combined before the shuffle and have at most BINS rows per source and level."""
-    rows = ranks.where("size > 0 and rest > 0").select("source", "rank", "size", "rest")
+    rows = ranks.where("size > 0 and rest > 0 and not sure").select("source", "rank", "size", "rest")
     state = None
     for level in range(1, LEVELS + 1):
         width = float(BINS) ** level
@@ -107,11 +126,11 @@ def draw(docs: DataFrame, carry: bool = False, **options) -> DataFrame:
     ``carry``: row (all columns of ``docs``) and copies instead. Sizes and ranks are then worked out again where
     the texts are read, and only the tables of one row per source are joined to them."""
     sized = common.materialise(sizes(docs))
-    per_source = common.written(targets(sized, **options), "mix-targets")
+    per_source = common.written(units(sized, common.written(targets(sized, **options), "mix-targets")), "mix-units")
     c = common.written(cuts(ranked(sized, per_source)), "mix-cuts").withColumnRenamed("source", "s_")
     ranks = ranked(sizes(docs, keep=True) if carry else sized, per_source)
     drawn = ranks.join(c, _same(ranks["source"], c["s_"]), "left")
-    hit = (F.col("rest") > 0) & F.coalesce(F.when(F.col("open"), F.col("rank") < F.col("cut")).otherwise(F.col("rank") <= F.col("cut")), F.lit(False))
+    hit = F.col("sure") | (F.col("rest") > 0) & F.coalesce(F.when(F.col("open"), F.col("rank") < F.col("cut")).otherwise(F.col("rank") <= F.col("cut")), F.lit(False))
     drawn = drawn.withColumn("copies", F.col("whole") + F.when(hit, 1).otherwise(0))
     if carry:
         return drawn.select("row", "copies")

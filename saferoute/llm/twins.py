@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import metric_tree
+from . import metric_tree, mixing
 
 _AZ, _az = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _WORD = r"[^\x20\x09-\x0D]+"
@@ -26,6 +26,14 @@ SELECT page_id, CAST(strlen(html) AS BIGINT) AS payload_bytes,
   CASE WHEN page_id = rep THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> rep THEN rep END AS refers_to, true AS digests_hold
 FROM p"""
 
+_UNITS = "".join(
+    f"""g{k} AS (SELECT d.source, CAST(sum(size) AS BIGINT) AS big, CAST(sum(CAST(floor(size * sqrt(size)) AS BIGINT)) AS BIGINT) AS gone FROM d JOIN u{k - 1} u ON u.source IS NOT DISTINCT FROM d.source
+  WHERE sqrt(size) * u.scale >= 1 GROUP BY d.source),
+u{k} AS MATERIALIZED (SELECT u.source, source_size, powers, target, whole, all_rest, (all_rest - coalesce(big, 0)) / greatest(powers - coalesce(gone, 0), 1) AS scale, u.scale AS bar, all_rest - coalesce(big, 0) AS rest
+  FROM u{k - 1} u LEFT JOIN g{k} g ON g.source IS NOT DISTINCT FROM u.source),
+"""
+    for k in range(1, mixing.UNITS + 1)
+)
 MIX = f"""
 WITH d AS MATERIALIZED (SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '{_WORD}')) AS BIGINT) AS size,
   (CAST(CAST('0x' || substr(sha256(concat_ws('|', 'mix-1', coalesce(CAST(doc_id AS VARCHAR), 'null'), sha256(coalesce(text, '')))), 1, 13) AS BIGINT) AS DOUBLE) + 5e-1) / 4503599627370496e0 AS u FROM documents),
@@ -34,14 +42,16 @@ f AS (SELECT *, cap / weight AS fill FROM (SELECT *, [3e0, 1e0, 2e0][(row_number
 l AS (SELECT *, (CAST(sum(source_size) OVER () AS DOUBLE) * 15e-1 - coalesce(sum(cap) OVER (ORDER BY fill, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0e0))
   / sum(weight) OVER (ORDER BY fill, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM f),
 t AS MATERIALIZED (SELECT source, source_size, powers, least(cap, weight * coalesce(max(CASE WHEN level <= fill THEN level END) OVER (), fill)) AS target FROM l),
-c AS (SELECT d.*, t.source_size, t.powers, t.target, CASE WHEN t.source_size > 0 THEN t.target / t.source_size ELSE 0e0 END AS copies FROM d JOIN t ON t.source IS NOT DISTINCT FROM d.source),
-q AS (SELECT *, floor(copies) AS whole, target - floor(copies) * source_size AS rest,
-  least(1 - 1e-6, greatest(1e-6, (copies - floor(copies)) * sqrt(size) * source_size / greatest(powers, 1))) AS p FROM c),
+v AS (SELECT *, floor(CASE WHEN source_size > 0 THEN target / source_size ELSE 0e0 END) AS whole FROM t),
+u0 AS MATERIALIZED (SELECT *, target - whole * source_size AS all_rest, (target - whole * source_size) / greatest(powers, 1) AS scale, 0e0 AS bar, target - whole * source_size AS rest FROM v),
+{_UNITS}
+q AS (SELECT d.*, u.source_size, u.target, u.whole, u.rest, sqrt(size) * u.bar >= 1 AS sure, least(1 - 1e-6, greatest(1e-6, u.scale * sqrt(size))) AS p
+  FROM d JOIN u{mixing.UNITS} u ON u.source IS NOT DISTINCT FROM d.source),
 k AS MATERIALIZED (SELECT *, o / (1 + o) AS rk FROM (SELECT *, (u / (1 - u)) / (p / (1 - p)) AS o FROM q)),
-b AS (SELECT source, floor(rk * 1073741824e0) AS bin, sum(size) AS words, any_value(rest) AS rest, max(rk) AS top FROM k WHERE size > 0 AND rest > 0 GROUP BY source, bin),
+b AS (SELECT source, floor(rk * 1073741824e0) AS bin, sum(size) AS words, any_value(rest) AS rest, max(rk) AS top FROM k WHERE size > 0 AND rest > 0 AND NOT sure GROUP BY source, bin),
 z AS (SELECT *, coalesce(sum(words) OVER (PARTITION BY source ORDER BY bin ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM b),
 x AS (SELECT source, rest - before < before + words - rest AS open, CASE WHEN rest - before < before + words - rest THEN bin / 1073741824e0 ELSE top END AS cut FROM z WHERE before < rest AND before + words >= rest)
-SELECT doc_id, size, source_size, target, CAST((whole + CASE WHEN rest > 0 AND coalesce(CASE WHEN open THEN rk < cut ELSE rk <= cut END, false) THEN 1 ELSE 0 END) * size AS BIGINT) AS taken
+SELECT doc_id, size, source_size, target, CAST((whole + CASE WHEN sure OR rest > 0 AND coalesce(CASE WHEN open THEN rk < cut ELSE rk <= cut END, false) THEN 1 ELSE 0 END) * size AS BIGINT) AS taken
 FROM k LEFT JOIN x ON x.source IS NOT DISTINCT FROM k.source"""
 
 SQL = {"op3_ngram_join": NGRAM_JOIN, "op4_top_k": metric_tree.SQL, "op7_warc": WARC, "op8_mix": MIX}

@@ -152,6 +152,20 @@ def test_longer_documents_are_drawn_more_surely(spark):
     assert share(40, 100) > 1.5 * share(1, 20)
 
 
+def test_documents_too_large_for_a_draw_are_certain(spark):
+    """The certain units are those of the method's fixpoint, worked out plainly."""
+    rng = random.Random(3)
+    size = [rng.randint(1, 9) for _ in range(300)] + [4000, 3000, 900]
+    rows = drawn(h.docs(spark, [f"w{i} " * n for i, n in enumerate(size)], ["a"] * len(size)), budget=0.9)
+    sure, rest = set(), 0.9 * sum(size)
+    for _ in range(mixing.UNITS):
+        scale = (rest - sum(size[i] for i in sure)) / sum(int(n * n**0.5) for i, n in enumerate(size) if i not in sure)
+        sure = {i for i, n in enumerate(size) if n**0.5 * scale >= 1}
+    copies = {r["doc_id"]: r["copies"] for r in rows}
+    assert sure >= {300, 301} and all(copies[i] == 1 for i in sure)
+    assert abs(sum(r["taken"] for r in rows) - rest) <= 9
+
+
 def test_mixing_awkward_rows(spark):
     rows = drawn(h.awkward(spark))
     assert len(rows) == 9 and {r["source"] for r in rows} == {"a", "b", None}
