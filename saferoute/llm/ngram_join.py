@@ -63,6 +63,8 @@ BLOCK_SIZE, FAN = 1_000_000, 1024
 #: Lists up to SHORT sets emit their pairs across components; longer ones are compared in blocks of BLOCK sets.
 SHORT, BLOCK = 4, 512
 _M1, _M2, _S = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(29)
+#: Bits of the map of rows that may go.
+FILTER_BITS = 1 << 26
 #: Bits of a block's number within its partition; numbers from here on are those of common shingles.
 BLOCK_BITS, COMMON_FROM = 22, 1 << 62
 
@@ -616,24 +618,41 @@ def join(docs: DataFrame) -> DataFrame:
     return joined(docs).select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("cls").isNull(), F.col("doc_id")).otherwise(F.col("component")).alias("component_id"))
 
 
+def parted(rows: DataFrame, keys: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(rows that have none of the keys, rows that may have one); both frames have none_, id_ and h_.
+
+    The keys' hashes are marked in a bitmap of FILTER_BITS bits, whatever their number, which every task gets: 8 MB at
+    most. The more keys there are, the more other rows share a bit with one; these are told apart by a join."""
+    place = F.pmod(F.xxhash64("none_", "id_", "h_"), F.lit(FILTER_BITS))
+    marks = keys.select(F.bitmap_bucket_number(place).alias("bucket_"), F.bitmap_bit_position(place).alias("bit_"))
+    marks = common.written(marks.groupBy("bucket_").agg(F.bitmap_construct_agg("bit_").alias("bits_")), "marks")
+    placed = rows.withColumns({"bucket_": F.bitmap_bucket_number(place), "bit_": F.bitmap_bit_position(place)}).join(F.broadcast(marks), "bucket_", "left")
+    octet = F.conv(F.hex(F.substring("bits_", F.floor(F.col("bit_") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    marked = F.coalesce(F.getbit(octet, (F.col("bit_") % 8).cast("int")) == 1, F.lit(False))
+    return placed.where(~marked).select(*rows.columns), placed.where(marked).select(*rows.columns)
+
+
 def representatives(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` of which no other stands for: one of each component, that of the smallest doc_id (null
     last), then of the smallest hash of its text; of rows that repeat both, one. Rows without words stay.
 
-    The rows that go are written first; their size then decides whether they are broadcast."""
+    Only the texts of rows that may go are shuffled, to be told apart exactly."""
     found = common.written(joined(docs).where("cls is not null").select("doc_id", "h", "label"), "joined")
     best = common.materialise(found.groupBy("label").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "h")).alias("best")))
     other = found.join(best, "label").where(~(F.col("doc_id").eqNullSafe(F.col("best.doc_id")) & (F.col("h") == F.col("best.h"))))
+    names = ["none_", "id_", "h_"]
     key = [F.col("doc_id").isNull().alias("none_"), F.coalesce(F.col("doc_id"), F.lit(0).cast(docs.schema["doc_id"].dataType)).alias("id_"), "h_"]
     narrow = lambda df: df.withColumnRenamed("h", "h_").select(*key).distinct()
     gone = common.written(narrow(other), "gone")
-    twice = common.written(narrow(found.groupBy("doc_id", "h").count().where("count > 1")).join(gone, ["none_", "id_", "h_"], "left_anti"), "repeated")
+    twice = common.written(narrow(found.groupBy("doc_id", "h").count().where("count > 1")).join(gone, names, "left_anti"), "repeated")
     release(docs.sparkSession)
     row = docs.select(F.struct(*docs.columns).alias("row_"), "doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h_")).select("row_", *key)
-    left = row.join(gone, ["none_", "id_", "h_"], "left_anti")
+    apart, maybe = parted(row, gone)
+    left = apart.unionAll(maybe.join(gone, names, "left_anti").select(*row.columns))
     if not twice.isEmpty():
-        again = left.join(twice, ["none_", "id_", "h_"], "left_semi").groupBy("none_", "id_", "h_").agg(F.first("row_").alias("row_"))
-        left = left.join(twice, ["none_", "id_", "h_"], "left_anti").select("row_").unionAll(again.select("row_"))
+        apart, maybe = parted(left, twice)
+        again = maybe.join(twice, names, "left_semi").groupBy(*names).agg(F.first("row_").alias("row_"))
+        left = apart.unionAll(maybe.join(twice, names, "left_anti").select(*row.columns)).select("row_").unionAll(again.select("row_"))
     return left.select("row_.*")
 
 

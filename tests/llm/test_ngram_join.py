@@ -109,3 +109,17 @@ def test_packed_sets():
     rng = np.random.default_rng(1)
     for a in (np.zeros(0, np.int64), np.array([-5]), np.array([-3, -1, 2**47, 2**62]), np.unique(rng.integers(-5, 2**50, 300))):
         assert (g.unpacked_set(g.packed_set(a)) == a).all() and len(g.unpacked_set(g.packed_set(a))) == len(a)
+
+
+def test_one_row_of_each_group_stays_whatever_the_bitmap(spark, monkeypatch):
+    texts = corpus(7, 40)
+    rows = [(i % 90 if i % 7 else None, t, "en", "a", len(t)) for i, t in enumerate(texts)]
+    docs = spark.createDataFrame(rows + rows[:20], h.DOCS)
+    groups = brute(list(enumerate(texts)))
+    for bits in (g.FILTER_BITS, 64):  # 64: nearly all rows are told apart by the join
+        monkeypatch.setattr(g, "FILTER_BITS", bits)
+        kept = [r["text"] for r in g.representatives(docs).collect()]
+        at = {}
+        for i, t in enumerate(texts):
+            at.setdefault(groups[i][1], []).append(t)
+        assert len(kept) == len(at) and sorted(sum(t in own for t in kept) for own in at.values()) == [1] * len(at)
