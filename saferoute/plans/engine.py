@@ -16,10 +16,12 @@ from .index import Index, build_index
 
 
 class Engine:
-    """Keeps what it has built for a network; nothing is built before it is asked for."""
+    """Keeps what it has built for a network; nothing is built before it is asked for.
 
-    def __init__(self, spark: SparkSession) -> None:
-        self.spark = spark
+    ``strategy``: how pivots are chosen where a call doesn't say ('swap', 'greedy', 'farthest' or 'fixed')."""
+
+    def __init__(self, spark: SparkSession, strategy: str = "swap") -> None:
+        self.spark, self.strategy = spark, strategy
         self._kept: dict[tuple, tuple] = {}  # by all that an object is made of; the parts are held, so that no id is used again
         self._last: DataFrame | None = None
 
@@ -39,14 +41,16 @@ class Engine:
             self._kept[key] = parts, make()
         return self._kept[key][1]
 
-    def pivots(self, net: networks.Network, d: int = 5, strategy: str = "fixed") -> DataFrame:
+    def pivots(self, net: networks.Network, d: int = 5, strategy: str | None = None) -> DataFrame:
+        strategy = strategy or self.strategy
+
         def make() -> DataFrame:
             chosen = pivots.fixed_pivots(net, d) if strategy == "fixed" else pivots.choose_landmarks(net, d, strategy)
             return pivots.pivot_distances(net, chosen)
 
         return self._once((net,), ("pivots", d, strategy), make)
 
-    def index(self, net: networks.Network, ring: DataFrame, fanout: int | None = None, packing: str = "zorder", d: int = 5, strategy: str = "fixed", wtypes: tuple = ("ANY",)) -> Index:
+    def index(self, net: networks.Network, ring: DataFrame, fanout: int | None = None, packing: str = "zorder", d: int = 5, strategy: str | None = None, wtypes: tuple = ("ANY",)) -> Index:
         piv = self.pivots(net, d, strategy)
         return self._once((net, ring, piv), ("index", fanout, packing, wtypes), lambda: build_index(net, ring, fanout, packing, piv, wtypes))
 

@@ -249,14 +249,15 @@ def _(w: World) -> DataFrame:
 
 @register("pivots_chosen")
 def _(w: World) -> DataFrame:
-    chosen, trace = pivots.choose_pivots(w.net())
-    return rows(w, [(i, p, trace[0], trace[-1]) for i, p in enumerate(chosen)], "i int, pivot long, first_quality long, quality long")
+    """Qualities are over all pairs of vertices, estimated from drawn ones; error: standard error of that of the pivots."""
+    c = pivots.choose_pivots(w.net())
+    return rows(w, [(i, p, c.trace[0], c.trace[-1], c.quality, c.error) for i, p in enumerate(c.pivots)], "i int, pivot long, first_quality double, climbed_quality double, quality double, error double")
 
 
 @register("pivot_count")
 def _(w: World) -> DataFrame:
     n, trace = pivots.choose_pivot_count(w.net())
-    return rows(w, [(i + 1, x, n) for i, x in enumerate(trace)], "d int, quality long, chosen int")
+    return rows(w, [(i + 1, x, n) for i, x in enumerate(trace)], "d int, quality double, chosen int")
 
 
 for _strategy in ("farthest", "greedy", "swap"):
@@ -266,6 +267,17 @@ for _strategy in ("farthest", "greedy", "swap"):
         return rows(w, [(i, p) for i, p in enumerate(pivots.choose_landmarks(w.net("gau"), 4, strategy))], "i int, landmark long")
 
 
+@register(
+    "landmarks_behind",
+    f"{_PV}, {oracle.query_set()}, c AS (SELECT q.qid, pv.src AS landmark, CAST(t.x_mm - s.x_mm AS DOUBLE) AS ax, CAST(t.y_mm - s.y_mm AS DOUBLE) AS ay, CAST(l.x_mm - t.x_mm AS DOUBLE) AS bx, CAST(l.y_mm - t.y_mm AS DOUBLE) AS byy "
+    "FROM q JOIN vtx s ON s.v = q.src JOIN vtx t ON t.v = q.dst CROSS JOIN pv JOIN vtx l ON l.v = pv.src), "
+    "u AS (SELECT qid, landmark, CASE WHEN sqrt(ax * ax + ay * ay) * sqrt(bx * bx + byy * byy) = 0 THEN 0 ELSE (ax * bx + ay * byy) / (sqrt(ax * ax + ay * ay) * sqrt(bx * bx + byy * byy)) END AS turn FROM c) "
+    "SELECT qid, landmark, turn > 0 AS behind, CAST(row_number() OVER (PARTITION BY qid ORDER BY turn DESC, landmark) AS INTEGER) AS place FROM u",
+)
+def _(w: World) -> DataFrame:
+    return pivots.landmarks_behind(w.queries(), w.net(), pivots.fixed_pivots(w.net())).drop("turn")
+
+
 @register("lb_tightness", f"{_PV}, d AS (SELECT x.v AS u, y.v AS v, max(abs(x.dist - y.dist)) AS lb FROM sp x JOIN sp y ON x.src = y.src GROUP BY 1, 2) SELECT sp.src AS u, count(*) AS n, count(*) FILTER (WHERE d.lb > sp.dist) AS violations, CAST(sum(d.lb) AS BIGINT) AS lb, CAST(sum(sp.dist) AS BIGINT) AS dist FROM sp JOIN d ON d.u = sp.src AND d.v = sp.v GROUP BY 1")
 def _(w: World) -> DataFrame:
     ps = pivots.fixed_pivots(w.net())
@@ -481,13 +493,31 @@ def _(w: World) -> DataFrame:
 # --- measures ---------------------------------------------------------------------------------------------------
 
 
-def metrics_of(w: World, kind: str = "uni", options: RouteOptions = RouteOptions(), methods: tuple = ("index", "astar_pivot", "astar", "filter_first"), d: int = 5, **q) -> list[tuple]:
-    """(method, net, wall-clock seconds, then sums over the queries, and maxima of queue and heap).
+def task_seconds(w: World, after: int = -1) -> tuple[int, float, float]:
+    """The newest stage's number, and CPU (of the JVM; Python workers' own isn't counted) and run seconds of all tasks of the stages after ``after``."""
+    sc = w.spark.sparkContext
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    stages = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), sc._jvm.java.util.ArrayList())
+    newest, cpu, run = after, 0, 0
+    for i in range(stages.size()):  # newest first
+        s = stages.apply(i)
+        if s.stageId() <= after:
+            break
+        newest = max(newest, s.stageId())
+        if after >= 0:
+            cpu, run = cpu + s.executorCpuTime(), run + s.executorRunTime()
+        else:
+            break
+    return newest, cpu / 1e9, run / 1e3
+
+
+def metrics_of(w: World, kind: str = "uni", options: RouteOptions = RouteOptions(), methods: tuple = ("index", "astar_pivot", "astar", "filter_first"), d: int = 5, strategy: str = "fixed", **q) -> list[tuple]:
+    """(method, net, wall-clock seconds, then sums over the queries, maxima of queue and heap, and tasks' seconds).
 
     labels: taken from the heap; settled: vertices of the search back from the destination; reads: leaf pages for each
     vertex looked at, and inner nodes; pages: the same with a page counted once a query. All methods read the index's pages."""
     out = []
-    net, ring, ask, piv, index = w.net(kind), w.ring, w.queries(kind, **q), w.piv(kind, d), w.index(kind, d=d)
+    net, ring, ask, piv, index = w.net(kind), w.ring, w.queries(kind, **q), w.piv(kind, d, strategy), w.index(kind, d=d, strategy=strategy)
     run = {
         "index": lambda: router.route_index(ask, net, index, ring, options),
         "index_paths": lambda: router.route_index_paths(ask, net, index, ring, options, piv),
@@ -496,17 +526,20 @@ def metrics_of(w: World, kind: str = "uni", options: RouteOptions = RouteOptions
         "filter_first": lambda: baselines.route_filter_first(ask, net, ring, options, index.lookup),
     }
     for m in methods:
+        stage = max(0, task_seconds(w)[0])
         began = time.time()
         d = run[m]()
         for c in ("node_reads", "max_queue"):
             d = d if c in d.columns else d.withColumn(c, F.lit(0).cast("long"))
         agg = [F.sum(F.coalesce(c, F.lit(0))).alias(c) for c in ("labels", "settled", "page_reads", "page_reads_distinct", "node_reads", "pruned_kw", "pruned_weather", "pruned_time")]
+        agg.append(F.sum(F.when(F.col("answered"), F.col("labels"))).alias("answered_labels"))
         r = d.agg(F.count_if("answered").alias("answered"), F.count(F.lit(1)).alias("n"), *agg, F.max("max_heap").alias("max_heap"), F.max("max_queue").alias("max_queue")).first()
-        out.append((m, kind, time.time() - began, r["n"], r["answered"], r["labels"] or 0, r["settled"] or 0, (r["page_reads"] or 0) + (r["node_reads"] or 0), (r["page_reads_distinct"] or 0) + (r["node_reads"] or 0), r["node_reads"] or 0, r["pruned_kw"] or 0, r["pruned_weather"] or 0, r["pruned_time"] or 0, r["max_heap"] or 0, r["max_queue"] or 0))
+        took = time.time() - began
+        out.append((m, kind, took, r["n"], r["answered"], r["labels"] or 0, r["settled"] or 0, (r["page_reads"] or 0) + (r["node_reads"] or 0), (r["page_reads_distinct"] or 0) + (r["node_reads"] or 0), r["node_reads"] or 0, r["pruned_kw"] or 0, r["pruned_weather"] or 0, r["pruned_time"] or 0, r["max_heap"] or 0, r["max_queue"] or 0, *task_seconds(w, stage)[1:], r["answered_labels"] or 0))
     return out
 
 
-METRICS = "method string, net string, seconds double, n long, answered long, labels long, settled long, reads long, pages long, node_reads long, pruned_kw long, pruned_weather long, pruned_time long, max_heap long, max_queue long"
+METRICS = "method string, net string, seconds double, n long, answered long, labels long, settled long, reads long, pages long, node_reads long, pruned_kw long, pruned_weather long, pruned_time long, max_heap long, max_queue long, jvm_cpu_s double, task_s double, answered_labels long"
 
 
 @register("router_metrics")
@@ -625,7 +658,7 @@ def costs(w: World, settings: list[tuple]) -> DataFrame:
     """Labels, reads and seconds of the index method for each setting (param, net, options), built beforehand."""
     out = []
     for param, kind, o in settings:
-        w.queries(kind, **{k: v for k, v in o.items() if k != "d"}), w.index(kind, d=o.get("d", 5))
+        w.queries(kind, **{k: v for k, v in o.items() if k not in ("d", "strategy")}), w.index(kind, d=o.get("d", 5), strategy=o.get("strategy", "fixed"))
         out.append((param, *metrics_of(w, kind, methods=("index",), **o)[0]))
     return rows(w, out, COSTS)
 
@@ -658,7 +691,17 @@ def _(w: World) -> DataFrame:
 
 @register("sweep_d_costs")
 def _(w: World) -> DataFrame:
-    return costs(w, [(d, kind, {"d": d}) for kind in NETS for d in PIVOTS])
+    """Pivots are chosen anew for each number."""
+    return costs(w, [(d, kind, {"d": d, "strategy": "swap"}) for kind in NETS for d in PIVOTS])
+
+
+STRATEGIES = ("fixed", "farthest", "greedy", "swap")
+
+
+@register("pivots_compared_costs")
+def _(w: World) -> DataFrame:
+    """The index method with pivots of each strategy: evenly spread (0), farthest (1), greedy (2), chosen by swaps (3)."""
+    return costs(w, [(i, kind, {"strategy": s}) for kind in NETS for i, s in enumerate(STRATEGIES)])
 
 
 #: Quarters of a table's vertices, for networks of several sizes.

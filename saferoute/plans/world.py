@@ -6,7 +6,7 @@ from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ..operators.pivots import fixed_pivots, pivot_distances
+from ..operators.pivots import choose_landmarks, fixed_pivots, pivot_distances
 from ..operators.storage import stored
 from ..sources import forecasts, networks
 from ..sources.queries import make_queries
@@ -45,11 +45,17 @@ class World:
     def ring(self) -> DataFrame:
         return stored(forecasts.ring(self.table("events")))
 
-    def piv(self, kind: str = "uni", d: int = 5) -> DataFrame:
-        return self._once(("piv", kind, d), lambda: pivot_distances(self.net(kind), fixed_pivots(self.net(kind), d)))
+    def piv(self, kind: str = "uni", d: int = 5, strategy: str = "fixed") -> DataFrame:
+        """'fixed': evenly spread, as SQL can say them; else a strategy of ``choose_landmarks``."""
 
-    def index(self, kind: str = "uni", fanout: int = FANOUT, d: int = 5, wtypes: tuple = ("ANY",)) -> Index:
-        return self._once(("index", kind, fanout, d, wtypes), lambda: build_index(self.net(kind), self.ring, fanout, piv=self.piv(kind, d), wtypes=wtypes))
+        def make() -> DataFrame:
+            net = self.net(kind)
+            return pivot_distances(net, fixed_pivots(net, d) if strategy == "fixed" else choose_landmarks(net, d, strategy))
+
+        return self._once(("piv", kind, d, strategy), make)
+
+    def index(self, kind: str = "uni", fanout: int = FANOUT, d: int = 5, wtypes: tuple = ("ANY",), strategy: str = "fixed") -> Index:
+        return self._once(("index", kind, fanout, d, wtypes, strategy), lambda: build_index(self.net(kind), self.ring, fanout, piv=self.piv(kind, d, strategy), wtypes=wtypes))
 
     def queries(self, kind: str = "uni", **options) -> DataFrame:
         return self._once(("queries", kind, *sorted(options.items())), lambda: make_queries(self.net(kind), **options))

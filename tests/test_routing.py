@@ -118,10 +118,40 @@ def test_index_invariants(spark, small, packing):
 
 def test_pivot_choice_climbs_and_bounds_hold(spark, small):
     net = world(spark, small).net()
-    chosen, trace = P.choose_pivots(net, 3, restarts=2, swaps=10, sample=60, pool=10)
-    assert len(chosen) == 3 and trace == sorted(trace)
-    _, by_count = P.choose_pivot_count(net, 6, 0.0, sample=60, pool=10)
-    assert by_count == sorted(by_count)
+    n = net.vertices.count()
+    exact = P.choose_pivots(net, 3, restarts=1, swaps=4, pairs=None)
+    assert len(set(exact.pivots)) == 3 and exact.trace == sorted(exact.trace) and exact.error == 0
+    piv = [r["piv"] for r in P.pivot_distances(net, exact.pivots).orderBy("v").collect()]
+    brute = sum(max(abs(a - b) for a, b in zip(x, y, strict=True)) for x in piv for y in piv)
+    assert exact.quality == exact.trace[-1] == brute
+    drawn = P.Scorer(net, exact.pivots, 3_000, 7)
+    quality, error = drawn.measure([0, 1, 2])
+    assert 0 < error < brute / 10 and abs(quality - brute) < 5 * error
+    chosen = P.choose_pivots(net, 3, restarts=2, swaps=60)
+    assert chosen.trace == sorted(chosen.trace) and chosen.quality > 0 and max(chosen.pivots) < n
+    best, by_count = P.choose_pivot_count(net, 4, 0.0, restarts=2, swaps=10)
+    assert best <= len(by_count) <= 4
+
+
+def test_swaps_reach_every_vertex(spark):
+    """On a line either end is the best single pivot; with as many swaps as vertices one is found."""
+    net = fx.network(spark, [(i, i + 1, 1, []) for i in range(7)])
+    assert P.choose_pivots(net, 8, restarts=1, swaps=5, pairs=None).pivots == list(range(8))  # none is left to swap
+    got = P.choose_pivots(net, 1, restarts=1, swaps=8, pairs=None)
+    assert got.pivots[0] in (0, 7) and got.quality == sum(1000 * abs(i - j) for i in range(8) for j in range(8))
+
+
+def test_landmarks_behind_the_destination(spark, small):
+    w = world(spark, small)
+    at = {r["v"]: (r["x_mm"], r["y_mm"]) for r in w.net().vertices.collect()}
+    marks = P.fixed_pivots(w.net(), 6)
+    got = {(r["qid"], r["landmark"]): r for r in P.landmarks_behind(w.queries(), w.net(), marks).collect()}
+    for q in w.queries().collect():
+        (sx, sy), (tx, ty) = at[q["src"]], at[q["dst"]]
+        assert sorted(got[q["qid"], m]["place"] for m in marks) == list(range(1, len(marks) + 1))
+        for m in marks:
+            dot = (tx - sx) * (at[m][0] - tx) + (ty - sy) * (at[m][1] - ty)
+            assert got[q["qid"], m]["behind"] == (dot > 0)
 
 
 def test_pivot_detours_are_no_upper_bound_with_obstacles(spark):
