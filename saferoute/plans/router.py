@@ -243,14 +243,16 @@ def greedy_route(queries: DataFrame, net: Network, forecasts: DataFrame, options
     arcs = stored(arcs.select("qid", "tail", "head", "w", "h", "tail_w", "tail_p", "head_w", "head_p"))
     q = queries.select("qid", "dst", "dep_min", "eps", "alpha_pct")
     front = queries.select("qid", F.col("src").alias("v"), F.col("dep_min").alias("arr"), F.array(F.col("src")).alias("seen"))
+    # the conditions and columns of a hop, made once
+    open_ = ~F.array_contains("seen", F.col("head")) & (F.col("arr") + F.col("w") <= F.col("dep_min") + options.horizon_min)
+    safe = ~trip_blocked(F.col("tail_w"), F.col("tail_p"), F.col("head_w"), F.col("head_p"), F.col("arr"), F.col("w"), F.col("eps"), F.col("alpha_pct"), options.unknown)
+    after = ["qid", F.col("head").alias("v"), (F.col("arr") + F.col("w")).alias("arr"), F.concat("seen", F.array("head")).alias("seen"), "h", "dst"]
+    rank = F.row_number().over(Window.partitionBy("qid").orderBy(F.col("arr") + F.col("h"), "v", "arr"))
+    arcs = arcs.withColumnRenamed("tail", "v")
     found = None
     for _ in range(max_hops):
-        step = front.join(arcs.withColumnRenamed("tail", "v"), ["qid", "v"]).join(q, "qid").where(~F.array_contains("seen", F.col("head")))
-        step = step.where(F.col("arr") + F.col("w") <= F.col("dep_min") + options.horizon_min)
-        step = step.where(~trip_blocked(F.col("tail_w"), F.col("tail_p"), F.col("head_w"), F.col("head_p"), F.col("arr"), F.col("w"), F.col("eps"), F.col("alpha_pct"), options.unknown))
-        new = step.select("qid", F.col("head").alias("v"), (F.col("arr") + F.col("w")).alias("arr"), F.concat("seen", F.array("head")).alias("seen"), "h", "dst")
-        w = Window.partitionBy("qid").orderBy(F.col("arr") + F.col("h"), "v", "arr")
-        new = stored(new.withColumn("k", F.row_number().over(w)).where(F.col("k") <= beam).drop("k"))
+        new = front.join(arcs, ["qid", "v"]).join(q, "qid").where(open_).where(safe).select(*after)
+        new = stored(new.withColumn("k", rank).where(F.col("k") <= beam).drop("k"))
         done = new.where("v = dst").select("qid", "arr")
         found = done if found is None else found.unionAll(done)
         front = new.where("v <> dst").drop("h", "dst")
