@@ -11,12 +11,28 @@ from ..operators.storage import shared_dir
 from .ring import events_stream
 
 
-def run_to_end(stream: DataFrame, mode: str) -> DataFrame:
-    """All rows that the stream puts out, through a table in memory."""
-    spark, name = stream.sparkSession, "t" + uuid.uuid4().hex
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/{name}").trigger(availableNow=True).start()
+#: Later than every event; see ``ended``.
+END = "9999-12-31 00:00:00"
+#: All files are one batch, so that no event is late.
+WHOLE = 1_000_000
+
+
+def run_to_end(stream: DataFrame) -> DataFrame:
+    """All rows that the stream appends, through files in the shared folder; no row passes through the driver."""
+    spark, path = stream.sparkSession, f"{shared_dir(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+    query = stream.writeStream.format("parquet").outputMode("append").option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start(f"{path}/rows")
     query.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(stream.schema).parquet(f"{path}/rows")
+
+
+def ended(events: DataFrame) -> DataFrame:
+    """The events and one more row of time END, from a stream of its own, in the same batch.
+
+    It moves the watermark past all windows of the events, which are then appended whole; its own window never closes."""
+    spark, path = events.sparkSession, f"{shared_dir(events.sparkSession)}/end-{uuid.uuid4().hex}"
+    row = [F.lit(END if f.name == "ts" else None).cast(f.dataType).alias(f.name) for f in events.schema]
+    spark.range(1).select(*row).coalesce(1).write.parquet(path)
+    return events.unionByName(spark.readStream.schema(events.schema).parquet(path))
 
 
 def micros(c: str) -> F.Column:
@@ -33,26 +49,26 @@ def _out(df: DataFrame) -> DataFrame:
 
 
 def tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _out(run_to_end(_windowed(events_stream(spark, sf_dir), F.window("ts", "1 hour"), "event_type"), "complete"))
+    return _out(run_to_end(_windowed(ended(events_stream(spark, sf_dir, files=WHOLE)), F.window("ts", "1 hour"), "event_type")))
 
 
 def sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _out(run_to_end(_windowed(events_stream(spark, sf_dir), F.window("ts", "2 hours", "30 minutes")), "complete"))
+    return _out(run_to_end(_windowed(ended(events_stream(spark, sf_dir, files=WHOLE)), F.window("ts", "2 hours", "30 minutes"))))
 
 
 def session(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _out(run_to_end(_windowed(events_stream(spark, sf_dir), F.session_window("ts", "10 minutes"), "user_id"), "complete"))
+    return _out(run_to_end(_windowed(ended(events_stream(spark, sf_dir, files=WHOLE)), F.session_window("ts", "10 minutes"), "user_id")))
 
 
 def deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = events_stream(spark, sf_dir).withWatermark("ts", "1 hour").dropDuplicates(["user_id", "event_type"])
-    return run_to_end(rows.select("user_id", "event_type"), "append")
+    rows = events_stream(spark, sf_dir, files=WHOLE).withWatermark("ts", "1 hour").dropDuplicates(["user_id", "event_type"])
+    return run_to_end(rows.select("user_id", "event_type"))
 
 
 def joined(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Stream-static join: events with their user's market segment."""
     users = spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.col("c_custkey").alias("user_id"), "c_mktsegment")
-    return run_to_end(events_stream(spark, sf_dir).join(users, "user_id").select("event_id", "c_mktsegment"), "append")
+    return run_to_end(events_stream(spark, sf_dir, files=WHOLE).join(users, "user_id").select("event_id", "c_mktsegment"))
 
 
 def late(spark: SparkSession, sf_dir: str) -> DataFrame:

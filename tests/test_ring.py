@@ -52,3 +52,18 @@ def test_new_edge_attributes_change_the_nodes_of_a_full_rebuild(spark, small):
     after = build_index(rg.apply_edge_updates(new, w.net()), None, 8).nodes.select(*columns)
     expected = after.exceptAll(i.nodes.select(*columns))
     assert expected.exceptAll(got).isEmpty() and got.exceptAll(expected).isEmpty() and not got.isEmpty()
+
+
+def test_streams_end_whole_and_off_the_driver(spark, small):
+    from pyspark.sql import functions as F
+
+    from saferoute.streaming import windows as W
+
+    def in_memory():
+        return {r[0] for r in spark.sql("show tables").select("tableName").collect() if r[0].startswith("t") and len(r[0]) == 33}
+
+    before, n = in_memory(), spark.read.parquet(f"{small}/events.parquet").count()
+    assert W.session(spark, small).agg(F.sum("n")).first()[0] == n
+    assert W.tumbling(spark, small).agg(F.sum("n")).first()[0] == n
+    assert W.joined(spark, small).count() == n
+    assert in_memory() == before
