@@ -529,7 +529,7 @@ for _w, _n in (("len_mm", "op_sssp_len"), ("w_min", "op_sssp_time")):
 
     @register(_n, f"WITH RECURSIVE {NET}, {oracle.sssp('SELECT CAST(3 AS BIGINT) AS src', _w)} SELECT v, dist FROM sp")
     def _(w: World, weight: str = _w) -> DataFrame:
-        return graph.distances(w.net().arcs, w.spark.createDataFrame([(3,)], "src long"), weight).select("v", "dist")
+        return graph.distances(w.net().arcs, w.spark.createDataFrame([(3,)], "src long"), weight, w.net().vertices).select("v", "dist")
 
 
 _IX = f"WITH {NET}, {oracle.index(FANOUT)}"
