@@ -39,3 +39,26 @@ def test_components_by_regions(odd, monkeypatch):
     monkeypatch.setattr(graph, "component_rounds", lambda v, e: left.append(e.count()) or rounds(v, e))
     assert sorted(map(tuple, graph.components(v, net.edges).collect())) == want
     assert left[0] < net.edges.count()
+
+
+def test_growing_horizons_answer_as_one(spark, monkeypatch):
+    """Answers near and far, and none: by growing horizons as by the whole one, and closed ends are seen without it."""
+    from saferoute.plans import baselines, search
+    from saferoute.schema import RouteOptions
+
+    from .fixtures import forecasts, queries
+
+    chain = [(i, i + 1, 5, []) for i in range(30)] + [(30, 31, 5, [1]), (31, 32, 5, []), (32, 33, 5, [1]), (33, 34, 5, [])]
+    net = network(spark, chain)
+    ask = queries(spark, [(q, src, dst, 480, 50.0, 50, [1]) for q, (src, dst) in enumerate([(0, 2), (0, 29), (29, 31), (31, 0), (3, 3), (0, 34)])])
+    f = forecasts(spark, [(v, s, 10.0, 100) for v in range(35) for s in range(24)])
+    run = lambda: sorted(map(tuple, baselines.route_astar(ask, net, f, RouteOptions(), "euclid").select("qid", "answered", "total_min").collect()))
+    want = run()
+    assert [x[2] for x in want] == [10, 145, None, None, 0, None]
+    asked = []
+    whole = search.search_in_tasks
+    monkeypatch.setattr(search, "WHOLE_ARCS", 1)
+    monkeypatch.setattr(search, "search_in_tasks", lambda q, *a: asked.append((a[-1].horizon_min, sorted(r[0] for r in q.select("qid").collect()))) or whole(q, *a))
+    assert run() == want
+    assert asked[0] == (24, [0, 1, 2, 3, 4, 5]) and all(0 not in q for _, q in asked[1:])
+    assert 2 not in asked[-1][1] and 3 not in asked[-1][1]
