@@ -62,3 +62,23 @@ def test_growing_horizons_answer_as_one(spark, monkeypatch):
     assert run() == want
     assert asked[0] == (24, [0, 1, 2, 3, 4, 5]) and all(0 not in q for _, q in asked[1:])
     assert 2 not in asked[-1][1] and 3 not in asked[-1][1]
+
+
+def test_index_parts_are_made_when_asked_for(spark, odd):
+    from saferoute.plans.index import build_index
+
+    def unwanted():
+        raise AssertionError("nodes need no pivots")
+
+    idx = build_index(odd[0], None, 4, piv=unwanted)
+    assert idx.nodes.where("level = 1").agg(F.sum("n_edges")).first()[0] == odd[0].edges.count()
+    with pytest.raises(AssertionError):
+        idx.ranges  # noqa: B018
+
+
+def test_quality_of_every_number_of_pivots(spark):
+    from saferoute.operators.pivots import pivot_quality, pivot_quality_by_d
+
+    piv = spark.createDataFrame([(v, [(7 * v) % 11, v * v % 13, -1 if v % 4 else v]) for v in range(20)], "v long, piv array<long>")
+    got = {r["d"]: (r["quality"], r["n_pairs"]) for r in pivot_quality_by_d(piv).collect()}
+    assert got == {d: tuple(pivot_quality(piv.select("v", F.slice("piv", 1, d).alias("piv"))).first()[:2]) for d in (1, 2, 3)}
