@@ -141,3 +141,20 @@ def test_toxicity_hold_out_and_awkward_rows(spark):
     rows = {r["doc_id"]: r["score"] for r in h.table(toxicity.score(h.docs(spark, ["you idiot moron idiot", "a fine day", None, ""]), model))}
     assert rows[0] > rows[1] and rows[2] == rows[3]
     assert toxicity.score(h.empty(spark), model).count() == 0
+
+
+def test_quality_learns_from_all_labelled_rows(spark):
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    from saferoute.llm import quality
+
+    rng = np.random.default_rng(1)
+    x = rng.uniform(size=(600, len(quality.FEATURES)))
+    rows = spark.createDataFrame([(i, *map(float, r)) for i, r in enumerate(x)], "doc_id long, " + ", ".join(f"{c} double" for c in quality.FEATURES))
+    few = quality.grow_forest(rows, trees=4, subsample=8)  # 150 rows to a tree, not 8
+    assert abs(float(few["norm"]) - float(quality._average_path(150.0))) < 1e-9 and len(few["root"]) == 4
+    scores, good = quality.anomaly(few, x), np.arange(600) % 7 != 0
+    scored = spark.createDataFrame([(bool(g), float(s)) for g, s in zip(good, scores, strict=True)], "good boolean, anomaly double")
+    assert abs(quality.threshold(scored, 0.05) - quality.calibrate(scores, good, 0.05)) < 1e-12
+    assert quality.threshold(scored.where("good")) == quality.threshold(scored.where(~F.col("good"))) == float("inf")
