@@ -2,8 +2,9 @@
 
 import pytest
 
-from saferoute.operators import graph
+from saferoute.operators import graph, pivots
 
+from .fixtures import network
 from .test_regions import odd  # noqa: F401
 
 WAYS = "src", "v", "dist"
@@ -30,3 +31,15 @@ def test_distances_in_lots(spark, odd, monkeypatch, only):  # noqa: F811
 def test_distances_without_arcs(spark):
     none = spark.createDataFrame([], "tail long, head long, len_mm long")
     assert rows(graph.distances(none, spark.createDataFrame([(4,)], "src long")), *WAYS) == [(4, 4, 0)]
+
+
+def test_scorer_asks_for_the_ends_of_its_pairs_only(spark, monkeypatch):
+    net = network(spark, [(i, i + 1, 1, []) for i in range(300)])
+    asked = []
+    found = pivots.distances
+    monkeypatch.setattr(pivots, "distances", lambda *a, only=None, **k: asked.append(only and only.count()) or found(*a, only=only, **k))
+    score = pivots.Scorer(net, [0, 100, 300], 20, 1)
+    assert 0 < asked[0] <= 80
+    whole = pivots.pivot_distances(net, [0, 300])
+    want = pivots.pivot_quality(whole, 20, 2).first()
+    assert score.measure([0, 2])[0] == want["quality"] / want["n_pairs"] * 301 * 300
