@@ -3,8 +3,10 @@
 import pytest
 
 from saferoute.operators import graph, pivots
+from saferoute.plans import baselines, index, router, search
+from saferoute.schema import RouteOptions
 
-from .fixtures import network
+from .fixtures import forecasts, network, queries
 from .test_regions import odd  # noqa: F401
 
 WAYS = "src", "v", "dist"
@@ -43,3 +45,35 @@ def test_scorer_asks_for_the_ends_of_its_pairs_only(spark, monkeypatch):
     whole = pivots.pivot_distances(net, [0, 300])
     want = pivots.pivot_quality(whole, 20, 2).first()
     assert score.measure([0, 2])[0] == want["quality"] / want["n_pairs"] * 301 * 300
+
+
+def horizons(monkeypatch):
+    """(horizon, number of queries) of every search from now on, and networks of all sizes are searched by growing horizons."""
+    asked, whole = [], search.search_in_tasks
+    monkeypatch.setattr(search, "WHOLE_ARCS", 1)
+    monkeypatch.setattr(search, "search_in_tasks", lambda q, *a: asked.append((a[-1].horizon_min, q.count())) or whole(q, *a))
+    return asked
+
+
+def test_a_long_road_far_away_keeps_no_query_open(spark, monkeypatch):
+    """A source that all weather shuts in is settled by the first horizon, also where some road takes hours."""
+    net = network(spark, [*((i, i + 1, 5, []) for i in range(30)), (30, 31, 300, [])])
+    f = forecasts(spark, [(v, s, 90.0 if v in (2, 3, 4) else 10.0, 100) for v in range(32) for s in range(24)])
+    ask = queries(spark, [(0, 3, 4, 480, 50.0, 50, [1]), (1, 10, 12, 480, 50.0, 50, [1])])
+    piv = pivots.pivot_distances(net, [0, 31])
+    for run in (lambda: baselines.route_astar(ask, net, f, RouteOptions(), "pivot", piv), lambda: router.route_index(ask, net, index.build_index(net, f, 2, piv=piv), f)):
+        with monkeypatch.context() as m:
+            asked = horizons(m)
+            assert rows(run(), "qid", "answered", "total_min") == [(0, False, None), (1, True, 10)]
+            assert asked == [(24, 2)]
+
+
+@pytest.mark.parametrize("border", [6, 7])
+def test_what_is_shut_now_may_open_later(spark, monkeypatch, border):
+    """Pages that go out by the weather of a short horizon don't show that there is no way."""
+    net = network(spark, [(i, i + 1, 5, []) for i in range(20)])
+    f = forecasts(spark, [(v, s, 90.0 if v >= border and s == 8 else 10.0, 100) for v in range(21) for s in range(24)])
+    ask = queries(spark, [(0, border - 1, border, 480, 50.0, 50, [1])])
+    horizons(monkeypatch)
+    idx = index.build_index(net, f, 2, piv=pivots.pivot_distances(net, [0, 20]))
+    assert rows(router.route_index(ask, net, idx, f), "qid", "answered", "total_min") == [(0, True, 65)]
