@@ -1,8 +1,11 @@
 """What large networks need gives what small ones get."""
 
+from dataclasses import replace
+
 import pytest
+from pyspark.sql import functions as F
 
-from saferoute.operators import graph, pivots
+from saferoute.operators import graph, pivots, pruning
 from saferoute.plans import baselines, index, router, search
 from saferoute.schema import RouteOptions
 
@@ -77,3 +80,16 @@ def test_what_is_shut_now_may_open_later(spark, monkeypatch, border):
     horizons(monkeypatch)
     idx = index.build_index(net, f, 2, piv=pivots.pivot_distances(net, [0, 20]))
     assert rows(router.route_index(ask, net, idx, f), "qid", "answered", "total_min") == [(0, True, 65)]
+
+
+def test_nodes_weather_is_that_of_all_their_edges(spark, monkeypatch):
+    """Found from a leaf's pairs of cells, not from each edge."""
+    net = network(spark, [(i, i + 1, 5, []) for i in range(12)])
+    net = replace(net, vertices=net.vertices.withColumn("cell", F.floor(F.col("v") / 4).cast("int")))
+    f = forecasts(spark, [(c, s, 10.0 * c + s, 90 - c) for c in range(3) for s in range(0, 24, 2)])
+    asked, bounds = [], pruning.cell_slot_bounds
+    monkeypatch.setattr(index, "cell_slot_bounds", lambda ends, *a: asked.append(ends.count()) or bounds(ends, *a))
+    idx = index.build_index(net, f, 12)
+    edges = pruning.edge_slot_bounds(net.edges, net.vertices, f, 50.0).groupBy("slot").agg(F.min("lb_val").alias("lb_val"), F.max("ub_val").alias("ub_val"))
+    assert rows(idx.weather.where("level = 1"), "slot", "lb_val", "ub_val") == rows(edges, "slot", "lb_val", "ub_val")
+    assert asked == [6]
