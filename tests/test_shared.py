@@ -100,3 +100,18 @@ def test_a_query_that_no_pivot_reaches_stays(spark):
     idx = index.build_index(net, f, 2, piv=pivots.pivot_distances(net, [0]))
     got = router.route_index(ask_for(spark, [(0, 0, 2, 480, 50.0, 50, [1]), (1, 3, 3, 480, 50.0, 50, [1]), (2, 3, 0, 480, 50.0, 50, [1])]), net, idx, f)
     assert sorted((r["qid"], r["answered"], r["total_min"]) for r in got.collect()) == [(0, True, 10), (1, True, 0), (2, False, None)]
+
+
+def test_parts_are_made_side_by_side(spark, small):
+    from threading import Barrier
+
+    from saferoute.plans import world
+
+    met = Barrier(2, timeout=20)
+    world.together(spark, met.wait, met.wait)
+    with pytest.raises(ZeroDivisionError):
+        world.together(spark, lambda: spark.range(3).count(), lambda: 1 // 0)
+    own = World(spark, small)
+    own.ready("uni*", sigma=2)
+    made = {k[:2] for k in own._kept}
+    assert {("net", "uni"), ("net", "uni*"), ("piv", "uni"), ("ends", "uni"), ("index", "uni*")} <= made
