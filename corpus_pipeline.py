@@ -8,6 +8,7 @@
 
 Stages 1 to 4 return the columns of documents (and any others the input has). A stage reads the labels,
 where it needs them, from ``sf_dir``. Empty tables, nulls and repeated rows: as in the operators.
+Before a stage, executors hand back the memory of the one before.
 """
 
 from __future__ import annotations
@@ -20,14 +21,17 @@ from saferoute.llm import bpe_automaton, common, mixing, ngram_join, pii, qualit
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    common.release(spark)
     return quality.kept_rows(docs, common.table(spark, sf_dir, "labels"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    common.release(spark)
     return ngram_join.representatives(docs)
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    common.release(spark)
     return pii.masked(docs)
 
 
@@ -36,6 +40,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    common.release(spark)
     return bpe_automaton.encode(docs)
 
 

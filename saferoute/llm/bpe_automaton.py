@@ -264,7 +264,8 @@ def encode(docs: DataFrame, path: str | None = None, with_ids: bool = True) -> D
         common.trim()
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids)
+    schema = f"doc_id {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
+    return common.over_batches(docs.select("doc_id", "text"), run, schema, "bpe", encoder.cache_clear)
 
 
 def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -5,15 +5,23 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import functools
+import gc
 import re
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from typing import TYPE_CHECKING
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+if TYPE_CHECKING:
+    import pyarrow as pa
+
 #: ASCII white space that separates words in most contracts: space, tab, LF, VT, FF, CR.
 WORD = r"[^\x20\x09-\x0D]+"
+#: Octets of texts that go to a Python worker at once.
+BATCH_BYTES = 4 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -75,6 +83,17 @@ def lowest(df: DataFrame, column: str, limit: int) -> DataFrame:
     return df.orderBy(F.xxhash64(column), *df.columns).limit(limit)
 
 
+def release(spark: SparkSession) -> None:
+    """Lets Spark drop the shuffle files of steps whose results are written, and executors hand back heap and direct buffers.
+
+    An executor's heap, once touched, stays with it beside the Python workers; only a whole collection makes it smaller."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+    executors = spark.sparkContext._jsc.sc().getExecutorMemoryStatus().size() - 1  # but the driver
+    if executors > 0:
+        spark.range(0, executors, 1, executors).select(F.expr("reflect('java.lang.System', 'gc')")).write.format("noop").mode("overwrite").save()
+
+
 def trim() -> None:
     """Hand freed memory back to the system: Python workers live on beside the next stage's heap."""
     import pyarrow
@@ -82,3 +101,33 @@ def trim() -> None:
     pyarrow.default_memory_pool().release_unused()
     with contextlib.suppress(OSError, AttributeError):  # other C libraries have no such call
         ctypes.CDLL(None).malloc_trim(0)
+
+
+_kept: dict[str, Callable[[], None]] = {}
+
+
+def alone(name: str, drop: Callable[[], None] | None = None) -> None:
+    """Drops what other operators keep in this Python worker between tasks; ``drop`` gives up what ``name`` keeps."""
+    others = [k for k in _kept if k != name]
+    for other in others:
+        _kept.pop(other)()
+    if others:
+        gc.collect()
+        trim()
+    if drop is not None:
+        _kept[name] = drop
+
+
+def over_batches(df: DataFrame, run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str, name: str = "", drop: Callable[[], None] | None = None) -> DataFrame:
+    """``mapInArrow`` in batches of at most BATCH_BYTES and a row, in a worker that keeps nothing of other operators.
+
+    The session's limit is lowered and stays so: a batch is held several times over, by the JVM and by the worker."""
+    spark = df.sparkSession
+    if not 0 < spark._jsparkSession.sessionState().conf().arrowMaxBytesPerBatch() <= BATCH_BYTES:
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+
+    def in_worker(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        alone(name, drop)
+        yield from run(batches)
+
+    return df.mapInArrow(in_worker, schema)

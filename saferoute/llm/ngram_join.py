@@ -42,7 +42,6 @@ component's smallest id where there is one. Extra columns are ignored.
 
 from __future__ import annotations
 
-import gc
 from collections.abc import Iterator
 
 import numpy as np
@@ -80,6 +79,11 @@ class WordHashes(dict):
 _hashes = WordHashes()
 
 
+def forget_words() -> None:
+    """Empties the table of word hashes; a function of the module, as one sent to a task would bring a table of its own."""
+    _hashes.clear()
+
+
 def shingles(text: str | None, width: int = WIDTH) -> np.ndarray:
     """The set of a text as sorted distinct hashes."""
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
@@ -158,13 +162,13 @@ def signed(docs: DataFrame) -> DataFrame:
                 blobs = _blob(shingle[often], count[often].astype(np.int64))
                 longs = [pa.nulls(1, pa.int64())] * 4
                 yield pa.RecordBatch.from_arrays([pa.array([1], pa.int32()), pa.nulls(1, rows[0].column("doc_id").type), *longs, *blobs], names)
-        _hashes.clear()
+        forget_words()
         common.trim()
 
     names = ["kind", "doc_id", "h", "cls", "n", "block", "often", "counts"]
     kind = docs.schema["doc_id"].dataType.simpleString()
     own = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h"), "text")
-    return own.mapInArrow(run, f"kind int, doc_id {kind}, h long, cls long, n long, block long, often binary, counts binary")
+    return common.over_batches(own, run, f"kind int, doc_id {kind}, h long, cls long, n long, block long, often binary, counts binary")
 
 
 def common_shingles(sign: DataFrame, rows: int) -> np.ndarray:
@@ -302,7 +306,7 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int, others: DataFrame) -> D
             tok, entry = tok[~heavy], entry[~heavy]
             part = (tok >> np.uint64(40)) % np.uint64(parts)
             yield from tokens_out(part << np.uint64(32) | tok & mask, entry, span)
-        _hashes.clear()
+        forget_words()
         common.trim()
 
     def deal_again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -392,7 +396,7 @@ def sets(docs: DataFrame, often: np.ndarray, parts: int, others: DataFrame) -> D
 
     row_schema = pa.schema([("to", pa.int64()), ("kind", pa.int32()), ("data", pa.binary())])
     out_schema = pa.schema([("cls", pa.int64()), ("n", pa.int64()), ("m", pa.int64()), ("prefix", pa.list_(pa.int64())), ("shared", pa.binary())])
-    dealt = again(docs.select("text").mapInArrow(deal, schema))
+    dealt = again(common.over_batches(docs.select("text"), deal, schema))
     counted = again(dealt.repartition(2 * parts, "to").groupBy("to").applyInArrow(count, schema))
     return counted.unionAll(others).repartition(parts, "to").groupBy("to").applyInArrow(gather, "cls long, n long, m long, prefix array<long>, shared binary")
 
@@ -579,7 +583,7 @@ def links(rows: DataFrame) -> DataFrame:
     mixed = placed.groupBy("key").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select("key")
     mixed = common.materialise(mixed)
     open_ = common.materialise(placed.join(mixed, "key", "left_semi"))
-    release(rows.sparkSession)
+    common.release(rows.sparkSession)
     short = open_.where(F.col("length") <= SHORT).select("key", "cls", "n", "label")
     a, b = short.toDF("key", "x", "nx", "lx"), short.toDF("key", "y", "ny", "ly")
     rest = a.join(b, "key").where((F.col("x") < F.col("y")) & (F.col("lx") != F.col("ly")) & near(F.col("nx"), F.col("ny"))).select("x", "y").distinct()
@@ -589,12 +593,6 @@ def links(rows: DataFrame) -> DataFrame:
     return first.unionAll(verified(rest, rows)).unionAll(block_links(long, rows))
 
 
-def release(spark: SparkSession) -> None:
-    """Lets Spark drop the shuffle files of steps whose results are written."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
-
-
 def joined(docs: DataFrame) -> DataFrame:
     """doc_id, h (hash of the text), cls, n and component (its smallest doc_id) of every row."""
     spark = docs.sparkSession
@@ -602,10 +600,10 @@ def joined(docs: DataFrame) -> DataFrame:
     rows, total = sign.where("kind = 0").agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
     parts = int(max(1, -(-total // PART_SIZE), min(spark.sparkContext.defaultParallelism * 2, -(-total // 20_000))))
     table = common.written(sets(docs, common_shingles(sign, rows), parts, elsewhere(sign, parts)), "sets")
-    release(spark)
+    common.release(spark)
     own = sign.where("kind = 0").select("doc_id", "h", "cls", "n")
     found = components(links(table))
-    release(spark)
+    common.release(spark)
     ids = own.where("cls is not null").groupBy("cls").agg(F.min("doc_id").alias("least"))
     marked = common.materialise(ids.join(found, "cls", "left").select("cls", F.coalesce("label", "cls").alias("label"), "least"))
     whole = common.materialise(marked.groupBy("label").agg(F.min("least").alias("component")))
@@ -645,7 +643,7 @@ def representatives(docs: DataFrame) -> DataFrame:
     narrow = lambda df: df.withColumnRenamed("h", "h_").select(*key).distinct()
     gone = common.written(narrow(other), "gone")
     twice = common.written(narrow(found.groupBy("doc_id", "h").count().where("count > 1")).join(gone, names, "left_anti"), "repeated")
-    release(docs.sparkSession)
+    common.release(docs.sparkSession)
     row = docs.select(F.struct(*docs.columns).alias("row_"), "doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h_")).select("row_", *key)
     apart, maybe = parted(row, gone)
     left = apart.unionAll(maybe.join(gone, names, "left_anti").select(*row.columns))

@@ -114,7 +114,7 @@ def statistics(docs: DataFrame) -> DataFrame:
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     schema = f"doc_id {kind}, " + ", ".join(f"{c} long" for c in COUNTS) + ", " + ", ".join(f"{c} double" for c in FEATURES)
-    return docs.select("doc_id", "text").mapInArrow(run, schema)
+    return common.over_batches(docs.select("doc_id", "text"), run, schema)
 
 
 def _average_path(n: np.ndarray | float) -> np.ndarray | float:
@@ -276,7 +276,7 @@ def kept_rows(docs: DataFrame, labels: DataFrame) -> DataFrame:
             yield b.filter(pa.array(good))
         common.trim()
 
-    return docs.mapInArrow(run, docs.schema)
+    return common.over_batches(docs, run, docs.schema)
 
 
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
