@@ -115,3 +115,28 @@ def test_parts_are_made_side_by_side(spark, small):
     own.ready("uni*", sigma=2)
     made = {k[:2] for k in own._kept}
     assert {("net", "uni"), ("net", "uni*"), ("piv", "uni"), ("ends", "uni"), ("index", "uni*")} <= made
+
+
+def test_threads_that_ask_for_the_same_wait_for_it(spark, small):
+    import time
+
+    from saferoute.plans.world import together
+
+    w, calls = World(spark, small), []
+    make = lambda: calls.append(1) or time.sleep(0.3) or len(calls)
+    assert together(spark, *[lambda: w._once(("x",), make)] * 4) == [1] * 4
+    part = index.Late(lambda i: make())
+    i = index.Index(2, 1, None, part, None, None)
+    assert together(spark, *[lambda: i.nodes] * 4) == [2] * 4
+
+
+def test_batches_of_several_pivots_run_side_by_side(spark, small, monkeypatch):
+    """All of them are under way at once, with the answers that each gives alone."""
+    from threading import Barrier
+
+    w, run, gate = World(spark, small), router.route_index, Barrier(len(method_queries.PIVOTS), timeout=120)
+    monkeypatch.setattr(method_queries, "world", lambda *a: w)
+    monkeypatch.setattr(router, "route_index", lambda *a: gate.wait() and None or run(*a))
+    got = rows(method_queries.Q["sweep_d"](spark, small))
+    want = [run(w.queries(), w.net(), w.index(d=d), w.ring).select(F.lit(d).alias("param"), "qid", "total_min") for d in method_queries.PIVOTS]
+    assert got == sorted(x for d in want for x in rows(d))
