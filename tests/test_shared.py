@@ -140,3 +140,42 @@ def test_batches_of_several_pivots_run_side_by_side(spark, small, monkeypatch):
     got = rows(method_queries.Q["sweep_d"](spark, small))
     want = [run(w.queries(), w.net(), w.index(d=d), w.ring).select(F.lit(d).alias("param"), "qid", "total_min") for d in method_queries.PIVOTS]
     assert got == sorted(x for d in want for x in rows(d))
+
+
+def collections(spark):
+    beans = spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans()
+    return sum(b.getCollectionCount() for b in beans if "Old" in b.getName() or "MarkSweep" in b.getName())
+
+
+def test_the_driver_hands_back_heap_while_parts_are_made(spark, monkeypatch):
+    """Also where the parts have parts of their own."""
+    import time
+
+    from saferoute.plans import world
+
+    monkeypatch.setattr(world, "HAND_BACK_S", 0.2)
+    before = collections(spark)
+    world.together(spark, *[lambda: world.together(spark, lambda: time.sleep(0.5), lambda: time.sleep(1))] * 2)
+    assert collections(spark) >= before + 2
+
+
+def test_networks_of_one_size_are_made_few_at_once(spark, small, monkeypatch):
+    import time
+    from threading import Lock
+
+    now, most, lock = [0], [0], Lock()
+
+    def slow(*a, **k):
+        with lock:
+            now[0] += 1
+            most[0] = max(most[0], now[0])
+        time.sleep(0.3)
+        with lock:
+            now[0] -= 1
+
+    w = World(spark, small)
+    monkeypatch.setattr(w, "ready", slow)
+    monkeypatch.setattr(method_queries, "metrics_of", lambda w, kind, **o: [(kind, *[None] * 17)])
+    monkeypatch.setattr(method_queries, "world", lambda *a: w)
+    got = method_queries.Q["sweep_edges_costs"](spark, small)
+    assert got.count() == 5 and most[0] == method_queries.NETS_AT_ONCE < 5
