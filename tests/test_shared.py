@@ -179,3 +179,16 @@ def test_networks_of_one_size_are_made_few_at_once(spark, small, monkeypatch):
     monkeypatch.setattr(method_queries, "world", lambda *a: w)
     got = method_queries.Q["sweep_edges_costs"](spark, small)
     assert got.count() == 5 and most[0] == method_queries.NETS_AT_ONCE < 5
+
+
+def test_horizons_share_what_does_not_change(spark, monkeypatch):
+    """Stations' arrays are found once, whatever the number of horizons."""
+    net = network(spark, [(i, i + 1, 5, []) for i in range(20)])
+    f = forecasts(spark, [(v, s, 10.0, 100) for v in range(21) for s in range(24)])
+    ask = ask_for(spark, [(0, 1, 15, 480, 50.0, 50, [1])])
+    made, arrays = [], search.station_arrays
+    monkeypatch.setattr(search, "WHOLE_ARCS", 1)
+    monkeypatch.setattr(search, "station_arrays", lambda *a: made.append(1) or arrays(*a))
+    idx = index.build_index(net, f, 2, piv=pivots.pivot_distances(net, [0, 20]))
+    assert router.route_index(ask, net, idx, f).first()["total_min"] == 70
+    assert len(made) == 1
